@@ -38,6 +38,7 @@ MAX_BITS = 3
 SHARED = 5
 HEAVY = 2048
 TRIPLES = list(itertools.combinations(range(6), 3))
+SPLITS = 10  # pairs of the five bytes that a triple leaves
 
 
 def fingerprint(text: str | None, width: int = 3, seed: int = SEED) -> int:
@@ -144,17 +145,34 @@ def _scan_lists(key: np.ndarray, fp: np.ndarray, node: np.ndarray, heavy: int, l
     return np.concatenate(a or none), np.concatenate(b or none), over
 
 
+def split_keys(key: np.ndarray, fp: np.ndarray) -> np.ndarray:
+    """Finer keys (entries x 10) of a long list: two more of the bytes that its linked pairs must share."""
+    out = np.zeros((len(key), SPLITS), np.int64)
+    triple = key >> 24
+    byte = fp.view(np.uint8).reshape(-1, 8).astype(np.int64)
+    for t in np.unique(triple):
+        i = np.flatnonzero(triple == t)
+        for n, (x, y) in enumerate(itertools.combinations([p for p in range(8) if p not in TRIPLES[t]], 2)):
+            out[i, n] = ((t * SPLITS + n) << 40) | ((key[i] & 0xFFFFFF) << 16) | (byte[i, x] << 8) | byte[i, y]
+    return out
+
+
 def _probe(batches, heavy: int, last: bool):
-    """Sorted (key, fp, node) batches to rows (kind, a, b, key): 0 a link of nodes, 1 an entry of a long list, passed on.
+    """Sorted (key, fp, node) batches to rows (kind, a, b, key): 0 a link of nodes, 1 an entry of a long list, passed on under each of its finer keys.
 
     The list that is open at a batch's end waits for the next batch; when it
     outgrows `heavy` it is passed on at once, so memory stays bounded.
     """
     schema = pa.schema([("kind", pa.int8()), ("a", pa.int64()), ("b", pa.int64()), ("key", pa.int64())])
 
-    def rows(kind, a, b, key=None):
-        n = len(a)
-        return pa.RecordBatch.from_arrays([pa.array(np.full(n, kind, np.int8)), pa.array(a), pa.array(b), pa.array(key if key is not None else np.zeros(n, np.int64))], schema=schema)
+    def rows(kind, a, b, key):
+        return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int8)), pa.array(a), pa.array(b), pa.array(key)], schema=schema)
+
+    def link_rows(a, b):
+        return rows(0, np.minimum(a, b), np.maximum(a, b), np.zeros(len(a), np.int64))
+
+    def long_rows(fp, node, key):
+        return rows(1, np.repeat(fp.view(np.int64), SPLITS), np.repeat(node, SPLITS), split_keys(key, fp).ravel())
 
     wait = [np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64)]
     passing = None  # key of a long list whose entries are passed on as they come
@@ -170,7 +188,7 @@ def _probe(batches, heavy: int, last: bool):
         if passing is not None:
             n = int(np.searchsorted(key, passing, "right"))
             if n:
-                yield rows(1, fp[:n].view(np.int64), node[:n], key[:n])
+                yield long_rows(fp[:n], node[:n], key[:n])
                 key, fp, node = key[n:], fp[n:], node[n:]
             if len(key):
                 passing = None
@@ -178,12 +196,12 @@ def _probe(batches, heavy: int, last: bool):
         if cut:
             a, b, over = _scan_lists(key[:cut], fp[:cut], node[:cut], heavy, last)
             if len(a):
-                yield rows(0, np.minimum(a, b), np.maximum(a, b))
+                yield link_rows(a, b)
             if over.any():
-                yield rows(1, fp[:cut][over].view(np.int64), node[:cut][over], key[:cut][over])
+                yield long_rows(fp[:cut][over], node[:cut][over], key[:cut][over])
         key, fp, node = key[cut:], fp[cut:], node[cut:]
         if len(key) > heavy and not last:
-            yield rows(1, fp.view(np.int64), node, key)
+            yield long_rows(fp, node, key)
             passing, key, fp, node = key[0], key[:0], fp[:0], node[:0]
         wait = [key, fp, node]
 
@@ -195,21 +213,11 @@ def links(prints: DataFrame, heavy: int = HEAVY) -> DataFrame:
     spec = "kind byte, a long, b long, key long"
     index = prints.select(F.explode(keys).alias("key"), "fp", "node").repartition("key").sortWithinPartitions("key")
     first = checkpointed(index.mapInArrow(lambda it: _probe(it, heavy, False), spec))
-    longer = first.filter("kind = 1")
-    # Each long list is split by two more bytes that its linked pairs must share.
-    more = [
-        F.when(F.floor(F.col("key") / (1 << 24)) == t, F.array(*[((F.lit(t * 10 + n) * (1 << 40)) + (F.col("key") % (1 << 24)) * 65536 + byte_of("a", i) * 256 + byte_of("a", j)).cast("long") for n, (i, j) in enumerate(itertools.combinations([p for p in range(8) if p not in triple], 2))]))
-        for t, triple in enumerate(TRIPLES)
-    ]
-    split = longer.select(F.explode(F.coalesce(*more)).alias("key"), F.col("a").alias("fp"), F.col("b").alias("node")).repartition("key").sortWithinPartitions("key")
+    split = first.filter("kind = 1").select("key", F.col("a").alias("fp"), F.col("b").alias("node")).repartition("key").sortWithinPartitions("key")
     second = split.mapInArrow(lambda it: _probe(it, heavy, True), spec)
     return first.filter("kind = 0").select("a", "b").union(second.filter("kind = 0").select("a", "b")).distinct()
 
 
-def byte_of(col: str, i: int):
-    return F.shiftrightunsigned(F.col(col), 8 * i).bitwiseAND(F.lit(255))
-
-
 # --- components --------------------------------------------------------------
 
 
