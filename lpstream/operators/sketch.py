@@ -22,9 +22,9 @@ def hashes(spec: SketchSpec) -> Hashes:
 
 
 def quantised(delta: Column, t: Column, spec: SketchSpec) -> Column:
-    """The scaled update in fixed point."""
-    scaled = delta * inv_scale(t, spec.p) if spec.scale else delta
-    return F.floor(scaled * float(spec.fixed) + 0.5).cast("long")
+    """The scaled update in fixed point; rounding is odd, so a retraction cancels exactly."""
+    x = (delta * inv_scale(t, spec.p) if spec.scale else delta) * float(spec.fixed)
+    return F.when(x < 0, -F.floor(-x + 0.5)).otherwise(F.floor(x + 0.5)).cast("long")
 
 
 def reps(spec: SketchSpec) -> Column:

@@ -1,9 +1,22 @@
 """The query catalogue: one function and, where SQL can state it, one DuckDB text a key."""
 
+from __future__ import annotations
+
+from ..operators import relational
+from . import methods, numeric
+
+PARTS = [methods, numeric, relational]
+
 
 def queries() -> dict:
-    return {}
+    out: dict = {}
+    for part in PARTS:
+        out |= part.queries()
+    return out
 
 
-def oracle_sql() -> dict:
-    return {}
+def oracle_sql() -> dict[str, str]:
+    out: dict = {}
+    for part in PARTS:
+        out |= part.oracle_sql()
+    return out
