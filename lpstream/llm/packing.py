@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, functions as F
 
-from .tokens import encoder
+from .tokens import encoder, slices, with_end
 
 SENTENCE_CUT = 4
 WORD_CUT = 16
@@ -125,11 +125,11 @@ def pack(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text: str = "
         enc = encoder(vocabulary, True)
         closing = sentence_ends(vocabulary)
         base = TaskContext.get().partitionId() << 40
-        seen, ids, kept, size = 0, [], [], 0
+        seen, ids, sizes, kept, total = 0, [], [], [], 0
 
         def flush():
-            nonlocal seen, ids, kept, size
-            lengths = np.fromiter(map(len, kept), np.int64, len(kept))
+            nonlocal seen, ids, sizes, kept, total
+            lengths = np.concatenate(sizes)
             stream = np.concatenate(kept).astype("<u4")
             price = np.where(closing[np.minimum(stream, len(closing) - 1)], sentence_cut, word_cut)
             price[np.cumsum(lengths) - 1] = 0
@@ -145,18 +145,18 @@ def pack(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text: str = "
             if with_ids:
                 arrays.append(pa.array([stream[a : a + k].astype(np.int32) for a, k in zip(begin.tolist(), size_of.tolist())], pa.list_(pa.int32())))
             seen += len(ends)
-            ids, kept, size = [], [], 0
+            ids, sizes, kept, total = [], [], [], 0
             return pa.RecordBatch.from_arrays(arrays, names=names)
 
         for b in batches:
-            for at in range(0, b.num_rows, 256):
-                piece = b.slice(at, 256)
-                for doc, found in zip(piece.column(0).to_pylist(), enc.encode_all(piece.column(1).to_pylist())):
-                    ids.append(doc)
-                    kept.append(np.append(found, np.int32(end_id)))
-                    size += len(found) + 1
-                    if size >= span:
-                        yield flush()
+            for piece in slices(b, 1):
+                flat, size = with_end(*enc.encode_column(piece.column(1)), end_id)
+                ids += piece.column(0).to_pylist()
+                sizes.append(size)
+                kept.append(flat)
+                total += len(flat)
+                if total >= span:
+                    yield flush()
         if ids:
             yield flush()
 

@@ -32,7 +32,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from .common import checkpointed
-from .tokens import encoder
+from .tokens import encoder, slices, with_end
 
 MAGIC = b"DAC1"
 BLOCK = 512
@@ -153,26 +153,25 @@ def write(docs: DataFrame, path: str, vocabulary: str, id_col: str = "doc_id", t
     def run(batches):
         enc = encoder(vocabulary)
         part, seq, start = TaskContext.get().partitionId(), 0, 0
-        ids, kept, size = [], [], 0
+        ids, lengths, kept, size = [], [], [], 0
 
         def flush():
-            nonlocal seq, start, ids, kept, size
-            lengths = np.fromiter(map(len, kept), np.int64, len(kept))
-            payload = image(np.array(ids, np.int64), np.r_[0, np.cumsum(lengths)], np.concatenate(kept), bits)
+            nonlocal seq, start, ids, lengths, kept, size
+            payload = image(np.array(ids, np.int64), np.r_[0, np.cumsum(np.concatenate(lengths))], np.concatenate(kept), bits)
             row = [[part], [seq], [start], [size], [len(ids)], [payload]]
             seq, start = seq + 1, start + size
-            ids, kept, size = [], [], 0
+            ids, lengths, kept, size = [], [], [], 0
             return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(row, (pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary()))], names=names)
 
         for b in batches:
-            for at in range(0, b.num_rows, 256):
-                piece = b.slice(at, 256)
-                for doc, found in zip(piece.column(0).to_pylist(), enc.encode_all(piece.column(1).to_pylist())):
-                    ids.append(NO_ID if doc is None else doc)
-                    kept.append(np.append(found, np.int32(end_id)))
-                    size += len(found) + 1
-                    if size >= IMAGE_TOKENS:
-                        yield flush()
+            for piece in slices(b, 1):
+                flat, each = with_end(*enc.encode_column(piece.column(1)), end_id)
+                ids += [NO_ID if d is None else d for d in piece.column(0).to_pylist()]
+                lengths.append(each)
+                kept.append(flat)
+                size += len(flat)
+                if size >= IMAGE_TOKENS:
+                    yield flush()
         if ids:
             yield flush()
 
@@ -207,12 +206,15 @@ def _documents(spark, path, column, f, kind) -> DataFrame:
                 for at in range(0, len(docs), 2048):
                     stop = min(at + 2048, len(docs))
                     o = im.offsets[at : stop + 1]
+                    # A run of documents is a run of ids: one access by rank, then cut at the offsets.
+                    run_ids = im.slice(int(o[0]), int(o[-1]))
+                    base = o - o[0]
                     yield pa.RecordBatch.from_arrays(
                         [
                             pa.array([None if d == NO_ID else d for d in docs[at:stop]], pa.int64()),
                             pa.array(o[:-1] + start),
                             pa.array(np.diff(o)),
-                            pa.array([f(im.slice(x, y)) for x, y in zip(o[:-1].tolist(), o[1:].tolist())], kind),
+                            pa.array([f(run_ids[x:y]) for x, y in zip(base[:-1].tolist(), base[1:].tolist())], kind),
                         ],
                         names=["doc_id", "start", "n_tokens", column.split()[0]],
                     )

@@ -12,11 +12,18 @@ import itertools
 import re
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 from .common import ragged
 
 #: A word of plain letters ends before common punctuation; else what stands up to the next blank or line feed.
 CHUNK = re.compile(r"[ \n]*[A-Za-zÀ-ÖØ-öø-ÿ]+(?=[.,!?:;#*$%&|])|[ \n]*[^ \n]+|[ \n]+")
+#: White space that the column way does not take: doubled, leading, trailing, or of other kinds (RE2 syntax).
+_OTHERS = r"[\x00-\x09\x0b-\x1f\x7f\x{85}\x{a0}\x{1680}\x{2000}-\x{200f}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}\x{feff}]"
+ODD = r"[ \n][ \n]|^[ \n]|[ \n]\z|" + _OTHERS
+ODD_LOSSY = _OTHERS
+LETTER_MARK = r"([A-Za-z\x{C0}-\x{D6}\x{D8}-\x{F6}\x{F8}-\x{FF}])([.,!?:;#*$%&|])"
 SIMPLE = re.compile(r" ?[^ \n]+\Z")
 OTHER_SPACE = re.compile(r"[^\S \n]|[\x1c-\x1f\x85]")
 
@@ -31,7 +38,7 @@ def vocabulary(name: str) -> str:
 class Encoder:
     """Encodes texts to id arrays; `lossy_space` says that the vocabulary drops white space."""
 
-    def __init__(self, path: str, lossy_space: bool = False, remembered: int = 700_000):
+    def __init__(self, path: str, lossy_space: bool = False, remembered: int = 1_200_000):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
@@ -49,17 +56,17 @@ class Encoder:
         self.used = 0
 
     def _encode_chunks(self, part: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of the chunks one after another, and how many each has: one call for all, told apart by offsets."""
-        gap = " " if self.lossy else "\n"
-        joined = gap.join(part)
+        """Ids of the chunks one after another, and how many each has: one call for all, told apart by line feeds or by offsets."""
+        if not self.lossy:  # a line feed is a token of its own, which no chunk here has
+            ids = np.array(self.tok.encode_batch_fast(["\n".join(part)], add_special_tokens=False)[0].ids, np.int32)
+            feed = ids == self.line_feed
+            owner = np.cumsum(feed)[~feed]
+            return ids[~feed], np.bincount(owner, minlength=len(part)).astype(np.int64)
         width = np.fromiter(map(len, part), np.int64, len(part)) + 1
         begin = np.cumsum(width) - width
-        e = self.tok.encode(joined, add_special_tokens=False)
+        e = self.tok.encode(" ".join(part), add_special_tokens=False)
         ids = np.array(e.ids, np.int32)
         at = np.fromiter((o[0] for o in e.offsets), np.int64, len(ids))
-        if not self.lossy:
-            real = ids != self.line_feed
-            ids, at = ids[real], at[real]
         owner = np.searchsorted(begin, at, "right") - 1
         return ids, np.bincount(owner, minlength=len(part)).astype(np.int64)
 
@@ -115,10 +122,90 @@ class Encoder:
             out[i] = ids
         return out
 
+    def encode_column(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts of an Arrow column one after another, and how many each has.
+
+        Words are split and numbered by Arrow's kernels; only a batch's distinct
+        words become Python strings.  Texts whose white space is not made of single
+        blanks and line feeds between words take the general way.
+        """
+        texts = texts.cast(pa.large_string()).fill_null("")
+        odd = pc.match_substring_regex(texts, ODD_LOSSY if self.lossy else ODD).to_numpy(zero_copy_only=False)
+        plain = texts.filter(pa.array(~odd)) if odd.any() else texts
+        flat, size = self._plain_column(plain)
+        if not odd.any():
+            return flat, size
+        where = np.flatnonzero(odd)
+        rest = self.encode_all([texts[int(i)].as_py() for i in where])
+        sizes = np.zeros(len(texts), np.int64)
+        sizes[~odd], sizes[odd] = size, [len(r) for r in rest]
+        out = np.zeros(int(sizes.sum()), np.int32)
+        starts = np.cumsum(sizes) - sizes
+        out[ragged(starts[~odd], size)] = flat
+        out[ragged(starts[odd], sizes[odd])] = np.concatenate(rest)
+        return out, sizes
+
+    def _plain_column(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        if len(self.number) > self.limit:
+            self._forget()
+        # Letters and the punctuation after them are set apart, so that a word is one word wherever it stands.
+        if self.lossy:
+            cut = pc.split_pattern(pc.replace_substring_regex(pc.ascii_lower(pc.replace_substring(texts, "\n", " ")), LETTER_MARK, r"\1 \2"), " ")
+        else:
+            cut = pc.split_pattern(pc.replace_substring_regex(pc.replace_substring(texts, "\n", " \n "), LETTER_MARK, "\\1 \x01\\2"), " ")
+        count = pc.list_value_length(cut).to_numpy(zero_copy_only=False).astype(np.int64)
+        coded = pc.list_flatten(cut).dictionary_encode()
+        code = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
+        words = coded.dictionary.to_pylist()
+        if self.lossy:
+            used = np.arange(len(words))
+        else:
+            # A word at a text's start or at a line feed has no blank of its own in front.
+            feed = np.array([w == "\n" for w in words], bool)[code] if "\n" in words else np.zeros(len(code), bool)
+            bare = feed.copy()
+            bare[1:] |= feed[:-1]
+            first = (np.cumsum(count) - count)[count > 0]
+            bare[first] = True
+            code = 2 * code + bare
+            seen = np.zeros(2 * len(words), bool)
+            seen[code] = True
+            used = np.flatnonzero(seen)
+            words = [w[1:] if w[:1] == "\x01" else w if k & 1 or not w else " " + w for k, w in ((k, words[k >> 1]) for k in used.tolist())]
+        new = list(set(words).difference(self.number))
+        if new:
+            self._learn(new)
+        table = np.zeros(2 * len(words) + 2 if self.lossy else len(seen), np.int64)
+        table[used] = np.fromiter(map(self.number.__getitem__, words), np.int64, len(words))
+        entry = table[code]
+        size = self.length[entry]
+        flat = self.ids[ragged(self.start[entry], size)]
+        ends = np.r_[0, np.cumsum(size)][np.cumsum(count)] if len(count) else np.zeros(0, np.int64)
+        return flat, np.diff(np.r_[0, ends])
+
     def encode(self, text: str | None) -> np.ndarray:
         return self.encode_all([text])[0]
 
 
+def slices(batch: pa.RecordBatch, text: int, most: int = 16 << 20):
+    """The batch in runs of rows with about `most` bytes of text each, at least a row."""
+    size = pc.binary_length(batch.column(text)).fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
+    run = np.cumsum(size) // most
+    cut = np.r_[0, np.flatnonzero(np.diff(run)) + 1, len(size)] if len(size) else [0]
+    for a, b in zip(cut[:-1], cut[1:]):
+        yield batch.slice(int(a), int(b - a))
+
+
+def with_end(flat: np.ndarray, size: np.ndarray, end_id: int) -> tuple[np.ndarray, np.ndarray]:
+    """The ids with an end id after each document, and the new sizes."""
+    size = size + 1
+    out = np.full(int(size.sum()), end_id, np.int32)
+    stop = np.cumsum(size) - 1
+    mask = np.ones(len(out), bool)
+    mask[stop] = False
+    out[mask] = flat
+    return out, size
+
+
 _encoders: dict[tuple, Encoder] = {}
 
 
