@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from ..operators import relational
+from ..operators import functions_queries, relational
+from ..streaming import streams
 from . import methods, numeric
 
-PARTS = [methods, numeric, relational]
+PARTS = [methods, numeric, relational, functions_queries, streams]
 
 
 def queries() -> dict:
