@@ -25,7 +25,6 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import DataFrame, functions as F
 
 from .common import checkpointed
@@ -127,10 +126,15 @@ def repair(roles: list[int], table, final: list[int], first: int = START, last:
     return out[::-1]
 
 
-def _runs(batches):
-    """Sorted (conversation, role code, row) batches to (conversation, roles, rows), a whole run of a partition at a time."""
+def _runs(batches, seen: dict):
+    """Sorted (conversation, role code, row, part) batches to (conversation, roles, rows), a whole run of a partition at a time.
+
+    `seen` gets the part as written at the checkpoint: a task's own number changes in a union.
+    """
     now, roles, rows, any_ = None, [], [], False
     for b in batches:
+        if b.num_rows:
+            seen["part"], seen["type"] = b.column(3)[0].as_py(), b.schema.field(0).type
         for c, r, i in zip(*(b.column(k).to_pylist() for k in range(3))):
             if any_ and c != now:
                 yield now, roles, rows
@@ -147,7 +151,8 @@ def _borders(turns: DataFrame, table) -> list:
 
     def run(batches):
         first = last = None
-        for c, roles, _ in _runs(batches):
+        seen: dict = {}
+        for c, roles, _ in _runs(batches, seen):
             if first is None:
                 first = last = (c, roles)
             else:
@@ -155,7 +160,7 @@ def _borders(turns: DataFrame, table) -> list:
             n = 1 if first is last else 2
         if first is not None:
             flat = lambda x: [v for row in matrix_of(x[1], table) for v in row]
-            yield pa.RecordBatch.from_pydict({"part": pa.array([TaskContext.get().partitionId()], pa.int32()), "one": pa.array([n == 1]), "c1": pa.array([str(first[0])]), "c2": pa.array([str(last[0])]), "m1": pa.array([flat(first)], pa.list_(pa.int64())), "m2": pa.array([flat(last)], pa.list_(pa.int64()))})
+            yield pa.RecordBatch.from_pydict({"part": pa.array([seen["part"]], pa.int32()), "one": pa.array([n == 1]), "c1": pa.array([str(first[0])]), "c2": pa.array([str(last[0])]), "m1": pa.array([flat(first)], pa.list_(pa.int64())), "m2": pa.array([flat(last)], pa.list_(pa.int64()))})
 
     return turns.mapInArrow(run, "part int, one boolean, c1 string, c2 string, m1 array<long>, m2 array<long>").orderBy("part").collect()
 
@@ -207,13 +212,12 @@ def decide(conversations: DataFrame, costs: Costs = Costs(), conv_col: str = "co
         code = F.when(name.isin(r, *[a for a, x in ALIASES.items() if x == r]), k + 1).otherwise(code)
     parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
     order = ["conv_id", "turn", "code", "h", "row"]
-    turns = checkpointed(numbered.select("conv_id", "turn", code.alias("code"), F.xxhash64("text").alias("h"), "row").repartitionByRange(parts, *order).sortWithinPartitions(*order).select("conv_id", "code", "row"))
+    turns = checkpointed(numbered.select("conv_id", "turn", code.alias("code"), F.xxhash64("text").alias("h"), "row").repartitionByRange(parts, *order).sortWithinPartitions(*order).select("conv_id", "code", "row", F.spark_partition_id().alias("part")))
     plan = _plan(_borders(turns, table), final)
     kind = turns.schema["conv_id"].dataType.simpleString()
 
     def run(batches):
-        part = TaskContext.get().partitionId()
-        entry, before, goes_on, leave = plan.get(part, (START, 0, False, None))
+        seen: dict = {}
         kept = None
 
         def rows_of(c, roles, rows, first, start, last, open_):
@@ -235,26 +239,20 @@ def decide(conversations: DataFrame, costs: Costs = Costs(), conv_col: str = "co
             cols = list(zip(*rows))
             return pa.RecordBatch.from_arrays([pa.array(cols[0], conv_type), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.int64()), pa.array(cols[3]), pa.array(cols[4])], names=["conv_id", "row", "position", "role", "op"])
 
-        types = []
-
-        def spied(it):
-            for b in it:
-                types[:] = [b.schema.field(0).type]
-                yield b
-
         first, buffer = True, []
-        for c, roles, rows in _runs(spied(batches)):
+        for c, roles, rows in _runs(batches, seen):
+            entry, before, goes_on, leave = plan[seen["part"]]
             if kept is not None:
                 buffer += rows_of(*kept[0], *kept[1], None, False)
                 if len(buffer) > 4096:
-                    yield batch(buffer, types[0])
+                    yield batch(buffer, seen["type"])
                     buffer = []
             kept = ((c, roles, rows), (entry, before) if first else (START, 0))
             first = False
         if kept is not None:
             buffer += rows_of(*kept[0], *kept[1], leave, goes_on)
         if buffer:
-            yield batch(buffer, types[0])
+            yield batch(buffer, seen["type"])
 
     return numbered, turns.mapInArrow(run, f"conv_id {kind}, row long, position long, role string, op string")
 

@@ -304,7 +304,7 @@ def extract(page: str | None, wrapper: Wrapper | None = None) -> str:
                     pop()
                 pop()
             continue
-        if t.main == 2 and hidden and not any(r.rank == 2 for _, r in regions):
+        if t.main == 2 and hidden and not any(r.rank == 3 for _, r in regions):
             while hidden:  # an article inside furniture: the furniture was left open
                 pop()
         if t.name in ENDS_P and stack:
@@ -324,7 +324,7 @@ def extract(page: str | None, wrapper: Wrapper | None = None) -> str:
                     pop()
         if t.name in VOID:
             continue
-        inside = any(r.rank == 2 for _, r in regions)
+        inside = any(r.rank == 3 for _, r in regions)
         furniture = t.furniture and not (t.main and not t.name in FURNITURE) and not (inside and t.name == "header")
         if t.main == 2:
             furniture = False

@@ -38,7 +38,7 @@ def vocabulary(name: str) -> str:
 class Encoder:
     """Encodes texts to id arrays; `lossy_space` says that the vocabulary drops white space."""
 
-    def __init__(self, path: str, lossy_space: bool = False, remembered: int = 1_200_000):
+    def __init__(self, path: str, lossy_space: bool = False, remembered: int = 900_000):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
@@ -186,7 +186,7 @@ class Encoder:
         return self.encode_all([text])[0]
 
 
-def slices(batch: pa.RecordBatch, text: int, most: int = 16 << 20):
+def slices(batch: pa.RecordBatch, text: int, most: int = 10 << 20):
     """The batch in runs of rows with about `most` bytes of text each, at least a row."""
     size = pc.binary_length(batch.column(text)).fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
     run = np.cumsum(size) // most

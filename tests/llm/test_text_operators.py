@@ -225,7 +225,7 @@ def test_license_inheritance(spark):
         (1, "a/LICENSE", "This work is licensed under the GNU General Public License, version 3.\nTerms and conditions follow."),
         (2, "a/b/c/x.py", "print(1)"),
         (3, "a/b/LICENSE.txt", "Released under the MIT License."),
-        (4, "a/b/c/y.py", "# Licensed under the Apache License, Version 2.0.\nprint(2)"),
+        (4, "a/b/c/y.py", "# Licensed under the Apache License, Version 2.0.\n" + "print(2)\n" * 20),
         (5, "other/z.py", "nothing"),
         (6, None, "Released under the MIT License.\nwords " + "more " * 50),
         (7, "a/q.py", None),
