@@ -68,7 +68,7 @@ def offline_sample(scored: DataFrame, k: int, mode: str = "poisson", seed: int =
         mean = F.col("score") * F.lit(k / whole)
         draws = F.floor(mean) + F.when(u <= mean - F.floor(mean), 1).otherwise(0)
         kept = scored.withColumn("draws", draws).filter("draws > 0").withColumn("prob", mean / F.col("draws"))
-    return kept.select("row_id", "vec", "prob", (1.0 / F.col("prob")).alias("weight"))
+    return kept.select("row_id", "vec", F.col("score").alias("norm_p"), "prob", (1.0 / F.col("prob")).alias("weight"))
 
 
 def level(row: Column, levels: int, base: int, seed: int) -> Column:

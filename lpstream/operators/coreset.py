@@ -24,11 +24,12 @@ def build(updates: DataFrame, rows: DataFrame | None, loss: str, p: float, k: in
     mixed = NEEDS_UNIFORM[loss]
     share = max(1, k // 2) if mixed else k
     spec = spec or practical(share, p, d, seed)
-    lp = leverage.sample_stream(updates, updates.select("row_id").distinct(), spec, share)
+    matrix = leverage.embedding_conditioner(updates, d, p, seed=seed)
+    lp = leverage.sample_stream(updates, updates.select("row_id").distinct(), spec, share, matrix=matrix)
     if not mixed:
         return lp.select("row_id", "vec", "prob", "weight", "origin")
     uni = uniform_rows(rows, share, n, seed) if rows is not None else sampler.uniform(updates, share, n, seed, d)
-    return sampler.mix_uniform(lp, uni.withColumn("origin", F.lit("uniform")), share, n).select("row_id", "vec", "prob", "weight", "origin")
+    return sampler.mix_uniform(lp, uni, share, n, p, matrix).select("row_id", "vec", "prob", "weight", "origin")
 
 
 def refetch(updates: DataFrame, sampled: DataFrame, d: int) -> DataFrame:

@@ -267,7 +267,10 @@ def bucketed_updates(spark, sf):
     return t.groupBy("row_id").agg(F.round(F.sum("delta"), 2).alias("v"))
 
 
+DATE_SQL = SHARED["fn_date_parts"].replace("datediff(day,", "datediff('day',")
+
 PAIRS = {
+    "fn_date_parts": (lambda spark, sf: sql(spark, sf, SHARED["fn_date_parts"]), DATE_SQL),
     "fn_text_features": (text_features, SHARED["fn_text_features"]),
     "fn_hash_poly": (hash_poly, HASH_SQL),
     "fn_loss_columns": (loss_columns, LOSS_SQL),

@@ -104,24 +104,37 @@ def uniform(updates: DataFrame, k: int, n: int, seed: int = 42, d: int = 7) -> D
     return rows.select("row_id", "vec", F.lit(min(1.0, k / n)).alias("prob"), F.lit(max(1.0, n / k)).alias("weight"), F.lit("uniform").alias("origin"))
 
 
-def mix_uniform(lp: DataFrame, uni: DataFrame, k: int, n: int) -> DataFrame:
-    """Union of a norm sample and a uniform one: probability 1-(1-p)(1-q); the exact row is preferred."""
+def cut_of(lp: DataFrame) -> float:
+    """The cut of a sample: norm over probability of any row that isn't certain (0 if all are)."""
+    return float(lp.agg(F.max(F.when(F.col("prob") < 1, F.col("norm_p") / F.col("prob")))).first()[0] or 0.0)
+
+
+def own_probability(vec: Column, alpha: float, p: float, matrix=None) -> Column:
+    """Inclusion probability of a row under a cut, from the row itself (in the conditioned basis if there is a matrix)."""
+    if alpha <= 0:
+        return F.lit(1.0)
+    if matrix is not None:
+        m = np.asarray(matrix, float)
+        vec = F.array(*[sum((vec[i] * F.lit(float(m[i, j])) for i in range(1, m.shape[0])), vec[0] * F.lit(float(m[0, j]))) for j in range(m.shape[1])])
+    return F.least(F.lit(1.0), norm_of(vec, p) / F.lit(float(alpha)))
+
+
+def mix_uniform(lp: DataFrame, uni: DataFrame, k: int, n: int, p: float = 1.0, matrix=None, alpha: float | None = None) -> DataFrame:
+    """Union of a norm sample and a uniform one: probability 1-(1-p)(1-q); the exact row is preferred.
+
+    A row of the uniform part alone gets its p from its own norm and the sample's cut.
+    """
     q = min(1.0, k / n)
-    a = lp.select("row_id", F.col("vec").alias("va"), F.col("norm_p"), F.col("prob").alias("pa"), F.col("alpha") if "alpha" in lp.columns else F.lit(None).cast("double").alias("alpha"))
-    b = uni.select("row_id", F.col("vec").alias("vb"), F.lit(True).alias("in_b"))
+    lp = lp.persist()
+    alpha = cut_of(lp) if alpha is None else alpha
+    a = lp.select("row_id", F.col("vec").alias("va"), F.col("norm_p"), F.col("prob").alias("pa"))
+    b = uni.select("row_id", F.col("vec").alias("vb"), own_probability(F.col("vec"), alpha, p, matrix).alias("pb"))
     both = a.join(b, "row_id", "full")
-    pa = F.coalesce("pa", F.lit(0.0))
-    prob = 1.0 - (1.0 - pa) * (1.0 - q)
-    origin = F.when(F.col("va").isNotNull() & F.col("in_b"), "both").when(F.col("in_b"), "uniform").otherwise("lp")
+    prob = 1.0 - (1.0 - F.coalesce("pa", "pb")) * (1.0 - q)
+    origin = F.when(F.col("va").isNotNull() & F.col("vb").isNotNull(), "both").when(F.col("vb").isNotNull(), "uniform").otherwise("lp")
     return both.select("row_id", F.coalesce("vb", "va").alias("vec"), "norm_p", prob.alias("prob"), (1.0 / prob).alias("weight"), origin.alias("origin"))
 
 
-def complete_probability(rows: DataFrame, alpha: float, p: float, prob: str) -> DataFrame:
-    """Inclusion probability under a cut from the row itself, for rows of another sample."""
-    own = F.least(F.lit(1.0), norm_of(F.col("vec"), p) / F.lit(float(alpha))) if alpha > 0 else F.lit(1.0)
-    return rows.withColumn(prob, own)
-
-
 def mix_many(samples: list[tuple[DataFrame, float, float]]) -> DataFrame:
     """Union of samples (rows, alpha, p) with different norms: probability 1 - product of misses, each from the row itself."""
     out = None
@@ -131,8 +144,7 @@ def mix_many(samples: list[tuple[DataFrame, float, float]]) -> DataFrame:
     one = out.groupBy("row_id").agg(F.min_by("vec", "part").alias("vec"), F.array_sort(F.collect_set("part")).alias("parts"))
     miss = F.lit(1.0)
     for _, alpha, p in samples:
-        own = F.least(F.lit(1.0), norm_of(F.col("vec"), p) / F.lit(float(alpha))) if alpha > 0 else F.lit(1.0)
-        miss = miss * (1.0 - own)
+        miss = miss * (1.0 - own_probability(F.col("vec"), alpha, p))
     return one.withColumn("prob", 1.0 - miss).select("row_id", "vec", "prob", (1.0 / F.col("prob")).alias("weight"), F.concat_ws("+", F.transform("parts", lambda x: x.cast("string"))).alias("origin"))
 
 

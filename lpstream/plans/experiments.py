@@ -28,35 +28,46 @@ def _reduced(method: str, rows: DataFrame, updates: DataFrame, loss: str, p: flo
     if method == "oblivious":
         return *coreset.to_numpy(baselines.oblivious(updates, k, seed=seed, d=d, signed=loss == "lp")), k * d
     share = max(1, k // 2) if loss != "lp" or mixture == "l1l2" else k
+    if "matrix" not in shared:
+        shared["matrix"] = leverage.embedding_conditioner(updates, d, q)
+    matrix = shared["matrix"]
     if method == "offline":
         if "offline" not in shared:
-            shared["offline"] = leverage.with_embedding(rows, d, q).persist()
-        scored = shared["offline"]
-        got = baselines.offline_sample(scored, share, "priority", seed)
+            shared["offline"] = leverage.scores(rows, q, matrix).persist()
+        got = baselines.offline_sample(shared["offline"], share, "priority", seed)
         if loss != "lp":
-            uni = baselines.uniform_rows(rows, share, n, seed)
-            got = sampler.mix_uniform(got.withColumn("norm_p", F.lit(0.0)), uni, share, n)
+            got = sampler.mix_uniform(got, baselines.uniform_rows(rows, share, n, seed), share, n, q, matrix)
+        elif mixture == "l1l2":
+            if "offline2" not in shared:
+                shared["matrix2"] = leverage.embedding_conditioner(updates, d, 2.0)
+                shared["offline2"] = leverage.scores(rows, 2.0, shared["matrix2"]).persist()
+            got = mixed(got, baselines.offline_sample(shared["offline2"], share, "priority", seed + 7), q, matrix, shared["matrix2"])
         return *coreset.to_numpy(got), 0
     spec = practical(share, q, d, seed)
-    if "matrix" not in shared:
-        shared["matrix"] = leverage.embedding_conditioner(updates, d, q)
     cells = sk.build(updates, spec).persist()
     ids = shared.setdefault("ids", updates.select("row_id").distinct().persist())
-    lp = sampler.sample(cells, ids, spec, share, matrix=shared["matrix"])
+    lp = sampler.sample(cells, ids, spec, share, matrix=matrix)
     if loss != "lp":
-        lp = sampler.mix_uniform(lp, baselines.uniform_rows(rows, share, n, seed), share, n)
+        lp = sampler.mix_uniform(lp, baselines.uniform_rows(rows, share, n, seed), share, n, q, matrix)
     elif mixture == "l1l2":
         two = replace(practical(share, 2.0, d, seed + 1), seed=seed + 1)
         if "matrix2" not in shared:
             shared["matrix2"] = leverage.embedding_conditioner(updates, d, 2.0)
         other = sampler.sample(sk.build(updates, two).persist(), ids, two, share, matrix=shared["matrix2"])
-        both = lp.select("row_id", "vec", "prob").unionByName(other.select("row_id", "vec", "prob"))
-        merged = both.groupBy("row_id").agg(F.first("vec").alias("vec"), (1.0 - F.product(1.0 - F.col("prob"))).alias("prob"))
-        lp = merged.withColumn("weight", 1.0 / F.col("prob"))
+        lp = mixed(lp, other, q, matrix, shared["matrix2"])
     x, w = coreset.to_numpy(lp)
     return x, w, spec.r * spec.s * d
 
 
+def mixed(a: DataFrame, b: DataFrame, p: float, matrix_a: np.ndarray, matrix_b: np.ndarray) -> DataFrame:
+    """Union of an lp and an l2 leverage sample, each row's two probabilities from the row itself."""
+    a, b = a.persist(), b.persist()
+    rows = a.select("row_id", "vec", F.lit(0).alias("part")).unionByName(b.select("row_id", "vec", F.lit(1).alias("part")))
+    one = rows.groupBy("row_id").agg(F.min_by("vec", "part").alias("vec"))
+    miss = (1.0 - sampler.own_probability(F.col("vec"), sampler.cut_of(a), p, matrix_a)) * (1.0 - sampler.own_probability(F.col("vec"), sampler.cut_of(b), 2.0, matrix_b))
+    return one.withColumn("prob", 1.0 - miss).withColumn("weight", 1.0 / F.col("prob"))
+
+
 def run(spark: SparkSession, sf: str, workload: str, loss: str = "logistic", p: float = 1.0, sizes=(50, 200), seeds=range(3), methods=METHODS, mixture: str = "") -> DataFrame:
     """One row a (method, size, seed): ratio, cells, seconds of reduction and of solving."""
     problem = "lp" if loss == "lp" else loss

@@ -219,7 +219,8 @@ def mix_union(spark, sf):
 
 def mix_union_sql() -> str:
     cols = ", ".join(f"round(coalesce(u{j}, c{j}), 2) as c{j}" for j in range(7))
-    prob = f"(1.0::double - (1.0::double - coalesce(prob, 0.0)) * (1.0::double - {K / N!r}::double))"
+    own = f"least(1.0, ({' + '.join(f'abs(u{j})' for j in range(7))}) / (select max(case when prob < 1 then norm_p / prob end) from smp))"
+    prob = f"(1.0::double - (1.0::double - coalesce(prob, {own})) * (1.0::double - {K / N!r}::double))"
     return f"""with {q.chain(ONE, q.ORDERS, 4 * K)}, {q.top(K)}, {UNI}
 select coalesce(s.row_id, u.row_id) as row_id, {cols}, round({prob}, 6) as prob, round(1.0 / {prob}, 4) as weight,
  case when s.row_id is not null and u.row_id is not null then 'both' when u.row_id is not null then 'uniform' else 'lp' end as origin

@@ -79,11 +79,10 @@ def leverage_mix_l1_l2(spark, sf):
     rows = features.w3_events(spark, sf, "l1")
     d = features.width(rows)
     log = leverage.long_rows(rows)
-    a = leverage.sample_stream(log, up.ids(log), practical(K, 1.0, d), K)
-    b = leverage.sample_stream(log, up.ids(log), practical(K, 2.0, d, seed=49), K)
-    both = a.select("row_id", "vec", "prob").unionByName(b.select("row_id", "vec", "prob"))
-    merged = both.groupBy("row_id").agg(F.first("vec").alias("vec"), (1.0 - F.product(1.0 - F.col("prob"))).alias("prob"))
-    return shown(merged.withColumn("weight", 1.0 / F.col("prob")))
+    m1, m2 = (leverage.embedding_conditioner(log, d, p) for p in (1.0, 2.0))
+    a = leverage.sample_stream(log, up.ids(log), practical(K, 1.0, d), K, matrix=m1)
+    b = leverage.sample_stream(log, up.ids(log), practical(K, 2.0, d, seed=49), K, matrix=m2)
+    return shown(experiments.mixed(a, b, 1.0, m1, m2))
 
 
 def coreset_of(loss: str, p: float, problem: str):

@@ -51,7 +51,8 @@ def load_sketch(spark: SparkSession, path: str, spec: SketchSpec | None = None)
 
 
 def bucketed(log: DataFrame, name: str, buckets: int = 16) -> DataFrame:
-    """The log as a table bucketed by row, so that sums by row need no shuffle."""
+    """The log as a table bucketed by row under a fresh name, so that sums by row need no shuffle."""
     spark = log.sparkSession
-    log.write.mode("overwrite").bucketBy(buckets, "row_id").sortBy("row_id").saveAsTable(name)
+    name = f"{name}_{uuid.uuid4().hex[:12]}"
+    log.write.bucketBy(buckets, "row_id").sortBy("row_id").option("path", scratch(spark, name)).saveAsTable(name)
     return spark.table(name)

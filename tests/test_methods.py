@@ -186,9 +186,10 @@ def test_inclusion_frequencies():
 
 def test_mixture_probabilities(spark):
     lp = spark.createDataFrame([(1, [1.0], 1.0, 0.5, 2.0), (2, [2.0], 2.0, 1.0, 1.0)], "row_id long, vec array<double>, norm_p double, prob double, weight double")
-    uni = spark.createDataFrame([(1, [9.0]), (3, [3.0])], "row_id long, vec array<double>")
+    uni = spark.createDataFrame([(1, [9.0]), (3, [3.0]), (4, [-1.0])], "row_id long, vec array<double>")
     got = {r.row_id: (r.vec, round(r.prob, 6), r.origin) for r in sampler.mix_uniform(lp, uni, 1, 10).collect()}
-    assert got == {1: ([9.0], 0.55, "both"), 2: ([2.0], 1.0, "lp"), 3: ([3.0], 0.1, "uniform")}
+    # The cut is 2: the uniform row of norm 3 is certain, and one of norm 1 has probability one half.
+    assert got == {1: ([9.0], 0.55, "both"), 2: ([2.0], 1.0, "lp"), 3: ([3.0], 1.0, "uniform"), 4: ([-1.0], 0.55, "uniform")}
     rng = np.random.default_rng(1)
     t = rng.random(200_000)  # one scalar for both parts: the larger probability
     assert abs(((t <= 0.1) | (t <= 0.3)).mean() - 0.3) < 0.01
