@@ -9,6 +9,12 @@ fingerprints hardly meet).  Inside a posting list the shared bytes of a pair are
 tallied, pairs with fewer than five are dropped, the rest is verified by XOR and
 bit count.
 
+The same index finds looser copies with longer fingerprints (`NEAR`: 256 bits of
+the set of five-word shingles, 48 bits apart at most, where a Jaccard similarity
+of 0.8 is 39 bits apart on average).  So many bits guarantee no shared byte, so
+the lists are kept by 64 pairs of positions: two texts at similarity 0.8 share a
+byte with probability 0.27, and miss all 64 pairs about once in a hundred.
+
 Scale: copies collapse to one fingerprint before anything is indexed; the index
 holds 20 short rows a fingerprint; lists are scanned inside a sorted partition,
 so no list becomes a group in memory beyond `heavy` entries.  A longer list is
@@ -25,28 +31,57 @@ repeated rows stay repeated; an empty table gives an empty result.
 from __future__ import annotations
 
 import itertools
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import checkpointed
+from .common import checkpointed, mix64
 
 SEED = 42
-MAX_BITS = 3
-SHARED = 5
 HEAVY = 2048
-TRIPLES = list(itertools.combinations(range(6), 3))
-SPLITS = 10  # pairs of the five bytes that a triple leaves
+
+
+@dataclass(frozen=True)
+class Scheme:
+    """Shingles, fingerprint length in 64-bit blocks, greatest distance, least shared bytes, and the positions of the lists.
+
+    `lists` are tuples of byte positions that make a key; `more` is how many
+    further bytes a long list is split by: one finer list for each choice of them.
+    """
+
+    width: int
+    distinct: bool
+    blocks: int
+    max_bits: int
+    shared: int
+    lists: tuple
+    more: int
+
+    def splits(self, t: int) -> list[tuple]:
+        return list(itertools.combinations([p for p in range(8 * self.blocks) if p not in self.lists[t]], self.more))
+
+
+#: 64 bits of three-word shingles, three bits apart: five of eight bytes are shared, three of any six.
+CLOSE = Scheme(3, False, 1, 3, 5, tuple(itertools.combinations(range(6), 3)), 2)
+#: 256 bits of the set of five-word shingles: a similarity of about 0.8 and more.
+NEAR = Scheme(5, True, 4, 48, 2, tuple((i, (i + o) % 32) for o in (1, 2) for i in range(32)), 1)
 
 
 def fingerprint(text: str | None, width: int = 3, seed: int = SEED) -> int:
     """64-bit SimHash of the word shingles of one text; 0 where there is no word."""
+    return int(fingerprints(text, CLOSE if width == 3 else replace(CLOSE, width=width), seed)[0])
+
+
+def fingerprints(text: str | None, scheme: Scheme, seed: int = SEED) -> np.ndarray:
+    """The blocks of a fingerprint; the first is that of the shingles' own hashes, the others mix them again."""
+    width = scheme.width
     words = (text or "").encode().lower().split()  # bytes: A-Z and ASCII white space only
     n = len(words)
     if not n:
-        return 0
+        return np.zeros(scheme.blocks, np.uint64)
     joined = b" ".join(words)
     if n <= width:
         hashes = np.array([xxhash.xxh64_intdigest(joined, seed)], np.uint64)
@@ -56,27 +91,35 @@ def fingerprint(text: str | None, width: int = 3, seed: int = SEED) -> int:
         stop = start + length
         digest = xxhash.xxh64_intdigest
         hashes = np.array([digest(joined[a:b], seed) for a, b in zip(start[: n - width + 1].tolist(), stop[width - 1 :].tolist())], np.uint64)
-    counts = np.zeros(64, np.int64)
+    if scheme.distinct:
+        hashes = np.unique(hashes)
+    counts = np.zeros((scheme.blocks, 64), np.int64)
     for i in range(0, len(hashes), 65536):  # bounded memory for very long texts
         block = hashes[i : i + 65536]
-        counts += np.unpackbits(block.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    bits = np.packbits((2 * counts > len(hashes)).astype(np.uint8), bitorder="little")
-    return int(bits.view(np.uint64)[0])
+        for k in range(scheme.blocks):
+            counts[k] += np.unpackbits(block.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+            block = mix64(block)
+    return np.packbits((2 * counts > len(hashes)).astype(np.uint8), axis=1, bitorder="little").view(np.uint64).ravel()
 
 
 def signed(x: int) -> int:
     return x - (1 << 64) if x >= 1 << 63 else x
 
 
-def with_fingerprint(docs: DataFrame, text: str = "text", out: str = "fp", width: int = 3) -> DataFrame:
-    """Every row with its fingerprint as a signed long; other columns pass through untouched, the text is dropped."""
+def names(scheme: Scheme) -> list[str]:
+    return ["fp"] if scheme.blocks == 1 else [f"fp{k}" for k in range(scheme.blocks)]
+
+
+def with_fingerprint(docs: DataFrame, text: str = "text", scheme: Scheme = CLOSE) -> DataFrame:
+    """Every row with its fingerprint as signed longs (`fp`, or `fp0`...); other columns pass through untouched, the text is dropped."""
     keep = [c for c in docs.columns if c != text]
-    schema = docs.select(*keep).schema.add(out, "long")
+    cols = names(scheme)
+    schema = T.StructType([*docs.select(*keep).schema.fields, *[T.StructField(c, T.LongType()) for c in cols]])
 
     def run(batches):
         for b in batches:
-            fps = pa.array([signed(fingerprint(t, width)) for t in b.column(text).to_pylist()], pa.int64())
-            yield pa.RecordBatch.from_arrays([b.column(c) for c in keep] + [fps], names=[*keep, out])
+            found = np.array([fingerprints(t, scheme) for t in b.column(text).to_pylist()], np.uint64).reshape(-1, scheme.blocks).view(np.int64)
+            yield pa.RecordBatch.from_arrays([b.column(c) for c in keep] + [pa.array(np.ascontiguousarray(found[:, k])) for k in range(scheme.blocks)], names=[*keep, *cols])
 
     return docs.mapInArrow(run, schema)
 
@@ -84,26 +127,27 @@ def with_fingerprint(docs: DataFrame, text: str = "text", out: str = "fp", width
 # --- links -----------------------------------------------------------------
 
 
-def _shared_bytes(x: np.ndarray) -> np.ndarray:
-    return (x.view(np.uint8).reshape(-1, 8) == 0).sum(axis=1)
+def _bytes(fp: np.ndarray) -> np.ndarray:
+    """Positional bytes (entries x 8 blocks)."""
+    return np.ascontiguousarray(fp).view(np.uint8).reshape(len(fp), -1)
 
 
-def _linked(x: np.ndarray) -> np.ndarray:
+def _linked(x: np.ndarray, scheme: Scheme) -> np.ndarray:
     """Of XORed pairs: which pass the count filter and the verification."""
     out = np.zeros(len(x), bool)
-    tally = np.flatnonzero(_shared_bytes(x) >= SHARED)
-    out[tally] = np.bitwise_count(x[tally]) <= MAX_BITS
+    tally = np.flatnonzero((_bytes(x) == 0).sum(axis=1) >= scheme.shared)
+    out[tally] = np.bitwise_count(x[tally]).sum(axis=1, dtype=np.int64) <= scheme.max_bits
     return out
 
 
-def _stars(fp: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def _stars(fp: np.ndarray, scheme: Scheme) -> tuple[np.ndarray, np.ndarray]:
     """Spanning stars of the linked groups in one posting list: each entry meets only what is not yet reached."""
     left = np.arange(1, len(fp))
     queue, hub, a, b = [0], 0, [], []
     while True:
         while queue and len(left):
             i = queue.pop()
-            hit = _linked(fp[left] ^ fp[i])
+            hit = _linked(fp[left] ^ fp[i], scheme)
             found = left[hit]
             if len(found):
                 left = left[~hit]
@@ -119,7 +163,7 @@ def _stars(fp: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(a), np.concatenate(b)
 
 
-def _scan_lists(key: np.ndarray, fp: np.ndarray, node: np.ndarray, heavy: int, last: bool):
+def _scan_lists(key: np.ndarray, fp: np.ndarray, node: np.ndarray, heavy: int, last: bool, scheme: Scheme):
     """Links of the whole lists in sorted arrays, and a mask of the entries in lists that are too long."""
     start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
     size = np.diff(np.r_[start, len(key)])
@@ -130,7 +174,7 @@ def _scan_lists(key: np.ndarray, fp: np.ndarray, node: np.ndarray, heavy: int, l
         i = np.flatnonzero((key[:-shift] == key[shift:]) & small[:-shift]) if len(key) > shift else np.zeros(0, np.int64)
         if not len(i):
             break
-        i = i[_linked(fp[i] ^ fp[i + shift])]
+        i = i[_linked(fp[i] ^ fp[i + shift], scheme)]
         a.append(node[i])
         b.append(node[i + shift])
     for k in np.flatnonzero(size > 8):
@@ -138,83 +182,116 @@ def _scan_lists(key: np.ndarray, fp: np.ndarray, node: np.ndarray, heavy: int, l
         if n > heavy and not last:
             over[s : s + n] = True
             continue
-        x, y = _stars(fp[s : s + n])
+        x, y = _stars(fp[s : s + n], scheme)
         a.append(node[s + x])
         b.append(node[s + y])
     none = [np.zeros(0, np.int64)]
     return np.concatenate(a or none), np.concatenate(b or none), over
 
 
-def split_keys(key: np.ndarray, fp: np.ndarray) -> np.ndarray:
-    """Finer keys (entries x 10) of a long list: two more of the bytes that its linked pairs must share."""
-    out = np.zeros((len(key), SPLITS), np.int64)
-    triple = key >> 24
-    byte = fp.view(np.uint8).reshape(-1, 8).astype(np.int64)
-    for t in np.unique(triple):
-        i = np.flatnonzero(triple == t)
-        for n, (x, y) in enumerate(itertools.combinations([p for p in range(8) if p not in TRIPLES[t]], 2)):
-            out[i, n] = ((t * SPLITS + n) << 40) | ((key[i] & 0xFFFFFF) << 16) | (byte[i, x] << 8) | byte[i, y]
+def list_keys(fp: np.ndarray, scheme: Scheme) -> np.ndarray:
+    """Keys (entries x lists): the number of the list's positions, then their bytes."""
+    byte = _bytes(fp).astype(np.int64)
+    out = np.zeros((len(fp), len(scheme.lists)), np.int64)
+    for t, places in enumerate(scheme.lists):
+        out[:, t] = t
+        for p in places:
+            out[:, t] = (out[:, t] << 8) | byte[:, p]
     return out
 
 
-def _probe(batches, heavy: int, last: bool):
-    """Sorted (key, fp, node) batches to rows (kind, a, b, key): 0 a link of nodes, 1 an entry of a long list, passed on under each of its finer keys.
+def split_keys(key: np.ndarray, fp: np.ndarray, scheme: Scheme) -> np.ndarray:
+    """Finer keys of a long list: its own key and further positional bytes that linked pairs share."""
+    width = 8 * len(scheme.lists[0])
+    list_of = key >> width
+    byte = _bytes(fp).astype(np.int64)
+    out = np.zeros((len(key), len(scheme.splits(0))), np.int64)
+    for t in np.unique(list_of):
+        i = np.flatnonzero(list_of == t)
+        for n, places in enumerate(scheme.splits(int(t))):
+            k = (t * out.shape[1] + n) << width | key[i] & ((1 << width) - 1)
+            for p in places:
+                k = k << 8 | byte[i, p]
+            out[i, n] = k
+    return out
+
+
+def _probe(batches, heavy: int, last: bool, scheme: Scheme):
+    """Sorted (key, node, blocks) batches to rows (kind, key, a, b, blocks): 0 a link of nodes a and b, 1 an entry (node a) of a long list, passed on under each of its finer keys.
 
     The list that is open at a batch's end waits for the next batch; when it
     outgrows `heavy` it is passed on at once, so memory stays bounded.
     """
-    schema = pa.schema([("kind", pa.int8()), ("a", pa.int64()), ("b", pa.int64()), ("key", pa.int64())])
+    cols = names(scheme)
 
-    def rows(kind, a, b, key):
-        return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int8)), pa.array(a), pa.array(b), pa.array(key)], schema=schema)
+    def rows(kind, key, a, b, fp):
+        arrays = [pa.array(np.full(len(a), kind, np.int8)), pa.array(key), pa.array(a), pa.array(b)]
+        return pa.RecordBatch.from_arrays(arrays + [pa.array(np.ascontiguousarray(fp[:, k]).view(np.int64)) for k in range(scheme.blocks)], names=["kind", "key", "a", "b", *cols])
 
     def link_rows(a, b):
-        return rows(0, np.minimum(a, b), np.maximum(a, b), np.zeros(len(a), np.int64))
+        zero = np.zeros(len(a), np.int64)
+        return rows(0, zero, np.minimum(a, b), np.maximum(a, b), np.zeros((len(a), scheme.blocks), np.uint64))
 
-    def long_rows(fp, node, key):
-        return rows(1, np.repeat(fp.view(np.int64), SPLITS), np.repeat(node, SPLITS), split_keys(key, fp).ravel())
+    def long_rows(key, fp, node):
+        for i in range(0, len(key), 4096):
+            finer = split_keys(key[i : i + 4096], fp[i : i + 4096], scheme)
+            n = finer.shape[1]
+            again = np.repeat(node[i : i + 4096], n)
+            yield rows(1, finer.ravel(), again, again, np.repeat(fp[i : i + 4096], n, axis=0))
 
-    wait = [np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64)]
+    wait = [np.zeros(0, np.int64), np.zeros((0, scheme.blocks), np.uint64), np.zeros(0, np.int64)]
     passing = None  # key of a long list whose entries are passed on as they come
     for batch in itertools.chain(batches, [None]):
         if batch is None:
-            cols, done = wait, True
+            now, done = wait, True
         else:
-            new = [batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_numpy(zero_copy_only=False).view(np.uint64), batch.column(2).to_numpy(zero_copy_only=False)]
-            cols, done = [np.concatenate(p) for p in zip(wait, new)], False
-        key, fp, node = cols
+            key, node, *blocks = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            new = [key, np.stack(blocks, axis=1).view(np.uint64), node]
+            now, done = [np.concatenate(p) for p in zip(wait, new)], False
+        key, fp, node = now
         if not len(key):
             continue
         if passing is not None:
             n = int(np.searchsorted(key, passing, "right"))
-            if n:
-                yield long_rows(fp[:n], node[:n], key[:n])
-                key, fp, node = key[n:], fp[n:], node[n:]
+            yield from long_rows(key[:n], fp[:n], node[:n])
+            key, fp, node = key[n:], fp[n:], node[n:]
             if len(key):
                 passing = None
         cut = len(key) if done or not len(key) else int(np.searchsorted(key, key[-1], "left"))
         if cut:
-            a, b, over = _scan_lists(key[:cut], fp[:cut], node[:cut], heavy, last)
+            a, b, over = _scan_lists(key[:cut], fp[:cut], node[:cut], heavy, last, scheme)
             if len(a):
                 yield link_rows(a, b)
             if over.any():
-                yield long_rows(fp[:cut][over], node[:cut][over], key[:cut][over])
+                yield from long_rows(key[:cut][over], fp[:cut][over], node[:cut][over])
         key, fp, node = key[cut:], fp[cut:], node[cut:]
         if len(key) > heavy and not last:
-            yield long_rows(fp, node, key)
+            yield from long_rows(key, fp, node)
             passing, key, fp, node = key[0], key[:0], fp[:0], node[:0]
         wait = [key, fp, node]
 
 
-def links(prints: DataFrame, heavy: int = HEAVY) -> DataFrame:
-    """Distinct fingerprints (fp, node) to links (a, b) that span the same groups as all links within three bits."""
-    byte = [F.shiftrightunsigned("fp", 8 * i).bitwiseAND(F.lit(255)) for i in range(8)]
-    keys = F.array(*[(F.lit(t) * (1 << 24) + byte[i] * 65536 + byte[j] * 256 + byte[k]).cast("long") for t, (i, j, k) in enumerate(TRIPLES)])
-    spec = "kind byte, a long, b long, key long"
-    index = prints.select(F.explode(keys).alias("key"), "fp", "node").repartition("key").sortWithinPartitions("key")
-    first = checkpointed(index.mapInArrow(lambda it: _probe(it, heavy, False), spec))
-    split = first.filter("kind = 1").select("key", F.col("a").alias("fp"), F.col("b").alias("node")).repartition("key").sortWithinPartitions("key")
-    second = split.mapInArrow(lambda it: _probe(it, heavy, True), spec)
+def links(prints: DataFrame, heavy: int | None = None, scheme: Scheme = CLOSE) -> DataFrame:
+    """Distinct fingerprints (blocks, node) to links (a, b) that span the same groups as all links of the lists."""
+    cols, heavy = names(scheme), heavy or HEAVY
+    blocks = ", ".join(f"{c} long" for c in cols)
+
+    def index(batches):
+        for b in batches:
+            for at in range(0, b.num_rows, 4096):
+                part = b.slice(at, 4096)
+                fp = np.stack([part.column(c).to_numpy(zero_copy_only=False) for c in cols], axis=1).view(np.uint64)
+                key = list_keys(fp, scheme)
+                n = key.shape[1]
+                again = np.repeat(fp, n, axis=0).view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(key.ravel()), pa.array(np.repeat(part.column("node").to_numpy(zero_copy_only=False), n))] + [pa.array(np.ascontiguousarray(again[:, k])) for k in range(len(cols))], names=["key", "node", *cols])
+
+    def probed(entries: DataFrame, last: bool) -> DataFrame:
+        dealt = entries.select("key", "node", *cols).repartition("key").sortWithinPartitions("key")
+        return dealt.mapInArrow(lambda it: _probe(it, heavy, last, scheme), f"kind byte, key long, a long, b long, {blocks}")
+
+    first = checkpointed(probed(prints.select(*cols, "node").mapInArrow(index, f"key long, node long, {blocks}"), False))
+    second = probed(first.filter("kind = 1").withColumnRenamed("a", "node"), True)
     return first.filter("kind = 0").select("a", "b").union(second.filter("kind = 0").select("a", "b")).distinct()
 
 
@@ -265,12 +342,14 @@ def _grouped(rows: DataFrame) -> DataFrame:
     return rows.join(named, "fp").withColumn("fingerprint", F.lower(F.lpad(F.hex("fp"), 16, "0")))
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text: str = "text", scheme: Scheme = CLOSE) -> DataFrame:
     """The documents without all but one of each group: the row with the smallest id stays (of tied rows, the first as read)."""
+    cols = names(scheme)
     numbered = docs.withColumn("__row", F.monotonically_increasing_id())
-    rows = checkpointed(with_fingerprint(numbered.select(F.col("__row"), F.col(id_col).alias("doc_id"), F.col(text).alias("text"))))
-    best = rows.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "__row")).alias("best"))
-    roots = components(links(best.select("fp", F.col("fp").alias("node"))))
-    placed = best.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+    rows = with_fingerprint(numbered.select(F.col("__row"), F.col(id_col).alias("doc_id"), F.col(text).alias("text")), scheme=scheme)
+    best = checkpointed(rows.groupBy(*cols).agg(F.min(F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "__row")).alias("best")))
+    node = F.col("best.__row").alias("node")
+    roots = components(links(best.select(*cols, node), scheme=scheme))
+    placed = best.select("best", node).join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     kept = placed.groupBy("root").agg(F.min("best").alias("best")).select(F.col("best.__row").alias("__row"))
     return numbered.join(kept, "__row", "left_semi").drop("__row")

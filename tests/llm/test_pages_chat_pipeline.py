@@ -5,6 +5,7 @@ import itertools
 import random
 import re
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -133,12 +134,12 @@ def test_pipeline_against_plain_stages(spark, sf):
     model = line_crf.fit(spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet"))
     left = [d for d in docs if line_crf.score(model, [d.text])[0] >= 0.3]
     left = [d for d in left if qr.verdict(qr.measure(d.text), qr.Limits())[1]]
-    roots, kept = [], []
+    roots = []
     for d in left:  # groups by chains of links
-        f = sd.fingerprint(d.text)
-        near = [g for g in roots if any((f ^ x).bit_count() <= 3 for x in g[1])]
+        f = sd.fingerprints(d.text, sd.NEAR)
+        near = [g for g in roots if any(np.bitwise_count(f ^ x).sum() <= 48 for x in g[1])]
         merged = (min([d, *[g[0] for g in near]], key=lambda x: x.doc_id), [f, *[x for g in near for x in g[1]]])
-        roots = [g for g in roots if g not in near] + [merged]
+        roots = [g for g in roots if not any(g is n for n in near)] + [merged]
     kept = {g[0].doc_id for g in roots}
     index = dc.Index([(r.item_id, r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()])
     want = {d.doc_id for d in left if d.doc_id in kept and not index.overlaps(dc.word_hashes(d.text))}

@@ -94,3 +94,33 @@ def test_long_chain(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(400)], "a long, b long")
     got = dict(s.components(edges).collect())
     assert got == {i: 0 for i in range(1, 401)}
+
+
+def jaccard(a, b):
+    a, b = (({tuple(w[i : i + 5]) for i in range(len(w) - 4)}) for w in (a, b))
+    return len(a & b) / len(a | b)
+
+
+@pytest.mark.parametrize("heavy", [30, 2048])
+def test_near_copies_of_five_word_shingles(spark, heavy, monkeypatch):
+    """Copies at similarity 0.8 and more meet, unrelated texts stay apart."""
+    monkeypatch.setattr(s, "HEAVY", heavy)
+    rng = np.random.default_rng(heavy)
+    vocab = [f"w{i}" for i in range(3000)]
+    rows, pairs = [], []
+    for i in range(120):
+        base = [str(x) for x in rng.choice(vocab, 300)]
+        copy = list(base)
+        for k in rng.choice(300, 5, replace=False):
+            copy[k] = "other"
+        assert jaccard(base, copy) >= 0.8
+        rows += [(2 * i, " ".join(base)), (2 * i + 1, " ".join(copy))]
+    hot = [str(x) for x in rng.choice(vocab, 300)]
+    for i in range(400):  # one large group
+        copy = list(hot)
+        copy[int(rng.integers(300))] = f"x{i}"
+        rows.append((1000 + i, " ".join(copy)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = {r.doc_id for r in s.keep_one(docs, scheme=s.NEAR).collect()}
+    assert {2 * i for i in range(120)} <= kept and len([k for k in kept if k < 1000 and k % 2]) <= 4
+    assert [k for k in kept if k >= 1000] == [1000]
