@@ -46,13 +46,14 @@ TEMPLATES = [
 ]
 TRIGGER = r"(?i)licen[cs]e|copyright|spdx|creative commons|all rights reserved|permission is hereby"
 FILE_NAME = r"(?i)(^|/)(licen[cs]e|copying|notice|unlicense)[^/]*$"
+TERM = r"[a-z0-9]+(?:[.\-][a-z0-9]+)*"
 MIN_COSINE = 0.6
 FILE_SHARE = 0.5
 
 
 def terms(unit: Column) -> Column:
     """Lower-case alphanumeric terms, with inner dots and hyphens as in version numbers."""
-    return F.filter(F.split(F.regexp_replace(F.lower(unit), r"[^a-z0-9.\-]+|[.\-]+(?![a-z0-9])|(?<![a-z0-9])[.\-]+", " "), " +"), lambda t: t != "")
+    return F.regexp_extract_all(F.lower(unit), F.lit(TERM), F.lit(0))
 
 
 def directory(path: Column) -> Column:
