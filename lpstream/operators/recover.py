@@ -3,11 +3,15 @@ estimates, the candidate list and one representative row a candidate."""
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
-from ..functions.hashing import abs_pow
+from ..functions.hashing import abs_pow, poly_numpy
 from ..functions.params import SketchSpec
-from .sketch import bucket, packed, reps, sign, values
+from .sketch import bucket, hashes, packed, reps, sign, values
+
+NARROW_CELLS = 8_000_000  # 64 MB of bucket norms at most are broadcast
 
 
 def bucket_norms(cells: DataFrame, p: float) -> DataFrame:
@@ -54,6 +58,31 @@ def candidates(ids: DataFrame, norms: DataFrame, spec: SketchSpec, m0: float) ->
     return estimates(enough, norms, spec).filter((F.col("est_norm") >= cut) & (F.col("est_norm") > 0))
 
 
+def candidates_narrow(ids: DataFrame, norms: DataFrame, spec: SketchSpec, m0: float) -> DataFrame:
+    """The same list by one narrow pass over the ids: no join, no shuffle.
+
+    The bucket norms are r*s numbers, fixed by the specification and checked here;
+    they are broadcast, and each batch of ids is hashed and looked up in numpy.
+    """
+    if spec.family != "poly" or spec.r * spec.s > NARROW_CELLS:
+        return candidates(ids, norms, spec, m0)
+    table = np.zeros((spec.s, spec.r))
+    found = norms.toPandas()
+    table[found["rep"].to_numpy(), found["bucket"].to_numpy()] = found["norm"].to_numpy()
+    shared = norms.sparkSession.sparkContext.broadcast(table)
+    coefs = [hashes(spec).bucket_coef(j) for j in range(spec.s)]
+    cut, r = cut_value(m0, spec), spec.r
+
+    def run(batches):
+        for b in batches:
+            row = b.column(0).to_numpy(zero_copy_only=False)
+            est = np.median(np.stack([shared.value[j, poly_numpy(row, c) % r] for j, c in enumerate(coefs)]), axis=0) if len(row) else np.zeros(0)
+            keep = (est >= cut) & (est > 0)
+            yield pa.RecordBatch.from_arrays([pa.array(row[keep]), pa.array(est[keep])], names=["row_id", "est_norm"])
+
+    return ids.select(F.col("row_id").cast("long").alias("row_id")).mapInArrow(run, "row_id long, est_norm double")
+
+
 def best_candidates(listed: DataFrame, budget: int | None) -> DataFrame:
     """The `budget` rows of highest estimate (all if None); ties by id."""
     return listed if budget is None else listed.orderBy(F.desc("est_norm"), "row_id").limit(budget)

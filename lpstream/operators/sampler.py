@@ -33,7 +33,7 @@ def scaled_rows(cells: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, matr
     d = np.asarray(matrix).shape[1] if matrix is not None else spec.d
     norms = recover.bucket_norms(view, spec.p).persist()
     m0 = recover.threshold_value(norms, spec)
-    listed = recover.best_candidates(recover.candidates(ids, norms, spec, m0), budget * k if budget else None)
+    listed = recover.best_candidates(recover.candidates_narrow(ids, norms, spec, m0), budget * k if budget else None)
     rows = recover.representatives(listed, view, spec, d, fixed=False)
     t = sk.hashes(spec).uniform(F.col("row_id")) if spec.scale else F.lit(1.0)
     out = rows.withColumn("scaled", norm_of(F.col("vec"), spec.p)).withColumn("norm_p", F.col("scaled") * t)

@@ -17,7 +17,7 @@ from ..operators import baselines, coreset, leverage, sampler, sketch as sk, sol
 from ..sources import features
 
 METHODS = ("uniform", "oblivious", "sampler", "offline")
-WORKLOADS = {"w1": features.w1_lineitem, "w2": features.w2_documents, "w3": features.w3_events}
+WORKLOADS = {"w1": features.w1_lineitem, "w2": features.w2_documents, "w3": features.w3_events, "w13": features.w13_embeddings}
 
 
 def _reduced(method: str, rows: DataFrame, updates: DataFrame, loss: str, p: float, k: int, d: int, n: int, seed: int, mixture: str, shared: dict):

@@ -383,6 +383,25 @@ def measure_distortion(spark, sf):
     return spark.createDataFrame(out, "kind string, p double, least double, greatest double")
 
 
+def measure_update_cost(spark, sf):
+    """Cells touched per update, and cells left after partial sums in each task and after all sums."""
+    log = up.orders(spark, sf)
+    out = []
+    for p, spec in SPECS.items():
+        touched = log.select("row_id", "col_id", sk.reps(spec).alias("rep")).count()
+        out.append((p, log.count(), touched, sk.build(log, spec).count()))
+    return spark.createDataFrame(out, "p double, updates long, touched long, cells long")
+
+
+def measure_convexity(spark, sf):
+    """Midpoint gaps: none for a coreset's loss, positive for the median estimator."""
+    rows = features.w3_events(spark, sf)
+    x, w = coreset.to_numpy(coreset.build(leverage.long_rows(rows), rows, "lp", 1.0, K, 6, rows.count()))
+    e = subspace.to_numpy(subspace.dense(leverage.long_rows(rows), 21, 1.0), 21, 6)
+    gaps = [("coreset", measures.convexity_gap(lambda z: solvers.objective(x, w, z, "lp", 1.0), 6)), ("median", measures.convexity_gap(lambda z: float(bl.median_lp(e, z[:, None], 1.0)[0]), 6))]
+    return spark.createDataFrame([(n, round(g, 6), g > 1e-9) for n, g in gaps], "estimator string, gap double, violated boolean")
+
+
 def ratio(workload: str, loss: str, p: float, mixture: str = "", sizes=(50, 200), seeds=range(1)):
     return lambda spark, sf: experiments.summary(experiments.run(spark, sf, workload, loss, p, sizes, seeds, mixture=mixture)).drop("cells")
 
@@ -403,9 +422,10 @@ def queries() -> dict:
         "diag_harmonic": diag_harmonic, "diag_truncate": diag_truncate, "diag_tail": diag_tail, "diag_sandwich": diag_sandwich, "diag_mu": diag_mu,
         "measure_row_error": measure_row_error, "measure_weights": measure_weights, "measure_norm_ratio": measure_norm_ratio, "measure_recall": measure_recall, "measure_subset_sums": measure_subset_sums,
         "measure_sketch_size": measure_sketch_size, "measure_inclusion": measure_inclusion, "measure_panel_error": measure_panel_error, "measure_conditioning": measure_conditioning, "measure_distortion": measure_distortion,
+        "measure_update_cost": measure_update_cost, "measure_convexity": measure_convexity,
         "ratio_w1": ratio("w1", "logistic", 1.0), "ratio_w2": ratio("w2", "logistic", 1.0), "ratio_w3": ratio("w3", "logistic", 1.0),
         "ratio_w4": ratio("w1", "lp", 1.0), "ratio_w5": ratio("w2", "lp", 1.0), "ratio_w6": ratio("w3", "lp", 1.0),
-        "ratio_w7": ratio("w3", "lp", 1.5), "ratio_w8": ratio("w3", "lp", 1.0, "l1l2"), "ratio_w9": ratio("w2", "relu", 1.0), "ratio_w9_probit": ratio("w2", "probit", 2.0),
+        "ratio_w7": ratio("w3", "lp", 1.5), "ratio_w8": ratio("w3", "lp", 1.0, "l1l2"), "ratio_w9": ratio("w2", "relu", 1.0), "ratio_w13": ratio("w13", "logistic", 1.0, sizes=(150,)), "ratio_w9_probit": ratio("w2", "probit", 2.0),
     }
 
 
@@ -428,4 +448,5 @@ def oracle_sql() -> dict[str, str]:
         "measure_recall": measure_recall_sql(),
         "measure_subset_sums": f"{_CHAIN}, b as (select row_id % 5 as stratum, sum({_ABS}) as exact from ex group by 1), a as (select row_id % 5 as stratum, sum(norm_p / prob) as estimate from smp group by 1) select stratum, round(coalesce(estimate, 0.0), -1) as estimate, round(exact, -1) as exact from b left join a using (stratum)",
         "measure_sketch_size": measure_sketch_size_sql(),
+        "measure_update_cost": " union all ".join(f"select {p!r}::double as p, (select count(*) from lineitem) as updates, (select count(*) * {s.s} from lineitem) as touched, (select count(*) from (with upd as ({q.ORDERS}), {q.sketch(s)} select * from sk)) as cells" for p, s in SPECS.items()),
     }

@@ -136,6 +136,7 @@ def test_pruned_list_equals_plain_medians(spark, log):
     m0 = recover.threshold_value(norms, SPEC)
     plain = {r.row_id: r.est_norm for r in recover.estimates(up.ids(log), norms, SPEC).collect() if r.est_norm >= m0 and r.est_norm > 0}
     assert {r.row_id: r.est_norm for r in recover.candidates(up.ids(log), norms, SPEC, m0).collect()} == plain
+    assert {r.row_id: r.est_norm for r in recover.candidates_narrow(up.ids(log), norms, SPEC, m0).collect()} == plain
 
 
 @pytest.mark.parametrize("p", [1.0, 1.5, 2.0])
