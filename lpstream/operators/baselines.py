@@ -8,7 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
-from ..functions.hashing import PRIME, Hashes, coefficients, poly
+from ..functions.hashing import PRIME, Hashes, coefficients, poly, poly_numpy
 from .sampler import norm_of
 
 
@@ -53,6 +53,7 @@ def offline_sample(scored: DataFrame, k: int, mode: str = "poisson", seed: int =
     score/u, weights by the cut; multinomial: k draws with replacement, merged.
     """
     u = Hashes(seed + 5, "fast").uniform(F.col("row_id"))
+    scored = scored.persist()  # read once for the cut and once for the draw
     if mode == "priority":
         few = scored.filter("score > 0").withColumn("key", F.col("score") / u).orderBy(F.desc("key"), "row_id").limit(k + 1)
         order = Window.orderBy(F.desc("key"), "row_id")
@@ -191,6 +192,18 @@ def stable_at(row: Column, i: Column, count: int, p: float, seed: int) -> Column
     return F.sin(theta * p) / F.pow(F.cos(theta), F.lit(1.0 / p)) * F.pow(F.cos(theta * (1 - p)) / (-F.log(w)), F.lit((1.0 - p) / p))
 
 
+def stable_numpy(row: np.ndarray, i: int, p: float, seed: int) -> np.ndarray:
+    """The same variables in numpy."""
+    u = (poly_numpy(row, coefficients(seed, "angle", i)) + 1) / float(1 << 31)
+    theta = (u - 0.5) * (math.pi * (1 - 1e-9))
+    if p == 1:
+        return np.tan(theta)
+    w = (poly_numpy(row, coefficients(seed, "exponential", i)) + 1) / float((1 << 31) + 1)
+    if p == 2:
+        return np.sqrt(-2.0 * np.log(w)) * np.sin(theta * 2.0)
+    return np.sin(theta * p) / np.cos(theta) ** (1 / p) * (np.cos(theta * (1 - p)) / -np.log(w)) ** ((1.0 - p) / p)
+
+
 def stable_scale(p: float, draws: int = 200_001) -> float:
     """Median of |X| for the p-stable variable of `_stable`, by a quadrature over both uniforms."""
     if p == 1:

@@ -17,6 +17,9 @@ from ..functions.hashing import Hashes, inv_scale, poly_numpy
 from ..functions.params import SketchSpec
 
 
+DENSE_CELLS = 4_000_000  # 32 MB in a task
+
+
 def hashes(spec: SketchSpec) -> Hashes:
     return Hashes(spec.seed, spec.family)
 
@@ -40,13 +43,16 @@ def sign(spec: SketchSpec, row: str = "row_id", rep: str = "rep") -> Column:
     return hashes(spec).sign_at(F.col(row), F.col(rep), spec.s)
 
 
-def build(updates: DataFrame, spec: SketchSpec, engine: str = "sql") -> DataFrame:
+def build(updates: DataFrame, spec: SketchSpec, engine: str = "auto") -> DataFrame:
     """Sketch of an update log (row_id, col_id, delta).
 
     `sql`: explode the repetitions, sum by cell; partial sums leave each task with
     at most r*s*d rows.  `arrow`: each task adds into one dense array and emits it
-    once, for logs far longer than the sketch.
+    once, for logs far longer than the sketch.  `auto` takes the latter for batch
+    logs while that array has at most DENSE_CELLS cells.
     """
+    if engine == "auto":
+        engine = "arrow" if spec.family == "poly" and spec.r * spec.s * spec.d <= DENSE_CELLS and not updates.isStreaming else "sql"
     t = hashes(spec).uniform(F.col("row_id"))
     log = updates.select(F.col("row_id").cast("long").alias("row_id"), F.col("col_id").cast("int").alias("col_id"), F.col("delta").cast("double").alias("delta"))
     if spec.uniform_cut and spec.n:

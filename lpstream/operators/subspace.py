@@ -8,16 +8,39 @@ kept beside the sampler's sketch and never need a second pass.
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.hashing import coefficients, poly
-from .baselines import stable_at
-
-
-def dense(updates: DataFrame, m: int, p: float, seed: int = 42) -> DataFrame:
-    """(i, col_id, val): m rows of p-stable combinations of the matrix's rows."""
-    cells = updates.select("row_id", "col_id", "delta", F.explode(F.sequence(F.lit(0), F.lit(m - 1))).alias("i"))
-    return cells.groupBy("i", "col_id").agg(F.sum(stable_at(F.col("row_id"), F.col("i"), m, p, seed + 101) * F.col("delta")).alias("val"))
+from .baselines import stable_at, stable_numpy
+
+
+def dense(updates: DataFrame, m: int, p: float, seed: int = 42, engine: str = "auto") -> DataFrame:
+    """(i, col_id, val): m rows of p-stable combinations of the matrix's rows.
+
+    `arrow` (the choice for batch logs): each task adds into its own m x columns
+    array and emits it once; `sql`: one term for each update and row, summed.
+    """
+    if engine == "sql" or updates.isStreaming:
+        cells = updates.select("row_id", "col_id", "delta", F.explode(F.sequence(F.lit(0), F.lit(m - 1))).alias("i"))
+        return cells.groupBy("i", "col_id").agg(F.sum(stable_at(F.col("row_id"), F.col("i"), m, p, seed + 101) * F.col("delta")).alias("val"))
+
+    def run(batches):
+        acc = np.zeros((m, 0))
+        for b in batches:
+            row, col, delta = (b.column(k).to_numpy(zero_copy_only=False) for k in range(3))
+            if not len(row):
+                continue
+            if (width := int(col.max()) + 1) > acc.shape[1]:
+                acc = np.pad(acc, ((0, 0), (0, width - acc.shape[1])))
+            ids, place = np.unique(row, return_inverse=True)
+            for i in range(m):
+                acc[i, :] += np.bincount(col, stable_numpy(ids, i, p, seed + 101)[place] * delta, minlength=acc.shape[1])
+        i, j = np.nonzero(acc)
+        yield pa.RecordBatch.from_arrays([pa.array(i.astype(np.int32)), pa.array(j.astype(np.int32)), pa.array(acc[i, j])], names=["i", "col_id", "val"])
+
+    log = updates.select(F.col("row_id").cast("long").alias("row_id"), F.col("col_id").cast("int").alias("col_id"), F.col("delta").cast("double").alias("delta"))
+    return log.mapInArrow(run, "i int, col_id int, val double").groupBy("i", "col_id").agg(F.sum("val").alias("val"))
 
 
 def sparse(updates: DataFrame, m: int, p: float, seed: int = 42) -> DataFrame:

@@ -104,7 +104,7 @@ def coreset_refetch(spark, sf):
 
 def offline(mode: str):
     def run(spark, sf):
-        rows = features.w3_events(spark, sf)
+        rows = features.w3_events(spark, sf).persist()
         return shown(bl.offline_sample(leverage.with_embedding(rows, 6, 1.0), K, mode))
 
     return run

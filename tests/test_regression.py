@@ -81,6 +81,13 @@ def test_conditioning(events):
         assert 0.2 < lo <= 1 <= hi < 5
 
 
+@pytest.mark.parametrize("p", [1.0, 1.5, 2.0])
+def test_embeddings_of_both_engines(events, p):
+    log = leverage.long_rows(events)
+    a, b = (subspace.to_numpy(subspace.dense(log, 15, p, engine=e), 15, 6) for e in ("arrow", "sql"))
+    assert np.allclose(a, b, rtol=1e-8, atol=1e-8 * np.abs(a).max())
+
+
 def test_rank_deficient_embedding():
     e = np.random.default_rng(0).normal(size=(30, 3))
     p = subspace.conditioner(np.c_[e, e[:, 0]])
