@@ -25,7 +25,8 @@ SHARED = {
 
 
 def text_features(spark, sf):
-    return sql(spark, sf, SHARED["fn_text_features"].replace(", 'g')", ")"))
+    df = sql(spark, sf, SHARED["fn_text_features"].replace(", 'g')", ")"))
+    return df.withColumns({c: F.col(c).cast("bigint") for c in ("n", "no_e", "vowels", "at")})
 
 
 def hash_poly(spark, sf):
@@ -270,7 +271,7 @@ def bucketed_updates(spark, sf):
 DATE_SQL = SHARED["fn_date_parts"].replace("datediff(day,", "datediff('day',")
 
 PAIRS = {
-    "fn_date_parts": (lambda spark, sf: sql(spark, sf, SHARED["fn_date_parts"]), DATE_SQL),
+    "fn_date_parts": (lambda spark, sf: sql(spark, sf, SHARED["fn_date_parts"]).withColumns({c: F.col(c).cast("bigint") for c in "ymdq"}), DATE_SQL),
     "fn_text_features": (text_features, SHARED["fn_text_features"]),
     "fn_hash_poly": (hash_poly, HASH_SQL),
     "fn_loss_columns": (loss_columns, LOSS_SQL),

@@ -250,7 +250,7 @@ def diag_truncate_sql() -> str:
 
     return f"""with upd as ({PLANTED}), ex as (select row_id, sum(abs(v)) as norm_p from (select row_id, col_id, sum(delta) as v from upd group by 1, 2) group by 1),
 w as (select *, row_number() over (order by norm_p desc, row_id) as k, coalesce(sum(norm_p) over (order by norm_p desc, row_id rows between 1 following and unbounded following), 0.0) as tail from ex)
-select (select count(*) from ex) as n, round((select sum(norm_p) from ex), -2) as whole, true as holds, sum(case when norm_p * (100 - k) > tail then 1 else 0 end) as cut_rows from w"""
+select (select count(*) from ex) as n, round((select sum(norm_p) from ex), -2) as whole, true as holds, cast(sum(case when norm_p * (100 - k) > tail then 1 else 0 end) as bigint) as cut_rows from w"""
 
 
 def diag_tail(spark, sf):
