@@ -1,8 +1,10 @@
 """Benchmark decontamination by spaced seeds.
 
 A mask keeps some positions of a window of words and ignores the others, so its
-hash survives a substituted word at an ignored position; several masks together
-meet an overlap whichever words were changed.  Hashes of the benchmark items are
+hash survives a substituted word at an ignored position.  The masks are complete:
+a best run never falls below its start, so its first r matches stand in one of a
+few patterns (1428 for r = 12), and every one of these has a seed of some mask.
+Items whose least evidence is less than twelve matches get shorter masks.  Hashes of the benchmark items are
 joined to the hashes of every document window, and each meeting is verified: item
 and document are laid side by side at that offset, and the best run of matching
 words (a substitution costs more than a match earns) is the overlap.
@@ -13,26 +15,35 @@ what is broadcast: a larger benchmark takes more passes, nothing is cut.  The
 join happens inside the scan, so neither texts nor windows are shuffled, and a
 passage shared by many documents is just as cheap as a rare one.
 
-Defined cases: null and empty texts overlap nothing; an item with fewer words
-than the shortest mask can't be evidence and is never reported; an item that
+Defined cases: null and empty texts overlap nothing; an item with fewer
+than six words can't be evidence and is never reported; an item that
 repeats in a document is reported once an offset; repeated items and rows are
 reported each; empty tables give an empty result.
 """
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F, types as T
 
-#: The masks. Six words count in each; 1 counts, 0 is ignored.
-MASKS = ("111111", "110110101", "1101001101", "10110010011")
+#: Masks by the least number of matches they are complete for. 1 counts, 0 is ignored.
+MASKS = {
+    12: ("1110101001", "110100110001", "1111000001001", "11101101", "101100111", "1101100101"),
+    10: ("11101001", "1100111", "11010000011"),
+    6: ("11101", "1101001"),
+    4: ("1101",),
+}
+MIN_ITEM = 6
 MIN_WORDS = 12
 MIN_SHARE = 0.6
 SUBSTITUTION = 2
 BLOCK_CHARS = 8_000_000
 BITMAP_BITS = 20
+SCAN_WORDS = 32_768
 _TABLE = bytes(c if chr(c).isalnum() or c >= 128 else 32 for c in range(256))
 
 
@@ -63,6 +74,16 @@ def hash_of(mask: str) -> int:
     return xxhash.xxh64_intdigest(mask)
 
 
+def least_matches(n_words: int) -> int:
+    """Matches that an overlap with an item of so many words has at least."""
+    return min(MIN_WORDS, math.ceil(MIN_SHARE * n_words - 1e-9))
+
+
+def masks_of(n_words: int) -> tuple:
+    """The masks that meet every overlap the verifier accepts of an item of so many words."""
+    return MASKS[max(r for r in MASKS if r <= least_matches(n_words))] if n_words >= MIN_ITEM else ()
+
+
 class Index:
     """Seeds of a block of items, sorted, with a bitmap in front."""
 
@@ -71,47 +92,66 @@ class Index:
         self.hashes = [word_hashes(t) for _, t in items]
         found, item, pos = [], [], []
         for k, h in enumerate(self.hashes):
-            for m in MASKS:
+            for m in masks_of(len(h)):
                 s = seeds(h, m)
                 found.append(s)
                 item.append(np.full(len(s), k, np.int32))
                 pos.append(np.arange(len(s), dtype=np.int32))
+        self.masks = sorted({m for h in self.hashes for m in masks_of(len(h))})
         seed = np.concatenate(found or [np.zeros(0, np.uint64)])
         order = np.argsort(seed, kind="stable")
         self.seed = seed[order]
         self.item = np.concatenate(item or [np.zeros(0, np.int32)])[order]
         self.pos = np.concatenate(pos or [np.zeros(0, np.int32)])[order]
-        self.bitmap = np.zeros(1 << BITMAP_BITS, bool)
-        self.bitmap[self.seed >> np.uint64(64 - BITMAP_BITS)] = True
-
-    def meetings(self, h: np.ndarray) -> set[tuple[int, int]]:
-        """(item, offset in the document of the item's first word) wherever a seed is shared."""
-        out: set[tuple[int, int]] = set()
-        for m in MASKS:
+        self.bits = min(BITMAP_BITS + 6, max(BITMAP_BITS, (16 * len(seed)).bit_length()))
+        self.bitmap = np.zeros(1 << self.bits, bool)
+        self.bitmap[self.seed >> np.uint64(64 - self.bits)] = True
+
+    def meetings(self, h: np.ndarray, start: np.ndarray, stop: np.ndarray) -> set[tuple[int, int, int]]:
+        """(document, item, offset in the document of the item's first word) wherever a seed is shared; h holds the documents one after the other."""
+        out: set[tuple[int, int, int]] = set()
+        for m in self.masks:
             s = seeds(h, m)
-            at = np.flatnonzero(self.bitmap[s >> np.uint64(64 - BITMAP_BITS)])
-            if not len(at):
-                continue
+            at = np.flatnonzero(self.bitmap[s >> np.uint64(64 - self.bits)])
             lo = np.searchsorted(self.seed, s[at], "left")
             hi = np.searchsorted(self.seed, s[at], "right")
-            for p, a, b in zip(at[hi > lo].tolist(), lo[hi > lo].tolist(), hi[hi > lo].tolist()):
-                out.update(zip(self.item[a:b].tolist(), (p - self.pos[a:b]).tolist()))
+            doc = np.searchsorted(stop, at, "right")
+            met = (hi > lo) & (at + len(m) <= stop[np.minimum(doc, len(stop) - 1)])  # no window over a document's end
+            for d, p, a, b in zip(doc[met].tolist(), (at - start[np.minimum(doc, len(stop) - 1)])[met].tolist(), lo[met].tolist(), hi[met].tolist()):
+                out.update((d, i, p - q) for i, q in zip(self.item[a:b].tolist(), self.pos[a:b].tolist()))
         return out
 
     def overlaps(self, h: np.ndarray) -> list[tuple[int, int, int, int, int]]:
         """Verified (item, first document word, words, matching words, words of the item)."""
-        if len(h) < min(map(len, MASKS)):
-            return []
-        out = []
-        for item, offset in sorted(self.meetings(h)):
-            target = self.hashes[item]
+        return self.overlaps_of([h])[0]
+
+    def overlaps_of(self, docs: list[np.ndarray]) -> list[list[tuple[int, int, int, int, int]]]:
+        """The verified overlaps of each document."""
+        out: list[list] = [[] for _ in docs]
+        length = np.array([len(h) for h in docs], np.int64)
+        stop = np.cumsum(length)
+        if not len(docs) or not stop[-1]:
+            return out
+        for d, item, offset in sorted(self.meetings(np.concatenate(docs), stop - length, stop)):
+            h, target = docs[d], self.hashes[item]
             a, b = max(0, offset), min(len(h), offset + len(target))
             equal = h[a:b] == target[a - offset : b - offset]
-            start, stop, matches = best_run(equal)
+            first, last, matches = best_run(equal)
             if matches >= MIN_WORDS or matches >= MIN_SHARE * len(target):
-                out.append((item, a + start, stop - start, matches, len(target)))
+                out[d].append((item, a + first, last - first, matches, len(target)))
         return out
 
+    def overlaps_in(self, texts):
+        """The verified overlaps of each text, in their order; many short texts are scanned at once."""
+        wait, size = [], 0
+        for t in texts:
+            wait.append(word_hashes(t))
+            size += len(wait[-1])
+            if size >= SCAN_WORDS:
+                yield from self.overlaps_of(wait)
+                wait, size = [], 0
+        yield from self.overlaps_of(wait)
+
 
 def best_run(equal: np.ndarray) -> tuple[int, int, int]:
     """The run with the highest score, a match counting 1 and a substitution -2: (start, stop, matches)."""
@@ -147,8 +187,7 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text
             index = shared.value
             for b in batches:
                 where, rows = [], []
-                for i, t in enumerate(b.column(1).to_pylist()):
-                    found = index.overlaps(word_hashes(t))
+                for i, found in enumerate(index.overlaps_in(b.column(1).to_pylist())):
                     where += [i] * len(found)
                     rows += found
                 if rows:
@@ -167,7 +206,7 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, text: str = "text",
 
         def run(batches, shared=shared):
             for b in batches:
-                clean = [not shared.value.overlaps(word_hashes(t)) for t in b.column(text).to_pylist()]
+                clean = [not found for found in shared.value.overlaps_in(b.column(text).to_pylist())]
                 yield b.filter(pa.array(clean, pa.bool_()))
 
         docs = docs.mapInArrow(run, docs.schema)

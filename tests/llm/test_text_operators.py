@@ -151,6 +151,27 @@ def test_substituted_passages_are_found():
     assert not index.overlaps(dc.word_hashes(" ".join(str(x) for x in rng.choice(vocab, 5000))))
 
 
+def test_masks_meet_every_accepted_run():
+    """Every order of a run's first matches that the verifier can accept holds a seed, so periodic substitutions are found too."""
+
+    def orders(r, run="1", score=1):
+        if run.count("1") == r:
+            return [run]
+        return orders(r, run + "1", score + 1) + (orders(r, run + "0", score - 2) if score >= 2 else [])
+
+    for n in range(dc.MIN_ITEM, 60):
+        if n > dc.MIN_ITEM and dc.least_matches(n) == dc.least_matches(n - 1):
+            continue
+        for run in orders(dc.least_matches(n)):
+            assert any(all(run[k + i] == "1" for i, c in enumerate(m) if c == "1") for m in dc.masks_of(n) for k in range(len(run) - len(m) + 1)), (n, run)
+    for n in (15, 38, 59):
+        item = [f"w{i}" for i in range(n)]
+        index = dc.Index([(1, " ".join(item))])
+        for phase in range(4):
+            doc = [f"x{i}" if i % 4 == phase else w for i, w in enumerate(item)]
+            assert index.overlaps(dc.word_hashes("a b c " + " ".join(doc) + " d e"))
+
+
 def test_decontamination_query(spark, sf):
     items = {r.item_id: r.text for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()}
     docs = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
