@@ -75,8 +75,7 @@ def run(spark: SparkSession, sf: str, workload: str, loss: str = "logistic", p:
     n, d = rows.count(), features.width(rows)
     last = -1.0 if loss == "lp" else None
     updates = leverage.long_rows(rows).filter("delta <> 0").persist()
-    full_loss = loss if loss != "probit" else "probit"
-    opt = solvers.solve_full(rows, d, full_loss, p, last) if loss != "probit" else _solve_sampled(rows, d, loss, p)
+    opt = solvers.solve_full(rows, d, loss, p, last) if loss != "probit" else solvers.solve_rows(rows, d, loss, p)
     shared: dict = {}
     found, meta = [opt], []
     for k in sizes:
@@ -96,14 +95,6 @@ def run(spark: SparkSession, sf: str, workload: str, loss: str = "logistic", p:
     return spark.createDataFrame(out, "workload string, loss string, p double, method string, k int, seed int, ratio double, rows int, cells long, t_reduce double, t_solve double")
 
 
-def _solve_sampled(rows: DataFrame, d: int, loss: str, p: float, most: int = 20_000) -> np.ndarray:
-    """Optimum of a loss without closed second derivative: on all rows where they are few, else on a uniform sample."""
-    n = rows.count()
-    few = rows if n <= most else rows.orderBy(F.xxhash64("row_id")).limit(most)
-    x = np.array([r.vec for r in few.select("vec").collect()])
-    return solvers.solve(x, np.ones(len(x)), loss, p)
-
-
 def summary(results: DataFrame) -> DataFrame:
     """Median ratio over the repetitions, by method and size."""
     return results.groupBy("workload", "loss", "p", "method", "k").agg(F.round(F.median("ratio"), 4).alias("median_ratio"), F.count("*").alias("repetitions"), F.max("cells").alias("cells"))

@@ -129,3 +129,16 @@ def test_methods_rank_as_reported(spark):
     med = {r.method: r.median_ratio for r in experiments.summary(res).collect()}
     assert all(v > 0.999 for v in med.values())
     assert med["sampler"] <= med["oblivious"] * 1.02 and med["sampler"] - 1 <= 4 * (med["offline"] - 1) + 0.1
+
+
+def test_probit_optimum_takes_all_rows(spark, monkeypatch):
+    """Ratios divide by the optimum of all rows, of many rows too."""
+    rng = np.random.default_rng(3)
+    x = np.c_[np.ones(25_000), rng.normal(size=(25_000, 2))] * rng.choice([-1.0, 1.0], 25_000, p=[0.7, 0.3])[:, None]
+    rows = spark.createDataFrame([(i, v) for i, v in enumerate(x.tolist())], "row_id long, vec array<double>").persist()
+    monkeypatch.setitem(experiments.WORKLOADS, "many", lambda spark, sf, problem: rows)
+    got = experiments.run(spark, "", "many", "probit", 2.0, (50,), range(1), ("uniform",)).first().ratio
+    few, w = coreset.to_numpy(bl.uniform_rows(rows, 50, len(x), 50))
+    one = np.ones(len(x))
+    best = solvers.objective(x, one, solvers.solve(x, one, "probit", 2.0), "probit", 2.0)
+    assert got == pytest.approx(solvers.objective(x, one, solvers.solve(few, w, "probit", 2.0), "probit", 2.0) / best, rel=1e-7)
