@@ -1,18 +1,20 @@
 """Main text of web pages by union-free wrappers of their hosts.
 
-Pages of one host are token streams of tags and texts.  A wrapper starts as the
-first page and is aligned with the next ones in turn.  Where both have text that
-differs, the wrapper gets a slot; a run that only one side has becomes an
-optional group; runs that follow each other with the same tags fold into a
-repeated group.  Constant texts of a wrapper are the host's furniture, slots are
-what varies.  The content root is the element that holds most slot text outside
-furniture elements; a page is cut at its article (or main) element, else at its
-host's root, else at its body, without furniture.
-
-Scale: pages are dealt by range of (host, hash), so a host with a third of all
-pages spreads over many tasks and each infers from its own pages; a wrapper is
-fitted on the first `sample` pages of a host that a task meets (a documented
-bound), all pages are extracted, streamed one after the other.  One shuffle.
+A wrapper is what all distinct pages of a host have in common.  Each text block
+has a place, the path of open elements with their classes and ids.  A text that
+at least half of a host's distinct pages (three at least) have at one place is
+the host's furniture, constant or optional; places whose texts differ are slots.
+The content root is the deepest container that holds most slot text outside
+furniture elements.  Hosts of fewer than three distinct pages have no wrapper:
+their pages are cut by article (or main) elements, else at the body.
+
+Scale: places are counted by (host, place and text) with partial sums, over all
+pages and whole pages; copies of a page count once.  A host's wrapper, its root
+and at most twice its mean number of blocks in furniture, then meets the host's
+pages by an equal join on the host and a share of its pages, so that a host with
+a third of all pages spreads; results don't depend on partitions.  `infer` also writes a few pages' wrapper as a regular
+expression, by aligning them in turn: differing texts become slots, runs of one
+side optional groups, runs that follow each other repeated groups.
 
 Defined cases: null or empty html gives an empty text; null urls form one host
 without a name; pages of any length are read whole, broken markup is repaired as
@@ -23,16 +25,23 @@ rows keep their rows; no page is dropped.
 from __future__ import annotations
 
 import html
+import itertools
 import json
 import re
 from dataclasses import dataclass, field
 from difflib import SequenceMatcher
 
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, functions as F, types as T
 
-SAMPLE = 8
-MAX_ALIGNED = 4000  # tokens of a sample page that take part in inference; extraction reads all
+from .common import checkpointed
+
+LEAST_PAGES = 3
+FURNITURE_SHARE = 0.5
+ROOT_SHARE = 0.8
+SHARES = 16
+ROOTS = ("html", "body", "div", "section", "article", "main", "td", "table", "tbody", "tr", "center")
 
 TOKEN = re.compile(
     r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template|iframe|svg|textarea|select|object)\b(?:[^>\"']|\"[^\"]*\"|'[^']*')*(?:/>|>.*?(?:</\1\s*>|\Z))"
@@ -132,7 +141,7 @@ class Item:
 def items(stream: list[Tag | str]) -> list[Item]:
     """A page as wrapper places, each with the path of open elements; neighbouring equal runs are folded."""
     out, stack = [], []
-    for t in stream[:MAX_ALIGNED]:
+    for t in stream:
         if isinstance(t, str):
             s = " ".join(html.unescape(t).split())
             if s:
@@ -203,8 +212,8 @@ def align(wrapper: list[Item], page: list[Item]) -> list[Item]:
 @dataclass
 class Wrapper:
     places: list[Item]
-    root: str  # path of the content root, "" for the body
-    constants: set[tuple[str, str]]  # (path, text) that every sample page has
+    root: str  # place of the content root, "" for the body
+    constants: set[int]  # keys of the furniture: place and text
 
     def expression(self) -> str:
         """The wrapper as a regular expression over tags and texts, without unions."""
@@ -216,54 +225,62 @@ class Wrapper:
 
 
 def infer(pages: list[str | None]) -> Wrapper:
-    """Wrapper of sample pages of one host."""
-    streams = [items(tokens(p)) for p in pages]
-    streams = [s for s in streams if s]
-    if not streams:
-        return Wrapper([], "", set())
-    wrapper = streams[0]
-    for s in streams[1:]:
-        wrapper = align(wrapper, s)
+    """Wrapper of a few pages of one host; `wrappers` finds the same root and furniture for tables."""
+    streams = [x for x in map(items, map(tokens, pages)) if x]
+    places = streams[0] if streams else []
+    for x in streams[1:]:
+        places = align(places, x)
+    distinct = {signature(found): found for found in map(blocks, pages)}
+    count: dict[int, int] = {}
     mass: dict[str, int] = {}
-    constants: set[tuple[str, str]] = set()
-
-    def visit(seq, optional):
-        for i in seq:
-            if i.kind in ("opt", "rep"):
-                visit(i.inner, True)
-            elif i.kind in ("text", "slot"):
-                if i.kind == "text" and not optional and len(streams) >= 3:
-                    constants.add((i.path, i.value))
-                names = [p.split()[0] for p in i.path.split("/") if p]
-                if not FURNITURE & set(names) and (i.kind == "slot" or len(streams) < 3 or optional):
-                    for k in range(1, len(names) + 1):
-                        p = "/".join(i.path.split("/")[:k])
-                        mass[p] = mass.get(p, 0) + i.weight
-
-    visit(wrapper, False)
-    whole = max(mass.values(), default=0)
-    # The deepest element that still holds most of what varies; paragraphs and inline elements are no roots.
-    roots = [p for p, w in mass.items() if w >= 0.8 * whole and p.split("/")[-1] in ("html", "body", "div", "section", "article", "main", "td", "table", "tbody", "tr", "center")]
-    return Wrapper(wrapper, max(roots, key=lambda p: (p.count("/"), p), default=""), constants)
+    for found in distinct.values():
+        for k in {b.key for b in found}:
+            count[k] = count.get(k, 0) + 1
+    least = max(LEAST_PAGES, FURNITURE_SHARE * len(distinct))
+    constants = {k for k, c in count.items() if c >= least}
+    for b in itertools.chain(*distinct.values()):
+        steps = b.place.split("/")
+        for k in range(1, len(steps) + 1) if b.key not in constants else ():
+            at = "/".join(steps[:k])
+            mass[at] = mass.get(at, 0) + len(b.text)
+    whole = max(mass.values(), default=0) if len(distinct) >= LEAST_PAGES else 0
+    roots = [p for p, w in mass.items() if whole and w >= ROOT_SHARE * whole and re.split("[#/]", p.rsplit("/", 1)[-1])[0] in ROOTS]
+    return Wrapper(places, max(roots, key=lambda p: (p.count("/"), p), default=""), constants)
 
 
 # --- extraction -----------------------------------------------------------------
 
 
-class _Region:
-    def __init__(self, rank: int):
-        self.rank, self.blocks, self.size = rank, [], 0
+@dataclass
+class Block:
+    """A text block outside furniture elements, with its place and the ranks of the content elements it stands in, by their number."""
+
+    place: str
+    text: str
+    regions: dict[int, int]
 
+    @property
+    def key(self) -> int:
+        return (xxhash.xxh64_intdigest(self.place + "\0" + self.text) ^ 1 << 63) - (1 << 63)
 
-def extract(page: str | None, wrapper: Wrapper | None = None) -> str:
-    """Main text: blocks in page order, one line each."""
+
+def signature(found: list[Block]) -> int:
+    """Equal for pages with the same blocks."""
+    return (xxhash.xxh64_intdigest("\n".join(b.place + "\0" + b.text for b in found)) ^ 1 << 63) - (1 << 63)
+
+
+def _step(t: Tag) -> str:
+    """An element in a place: its name, and a hash of class and id without their numbers."""
+    return t.name if t.key == t.name else f"{t.name}#{xxhash.xxh32_hexdigest(re.sub('[0-9]+', '0', t.key))}"
+
+
+def blocks(page: str | None) -> list[Block]:
+    """Text blocks in page order; what furniture elements hold is left out."""
     stream = tokens(page)
-    root = wrapper.root if wrapper else ""
-    constants = wrapper.constants if wrapper else set()
-    body = _Region(0)
-    regions: list[tuple[int, _Region]] = []  # open content regions with their depth
-    closed: list[_Region] = []
-    stack: list[tuple[str, bool]] = []  # name, furniture
+    out: list[Block] = []
+    regions: list[tuple[int, int, int]] = []  # open content regions: depth, number, rank
+    numbers = itertools.count()
+    stack: list[tuple[str, bool, str]] = []  # name, furniture, step of a place
     hidden = 0
     piece: list[str] = []
 
@@ -272,20 +289,13 @@ def extract(page: str | None, wrapper: Wrapper | None = None) -> str:
             s = " ".join(html.unescape("".join(piece)).split())
             piece.clear()
             if s and not hidden:
-                if regions:
-                    for _, r in regions:
-                        r.blocks.append(s)
-                        r.size += len(s)
-                elif ("/".join(n for n, _ in stack), s) not in constants:
-                    body.blocks.append(s)
-                    body.size += len(s)
+                out.append(Block("/".join(step for _, _, step in stack), s, {k: r for _, k, r in regions}))
 
     def pop():
         nonlocal hidden
-        _, f = stack.pop()
-        hidden -= f
+        hidden -= stack.pop()[1]
         while regions and len(stack) < regions[-1][0]:
-            closed.append(regions.pop()[1])
+            regions.pop()
 
     for t in stream:
         if isinstance(t, str):
@@ -295,7 +305,7 @@ def extract(page: str | None, wrapper: Wrapper | None = None) -> str:
         if t.name in BLOCK:
             flush()
         if t.close:
-            names = [n for n, _ in stack]
+            names = [n for n, _, _ in stack]
             if t.name in names:
                 if t.name not in BLOCK and any(n in BLOCK for n in names[len(names) - names[::-1].index(t.name) :]):
                     continue  # a misnested inline end tag closes nothing
@@ -304,19 +314,19 @@ def extract(page: str | None, wrapper: Wrapper | None = None) -> str:
                     pop()
                 pop()
             continue
-        if t.main == 2 and hidden and not any(r.rank == 3 for _, r in regions):
+        if t.main == 2 and hidden and not any(r == 3 for _, _, r in regions):
             while hidden:  # an article inside furniture: the furniture was left open
                 pop()
         if t.name in ENDS_P and stack:
-            while stack and stack[-1][0] not in ENDS_P and "p" in [n for n, _ in stack]:
+            while stack and stack[-1][0] not in ENDS_P and "p" in [n for n, _, _ in stack]:
                 if stack[-1][0] == "p":
                     pop()
                     break
-                if "p" not in [n for n, f in stack[max((k for k, (n, _) in enumerate(stack) if n in ENDS_P), default=-1) + 1 :]]:
+                if "p" not in [n for n, _, _ in stack[max((k for k, (n, _, _) in enumerate(stack) if n in ENDS_P), default=-1) + 1 :]]:
                     break
                 pop()
         elif t.name in CLOSES and stack:
-            names = [n for n, _ in stack]
+            names = [n for n, _, _ in stack]
             limit = max((k for k, n in enumerate(names) if n in ENDS_P and n not in CLOSES), default=-1)
             k = max((k for k, n in enumerate(names) if n in CLOSES[t.name] and k > limit), default=-1)
             if k >= 0:
@@ -324,71 +334,88 @@ def extract(page: str | None, wrapper: Wrapper | None = None) -> str:
                     pop()
         if t.name in VOID:
             continue
-        inside = any(r.rank == 3 for _, r in regions)
+        inside = any(r == 3 for _, _, r in regions)
         furniture = t.furniture and not (t.main and not t.name in FURNITURE) and not (inside and t.name == "header")
         if t.main == 2:
             furniture = False
-        stack.append((t.name, furniture))
+        stack.append((t.name, furniture, _step(t)))
         hidden += furniture
-        if not hidden:
-            rank = 1 + t.main if t.main else 1 if root and "/".join(n for n, _ in stack) == root else 0
-            if rank and not (inside and t.main == 2):
-                regions.append((len(stack), _Region(rank)))
+        if not hidden and t.main and not (inside and t.main == 2):
+            regions.append((len(stack), next(numbers), 1 + t.main))
     flush()
-    while stack:
-        pop()
-    closed += [r for _, r in regions]
-    found = [r for r in closed if r.blocks]
-    if not found:
-        return "\n".join(body.blocks)
-    top = max(r.rank for r in found)
-    best = [r for r in found if r.rank == top]
-    # Several articles: teasers beside the one that is read.
-    return "\n".join(max(best, key=lambda r: r.size).blocks)
-
-
-def run_host(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", sample: int = SAMPLE, parts: int | None = None) -> DataFrame:
+    return out
+
+
+def extract(page: str | None, wrapper: Wrapper | None = None) -> str:
+    """Main text: blocks in page order, one line each."""
+    return main_text(blocks(page), wrapper.root if wrapper else "", wrapper.constants if wrapper else set())
+
+
+def main_text(found: list[Block], root: str, constants: set[int]) -> str:
+    """The blocks of the largest content element of the top rank, else of the root or the body without furniture."""
+    top = max((r for b in found for r in b.regions.values()), default=0)
+    size: dict[int, int] = {}
+    for b in found:
+        for k, r in b.regions.items():
+            if r == top:
+                size[k] = size.get(k, 0) + len(b.text)
+    if size:
+        return "\n".join(b.text for b in found if max(size, key=size.get) in b.regions)
+    kept = [b for b in found if b.key not in constants] or found
+    return "\n".join(b.text for b in [b for b in kept if root and (b.place + "/").startswith(root + "/")] or kept)
+
+def wrappers(seen: DataFrame) -> DataFrame:
+    """host, root, constants of every host of at least three distinct pages; from (host, sig, blocks) rows of pages."""
+    pages = checkpointed(seen.groupBy("host", "sig").agg(F.first("blocks").alias("blocks")))  # parsed once for what follows
+    sizes = pages.groupBy("host").agg(F.count("*").alias("n")).filter(F.col("n") >= LEAST_PAGES)
+    each = pages.select("host", F.explode("blocks").alias("b")).select("host", "b.*")
+    common = each.groupBy("host", "key").agg(F.count("*").alias("c"), F.first("place").alias("place"), F.sum("size").alias("size")).filter(F.col("c") >= LEAST_PAGES)
+    constant = common.join(sizes, "host").filter(F.col("c") >= FURNITURE_SHARE * F.col("n")).select("host", "key", "place", "size")
+    # What varies at a place: all its text less its furniture.
+    mass = each.select("host", "place", "size").unionByName(constant.select("host", "place", (-F.col("size")).alias("size"))).groupBy("host", "place").agg(F.sum("size").alias("size"))
+    steps = F.split("place", "/")
+    above = mass.select("host", "size", F.explode(F.transform(F.sequence(F.lit(1), F.size(steps)), lambda k: F.array_join(F.slice(steps, F.lit(1), k), "/"))).alias("place"))
+    held = above.groupBy("host", "place").agg(F.sum("size").alias("size"))
+    whole = held.groupBy("host").agg(F.max("size").alias("whole"))
+    roots = held.join(whole, "host").filter((F.col("size") > 0) & (F.col("size") >= ROOT_SHARE * F.col("whole")) & F.regexp_extract("place", "([^/#]*)(#[^/]*)?$", 1).isin(*ROOTS))
+    root = roots.groupBy("host").agg(F.max(F.struct(F.size(F.split("place", "/")).alias("k"), "place")).alias("r")).select("host", F.col("r.place").alias("root"))
+    keys = constant.groupBy("host").agg(F.collect_list("key").alias("constants"))
+    return sizes.select("host").join(root, "host", "left").join(keys, "host", "left")
+
+
+def run_host(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """page_id, url, text, n_chars of every page."""
     from .url_filters import host
 
-    spark = pages.sparkSession
-    parts = parts or max(int(spark.conf.get("spark.sql.shuffle.partitions")), pages.rdd.getNumPartitions())
     named = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).alias("url"), F.col(html_col).alias("html"), F.coalesce(host(F.col(url_col)), F.lit("")).alias("host"))
-    dealt = named.withColumn("h", F.xxhash64("page_id", "url")).repartitionByRange(parts, "host", "h").sortWithinPartitions("host", "h")
-    schema = T.StructType([T.StructField("page_id", pages.schema[id_col].dataType), T.StructField("url", T.StringType()), T.StructField("text", T.StringType()), T.StructField("n_chars", T.LongType())])
-
-    def out(ids, urls, texts):
-        return pa.RecordBatch.from_arrays([pa.array(ids, schema_id[0]), pa.array(urls, pa.string()), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
-    schema_id: list = [None]
+    def see(batches):
+        kind = pa.list_(pa.struct([("key", pa.int64()), ("place", pa.string()), ("size", pa.int64())]))
+        for b in batches:
+            sigs, rows = [], []
+            for p in b.column(1).to_pylist():
+                found = blocks(p)
+                one: dict[int, dict] = {}
+                for x in found:
+                    one.setdefault(x.key, {"key": x.key, "place": x.place, "size": 0})["size"] += len(x.text)
+                sigs.append(signature(found))
+                rows.append(list(one.values()))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sigs, pa.int64()), pa.array(rows, kind)], names=["host", "sig", "blocks"])
+
+    seen = named.select("host", "html").mapInArrow(see, "host string, sig long, blocks array<struct<key: long, place: string, size: long>>")
+    # A host's furniture is short beside its pages; they meet by an equal join on the host and one of 16 shares of its pages.
+    found = wrappers(seen).withColumn("share", F.explode(F.sequence(F.lit(0), F.lit(SHARES - 1))))
+    met = named.withColumn("share", F.pmod(F.xxhash64("page_id", "url"), F.lit(SHARES)).cast("int")).join(checkpointed(found), ["host", "share"], "left")
+    schema = T.StructType([T.StructField("page_id", pages.schema[id_col].dataType), T.StructField("url", T.StringType()), T.StructField("text", T.StringType()), T.StructField("n_chars", T.LongType())])
 
     def work(batches):
-        now, wrapper, wait = None, None, []
-
-        def finish():
-            nonlocal wrapper
-            if wrapper is None:
-                wrapper = infer([p for _, _, p in wait])
-            ids, urls, texts = [i for i, _, _ in wait], [u for _, u, _ in wait], [extract(p, wrapper) for _, _, p in wait]
-            wait.clear()
-            return ids, urls, texts
-
+        now, constants = None, set()
         for b in batches:
-            schema_id[0] = b.schema.field(0).type
-            ids, urls, texts = [], [], []
-            for i, u, p, h in zip(*(b.column(k).to_pylist() for k in range(4))):
-                if h != now and wait:
-                    for have, more in zip((ids, urls, texts), finish()):
-                        have += more
+            texts = []
+            for k, (p, h, root) in enumerate(zip(*(b.column(c).to_pylist() for c in (2, 3, 4)))):
                 if h != now:
-                    now, wrapper = h, None
-                wait.append((i, u, p))
-                if wrapper is not None or len(wait) >= sample:
-                    for have, more in zip((ids, urls, texts), finish()):
-                        have += more
-            if ids:
-                yield out(ids, urls, texts)
-        if wait:
-            yield out(*finish())
-
-    return dealt.select("page_id", "url", "html", "host").mapInArrow(work, schema)
+                    now, constants = h, set(b.column(5)[k].as_py() or ())
+                texts.append(main_text(blocks(p), root or "", constants))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=schema.names)
+
+    return met.select("page_id", "url", "html", "host", "root", "constants").mapInArrow(work, schema)

@@ -55,6 +55,17 @@ def test_html_edges(spark):
     assert sorted(r.n_chars for r in got) == [0, 0, 5999] and hw.run_host(rows.limit(0)).count() == 0
 
 
+def test_wrapper_takes_all_pages_of_a_host(spark):
+    """One wrapper a host from its distinct whole pages, whatever the partitions."""
+    bodies = [f"<p>{' '.join(f'w{i}x{k}' for k in range(9))}</p>" for i in range(12)]
+    rows = [(i, "http://h.org/", f"<body><div id=a>Site</div><div id=c>{b}</div>{'<br>' * 4500}<div id=z>All rights reserved</div></body>") for i, b in enumerate(bodies)]
+    copies = [(100 + i, "http://copies.org/", "<body><h1>Title</h1><p>only paragraph</body>") for i in range(9)]
+    for parts in (1, 5, 16):
+        got = {r.page_id: r.text for r in hw.run_host(spark.createDataFrame(rows + copies, "page_id long, url string, html string").repartition(parts)).collect()}
+        assert all(got[i] == b[3:-4] for i, b in enumerate(bodies))
+        assert all(got[100 + i] == "Title\nonly paragraph" for i in range(9))
+
+
 # --- chat -----------------------------------------------------------------------
 
 
