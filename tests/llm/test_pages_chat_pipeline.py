@@ -66,6 +66,13 @@ def test_wrapper_takes_all_pages_of_a_host(spark):
         assert all(got[100 + i] == "Title\nonly paragraph" for i in range(9))
 
 
+def test_wrapper_decides_inside_articles(spark):
+    """A host's repeated furniture goes inside the article too."""
+    rows = [(i, "http://h.org/", f"<body><article><p>Follow us everywhere</p><p>story {'abcdef'[i] * 30}</p></article></body>") for i in range(6)]
+    got = hw.run_host(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    assert all(r.text == f"story {'abcdef'[r.page_id] * 30}" for r in got) and len(got) == 6
+
+
 # --- chat -----------------------------------------------------------------------
 
 
