@@ -352,17 +352,12 @@ def extract(page: str | None, wrapper: Wrapper | None = None) -> str:
 
 
 def main_text(found: list[Block], root: str, constants: set[int]) -> str:
-    """The wrapper decides: slots of its root without furniture, wherever it stands.  The largest content element of the top rank narrows that where it holds most of it."""
+    """The wrapper decides: slots of its root without furniture, wherever it stands.  Content elements of the top rank narrow that where they hold most of it."""
     kept = [b for b in found if b.key not in constants] or found  # a page of nothing else is no furniture
     scope = [b for b in kept if root and (b.place + "/").startswith(root + "/")] or kept
     top = max((r for b in scope for r in b.regions.values()), default=0)
-    size: dict[int, int] = {}
-    for b in scope:
-        for k, r in b.regions.items():
-            if r == top:
-                size[k] = size.get(k, 0) + len(b.text)
-    if size:
-        tagged = [b for b in scope if max(size, key=size.get) in b.regions]
+    if top:
+        tagged = [b for b in scope if top in b.regions.values()]
         if not root or 2 * sum(len(b.text) for b in tagged) >= sum(len(b.text) for b in scope):
             scope = tagged
     return "\n".join(b.text for b in scope)

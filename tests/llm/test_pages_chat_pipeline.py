@@ -73,6 +73,11 @@ def test_wrapper_decides_inside_articles(spark):
     assert all(r.text == f"story {'abcdef'[r.page_id] * 30}" for r in got) and len(got) == 6
 
 
+def test_all_parts_of_an_article_stay():
+    page = "<body><article><p>first part</p></article><div class=ad>buy</div><article><p>the second and longer part</p></article></body>"
+    assert hw.extract(page) == "first part\nthe second and longer part"
+
+
 # --- chat -----------------------------------------------------------------------
 
 
