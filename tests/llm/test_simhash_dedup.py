@@ -124,3 +124,18 @@ def test_near_copies_of_five_word_shingles(spark, heavy, monkeypatch):
     kept = {r.doc_id for r in s.keep_one(docs, scheme=s.NEAR).collect()}
     assert {2 * i for i in range(120)} <= kept and len([k for k in kept if k < 1000 and k % 2]) <= 4
     assert [k for k in kept if k >= 1000] == [1000]
+
+
+def test_pipeline_links_by_exact_similarity(spark):
+    """Pairs at 0.82 lose one document, pairs at 0.70 and 0.78 none."""
+    import corpus_pipeline
+
+    rows = []
+    for n, sim in enumerate((0.82, 0.78, 0.70)):
+        common = round(2 * 400 * sim / (1 + sim))
+        for k in range(40):
+            for side in range(2):
+                words = [f"c{n}x{k}x{i}" for i in range(common + 4)] + [f"o{n}x{k}x{side}x{i}" for i in range(400 - common)]
+                rows.append((1000 * n + 2 * k + side, " ".join(words)))
+    kept = sorted(r.doc_id for r in corpus_pipeline.near_dedup(spark, spark.createDataFrame(rows, "doc_id long, text string"), "").collect())
+    assert kept == sorted([2 * k for k in range(40)] + [1000 * n + k for n in (1, 2) for k in range(80)])
