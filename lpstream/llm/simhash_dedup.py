@@ -10,10 +10,10 @@ tallied, pairs with fewer than five are dropped, the rest is verified by XOR and
 bit count.
 
 The same index finds looser copies with longer fingerprints (`NEAR`: 256 bits of
-the set of five-word shingles, 48 bits apart at most, where a Jaccard similarity
-of 0.8 is 39 bits apart on average).  So many bits guarantee no shared byte, so
-the lists are kept by 64 pairs of positions: two texts at similarity 0.8 share a
-byte with probability 0.27, and miss all 64 pairs about once in a hundred.
+the set of five-word shingles), without a guarantee: its lists of 64 pairs of
+positions miss a few in a hundred pairs at a similarity of 0.8, and its 48 bits
+link pairs below.  `keep_one_similar` is exact in what it links: it verifies the
+similarity of candidates, which come from lists of minima.
 
 Scale: copies collapse to one fingerprint before anything is indexed; the index
 holds 20 short rows a fingerprint; lists are scanned inside a sorted partition,
