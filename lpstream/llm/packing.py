@@ -36,7 +36,7 @@ from .tokens import encoder, slices, with_end
 
 SENTENCE_CUT = 4
 WORD_CUT = 16
-SPAN = 1 << 21
+SPAN = 1 << 20
 FAR = np.int64(1 << 40)
 
 

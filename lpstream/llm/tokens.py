@@ -3,7 +3,8 @@
 Both vocabularies split a text before every white-space run and between letters
 and punctuation, so the ids of a text are the ids of its chunks in order.  Each distinct chunk is
 encoded once by the tokenizers library and remembered (bounded memory); texts
-with white space other than blank and line feed go to the library whole.
+with white space other than blank and line feed, and texts that hold a special
+token's name, go to the library whole, which reads such a name as that token.
 """
 
 from __future__ import annotations
@@ -38,11 +39,14 @@ def vocabulary(name: str) -> str:
 class Encoder:
     """Encodes texts to id arrays; `lossy_space` says that the vocabulary drops white space."""
 
-    def __init__(self, path: str, lossy_space: bool = False, remembered: int = 900_000):
+    def __init__(self, path: str, lossy_space: bool = False, remembered: int = 400_000):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
+        names = sorted({t.content for t in self.tok.get_added_tokens_decoder().values()})
+        self.special = re.compile("|".join(map(re.escape, names)) if names else r"(?!)", re.I)
+        quoted = "|".join(re.sub(r"([^A-Za-z0-9_])", r"\\\1", n) for n in names)
+        self.odd = (ODD_LOSSY if lossy_space else ODD) + (f"|(?i:{quoted})" if names else "")
         self.lossy = lossy_space
         self.limit = remembered
         self.line_feed = self.tok.encode("\n", add_special_tokens=False).ids[0] if not lossy_space else -1
@@ -104,7 +108,7 @@ class Encoder:
         for i, t in enumerate(texts):
             if not t:
                 parts.append([])
-            elif not t.replace("\n", " ").isprintable() and OTHER_SPACE.search(t):
+            elif not t.replace("\n", " ").isprintable() and OTHER_SPACE.search(t) or self.special.search(t):
                 parts.append([])
                 whole[i] = np.array(self.tok.encode(t, add_special_tokens=False).ids, np.int32)
             else:
@@ -130,7 +134,7 @@ class Encoder:
         blanks and line feeds between words take the general way.
         """
         texts = texts.cast(pa.large_string()).fill_null("")
-        odd = pc.match_substring_regex(texts, ODD_LOSSY if self.lossy else ODD).to_numpy(zero_copy_only=False)
+        odd = pc.match_substring_regex(texts, self.odd).to_numpy(zero_copy_only=False)
         plain = texts.filter(pa.array(~odd)) if odd.any() else texts
         flat, size = self._plain_column(plain)
         if not odd.any():
@@ -186,7 +190,7 @@ class Encoder:
         return self.encode_all([text])[0]
 
 
-def slices(batch: pa.RecordBatch, text: int, most: int = 10 << 20):
+def slices(batch: pa.RecordBatch, text: int, most: int = 3 << 20):
     """The batch in runs of rows with about `most` bytes of text each, at least a row."""
     size = pc.binary_length(batch.column(text)).fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
     run = np.cumsum(size) // most
