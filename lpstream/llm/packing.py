@@ -37,6 +37,8 @@ from .tokens import encoder, slices, with_end
 SENTENCE_CUT = 4
 WORD_CUT = 16
 SPAN = 1 << 20
+REMEMBERED = 500_000  # words, in a worker
+SLICE = 4 << 20  # bytes of text encoded at once
 FAR = np.int64(1 << 40)
 
 
@@ -103,7 +105,7 @@ def pieces(lengths: np.ndarray, ends: np.ndarray):
 @lru_cache(maxsize=4)
 def sentence_ends(vocabulary: str) -> np.ndarray:
     """Which ids end a sentence: tokens of closing punctuation only."""
-    tok = encoder(vocabulary, True).tok
+    tok = encoder(vocabulary, True, REMEMBERED).tok
     n = tok.get_vocab_size()
     out = np.zeros(n, bool)
     for word, i in tok.get_vocab().items():
@@ -122,7 +124,7 @@ def pack(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text: str = "
     names = [c.split()[0] for c in schema.split(", ")]
 
     def run(batches):
-        enc = encoder(vocabulary, True)
+        enc = encoder(vocabulary, True, REMEMBERED)
         closing = sentence_ends(vocabulary)
         base = TaskContext.get().partitionId() << 40
         seen, ids, sizes, kept, total = 0, [], [], [], 0
@@ -149,7 +151,7 @@ def pack(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text: str = "
             return pa.RecordBatch.from_arrays(arrays, names=names)
 
         for b in batches:
-            for piece in slices(b, 1):
+            for piece in slices(b, 1, SLICE):
                 flat, size = with_end(*enc.encode_column(piece.column(1)), end_id)
                 ids += piece.column(0).to_pylist()
                 sizes.append(size)

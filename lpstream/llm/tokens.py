@@ -39,7 +39,7 @@ def vocabulary(name: str) -> str:
 class Encoder:
     """Encodes texts to id arrays; `lossy_space` says that the vocabulary drops white space."""
 
-    def __init__(self, path: str, lossy_space: bool = False, remembered: int = 400_000):
+    def __init__(self, path: str, lossy_space: bool = False, remembered: int = 900_000):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
@@ -190,7 +190,7 @@ class Encoder:
         return self.encode_all([text])[0]
 
 
-def slices(batch: pa.RecordBatch, text: int, most: int = 3 << 20):
+def slices(batch: pa.RecordBatch, text: int, most: int = 10 << 20):
     """The batch in runs of rows with about `most` bytes of text each, at least a row."""
     size = pc.binary_length(batch.column(text)).fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
     run = np.cumsum(size) // most
@@ -213,9 +213,9 @@ def with_end(flat: np.ndarray, size: np.ndarray, end_id: int) -> tuple[np.ndarra
 _encoders: dict[tuple, Encoder] = {}
 
 
-def encoder(path: str, lossy_space: bool = False) -> Encoder:
+def encoder(path: str, lossy_space: bool = False, remembered: int = 900_000) -> Encoder:
     """One encoder a worker process."""
-    key = (path, lossy_space)
+    key = (path, lossy_space, remembered)
     if key not in _encoders:
-        _encoders[key] = Encoder(path, lossy_space)
+        _encoders[key] = Encoder(path, lossy_space, remembered)
     return _encoders[key]
