@@ -1,9 +1,10 @@
 """Quality rules by repetition coverage.
 
 Words are numbered per document, n-grams of several lengths get rolling
-polynomial hashes in numpy, and the measure is the share of characters that lie
-inside an n-gram seen more than once, or inside a repeated line.  Overlapping
-n-grams cover a character once.
+polynomial hashes in numpy (differences of one running sum serve every length),
+and the measure is the share of characters (code points) that lie inside an n-gram
+seen more than once, or inside a repeated line.  Overlapping n-grams cover a
+character once.
 
 Defined cases: null or empty text has no words and fails the base rule; lines
 without a word never count as repeated; a text of any length is read whole;
@@ -22,7 +23,8 @@ from .common import mix64
 
 SYMBOLS = b"#*$%&|<>"
 SPACES = b"\x20\x09\x0a\x0b\x0c\x0d"
-BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
+BASE = 0x9E3779B97F4A7C15
+_powers = {"up": np.ones(1, np.uint64), "down": np.ones(1, np.uint64)}
 
 
 @dataclass(frozen=True)
@@ -49,13 +51,26 @@ class Measures:
 
 
 
-def rolling(values: np.ndarray, n: int) -> np.ndarray:
-    """Polynomial hash (mod 2^64) of every window of n values."""
-    out = np.zeros(max(0, len(values) - n + 1), np.uint64)
-    with np.errstate(over="ignore"):
-        for k in range(n):
-            out = out * BASE + values[k : k + len(out)]
-    return out
+def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """BASE^k and BASE^-k (mod 2^64) for k below n; kept, and doubled when outgrown."""
+    if len(_powers["up"]) < n:
+        size = 1 << n.bit_length()
+        for name, base in (("up", BASE), ("down", pow(BASE, -1, 1 << 64))):
+            steps = np.full(size, base, np.uint64)
+            steps[0] = 1
+            _powers[name] = np.cumprod(steps, dtype=np.uint64)
+    return _powers["up"][:n], _powers["down"][:n]
+
+
+def running(values: np.ndarray) -> np.ndarray:
+    """Sums of values times BASE^k (mod 2^64) before each place."""
+    return np.r_[np.zeros(1, np.uint64), np.cumsum(values * powers(len(values))[0], dtype=np.uint64)]
+
+
+def rolling(sums: np.ndarray, n: int) -> np.ndarray:
+    """Polynomial hash (mod 2^64) of every window of n values, from their running sums."""
+    count = max(0, len(sums) - n)
+    return (sums[n : n + count] - sums[:count]) * powers(count)[1]
 
 
 def found_again(codes: np.ndarray) -> np.ndarray:
@@ -83,14 +98,15 @@ def measure(text: str | None, lengths=(5, 6, 7, 8, 9, 10)) -> Measures:
     n = len(words)
     symbols = len(data) - len(data.translate(None, SYMBOLS))
     word_chars = len(text or "") - (len(data) - len(data.translate(None, SPACES)))
+    chars = len if len(data) == len(text or "") else lambda b: len(b.decode())  # code points of a piece
     seen: set[bytes] = set()
-    dup_lines = dup_line_bytes = line_bytes = 0
+    dup_lines = dup_line_chars = line_chars = 0
     for line in data.split(b"\n"):
-        if size := len(line.strip()):
-            line_bytes += size
+        if size := chars(line.strip()):
+            line_chars += size
             if line in seen:
                 dup_lines += 1
-                dup_line_bytes += size
+                dup_line_chars += size
             else:
                 seen.add(line)
     number: dict[bytes, int] = {}
@@ -109,16 +125,16 @@ def measure(text: str | None, lengths=(5, 6, 7, 8, 9, 10)) -> Measures:
         again = found_again(code)
         repeat_words = int(spread(again, 3, n).sum())
         if again.any():
-            size = np.fromiter(map(len, words), np.int64, n)
-            mixed = mix64(ids)
+            size = np.fromiter(map(chars, words), np.int64, n)
+            sums = running(mix64(ids))
             whole = int(size.sum())
             for k in lengths:
-                h = rolling(mixed, k)
+                h = rolling(sums, k)
                 hit = found_again(h) if len(h) > 1 else np.zeros(0, bool)
                 if not hit.any():
                     break  # a longer n-gram that occurs twice holds a shorter one that does
                 shares[k] = float(size[spread(hit, k, n)].sum() / whole)
-    return Measures(n, word_chars, symbols, dup_lines, repeat_words, dup_line_bytes / line_bytes if line_bytes else 0.0, shares)
+    return Measures(n, word_chars, symbols, dup_lines, repeat_words, dup_line_chars / line_chars if line_chars else 0.0, shares)
 
 
 def verdict(m: Measures, limits: Limits) -> tuple[bool, bool]:

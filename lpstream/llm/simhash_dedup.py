@@ -25,7 +25,8 @@ copies costs rows in proportion to its members.
 
 Defined cases: null or blank text has fingerprint zero and links like any
 other; null ids are kept, and a component of null ids only has a null id;
-repeated rows stay repeated; an empty table gives an empty result.
+repeated rows stay repeated in `groups`, and are one row for `keep_one`, which knows
+a row by its content alone, so columns may have any name; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -38,7 +39,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import checkpointed, mix64
+from .common import checkpointed, mix64, pick, row_key
 
 SEED = 42
 HEAVY = 2048
@@ -351,16 +352,34 @@ def _grouped(rows: DataFrame) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text: str = "text", scheme: Scheme = CLOSE) -> DataFrame:
-    """The documents without all but one of each group: the row with the smallest id stays (of tied rows, the first as read)."""
+    """The documents without all but one of each group: the row with the smallest id stays (of tied rows, the least by a hash of their content; of equal rows, one)."""
     cols = names(scheme)
-    numbered = docs.withColumn("__row", F.monotonically_increasing_id())
-    rows = with_fingerprint(numbered.select(F.col("__row"), F.col(id_col).alias("doc_id"), F.col(text).alias("text")), scheme=scheme)
-    best = checkpointed(rows.groupBy(*cols).agg(F.min(F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "__row")).alias("best")))
-    node = F.col("best.__row").alias("node")
-    roots = components(links(best.select(*cols, node), scheme=scheme))
-    placed = best.select("best", node).join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    kept = placed.groupBy("root").agg(F.min("best").alias("best")).select(F.col("best.__row").alias("__row"))
-    return numbered.join(kept, "__row", "left_semi").drop("__row")
+    k0, k1 = row_key(docs)
+    rows = with_fingerprint(docs.select(k0.alias("k0"), k1.alias("k1"), F.col(id_col).alias("doc_id"), F.col(text).alias("text")), scheme=scheme)
+    best = _numbered(rows.groupBy(*cols).agg(_least("doc_id", "k0", "k1"), _several()))
+    roots = components(links(best.select(*cols, "node"), scheme=scheme))
+    return _survivors(docs, best, roots)
+
+
+def _least(*order: str):
+    """The smallest of some rows: nulls of the first column last."""
+    return F.min(F.struct(F.col(order[0]).isNull().alias("z"), *order)).alias("best")
+
+
+def _several():
+    return (F.count("*") > 1).alias("several")
+
+
+def _numbered(best: DataFrame) -> DataFrame:
+    """The rows with a number each, written down: a number never changes when something is computed again."""
+    return checkpointed(best.withColumn("node", F.monotonically_increasing_id()))
+
+
+def _survivors(docs: DataFrame, best: DataFrame, roots: DataFrame) -> DataFrame:
+    """The best row of each component."""
+    placed = best.select("best", "several", "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    kept = placed.groupBy("root").agg(F.min(F.struct("best", "several")).alias("m")).select("m.best.k0", "m.best.k1", "m.several")
+    return pick(docs, kept, docs.columns)
 
 
 # --- near copies by exact similarity -----------------------------------------------
@@ -390,34 +409,85 @@ def jaccard(a: np.ndarray, b: np.ndarray) -> float:
     return both / max(1, len(a) + len(b) - both)
 
 
-def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text", least: float = SIMILAR) -> DataFrame:
+def _mixed_pairs(batches, heavy: int, last: bool):
+    """Sorted (key, node, root, blocks) batches to rows (kind, key, a, b): 0 a pair of one list within LOOSE_BITS and of different roots, 1 an entry (node a) of a list longer than `heavy`, passed on as it comes.
+
+    Pairs are compared in blocks; those too far apart never leave the task.
+    """
+
+    def rows(kind, key, a, b):
+        return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int8)), pa.array(np.full(len(a), key, np.int64)), pa.array(a), pa.array(b)], names=["kind", "key", "a", "b"])
+
+    def compared(key, node, root, fp):
+        for i in range(0, len(node), 256):
+            for j in range(i, len(node), 4096):
+                x = np.bitwise_count(fp[i : i + 256, None] ^ fp[None, j : j + 4096]).sum(axis=2, dtype=np.int64) <= LOOSE_BITS
+                x &= root[i : i + 256, None] < root[None, j : j + 4096]
+                y = np.bitwise_count(fp[j : j + 4096, None] ^ fp[None, i : i + 256]).sum(axis=2, dtype=np.int64) <= LOOSE_BITS if j > i else np.zeros((0, 0), bool)
+                p, q = np.nonzero(x)
+                if len(p):
+                    yield rows(0, key, node[i + p], node[j + q])
+                if j > i:
+                    y &= root[j : j + 4096, None] < root[None, i : i + 256]
+                    p, q = np.nonzero(y)
+                    if len(p):
+                        yield rows(0, key, node[j + p], node[i + q])
+
+    wait, open_, passing = None, None, None
+    for batch in itertools.chain(batches, [None]):
+        if batch is not None:
+            key, node, root, *blocks = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            fp = np.stack(blocks, axis=1).view(np.uint64)
+            edges = np.r_[0, np.flatnonzero(key[1:] != key[:-1]) + 1, len(key)] if len(key) else np.zeros(1, np.int64)
+            runs = [(int(key[a]), [node[a:b], root[a:b], fp[a:b]]) for a, b in zip(edges[:-1].tolist(), edges[1:].tolist())]
+        else:
+            runs = [(None, None)]
+        for k, part in runs:
+            if k != open_:
+                if wait is not None and len(wait[0]) > 1:
+                    yield from compared(open_, *wait)
+                open_, wait, passing = k, None, None
+            if k is None:
+                continue
+            if passing is not None:
+                yield rows(1, k, part[0], part[0])
+                continue
+            wait = part if wait is None else [np.concatenate(x) for x in zip(wait, part)]
+            if len(wait[0]) > heavy and not last:
+                yield rows(1, k, wait[0], wait[0])
+                wait, passing = None, k
+
+
+def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text", least: float = SIMILAR, heavy: int | None = None) -> DataFrame:
     """The documents without all but one of each group linked by a Jaccard similarity of five-word shingle sets of at least `least`: the smallest id stays.
 
     Equal sets collapse first.  Candidates within LOOSE_BITS of fingerprint are
     verified on their sets of 64-bit shingle hashes.  The first round takes each
-    list's least node with the others; the second all pairs of a list whose nodes
-    the first round left in different groups, so no pair of a list is passed over.
+    list's least node with the others.  The second takes the lists whose nodes
+    the first round left in different groups: their pairs are compared inside
+    the scan, and a list beyond `heavy` is split by each further list that its
+    entries share (a pair at 0.8 then shares none with probability 6e-5).
     """
-    cols = names(NEAR)
-    numbered = docs.withColumn("__row", F.monotonically_increasing_id())
+    cols, heavy = names(NEAR), heavy or HEAVY
+    k0, k1 = row_key(docs)
     kind = docs.schema[id_col].dataType
-    schema = T.StructType([T.StructField("__row", T.LongType()), T.StructField("doc_id", kind), *[T.StructField(c, T.LongType()) for c in ("set0", "set1", *cols)], T.StructField("bands", T.ArrayType(T.LongType()))])
+    schema = T.StructType([T.StructField("k0", T.LongType()), T.StructField("k1", T.LongType()), T.StructField("doc_id", kind), *[T.StructField(c, T.LongType()) for c in ("set0", "set1", *cols)], T.StructField("bands", T.ArrayType(T.LongType()))])
 
     def run(batches):
         for b in batches:
-            sets = [np.unique(shingles(t, NEAR.width)) for t in b.column(2).to_pylist()]
+            sets = [np.unique(shingles(t, NEAR.width)) for t in b.column(3).to_pylist()]
             fp = np.array([_fingerprints(x, NEAR) for x in sets], np.uint64).reshape(-1, NEAR.blocks).view(np.int64)
             whole = np.array([[xxhash.xxh64_intdigest(x.tobytes(), k) for k in (0, 1)] for x in sets], np.uint64).reshape(-1, 2).view(np.int64)
             longs = [pa.array(np.ascontiguousarray(m[:, k])) for m in (whole, fp) for k in range(m.shape[1])]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *longs, pa.array([bands(x) for x in sets], pa.list_(pa.int64()))], names=schema.names)
+            yield pa.RecordBatch.from_arrays([*b.columns[:3], *longs, pa.array([bands(x) for x in sets], pa.list_(pa.int64()))], names=schema.names)
 
-    rows = numbered.select("__row", F.col(id_col).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, schema)
-    best = rows.groupBy("set0", "set1").agg(F.min(F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "__row")).alias("best"), *[F.first(c).alias(c) for c in cols], F.first("bands").alias("bands"))
-    best = checkpointed(best.withColumn("node", F.col("best.__row")))
+    rows = docs.select(k0.alias("k0"), k1.alias("k1"), F.col(id_col).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, schema)
+    best = _numbered(rows.groupBy("set0", "set1").agg(_least("doc_id", "k0", "k1"), _several(), *[F.first(c).alias(c) for c in cols], F.first("bands").alias("bands")))
     entries = best.select("node", F.explode("bands").alias("key"))
     hubs = entries.groupBy("key").agg(F.min("node").alias("hub"), F.count("*").alias("c")).filter("c > 1").select("key", "hub")
     met = checkpointed(entries.join(hubs, "key"))
-    texts = checkpointed(numbered.select(F.col("__row").alias("node"), F.col(text).alias("text")).join(met.select("node").distinct(), "node", "left_semi"))
+    wanted = best.select("best.k0", "best.k1", "several", "node").join(met.select("node").distinct(), "node", "left_semi")
+    texts = checkpointed(pick(docs, wanted, [text]).toDF("text", "node"))
     prints = best.select("node", *cols)
 
     def verified(pairs: DataFrame) -> DataFrame:
@@ -439,12 +509,16 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
 
         return checkpointed(loose.join(side(texts, "a"), "a").join(side(texts, "b"), "b").select("a", "b", "a_text", "b_text").mapInArrow(check, "a long, b long"))
 
+    def mixed(open_: DataFrame, last: bool) -> DataFrame:
+        dealt = open_.select("key", "node", "root", *cols).repartition("key").sortWithinPartitions("key")
+        return dealt.mapInArrow(lambda it: _mixed_pairs(it, heavy, last), "kind byte, key long, a long, b long")
+
     first = verified(met.filter("node <> hub").select(F.col("hub").alias("a"), F.col("node").alias("b")))
-    placed = met.select("node", "key").join(components(first), "node", "left").select("node", "key", F.coalesce("root", "node").alias("root"))
-    mixed = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
-    open_ = checkpointed(placed.join(mixed, "key"))
-    left, right = open_.select("key", F.col("node").alias("a"), F.col("root").alias("ra")), open_.select("key", F.col("node").alias("b"), F.col("root").alias("rb"))
-    second = verified(left.join(right, "key").filter("ra < rb").select("a", "b"))
-    roots = components(first.union(second))
-    kept = best.select("best", "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")).groupBy("root").agg(F.min("best").alias("best"))
-    return numbered.join(kept.select(F.col("best.__row").alias("__row")), "__row", "left_semi").drop("__row")
+    rooted = met.select("node").distinct().join(components(first), "node", "left").select("node", F.coalesce("root", "node").alias("root"))
+    rooted = checkpointed(rooted.join(prints, "node"))
+    placed = met.select("node", "key").join(rooted.select("node", "root"), "node")
+    several = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
+    close = checkpointed(mixed(met.select("node", "key").join(several, "key").join(rooted, "node"), False))
+    finer = close.filter("kind = 1").select("key", F.col("a").alias("node")).join(best.select("node", F.explode("bands").alias("other")), "node").filter("other <> key").select(F.xxhash64("key", "other").alias("key"), "node")
+    second = verified(close.filter("kind = 0").select("a", "b").union(mixed(finer.join(rooted, "node"), True).select("a", "b")))
+    return _survivors(docs, best, components(first.union(second)))

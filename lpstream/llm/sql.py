@@ -64,7 +64,7 @@ _LENGTHS = sorted(_LIMITS.ngram_chars)
 
 
 def _gram(n: int) -> str:
-    """Share of word bytes inside n-grams found again, by document."""
+    """Share of word characters inside n-grams found again, by document."""
     leads = ", ".join(["w"] + [f"lead(w, {k}) over o as w{k}" for k in range(1, n)])
     key = ", ".join(["w"] + [f"w{k}" for k in range(1, n)])
     return f"""a{n} as (select row, i, size, n, {leads} from words window o as (partition by row order by i)),
@@ -76,14 +76,14 @@ g{n} as (select row, sum(case when hit then size else 0 end)::double / sum(size)
 _RULES = rf"""
 with f as (select row_number() over () as row, doc_id, coalesce(text, '') as text from documents),
 split as (select row, regexp_extract_all(text, '[^\x20\x09-\x0D]+') as l from f),
-words as (select row, unnest(l) as w, unnest(range(1, len(l) + 1)) as i, len(l) as n, strlen(unnest(l)) as size from split),
+words as (select row, unnest(l) as w, unnest(range(1, len(l) + 1)) as i, len(l) as n, length(unnest(l)) as size from split),
 w3 as (select row, i, n, w, lead(w) over o as w1, lead(w, 2) over o as w2 from words window o as (partition by row order by i)),
 d3 as (select row, i, i <= n - 2 and count(*) over (partition by row, i <= n - 2, w, w1, w2) > 1 as again from w3),
 r3 as (select row, sum(case when hit then 1 else 0 end) as n_repeat_words from (select row, bool_or(again) over (partition by row order by i rows between 2 preceding and current row) as hit from d3) group by row),
 {", ".join(_gram(n) for n in _LENGTHS)},
 counted as (select row, count(*) as n_words, sum(length(w)) as word_chars from words group by row),
 cut as (select row, string_split(text, chr(10)) as l from f),
-lines as (select row, line, strlen(trim(line, {_SPACE})) as size, row_number() over (partition by row, line order by i) as k from (select row, unnest(l) as line, unnest(range(1, len(l) + 1)) as i from cut) where length(trim(line, {_SPACE})) > 0),
+lines as (select row, line, length(trim(line, {_SPACE})) as size, row_number() over (partition by row, line order by i) as k from (select row, unnest(l) as line, unnest(range(1, len(l) + 1)) as i from cut) where length(trim(line, {_SPACE})) > 0),
 dup as (select row, sum(case when k > 1 then 1 else 0 end) as n_dup_lines, sum(case when k > 1 then size else 0 end)::double / sum(size)::double as dup_line_chars from lines group by row),
 m as (
   select doc_id, coalesce(n_words, 0) as n_words, coalesce(word_chars, 0) as word_chars, length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')) as n_symbols,

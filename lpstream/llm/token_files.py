@@ -16,7 +16,7 @@ Order is ascending document id over the range partitions; positions are global
 after adding the token totals of the earlier parts (one short row a part).
 
 Defined cases: null text is an empty document (the end id only); a null id
-sorts first and stays null; repeated ids are separate documents, by text; an empty
+sorts first and stays null; repeated ids are separate documents, by text hash and text; an empty
 table gives no image and no row; one very long document is one image.
 """
 
@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
-from .common import checkpointed
+from .common import shared_folder
 from .tokens import encoder, slices, with_end
 
 MAGIC = b"DAC1"
@@ -147,7 +147,9 @@ def write(docs: DataFrame, path: str, vocabulary: str, id_col: str = "doc_id", t
     """Encode every whole text and write the images in ascending id order."""
     spark = docs.sparkSession
     parts = parts or max(int(spark.conf.get("spark.sql.shuffle.partitions")), docs.rdd.getNumPartitions())
-    ordered = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text")).repartitionByRange(parts, "doc_id").sortWithinPartitions("doc_id", "text")
+    named = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text")).withColumn("h", F.xxhash64("text"))
+    # Ranges split equal ids by text hash: an id that a third of the rows share fills no single task.
+    ordered = named.repartitionByRange(parts, "doc_id", "h").sortWithinPartitions("doc_id", "h", "text").select("doc_id", "text")
     names = ["part", "seq", "start_in_part", "n_tokens", "n_docs", "payload"]
 
     def run(batches):
@@ -223,13 +225,17 @@ def _documents(spark, path, column, f, kind) -> DataFrame:
 
 
 def lookup(spark: SparkSession, path: str, positions: DataFrame, position: str = "position") -> DataFrame:
-    """Single ids at global positions (column `position`): (position, token); a range join on the images, then one access each."""
-    placed = _placed(spark, path).select("start", (F.col("start") + F.col("n_tokens")).alias("stop"), "payload")
-    # Positions meet their image by a coarse equal key, as images are no longer than a whole document.
+    """Single ids at global positions (column `position`): (position, token).
+
+    Positions meet the images' spans, without their bytes, by a coarse equal key;
+    each image then meets its own positions (at most one for each of its tokens).
+    """
+    placed = _placed(spark, path)
     cell = IMAGE_TOKENS
-    cells = placed.withColumn("cell", F.explode(F.sequence(F.floor(F.col("start") / cell), F.floor((F.col("stop") - 1) / cell))))
+    spans = placed.select("start", (F.col("start") + F.col("n_tokens")).alias("stop")).withColumn("cell", F.explode(F.sequence(F.floor(F.col("start") / cell), F.floor((F.col("stop") - 1) / cell))))
     asked = positions.select(F.col(position).cast("long").alias("position")).filter("position >= 0").withColumn("cell", F.floor(F.col("position") / cell))
-    met = asked.join(cells, "cell").filter("position >= start and position < stop").groupBy("start", "payload").agg(F.collect_set("position").alias("at"))
+    at = asked.distinct().join(spans, "cell").filter("position >= start and position < stop").groupBy("start").agg(F.collect_list("position").alias("at"))
+    met = placed.select("start", "payload").join(at, "start")
 
     def run(batches):
         for b in batches:
@@ -249,7 +255,4 @@ def export(spark: SparkSession, path: str, part: int, seq: int) -> bytes | None:
 
 def shared_path(spark: SparkSession, name: str) -> str:
     """A new folder beside the checkpoints, which all executors share."""
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        checkpointed(spark.range(1))
-    return f"{sc.getCheckpointDir()}/{name}-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"

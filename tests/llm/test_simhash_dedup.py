@@ -84,8 +84,8 @@ def test_edge_cases(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string, fp string")
     got = sorted(((r.doc_id, r.component_id) for r in s.groups(docs).collect()), key=str)
     assert got == sorted([(1, 1), (2, 1), (None, 4), (4, 4), (4, 4), (7, 7)], key=str)
-    kept = s.keep_one(docs)
-    assert kept.columns == docs.columns
+    kept = s.keep_one(docs.withColumns({"__row": F.lit(1), "node": F.lit("n"), "k0": F.lit(0), "several": F.lit(True), "body": F.create_map(F.lit(1), F.lit(2))}))
+    assert kept.columns == [*docs.columns, "__row", "node", "k0", "several", "body"]
     assert sorted(r.doc_id for r in kept.collect()) == [1, 4, 7]
     assert s.groups(docs.limit(0)).count() == 0 and s.keep_one(docs.limit(0)).count() == 0
 
@@ -139,3 +139,37 @@ def test_pipeline_links_by_exact_similarity(spark):
                 rows.append((1000 * n + 2 * k + side, " ".join(words)))
     kept = sorted(r.doc_id for r in corpus_pipeline.near_dedup(spark, spark.createDataFrame(rows, "doc_id long, text string"), "").collect())
     assert kept == sorted([2 * k for k in range(40)] + [1000 * n + k for n in (1, 2) for k in range(80)])
+
+
+def plain_similar(rows):
+    """Smallest ids of the groups chained by a similarity of five-word shingle sets of at least 0.8."""
+
+    def grams(t):
+        w = re.findall(r"[^\x20\t-\r]+", "".join(c.lower() if "A" <= c <= "Z" else c for c in t or ""))
+        return {tuple(w[i : i + 5]) for i in range(len(w) - 4)} if len(w) > 5 else {tuple(w)} if w else set()
+
+    roots = []
+    for i, t in sorted(rows):
+        x = grams(t)
+        near = [g for g in roots if any(x == y or x and y and len(x & y) >= 0.8 * len(x | y) for y in g[1])]
+        roots = [g for g in roots if not any(g is n for n in near)] + [(min([i, *[g[0] for g in near]]), [x, *[y for g in near for y in g[1]]])]
+    return sorted(g[0] for g in roots)
+
+
+@pytest.mark.parametrize("heavy", [6, 2048])
+def test_similar_against_brute_force(spark, heavy):
+    """Texts that share a long passage, linked and not; short lists and split ones give the same groups."""
+    rng = np.random.default_rng(heavy)
+    common = [f"c{i}" for i in range(120)]
+    rows = []
+    for i in range(90):
+        own = [f"o{i // 3}x{k}" for k in range(int(rng.integers(5, 60)))]
+        words = common + own
+        for _ in range(int(rng.integers(0, 3))):
+            words[int(rng.integers(len(words)))] = f"x{i}"
+        rows.append((i, " ".join(words)))
+    rows += [(200, None), (201, ""), (202, "a b"), (203, "A b"), (204, "word " * 40_000)]
+    docs = spark.createDataFrame(rows + rows[:2], "doc_id long, text string").repartition(5)
+    kept = s.keep_one_similar(docs.withColumn("__row", F.lit(0)), heavy=heavy)
+    assert kept.columns == ["doc_id", "text", "__row"]
+    assert sorted(r.doc_id for r in kept.collect()) == plain_similar(rows)

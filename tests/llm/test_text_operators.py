@@ -39,12 +39,12 @@ def plain_measures(text):
         for i in range(len(w) - n + 1):
             if g[tuple(w[i : i + n])] > 1:
                 cover.update(range(i, i + n))
-        whole = sum(len(x.encode()) for x in w)
-        shares[n] = sum(len(w[i].encode()) for i in cover) / whole if whole else 0.0
+        whole = sum(map(len, w))
+        shares[n] = sum(len(w[i]) for i in cover) / whole if whole else 0.0
     return len(w), sum(map(len, w)), len(re.findall(r"[#*$%&|<>]", text)), dup, len(hit), shares
 
 
-@pytest.mark.parametrize("text", [None, "", "\n \n", "a b c a b c", "x\nx\n\ny\n y", "é # $ é", "one\x1ctwo\x0bthree", "a b c d e " * 7 + "z", "w\u00a0v w\u00a0v"])
+@pytest.mark.parametrize("text", [None, "", "\n \n", "a b c a b c", "x\nx\n\ny\n y", "é # $ é", "one\x1ctwo\x0bthree", "a b c d e " * 7 + "z", "w\u00a0v w\u00a0v", "ééééé a b c d ééééé a b c d xyz", "日本 語 x y z é " * 30_000])
 def test_measures(text):
     m = qr.measure(text, (5, 8))
     want = plain_measures(text)
