@@ -12,7 +12,8 @@ and matrices multiply (minimum over sums), so a conversation may be spread over
 any number of partitions.  Turns without their texts are dealt by range of
 (conversation, turn, role) and checkpointed; one pass reports a few matrices a
 partition, the driver picks the states at the partition borders, a second pass
-repairs each partition between its borders.  Texts join the decisions by row.
+repairs each partition between its borders.  Texts join the decisions by row;
+rows are numbered in a checkpoint, so a row read again has the same number.
 
 Defined cases: null or unknown roles may be relabelled to any at a lower cost;
 null turns sort first; a null conversation id is one conversation; null texts
@@ -146,6 +147,11 @@ def _runs(batches, seen: dict):
         yield now, roles, rows
 
 
+def _name(conversation) -> str | None:
+    """A conversation's name to compare at borders: null is none of the others."""
+    return None if conversation is None else str(conversation)
+
+
 def _borders(turns: DataFrame, table) -> list:
     """For each partition: its first and last conversation with the matrices of their runs here."""
 
@@ -160,7 +166,7 @@ def _borders(turns: DataFrame, table) -> list:
             n = 1 if first is last else 2
         if first is not None:
             flat = lambda x: [v for row in matrix_of(x[1], table) for v in row]
-            yield pa.RecordBatch.from_pydict({"part": pa.array([seen["part"]], pa.int32()), "one": pa.array([n == 1]), "c1": pa.array([str(first[0])]), "c2": pa.array([str(last[0])]), "m1": pa.array([flat(first)], pa.list_(pa.int64())), "m2": pa.array([flat(last)], pa.list_(pa.int64()))})
+            yield pa.RecordBatch.from_pydict({"part": pa.array([seen["part"]], pa.int32()), "one": pa.array([n == 1]), "c1": pa.array([_name(first[0])], pa.string()), "c2": pa.array([_name(last[0])], pa.string()), "m1": pa.array([flat(first)], pa.list_(pa.int64())), "m2": pa.array([flat(last)], pa.list_(pa.int64()))})
 
     return turns.mapInArrow(run, "part int, one boolean, c1 string, c2 string, m1 array<long>, m2 array<long>").orderBy("part").collect()
 
@@ -198,14 +204,16 @@ def _plan(found: list, final: list[int]) -> dict[int, tuple]:
 
 
 def decide(conversations: DataFrame, costs: Costs = Costs(), conv_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text", parts: int | None = None):
-    """Decisions (row, conv_id, position, role, op, closes) and the numbered input they refer to.
+    """Decisions (row, conv_id, position, role, op, source_order) and the numbered input they refer to.
 
-    `row` is null for inserted turns.  `position` counts repaired turns of the
+    `row` and `source_order` (the rank of a row in the order of turns, ties included)
+    are null for inserted turns.  `position` counts repaired turns of the
     conversation; merged rows share the position of the turn they go into.
     """
     spark = conversations.sparkSession
     table, final = step_table(costs), ending(costs)
     numbered = conversations.select(F.col(conv_col).alias("conv_id"), F.col(turn_col).alias("turn"), F.col(role_col).alias("role"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("row", F.monotonically_increasing_id())
+    numbered = checkpointed(numbered)
     name = F.trim(F.lower(F.coalesce("role", F.lit(""))))
     code = F.lit(0)
     for k, r in enumerate(ROLES):
@@ -219,25 +227,28 @@ def decide(conversations: DataFrame, costs: Costs = Costs(), conv_col: str = "co
     def run(batches):
         seen: dict = {}
         kept = None
+        order = 0
 
         def rows_of(c, roles, rows, first, start, last, open_):
+            nonlocal order
             path = repair(roles, table, final, first, last)
             out, position = [], start
             for (state, merged, inserted), i, r in zip(path, rows, roles):
                 for s in inserted:
                     position += 1
-                    out.append((c, None, position, ROLES[s - 1], "insert"))
+                    out.append((c, None, position, ROLES[s - 1], "insert", None))
                 position += not merged
-                out.append((c, i, position, ROLES[state - 1], ("merge" if merged else "keep") if r == state else ("merge+relabel" if merged else "relabel")))
+                out.append((c, i, position, ROLES[state - 1], ("merge" if merged else "keep") if r == state else ("merge+relabel" if merged else "relabel"), (seen["part"] << 40) + order))
+                order += 1
             if not open_:
                 for s in ENDING[path[-1][0]]:
                     position += 1
-                    out.append((c, None, position, ROLES[s - 1], "insert"))
+                    out.append((c, None, position, ROLES[s - 1], "insert", None))
             return out
 
         def batch(rows, conv_type):
             cols = list(zip(*rows))
-            return pa.RecordBatch.from_arrays([pa.array(cols[0], conv_type), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.int64()), pa.array(cols[3]), pa.array(cols[4])], names=["conv_id", "row", "position", "role", "op"])
+            return pa.RecordBatch.from_arrays([pa.array(cols[0], conv_type), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.int64()), pa.array(cols[3]), pa.array(cols[4]), pa.array(cols[5], pa.int64())], names=["conv_id", "row", "position", "role", "op", "source_order"])
 
         first, buffer = True, []
         for c, roles, rows in _runs(batches, seen):
@@ -254,22 +265,22 @@ def decide(conversations: DataFrame, costs: Costs = Costs(), conv_col: str = "co
         if buffer:
             yield batch(buffer, seen["type"])
 
-    return numbered, turns.mapInArrow(run, f"conv_id {kind}, row long, position long, role string, op string")
+    return numbered, turns.mapInArrow(run, f"conv_id {kind}, row long, position long, role string, op string, source_order long")
 
 
 def format_chat(conversations: DataFrame, costs: Costs = Costs(), parts: int | None = None, **columns) -> DataFrame:
     """One row a source turn or inserted turn, rendered.
 
     conv_id, position (turn of the repaired conversation), turn (as read), role,
-    op (keep, relabel, merge, merge+relabel, insert), rendered.  A conversation is
-    the `rendered` pieces in order of (position, turn); a merged row continues the
-    turn before it.
+    op (keep, relabel, merge, merge+relabel, insert), source_order, rendered.  A
+    conversation is the `rendered` pieces in order of (position, source_order); a
+    merged row continues the turn before it.
     """
     numbered, decisions = decide(conversations, costs, parts=parts, **columns)
     texts = numbered.select("row", "turn", "text")
     # Inserted turns have no row to join: they keep out of the join, so no common null key gathers them.
     joined = decisions.filter("row is not null").join(texts, "row")
     head = F.concat(F.lit("<|"), F.col("role"), F.lit("|>\n"))
-    real = joined.select("conv_id", "position", "turn", "role", "op", F.when(F.col("op").startswith("merge"), F.concat(F.lit("\n"), "text")).otherwise(F.concat(F.when(F.col("position") > 1, "\n").otherwise(""), head, F.col("text"))).alias("rendered"))
-    added = decisions.filter("row is null").select("conv_id", "position", F.lit(None).cast(texts.schema["turn"].dataType).alias("turn"), "role", "op", F.concat(F.when(F.col("position") > 1, "\n").otherwise(""), head).alias("rendered"))
+    real = joined.select("conv_id", "position", "turn", "role", "op", "source_order", F.when(F.col("op").startswith("merge"), F.concat(F.lit("\n"), "text")).otherwise(F.concat(F.when(F.col("position") > 1, "\n").otherwise(""), head, F.col("text"))).alias("rendered"))
+    added = decisions.filter("row is null").select("conv_id", "position", F.lit(None).cast(texts.schema["turn"].dataType).alias("turn"), "role", "op", "source_order", F.concat(F.when(F.col("position") > 1, "\n").otherwise(""), head).alias("rendered"))
     return real.unionByName(added)

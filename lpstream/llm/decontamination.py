@@ -10,8 +10,9 @@ and document are laid side by side at that offset, and the best run of matching
 words (a substitution costs more than a match earns) is the overlap.
 
 The documents are read once a block of the benchmark.  A block holds at most
-`block_chars` characters of items (8 MB unless set otherwise), the proven bound of
-what is broadcast: a larger benchmark takes more passes, nothing is cut.  The
+`block_chars` characters of items (8 MB unless set otherwise; a single item may be
+longer), counted before anything is collected, the proven bound of what is
+broadcast: a larger benchmark takes more passes, nothing is cut.  The
 join happens inside the scan, so neither texts nor windows are shuffled, and a
 passage shared by many documents is just as cheap as a rare one.
 
@@ -125,32 +126,34 @@ class Index:
         """Verified (item, first document word, words, matching words, words of the item)."""
         return self.overlaps_of([h])[0]
 
-    def overlaps_of(self, docs: list[np.ndarray]) -> list[list[tuple[int, int, int, int, int]]]:
-        """The verified overlaps of each document."""
+    def overlaps_of(self, docs: list[np.ndarray], first: bool = False) -> list[list[tuple[int, int, int, int, int]]]:
+        """The verified overlaps of each document; with `first` one of them is enough."""
         out: list[list] = [[] for _ in docs]
         length = np.array([len(h) for h in docs], np.int64)
         stop = np.cumsum(length)
         if not len(docs) or not stop[-1]:
             return out
         for d, item, offset in sorted(self.meetings(np.concatenate(docs), stop - length, stop)):
+            if first and out[d]:
+                continue
             h, target = docs[d], self.hashes[item]
             a, b = max(0, offset), min(len(h), offset + len(target))
             equal = h[a:b] == target[a - offset : b - offset]
-            first, last, matches = best_run(equal)
+            begin, last, matches = best_run(equal)
             if matches >= MIN_WORDS or matches >= MIN_SHARE * len(target):
-                out[d].append((item, a + first, last - first, matches, len(target)))
+                out[d].append((item, a + begin, last - begin, matches, len(target)))
         return out
 
-    def overlaps_in(self, texts):
+    def overlaps_in(self, texts, first: bool = False):
         """The verified overlaps of each text, in their order; many short texts are scanned at once."""
         wait, size = [], 0
         for t in texts:
             wait.append(word_hashes(t))
             size += len(wait[-1])
             if size >= SCAN_WORDS:
-                yield from self.overlaps_of(wait)
+                yield from self.overlaps_of(wait, first)
                 wait, size = [], 0
-        yield from self.overlaps_of(wait)
+        yield from self.overlaps_of(wait, first)
 
 
 def best_run(equal: np.ndarray) -> tuple[int, int, int]:
@@ -166,9 +169,14 @@ def _blocks(benchmark: DataFrame, item_col: str, text: str, block_chars: int):
     """Indexes of the benchmark, one block at a time; each is collected under the size bound."""
     items = benchmark.select(F.col(item_col).alias("item"), F.col(text).alias("text")).filter(F.col("text").isNotNull())
     size = items.agg(F.sum(F.length("text"))).first()[0] or 0
-    n = -(-size // block_chars)
+    n, h = -(-size // block_chars), F.xxhash64("text", F.col("item").cast("string"))
+    while n > 1:  # finer until every block is small, or one item (and its copies)
+        sizes = items.groupBy(F.pmod(h, F.lit(n)).alias("k")).agg(F.sum(F.length("text")).alias("size"), F.min(h).alias("lo"), F.max(h).alias("hi"))
+        if sizes.filter((F.col("size") > block_chars) & (F.col("lo") < F.col("hi"))).isEmpty():
+            break
+        n *= 2
     for k in range(n):
-        part = items if n == 1 else items.filter(F.pmod(F.xxhash64("text", F.col("item").cast("string")), F.lit(n)) == k)
+        part = items if n == 1 else items.filter(F.pmod(h, F.lit(n)) == k)
         yield Index([(r.item, r.text) for r in part.orderBy("item", "text").collect()])
 
 
@@ -206,7 +214,7 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, text: str = "text",
 
         def run(batches, shared=shared):
             for b in batches:
-                clean = [not found for found in shared.value.overlaps_in(b.column(text).to_pylist())]
+                clean = [not found for found in shared.value.overlaps_in(b.column(text).to_pylist(), True)]
                 yield b.filter(pa.array(clean, pa.bool_()))
 
         docs = docs.mapInArrow(run, docs.schema)

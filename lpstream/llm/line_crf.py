@@ -7,14 +7,17 @@ gives each line's probability of being good, and the document's score is their
 mean weighted by line length.
 
 Training takes the document's label for its lines, on a bounded sample of
-labelled documents (`sample_docs`, chosen by a hash of the id); everything is
-computed from the text alone: labels, language, source and id never enter a
-score.  Scoring is one narrow pass, no shuffle.
+labelled documents, each read whole: at most `sample_docs` (expected number, twice
+that is a hard bound), in the order of a hash of the id, as long as they have
+`sample_lines` lines together.  Everything is computed from the text alone: labels,
+language, source and id never enter a score.  Scoring is one narrow pass, no
+shuffle.
 
 Defined cases: a text without words (null, empty, blank) scores the share of
 good documents in the training sample; without any labelled document the model is
-neutral (0.5 for every text); null ids pass through, never held out; a text of any
-length is read whole, memory is by line features.
+neutral (0.5 for every text); null ids pass through, never held out; of rows that
+repeat a labelled id the least text is learned from, of repeated labels the larger;
+a text of any length is read whole, memory is by line features.
 """
 
 from __future__ import annotations
@@ -25,8 +28,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
+from .common import checkpointed
+
 SAMPLE_DOCS = 6000
-SAMPLE_LINES = 2000  # of one training document, at most
+SAMPLE_LINES = 4_000_000  # of all training documents together
 THRESHOLD = 0.3
 UPPER = bytes(range(65, 91))
 DIGIT = b"0123456789"
@@ -88,7 +93,7 @@ def features(bins: np.ndarray) -> np.ndarray:
     before[1:], after[:-1] = bins[:-1], bins[1:]
     place = np.arange(OWN) * N_BINS
     block = OWN * N_BINS
-    return np.concatenate([bins + place, before + place + block, after + place + 2 * block, np.full((n, 1), N_FEATURES - 1)], axis=1)
+    return np.concatenate([bins + place, before + place + block, after + place + 2 * block, np.full((n, 1), N_FEATURES - 1)], axis=1).astype(np.int16)
 
 
 @dataclass(frozen=True)
@@ -182,22 +187,26 @@ def held_out(id_col: str = "doc_id"):
     return F.coalesce(F.crc32(F.col(id_col).cast("string").cast("binary")) % 5 == 0, F.lit(False))
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS, id_col: str = "doc_id", text: str = "text") -> Model:
-    """Fit on at most `sample_docs` labelled documents outside the held-out fold (expected number; twice that is a hard bound)."""
+def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS, sample_lines: int = SAMPLE_LINES, id_col: str = "doc_id", text: str = "text") -> Model:
+    """Fit on a bounded sample of the labelled documents outside the held-out fold: `sample_docs` expected, twice that and `sample_lines` lines at most."""
     usable = labels.select(F.col("doc_id").alias("__id"), F.col("quality").alias("__y")).filter(F.col("__id").isNotNull() & F.col("__y").isNotNull() & ~held_out("__id")).groupBy("__id").agg(F.max("__y").alias("__y"))
-    total = usable.count()
-    share = min(1.0, sample_docs / max(1, total))
+    share = min(1.0, sample_docs / max(1, usable.count()))
     order = F.xxhash64("__id", F.lit("quality sample"))
-    chosen = usable.filter(F.pmod(order, F.lit(1_000_000)) < int(share * 1_000_000)).limit(2 * sample_docs)
+    place = F.shiftrightunsigned(order, 11).cast("double") / float(1 << 53)
+    chosen = usable.withColumn("__h", order).filter(place < share).limit(2 * sample_docs)
 
     def run(batches):
         for b in batches:
-            rows = [(y, line_bins(t)[0][:SAMPLE_LINES]) for y, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
-            yield pa.RecordBatch.from_arrays([pa.array([int(y) for y, _ in rows], pa.int64()), pa.array([m.astype(np.uint8).tobytes() for _, m in rows], pa.binary())], names=["y", "bins"])
-
-    joined = docs.select(F.col(id_col).alias("__id"), F.col(text).alias("text")).join(F.broadcast(chosen), "__id").select("__y", "text")
-    found = joined.mapInArrow(run, "y long, bins binary").collect()
-    rows = sorted((int(r.y), bytes(r.bins)) for r in found)
+            found = [line_bins(t)[0].astype(np.uint8) for t in b.column(2).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1).cast(pa.int64()), pa.array([len(m) for m in found], pa.int64()), pa.array([m.tobytes() for m in found], pa.binary())], names=["h", "y", "n", "bins"])
+
+    # One text for each id, whatever repeats, so that the rows below are as many as the sample.
+    joined = docs.select(F.col(id_col).alias("__id"), F.col(text).alias("text")).join(F.broadcast(chosen), "__id").groupBy("__h", "__y").agg(F.min("text").alias("text"))
+    found = checkpointed(joined.select("__h", "__y", "text").mapInArrow(run, "h long, y long, n long, bins binary"))
+    sizes = sorted((r.h, r.n) for r in found.select("h", "n").collect())
+    whole = np.cumsum([n for _, n in sizes])
+    used = int(np.searchsorted(whole, sample_lines, "right")) if len(sizes) else 0
+    rows = sorted((int(r.y), bytes(r.bins)) for r in found.filter(F.col("h") <= sizes[used - 1][0]).select("y", "bins").collect()) if used else []
     return train([(y, np.frombuffer(m, np.uint8).reshape(-1, OWN).astype(np.int64)) for y, m in rows])
 
 

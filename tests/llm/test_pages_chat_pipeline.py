@@ -141,6 +141,19 @@ def test_conversations_across_partitions(spark, parts):
         assert all(r.rendered.lstrip("\n").startswith(f"<|{r.role}|>\n") for r in turns)
 
 
+def test_chat_order_and_ties(spark):
+    """Rendered pieces in order of (position, source_order) are the conversation, from a shuffled input with ties, and null beside a conversation named None."""
+    rows = [("None", 1, "user", "a"), (None, 1, "user", "b"), ("c", 1, "user", "y"), ("c", 1, "user", "x"), ("c", 1, "user", "x"), ("c", 2, "assistant", "long " * 50_000)]
+    df = spark.createDataFrame(rows, "conv_id string, turn long, role string, text string").repartition(5)
+    for parts in (1, 4):
+        got = sorted(cf.format_chat(df, parts=parts).filter("conv_id = 'c'").collect(), key=lambda r: (r.position, r.source_order or 0))
+        assert [r.op for r in got] == ["keep", "merge", "merge", "keep"] and len({r.source_order for r in got}) == 4
+        body = [t for _, t in sorted([(spark.range(1).select(F.xxhash64(F.lit(t))).first()[0], t) for t in ("x", "x", "y")])]
+        assert "".join(r.rendered for r in got) == f"<|user|>\n{body[0]}\n{body[1]}\n{body[2]}\n<|assistant|>\n" + "long " * 50_000
+        whole = cf.format_chat(df, parts=parts).collect()
+        assert sorted((r.conv_id or "", r.rendered) for r in whole if r.conv_id != "c" and r.op != "insert") == [("", "<|user|>\nb"), ("None", "<|user|>\na")]
+
+
 def test_chat_edges(spark, sf):
     odd = spark.createDataFrame([(None, None, None, None, "x"), (None, 1, "user", "hi", "y"), (2, 1, "user", "a", "z"), (2, 1, "user", "a", "z")], "conv_id long, turn long, role string, text string, position string")
     got = cf.format_chat(odd).collect()
@@ -158,10 +171,10 @@ def test_pipeline_against_plain_stages(spark, sf):
     left = [d for d in docs if line_crf.score(model, [d.text])[0] >= 0.3]
     left = [d for d in left if qr.verdict(qr.measure(d.text), qr.Limits())[1]]
     roots = []
-    for d in left:  # groups by chains of links
-        f = sd.fingerprints(d.text, sd.NEAR)
-        near = [g for g in roots if any(np.bitwise_count(f ^ x).sum() <= 48 for x in g[1])]
-        merged = (min([d, *[g[0] for g in near]], key=lambda x: x.doc_id), [f, *[x for g in near for x in g[1]]])
+    for d in left:  # groups by chains of five-word shingle sets at a similarity of 0.8 and more
+        x = np.unique(sd.shingles(d.text, 5))
+        near = [g for g in roots if any(sd.jaccard(x, y) >= 0.8 or not len(x) and not len(y) for y in g[1])]
+        merged = (min([d, *[g[0] for g in near]], key=lambda x: x.doc_id), [x, *[y for g in near for y in g[1]]])
         roots = [g for g in roots if not any(g is n for n in near)] + [merged]
     kept = {g[0].doc_id for g in roots}
     index = dc.Index([(r.item_id, r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()])
@@ -173,7 +186,7 @@ def test_pipeline_against_plain_stages(spark, sf):
 
 def test_stages_take_odd_tables(spark, sf, tmp_path):
     rows = [(1, "text", None, "s", 4, 1), (None, None, "en", None, None, 2), (1, "text", None, "s", 4, 1)]
-    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, __row int").drop("__row")
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, __row int")
     for k, (_, stage) in enumerate(corpus_pipeline.STAGES):
         for d in (docs, docs.limit(0)):
             out = stage(spark, d, sf)
