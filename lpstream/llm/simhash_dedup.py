@@ -386,7 +386,9 @@ def _survivors(docs: DataFrame, best: DataFrame, roots: DataFrame) -> DataFrame:
 
 #: Candidates share the minima of BAND hashes in one of BANDS lists: a pair at similarity 0.8 misses all with probability 3e-6.
 BANDS, BAND = 24, 4
-LOOSE_BITS = 88
+#: A pair at 0.8 differs in 39 of 256 bits on average; more than this with a probability of 2e-7.
+LOOSE_BITS = 68
+TINY = 12  # sets up to this size, whose bits vary more, are verified whatever their bits
 SIMILAR = 0.8
 _ODD = mix64(np.arange(BANDS * BAND)) | np.uint64(1)
 
@@ -409,37 +411,54 @@ def jaccard(a: np.ndarray, b: np.ndarray) -> float:
     return both / max(1, len(a) + len(b) - both)
 
 
-def _mixed_pairs(batches, heavy: int, last: bool):
-    """Sorted (key, node, root, blocks) batches to rows (kind, key, a, b): 0 a pair of one list within LOOSE_BITS and of different roots, 1 an entry (node a) of a list longer than `heavy`, passed on as it comes.
+def _mixed_pairs(batches, heavy: int, last: bool, most: int | None, least: float):
+    """Sorted (key, node, root, size, blocks) batches to rows (kind, key, a, b): 0 a pair of one list within LOOSE_BITS, of fitting sizes and different roots, 1 an entry (node a) of a list longer than `heavy`, passed on as it comes.
 
-    Pairs are compared in blocks; those too far apart never leave the task.
+    With `most`, a node meets that many of the nearest others only.  Pairs are
+    compared in blocks; those too far apart never leave the task.
     """
 
     def rows(kind, key, a, b):
         return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int8)), pa.array(np.full(len(a), key, np.int64)), pa.array(a), pa.array(b)], names=["kind", "key", "a", "b"])
 
-    def compared(key, node, root, fp):
-        for i in range(0, len(node), 256):
-            for j in range(i, len(node), 4096):
-                x = np.bitwise_count(fp[i : i + 256, None] ^ fp[None, j : j + 4096]).sum(axis=2, dtype=np.int64) <= LOOSE_BITS
-                x &= root[i : i + 256, None] < root[None, j : j + 4096]
-                y = np.bitwise_count(fp[j : j + 4096, None] ^ fp[None, i : i + 256]).sum(axis=2, dtype=np.int64) <= LOOSE_BITS if j > i else np.zeros((0, 0), bool)
-                p, q = np.nonzero(x)
-                if len(p):
-                    yield rows(0, key, node[i + p], node[j + q])
-                if j > i:
-                    y &= root[j : j + 4096, None] < root[None, i : i + 256]
-                    p, q = np.nonzero(y)
+    def compared(key, *columns):
+        order = np.argsort(columns[1], kind="stable")
+        node, root, size, fp = (c[order] for c in columns)
+        n = len(node)
+        for i in range(0, n, 256):
+            mine = slice(i, min(n, i + 256))
+            near, who = np.zeros((mine.stop - i, 0), np.int64), np.zeros((mine.stop - i, 0), np.int64)
+            for j in range(0, n, 4096):
+                theirs = slice(j, min(n, j + 4096))
+                if root[mine.start] == root[theirs.stop - 1] and root[mine.stop - 1] == root[theirs.start]:
+                    continue  # all of one root
+                bits = np.bitwise_count(fp[mine, None] ^ fp[None, theirs]).sum(axis=2, dtype=np.int64)
+                far = (root[mine, None] == root[None, theirs]) if most else (root[mine, None] >= root[None, theirs])
+                far |= least * np.maximum(size[mine, None], size[None, theirs]) > np.minimum(size[mine, None], size[None, theirs]) + 1e-9
+                bits = np.where(np.maximum(size[mine, None], size[None, theirs]) <= TINY, np.minimum(bits, LOOSE_BITS), bits)
+                bits[far] = 1 << 20
+                if not most:
+                    p, q = np.nonzero(bits <= LOOSE_BITS)
                     if len(p):
-                        yield rows(0, key, node[j + p], node[i + q])
+                        yield rows(0, key, node[i + p], node[j + q])
+                    continue
+                near = np.concatenate([near, bits], axis=1)
+                who = np.concatenate([who, np.broadcast_to(np.arange(theirs.start, theirs.stop), bits.shape)], axis=1)
+                if near.shape[1] > most:
+                    best = np.argpartition(near, most - 1, axis=1)[:, :most]
+                    near, who = np.take_along_axis(near, best, 1), np.take_along_axis(who, best, 1)
+            p, q = np.nonzero(near <= LOOSE_BITS)
+            if len(p):
+                x, y = node[i + p], node[who[p, q]]
+                yield rows(0, key, np.minimum(x, y), np.maximum(x, y))
 
     wait, open_, passing = None, None, None
     for batch in itertools.chain(batches, [None]):
         if batch is not None:
-            key, node, root, *blocks = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            key, node, root, size, *blocks = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
             fp = np.stack(blocks, axis=1).view(np.uint64)
             edges = np.r_[0, np.flatnonzero(key[1:] != key[:-1]) + 1, len(key)] if len(key) else np.zeros(1, np.int64)
-            runs = [(int(key[a]), [node[a:b], root[a:b], fp[a:b]]) for a, b in zip(edges[:-1].tolist(), edges[1:].tolist())]
+            runs = [(int(key[a]), [node[a:b], root[a:b], size[a:b], fp[a:b]]) for a, b in zip(edges[:-1].tolist(), edges[1:].tolist())]
         else:
             runs = [(None, None)]
         for k, part in runs:
@@ -462,40 +481,44 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
     """The documents without all but one of each group linked by a Jaccard similarity of five-word shingle sets of at least `least`: the smallest id stays.
 
     Equal sets collapse first.  Candidates within LOOSE_BITS of fingerprint are
-    verified on their sets of 64-bit shingle hashes.  The first round takes each
-    list's least node with the others.  The second takes the lists whose nodes
-    the first round left in different groups: their pairs are compared inside
-    the scan, and a list beyond `heavy` is split by each further list that its
-    entries share (a pair at 0.8 then shares none with probability 6e-5).
+    verified on their sets of 64-bit shingle hashes.  The first round takes one
+    node of each list with the others.  Further rounds take the lists whose nodes
+    are still in different groups and compare them inside the scan: first each
+    node with its nearest two of another group, then eight, then all that are
+    near enough, so that a large group is linked before all its pairs are asked
+    for.  A list beyond `heavy` is split by each further list that its entries
+    share (a pair at 0.8 then shares none with probability 6e-5).
     """
     cols, heavy = names(NEAR), heavy or HEAVY
     k0, k1 = row_key(docs)
     kind = docs.schema[id_col].dataType
-    schema = T.StructType([T.StructField("k0", T.LongType()), T.StructField("k1", T.LongType()), T.StructField("doc_id", kind), *[T.StructField(c, T.LongType()) for c in ("set0", "set1", *cols)], T.StructField("bands", T.ArrayType(T.LongType()))])
+    schema = T.StructType([T.StructField("k0", T.LongType()), T.StructField("k1", T.LongType()), T.StructField("doc_id", kind), *[T.StructField(c, T.LongType()) for c in ("set0", "set1", "size", *cols)], T.StructField("bands", T.ArrayType(T.LongType()))])
 
     def run(batches):
         for b in batches:
             sets = [np.unique(shingles(t, NEAR.width)) for t in b.column(3).to_pylist()]
             fp = np.array([_fingerprints(x, NEAR) for x in sets], np.uint64).reshape(-1, NEAR.blocks).view(np.int64)
             whole = np.array([[xxhash.xxh64_intdigest(x.tobytes(), k) for k in (0, 1)] for x in sets], np.uint64).reshape(-1, 2).view(np.int64)
-            longs = [pa.array(np.ascontiguousarray(m[:, k])) for m in (whole, fp) for k in range(m.shape[1])]
+            count = np.array([[len(x)] for x in sets], np.int64).reshape(-1, 1)
+            longs = [pa.array(np.ascontiguousarray(m[:, k])) for m in (whole, count, fp) for k in range(m.shape[1])]
             yield pa.RecordBatch.from_arrays([*b.columns[:3], *longs, pa.array([bands(x) for x in sets], pa.list_(pa.int64()))], names=schema.names)
 
     rows = docs.select(k0.alias("k0"), k1.alias("k1"), F.col(id_col).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, schema)
-    best = _numbered(rows.groupBy("set0", "set1").agg(_least("doc_id", "k0", "k1"), _several(), *[F.first(c).alias(c) for c in cols], F.first("bands").alias("bands")))
+    best = _numbered(rows.groupBy("set0", "set1").agg(_least("doc_id", "k0", "k1"), _several(), *[F.first(c).alias(c) for c in ("size", *cols)], F.first("bands").alias("bands")))
     entries = best.select("node", F.explode("bands").alias("key"))
-    hubs = entries.groupBy("key").agg(F.min("node").alias("hub"), F.count("*").alias("c")).filter("c > 1").select("key", "hub")
+    hubs = entries.groupBy("key").agg(F.min_by("node", F.xxhash64("key", "node")).alias("hub"), F.count("*").alias("c")).filter("c > 1").select("key", "hub")
     met = checkpointed(entries.join(hubs, "key"))
     wanted = best.select("best.k0", "best.k1", "several", "node").join(met.select("node").distinct(), "node", "left_semi")
     texts = checkpointed(pick(docs, wanted, [text]).toDF("text", "node"))
-    prints = best.select("node", *cols)
+    prints = best.select("node", "size", *cols)
 
     def verified(pairs: DataFrame) -> DataFrame:
         def side(d: DataFrame, end: str) -> DataFrame:
             return d.select(*[F.col(c).alias(end if c == "node" else f"{end}_{c}") for c in d.columns])
 
         bits = sum((F.bit_count(F.col(f"a_{c}").bitwiseXOR(F.col(f"b_{c}"))) for c in cols[1:]), F.bit_count(F.col(f"a_{cols[0]}").bitwiseXOR(F.col(f"b_{cols[0]}"))))
-        loose = pairs.distinct().join(side(prints, "a"), "a").join(side(prints, "b"), "b").filter(bits <= LOOSE_BITS).select("a", "b")
+        fits = F.lit(least) * F.greatest("a_size", "b_size") <= F.least("a_size", "b_size") + F.lit(1e-9)
+        loose = pairs.distinct().join(side(prints, "a"), "a").join(side(prints, "b"), "b").filter(fits & ((bits <= LOOSE_BITS) | (F.greatest("a_size", "b_size") <= TINY))).select("a", "b")
 
         def check(batches):
             last, x = None, None
@@ -509,16 +532,20 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
 
         return checkpointed(loose.join(side(texts, "a"), "a").join(side(texts, "b"), "b").select("a", "b", "a_text", "b_text").mapInArrow(check, "a long, b long"))
 
-    def mixed(open_: DataFrame, last: bool) -> DataFrame:
-        dealt = open_.select("key", "node", "root", *cols).repartition("key").sortWithinPartitions("key")
-        return dealt.mapInArrow(lambda it: _mixed_pairs(it, heavy, last), "kind byte, key long, a long, b long")
-
-    first = verified(met.filter("node <> hub").select(F.col("hub").alias("a"), F.col("node").alias("b")))
-    rooted = met.select("node").distinct().join(components(first), "node", "left").select("node", F.coalesce("root", "node").alias("root"))
-    rooted = checkpointed(rooted.join(prints, "node"))
-    placed = met.select("node", "key").join(rooted.select("node", "root"), "node")
-    several = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
-    close = checkpointed(mixed(met.select("node", "key").join(several, "key").join(rooted, "node"), False))
-    finer = close.filter("kind = 1").select("key", F.col("a").alias("node")).join(best.select("node", F.explode("bands").alias("other")), "node").filter("other <> key").select(F.xxhash64("key", "other").alias("key"), "node")
-    second = verified(close.filter("kind = 0").select("a", "b").union(mixed(finer.join(rooted, "node"), True).select("a", "b")))
-    return _survivors(docs, best, components(first.union(second)))
+    def mixed(open_: DataFrame, last: bool, most: int | None) -> DataFrame:
+        dealt = open_.select("key", "node", "root", "size", *cols).repartition("key").sortWithinPartitions("key")
+        return dealt.mapInArrow(lambda it: _mixed_pairs(it, heavy, last, most, least), "kind byte, key long, a long, b long")
+
+    found = verified(met.filter("node <> hub").select(F.least("hub", "node").alias("a"), F.greatest("hub", "node").alias("b")))
+    open_ = met.select("key", "node")
+    for most in (2, 8, None):
+        rooted = open_.select("node").distinct().join(components(found), "node", "left").select("node", F.coalesce("root", "node").alias("root")).join(prints, "node")
+        placed = checkpointed(open_.join(rooted, "node"))
+        several = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
+        placed = checkpointed(placed.join(several, "key"))
+        open_ = placed.select("key", "node")
+        close = checkpointed(mixed(placed, False, most))
+        finer = close.filter("kind = 1").select("key", F.col("a").alias("node")).join(best.select("node", F.explode("bands").alias("other")), "node").filter("other <> key").select(F.xxhash64("key", "other").alias("key"), "node")
+        split = mixed(finer.join(placed.drop("key").distinct(), "node"), True, most)
+        found = checkpointed(found.union(verified(close.filter("kind = 0").select("a", "b").union(split.select("a", "b")))))
+    return _survivors(docs, best, components(found))
