@@ -411,46 +411,44 @@ def jaccard(a: np.ndarray, b: np.ndarray) -> float:
     return both / max(1, len(a) + len(b) - both)
 
 
-def _mixed_pairs(batches, heavy: int, last: bool, most: int | None, least: float):
-    """Sorted (key, node, root, size, blocks) batches to rows (kind, key, a, b): 0 a pair of one list within LOOSE_BITS, of fitting sizes and different roots, 1 an entry (node a) of a list longer than `heavy`, passed on as it comes.
+def _mixed_pairs(batches, heavy: int, last: bool, nearest: bool, least: float):
+    """Sorted (key, node, root, size, blocks) batches to rows (kind, key, a, b): 0 a pair of one list within LOOSE_BITS (key: the bits), of fitting sizes and different roots, 1 an entry (node a) of a list longer than `heavy`, passed on as it comes.
 
-    With `most`, a node meets that many of the nearest others only.  Pairs are
-    compared in blocks; those too far apart never leave the task.
+    With `nearest`, a node (a) meets the nearest other only.  Pairs are compared in
+    blocks; those too far apart never leave the task.
     """
 
     def rows(kind, key, a, b):
-        return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int8)), pa.array(np.full(len(a), key, np.int64)), pa.array(a), pa.array(b)], names=["kind", "key", "a", "b"])
+        return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int8)), pa.array(np.broadcast_to(np.asarray(key, np.int64), len(a))), pa.array(a), pa.array(b)], names=["kind", "key", "a", "b"])
 
-    def compared(key, *columns):
+    def compared(*columns):
         order = np.argsort(columns[1], kind="stable")
         node, root, size, fp = (c[order] for c in columns)
         n = len(node)
         for i in range(0, n, 256):
             mine = slice(i, min(n, i + 256))
-            near, who = np.zeros((mine.stop - i, 0), np.int64), np.zeros((mine.stop - i, 0), np.int64)
+            best, who = np.full(mine.stop - i, 1 << 20), np.zeros(mine.stop - i, np.int64)
             for j in range(0, n, 4096):
                 theirs = slice(j, min(n, j + 4096))
                 if root[mine.start] == root[theirs.stop - 1] and root[mine.stop - 1] == root[theirs.start]:
                     continue  # all of one root
                 bits = np.bitwise_count(fp[mine, None] ^ fp[None, theirs]).sum(axis=2, dtype=np.int64)
-                far = (root[mine, None] == root[None, theirs]) if most else (root[mine, None] >= root[None, theirs])
+                far = (root[mine, None] == root[None, theirs]) if nearest else (root[mine, None] >= root[None, theirs])
                 far |= least * np.maximum(size[mine, None], size[None, theirs]) > np.minimum(size[mine, None], size[None, theirs]) + 1e-9
                 bits = np.where(np.maximum(size[mine, None], size[None, theirs]) <= TINY, np.minimum(bits, LOOSE_BITS), bits)
                 bits[far] = 1 << 20
-                if not most:
-                    p, q = np.nonzero(bits <= LOOSE_BITS)
-                    if len(p):
-                        yield rows(0, key, node[i + p], node[j + q])
+                if nearest:
+                    at = bits.argmin(axis=1)
+                    least_bits = bits[np.arange(len(at)), at]
+                    who = np.where(least_bits < best, j + at, who)
+                    best = np.minimum(best, least_bits)
                     continue
-                near = np.concatenate([near, bits], axis=1)
-                who = np.concatenate([who, np.broadcast_to(np.arange(theirs.start, theirs.stop), bits.shape)], axis=1)
-                if near.shape[1] > most:
-                    best = np.argpartition(near, most - 1, axis=1)[:, :most]
-                    near, who = np.take_along_axis(near, best, 1), np.take_along_axis(who, best, 1)
-            p, q = np.nonzero(near <= LOOSE_BITS)
+                p, q = np.nonzero(bits <= LOOSE_BITS)
+                if len(p):
+                    yield rows(0, bits[p, q], node[i + p], node[j + q])
+            p = np.flatnonzero(best <= LOOSE_BITS)
             if len(p):
-                x, y = node[i + p], node[who[p, q]]
-                yield rows(0, key, np.minimum(x, y), np.maximum(x, y))
+                yield rows(0, best[p], node[i + p], node[who[p]])
 
     wait, open_, passing = None, None, None
     for batch in itertools.chain(batches, [None]):
@@ -464,7 +462,7 @@ def _mixed_pairs(batches, heavy: int, last: bool, most: int | None, least: float
         for k, part in runs:
             if k != open_:
                 if wait is not None and len(wait[0]) > 1:
-                    yield from compared(open_, *wait)
+                    yield from compared(*wait)
                 open_, wait, passing = k, None, None
             if k is None:
                 continue
@@ -483,8 +481,8 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
     Equal sets collapse first.  Candidates within LOOSE_BITS of fingerprint are
     verified on their sets of 64-bit shingle hashes.  The first round takes one
     node of each list with the others.  Further rounds take the lists whose nodes
-    are still in different groups and compare them inside the scan: first each
-    node with its nearest two of another group, then eight, then all that are
+    are still in different groups and compare them inside the scan: twice each
+    node goes to its nearest of another group, then to all that are
     near enough, so that a large group is linked before all its pairs are asked
     for.  A list beyond `heavy` is split by each further list that its entries
     share (a pair at 0.8 then shares none with probability 6e-5).
@@ -532,20 +530,22 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
 
         return checkpointed(loose.join(side(texts, "a"), "a").join(side(texts, "b"), "b").select("a", "b", "a_text", "b_text").mapInArrow(check, "a long, b long"))
 
-    def mixed(open_: DataFrame, last: bool, most: int | None) -> DataFrame:
-        dealt = open_.select("key", "node", "root", "size", *cols).repartition("key").sortWithinPartitions("key")
-        return dealt.mapInArrow(lambda it: _mixed_pairs(it, heavy, last, most, least), "kind byte, key long, a long, b long")
+    def mixed(lists: DataFrame, last: bool, nearest: bool) -> DataFrame:
+        dealt = lists.join(prints, "node").select("key", "node", "root", "size", *cols).repartition("key").sortWithinPartitions("key")
+        return dealt.mapInArrow(lambda it: _mixed_pairs(it, heavy, last, nearest, least), "kind byte, key long, a long, b long")
 
     found = verified(met.filter("node <> hub").select(F.least("hub", "node").alias("a"), F.greatest("hub", "node").alias("b")))
     open_ = met.select("key", "node")
-    for most in (2, 8, None):
-        rooted = open_.select("node").distinct().join(components(found), "node", "left").select("node", F.coalesce("root", "node").alias("root")).join(prints, "node")
-        placed = checkpointed(open_.join(rooted, "node"))
+    for nearest in (True, True, False):
+        rooted = checkpointed(prints.select("node").join(components(found), "node", "left").select("node", F.coalesce("root", "node").alias("root")))
+        placed = open_.join(rooted, "node")
         several = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
-        placed = checkpointed(placed.join(several, "key"))
-        open_ = placed.select("key", "node")
-        close = checkpointed(mixed(placed, False, most))
+        open_ = checkpointed(placed.join(several, "key").select("key", "node", "root"))
+        close = checkpointed(mixed(open_, False, nearest))
         finer = close.filter("kind = 1").select("key", F.col("a").alias("node")).join(best.select("node", F.explode("bands").alias("other")), "node").filter("other <> key").select(F.xxhash64("key", "other").alias("key"), "node")
-        split = mixed(finer.join(placed.drop("key").distinct(), "node"), True, most)
-        found = checkpointed(found.union(verified(close.filter("kind = 0").select("a", "b").union(split.select("a", "b")))))
+        pairs = close.filter("kind = 0").union(mixed(finer.join(rooted, "node"), True, nearest))
+        if nearest:
+            pairs = pairs.groupBy("a").agg(F.min(F.struct("key", "b")).alias("m")).select("a", F.col("m.b").alias("b"))
+        found = found.union(verified(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))))
+        open_ = open_.select("key", "node")
     return _survivors(docs, best, components(found))
