@@ -39,7 +39,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import checkpointed, mix64, pick, row_key
+from .common import checkpointed, mix64, pick, ragged, row_key
 
 SEED = 42
 HEAVY = 2048
@@ -412,10 +412,12 @@ def jaccard(a: np.ndarray, b: np.ndarray) -> float:
 
 
 def _mixed_pairs(batches, heavy: int, last: bool, nearest: bool, least: float):
-    """Sorted (key, node, root, size, blocks) batches to rows (kind, key, a, b): 0 a pair of one list within LOOSE_BITS (key: the bits), of fitting sizes and different roots, 1 an entry (node a) of a list longer than `heavy`, passed on as it comes.
+    """Sorted (key, node, root, size, codes, blocks) batches to rows (kind, key, a, b): 0 a pair of one list that may be similar (key: how much its sets differ), of different roots, 1 an entry (node a) of a list longer than `heavy`, passed on as it comes.
 
-    With `nearest`, a node (a) meets the nearest other only.  Pairs are compared in
-    blocks; those too far apart never leave the task.
+    With `nearest`, a node (a) meets the nearest other only.  Fingerprints within
+    LOOSE_BITS and fitting sizes go on to the codes, 16 bits of each shingle: the
+    shingles of one set whose code the other has are at least those they share,
+    so no similar pair is refused, and hardly one that isn't leaves the task.
     """
 
     def rows(kind, key, a, b):
@@ -423,40 +425,45 @@ def _mixed_pairs(batches, heavy: int, last: bool, nearest: bool, least: float):
 
     def compared(*columns):
         order = np.argsort(columns[1], kind="stable")
-        node, root, size, fp = (c[order] for c in columns)
+        node, root, size, codes, fp = (c[order] for c in columns)
         n = len(node)
+        flat = np.frombuffer(b"".join(codes), np.uint16)
+        start = np.cumsum(size) - size
+        has = np.zeros(1 << 16, bool)
         for i in range(0, n, 256):
             mine = slice(i, min(n, i + 256))
-            best, who = np.full(mine.stop - i, 1 << 20), np.zeros(mine.stop - i, np.int64)
+            close = [[] for _ in range(mine.stop - i)]
             for j in range(0, n, 4096):
                 theirs = slice(j, min(n, j + 4096))
                 if root[mine.start] == root[theirs.stop - 1] and root[mine.stop - 1] == root[theirs.start]:
                     continue  # all of one root
                 bits = np.bitwise_count(fp[mine, None] ^ fp[None, theirs]).sum(axis=2, dtype=np.int64)
-                far = (root[mine, None] == root[None, theirs]) if nearest else (root[mine, None] >= root[None, theirs])
-                far |= least * np.maximum(size[mine, None], size[None, theirs]) > np.minimum(size[mine, None], size[None, theirs]) + 1e-9
-                bits = np.where(np.maximum(size[mine, None], size[None, theirs]) <= TINY, np.minimum(bits, LOOSE_BITS), bits)
-                bits[far] = 1 << 20
-                if nearest:
-                    at = bits.argmin(axis=1)
-                    least_bits = bits[np.arange(len(at)), at]
-                    who = np.where(least_bits < best, j + at, who)
-                    best = np.minimum(best, least_bits)
+                near = (bits <= LOOSE_BITS) | (np.maximum(size[mine, None], size[None, theirs]) <= TINY)
+                near &= (root[mine, None] != root[None, theirs]) if nearest else (root[mine, None] < root[None, theirs])
+                near &= least * np.maximum(size[mine, None], size[None, theirs]) <= np.minimum(size[mine, None], size[None, theirs]) + 1e-9
+                for p in np.flatnonzero(near.any(axis=1)):
+                    close[p].append(j + np.flatnonzero(near[p]))
+            for p, found in enumerate(close):
+                if not found:
                     continue
-                p, q = np.nonzero(bits <= LOOSE_BITS)
-                if len(p):
-                    yield rows(0, bits[p, q], node[i + p], node[j + q])
-            p = np.flatnonzero(best <= LOOSE_BITS)
-            if len(p):
-                yield rows(0, best[p], node[i + p], node[who[p]])
+                other, own = np.concatenate(found), flat[start[i + p] : start[i + p] + size[i + p]]
+                has[own] = True
+                shared = np.add.reduceat(has[flat[ragged(start[other], size[other])]], np.cumsum(size[other]) - size[other], dtype=np.int64)
+                has[own] = False
+                differ = len(own) + size[other] - 2 * np.minimum(shared, len(own))
+                similar = np.flatnonzero(shared >= least * (len(own) + size[other] - shared) - 1e-9)
+                if nearest and len(similar):
+                    similar = similar[[np.lexsort((node[other[similar]], differ[similar]))[0]]]
+                if len(similar):
+                    yield rows(0, differ[similar], np.full(len(similar), node[i + p]), node[other[similar]])
 
     wait, open_, passing = None, None, None
     for batch in itertools.chain(batches, [None]):
         if batch is not None:
-            key, node, root, size, *blocks = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            key, node, root, size, codes, *blocks = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
             fp = np.stack(blocks, axis=1).view(np.uint64)
             edges = np.r_[0, np.flatnonzero(key[1:] != key[:-1]) + 1, len(key)] if len(key) else np.zeros(1, np.int64)
-            runs = [(int(key[a]), [node[a:b], root[a:b], size[a:b], fp[a:b]]) for a, b in zip(edges[:-1].tolist(), edges[1:].tolist())]
+            runs = [(int(key[a]), [node[a:b], root[a:b], size[a:b], codes[a:b], fp[a:b]]) for a, b in zip(edges[:-1].tolist(), edges[1:].tolist())]
         else:
             runs = [(None, None)]
         for k, part in runs:
@@ -481,10 +488,10 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
     Equal sets collapse first.  Candidates within LOOSE_BITS of fingerprint are
     verified on their sets of 64-bit shingle hashes.  The first round takes one
     node of each list with the others.  Further rounds take the lists whose nodes
-    are still in different groups and compare them inside the scan: twice each
-    node goes to its nearest of another group, then to all that are
-    near enough, so that a large group is linked before all its pairs are asked
-    for.  A list beyond `heavy` is split by each further list that its entries
+    are still in different groups and compare them inside the scan by 16-bit
+    codes of their shingles: three times each node goes to its nearest of another
+    group, then to all that seem similar, so that a large group is linked before
+    any two of its members are asked for, and what leaves a task is verified.  A list beyond `heavy` is split by each further list that its entries
     share (a pair at 0.8 then shares none with probability 6e-5).
     """
     cols, heavy = names(NEAR), heavy or HEAVY
@@ -530,17 +537,24 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
 
         return checkpointed(loose.join(side(texts, "a"), "a").join(side(texts, "b"), "b").select("a", "b", "a_text", "b_text").mapInArrow(check, "a long, b long"))
 
+    def coded(batches):
+        for b in batches:
+            found = [np.unique(shingles(t, NEAR.width)).astype(np.uint16).tobytes() for t in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], names=["node", "codes"])
+
     def mixed(lists: DataFrame, last: bool, nearest: bool) -> DataFrame:
-        dealt = lists.join(prints, "node").select("key", "node", "root", "size", *cols).repartition("key").sortWithinPartitions("key")
+        dealt = lists.join(prints, "node").join(codes, "node").select("key", "node", "root", "size", "codes", *cols).repartition("key").sortWithinPartitions("key")
         return dealt.mapInArrow(lambda it: _mixed_pairs(it, heavy, last, nearest, least), "kind byte, key long, a long, b long")
 
     found = verified(met.filter("node <> hub").select(F.least("hub", "node").alias("a"), F.greatest("hub", "node").alias("b")))
-    open_ = met.select("key", "node")
-    for nearest in (True, True, False):
+    open_, codes = met.select("key", "node"), None
+    for nearest in (True, True, True, False):
         rooted = checkpointed(prints.select("node").join(components(found), "node", "left").select("node", F.coalesce("root", "node").alias("root")))
         placed = open_.join(rooted, "node")
         several = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
         open_ = checkpointed(placed.join(several, "key").select("key", "node", "root"))
+        if codes is None:
+            codes = checkpointed(texts.join(open_.select("node").distinct(), "node", "left_semi").select("node", "text").mapInArrow(coded, "node long, codes binary"))
         close = checkpointed(mixed(open_, False, nearest))
         finer = close.filter("kind = 1").select("key", F.col("a").alias("node")).join(best.select("node", F.explode("bands").alias("other")), "node").filter("other <> key").select(F.xxhash64("key", "other").alias("key"), "node")
         pairs = close.filter("kind = 0").union(mixed(finer.join(rooted, "node"), True, nearest))
