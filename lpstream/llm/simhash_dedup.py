@@ -489,8 +489,8 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
     verified on their sets of 64-bit shingle hashes.  The first round takes one
     node of each list with the others.  Further rounds take the lists whose nodes
     are still in different groups and compare them inside the scan by 16-bit
-    codes of their shingles: three times each node goes to its nearest of another
-    group, then to all that seem similar, so that a large group is linked before
+    codes of their shingles: each node goes to its nearest of another group, in the
+    last round to all that seem similar, so that a large group is linked before
     any two of its members are asked for, and what leaves a task is verified.  A list beyond `heavy` is split by each further list that its entries
     share (a pair at 0.8 then shares none with probability 6e-5).
     """
@@ -548,11 +548,13 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
 
     found = verified(met.filter("node <> hub").select(F.least("hub", "node").alias("a"), F.greatest("hub", "node").alias("b")))
     open_, codes = met.select("key", "node"), None
-    for nearest in (True, True, True, False):
+    for nearest in (True, False):
         rooted = checkpointed(prints.select("node").join(components(found), "node", "left").select("node", F.coalesce("root", "node").alias("root")))
         placed = open_.join(rooted, "node")
         several = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
         open_ = checkpointed(placed.join(several, "key").select("key", "node", "root"))
+        if open_.isEmpty():
+            break
         if codes is None:
             codes = checkpointed(texts.join(open_.select("node").distinct(), "node", "left_semi").select("node", "text").mapInArrow(coded, "node long, codes binary"))
         close = checkpointed(mixed(open_, False, nearest))
