@@ -1,10 +1,11 @@
 """Seeded hash functions of row ids: buckets, signs and uniform scalars.
 
-`poly` is a polynomial over the prime 2^31-1 with coefficients drawn from a
-seeded generator: bounded independence, plain integer arithmetic that any SQL
-engine repeats, ids below the prime.  `fast` is xxhash64 with 53-bit uniforms,
-for wider ids.  Nothing is stored per row; the same value is made again wherever
-it is needed, before and after sketching.
+`poly` is a polynomial over the field of (2^31-1)^2 elements, pairs u + v i with
+i^2 = -1, with coefficients drawn from a seeded generator: bounded independence
+for ids below 2^62 - 2^32, in products that fit 64-bit integers, so any SQL engine
+repeats it.  One value gives a bucket (u) and a sign (v), or 62 bits of a uniform.
+`fast` is xxhash64 with 53-bit uniforms.  Nothing is stored per row; the same value
+is made again wherever it is needed, before and after sketching.
 """
 
 from __future__ import annotations
@@ -17,34 +18,71 @@ from pyspark.sql import Column, functions as F
 PRIME = (1 << 31) - 1
 
 
+#: Ids are below this.
+FIELD = PRIME * PRIME
+
+
 def coefficients(seed: int, stream: str, index: int = 0, degree: int = 3) -> list[int]:
-    """Random polynomial coefficients, highest power first, for one independent stream."""
+    """Random polynomial coefficients, highest power first, each as its two parts, for one independent stream."""
     tag = sum((i + 1) * ord(c) for i, c in enumerate(stream))
     rng = np.random.default_rng([seed, tag, index])
-    out = rng.integers(1, PRIME, degree + 1).tolist()
-    return [int(x) for x in out]
+    return [int(x) for x in rng.integers(1, PRIME, 2 * (degree + 1))]
+
+
+def field(row, coef, prime=PRIME, whole=lambda x: x // PRIME):
+    """Both parts of the polynomial by Horner's rule; every product sum stays below 2^63."""
+    x, y = row % prime, whole(row)
+    u, v = coef[0], coef[1]
+    for c, e in zip(coef[2::2], coef[3::2]):
+        u, v = (u * x + (prime - v) * y + c) % prime, (u * y + v * x + e) % prime
+    return u, v
+
+
+def field_sql(column: str, coef: list) -> tuple[str, str]:
+    """The same as SQL text; coefficients may be column names."""
+    x, y = f"({column} % {PRIME})", f"({column} // {PRIME})"
+    u, v = str(coef[0]), str(coef[1])
+    for c, e in zip(coef[2::2], coef[3::2]):
+        u, v = f"(({u} * {x} + ({PRIME} - {v}) * {y} + {c}) % {PRIME})", f"(({u} * {y} + {v} * {x} + {e}) % {PRIME})"
+    return u, v
 
 
 def poly_sql(column: str, coef: list[int]) -> str:
-    """The polynomial as SQL text (Horner's rule, reduced at every step: below 2^62)."""
-    out = str(coef[0])
-    for c in coef[1:]:
-        out = f"(({out} * {column} + {c}) % {PRIME})"
-    return out
+    return field_sql(column, coef)[0]
+
+
+def _long(x) -> Column:
+    return x if isinstance(x, Column) else F.lit(x).cast("long")
+
+
+def field_columns(row: Column, coef: list) -> tuple[Column, Column]:
+    """The same as columns; coefficients may be columns."""
+    p = F.lit(PRIME).cast("long")
+    return field(row.cast("long"), [_long(c) for c in coef], p, lambda x: F.call_function("div", x, p))
 
 
 def poly(x: Column, coef: list[int]) -> Column:
-    out = F.lit(coef[0]).cast("long")
-    for c in coef[1:]:
-        out = (out * x + F.lit(c).cast("long")) % F.lit(PRIME).cast("long")
-    return out
+    """One part, uniform below the prime."""
+    return field_columns(x, coef)[0]
+
+
+def chosen(rows: list[list[int]], index: Column) -> list[Column]:
+    """The coefficients of the stream that a column numbers, from literal arrays: expressions stay small however many streams there are."""
+    return [F.array(*[F.lit(r[k]).cast("long") for r in rows])[index] for k in range(len(rows[0]))]
+
+
+def field_numpy(row: np.ndarray, coef: list[int]) -> tuple[np.ndarray, np.ndarray]:
+    row = np.asarray(row, np.int64)
+    if len(row) and row.max() < PRIME:  # the second part of every id is zero
+        u, v = np.int64(coef[0]), np.int64(coef[1])
+        for c, e in zip(coef[2::2], coef[3::2]):
+            u, v = (u * row + c) % PRIME, (v * row + e) % PRIME
+        return u, v
+    return field(row, [np.int64(c) for c in coef])
 
 
 def poly_numpy(x: np.ndarray, coef: list[int]) -> np.ndarray:
-    out = np.full(len(x), coef[0], np.int64)
-    for c in coef[1:]:
-        out = (out * x + c) % PRIME
-    return out
+    return field_numpy(x, coef)[0]
 
 
 @dataclass(frozen=True)
@@ -57,51 +95,57 @@ class Hashes:
     def t_coef(self) -> list[int]:
         return coefficients(self.seed, "scale", 0, 3)
 
-    def bucket_coef(self, rep: int) -> list[int]:
-        return coefficients(self.seed, "bucket", rep, 3)
-
-    def sign_coef(self, rep: int) -> list[int]:
-        return coefficients(self.seed, "sign", rep, 3)
+    def place_coef(self, rep: int) -> list[int]:
+        return coefficients(self.seed, "place", rep, 3)
 
     # --- Column forms
     def uniform(self, row: Column) -> Column:
         """t in (0, 1]."""
         if self.family == "poly":
-            return (poly(row, self.t_coef()) + 1) / F.lit(float(PRIME + 1))
+            u, v = field_columns(row, self.t_coef())
+            return (u * F.lit(PRIME).cast("long") + v + 1).cast("double") / F.lit(float(FIELD))
         return self._fast_uniform(row, "scale")
 
     def _fast_uniform(self, row: Column, stream: str) -> Column:
         h = F.xxhash64(F.lit(self.seed), F.lit(stream), row)
         return (F.shiftrightunsigned(h, 11).cast("double") + 1.0) / F.lit(float(1 << 53))
 
-    def _by_rep(self, row: Column, rep: Column, coef, reps: int) -> Column:
-        """The polynomial of a repetition given as a column: coefficients come from literal arrays."""
-        rows = [coef(j) for j in range(reps)]
-        place = [F.array(*[F.lit(r[k]).cast("long") for r in rows])[rep] for k in range(len(rows[0]))]
-        out = place[0]
-        for c in place[1:]:
-            out = (out * row + c) % F.lit(PRIME).cast("long")
-        return out
+    def _place(self, row: Column, rep: Column, reps: int) -> tuple[Column, Column]:
+        return field_columns(row, chosen([self.place_coef(j) for j in range(reps)], rep))
 
     def bucket_at(self, row: Column, rep: Column, r: int, reps: int) -> Column:
         if self.family == "poly":
-            return (self._by_rep(row, rep, self.bucket_coef, reps) % F.lit(r).cast("long")).cast("int")
+            return (self._place(row, rep, reps)[0] % F.lit(r).cast("long")).cast("int")
         return F.pmod(F.xxhash64(F.lit(self.seed), F.lit("bucket"), rep, row), F.lit(r).cast("long")).cast("int")
 
     def sign_at(self, row: Column, rep: Column, reps: int) -> Column:
         if self.family == "poly":
-            return F.when(self._by_rep(row, rep, self.sign_coef, reps) < PRIME // 2, -1).otherwise(1)
+            return F.when(self._place(row, rep, reps)[1] < PRIME // 2, -1).otherwise(1)
         return F.when(F.xxhash64(F.lit(self.seed), F.lit("sign"), rep, row) < 0, -1).otherwise(1)
 
+    # --- numpy forms of the polynomial family
+    def bucket_numpy(self, row: np.ndarray, rep: int, r: int) -> np.ndarray:
+        return poly_numpy(row, self.place_coef(rep)) % r
+
+    def place_numpy(self, row: np.ndarray, rep: int, r: int) -> tuple[np.ndarray, np.ndarray]:
+        """Buckets and signs from one evaluation."""
+        u, v = field_numpy(row, self.place_coef(rep))
+        return u % r, np.where(v < PRIME // 2, -1, 1)
+
+    def uniform_numpy(self, row: np.ndarray) -> np.ndarray:
+        u, v = field_numpy(row, self.t_coef())
+        return (u * PRIME + v + 1).astype(float) / float(FIELD)
+
     # --- SQL forms of the polynomial family
     def uniform_sql(self, row: str) -> str:
-        return f"(({poly_sql(row, self.t_coef())} + 1) / {float(PRIME + 1)!r}::double)"
+        u, v = field_sql(row, self.t_coef())
+        return f"(cast({u} * {PRIME} + {v} + 1 as double) / {float(FIELD)!r}::double)"
 
     def bucket_sql(self, row: str, rep: int, r: int) -> str:
-        return f"({poly_sql(row, self.bucket_coef(rep))} % {r})"
+        return f"({field_sql(row, self.place_coef(rep))[0]} % {r})"
 
     def sign_sql(self, row: str, rep: int) -> str:
-        return f"(case when {poly_sql(row, self.sign_coef(rep))} < {PRIME // 2} then -1 else 1 end)"
+        return f"(case when {field_sql(row, self.place_coef(rep))[1]} < {PRIME // 2} then -1 else 1 end)"
 
 
 def inv_scale(t: Column, p: float) -> Column:

@@ -75,14 +75,17 @@ class SketchSpec:
     family: str = "poly"
     scale: bool = True
     uniform_cut: float = 0.0
-    fixed: int = 256
+    fixed: int = 1 << 40  # units of the accumulator in one; a power of two
     list_multiplier: float = 1.0
     quantile: float = 0.65
+    allow_large_p: bool = False
 
     def __post_init__(self):
-        check_p(self.p)
+        check_p(self.p, self.allow_large_p)
         if self.s % 2 == 0:
             raise ValueError("an odd number of repetitions makes every median an element")
+        if self.fixed & (self.fixed - 1):
+            raise ValueError("the accumulator's unit is a power of two, so that scaling is exact")
 
 
 def practical(k: int, p: float, d: int, seed: int = 42, **more) -> SketchSpec:

@@ -8,7 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
-from ..functions.hashing import PRIME, Hashes, coefficients, poly, poly_numpy
+from ..functions.hashing import Hashes, chosen, coefficients, poly, poly_numpy
 from .sampler import norm_of
 
 
@@ -50,7 +50,8 @@ def offline_sample(scored: DataFrame, k: int, mode: str = "poisson", seed: int =
     """Rows (row_id, vec, score) sampled by score: row_id, vec, prob, weight.
 
     poisson: independent coins with expected size k; priority: the k+1 largest
-    score/u, weights by the cut; multinomial: k draws with replacement, merged.
+    score/u, weights by the cut; multinomial: draws with replacement, merged, each
+    row's number of draws binomial out of k (k draws together in expectation).
     """
     u = Hashes(seed + 5, "fast").uniform(F.col("row_id"))
     scored = scored.persist()  # read once for the cut and once for the draw
@@ -65,13 +66,32 @@ def offline_sample(scored: DataFrame, k: int, mode: str = "poisson", seed: int =
         kept = scored.filter("score > 0").withColumn("prob", prob).filter(u <= F.col("prob"))
     else:
         whole = scored.agg(F.sum("score")).first()[0]
-        # The number of draws of a row is binomial; its expectation is split into a whole part and a coin.
-        mean = F.col("score") * F.lit(k / whole)
-        draws = F.floor(mean) + F.when(u <= mean - F.floor(mean), 1).otherwise(0)
+        mean = F.col("score") * F.lit(k / whole) if whole else F.lit(0.0)
+        draws = _draws(k)(F.col("score") / F.lit(whole or 1.0), u)
         kept = scored.withColumn("draws", draws).filter("draws > 0").withColumn("prob", mean / F.col("draws"))
     return kept.select("row_id", "vec", F.col("score").alias("norm_p"), "prob", (1.0 / F.col("prob")).alias("weight"))
 
 
+def _draws(k: int):
+    """Binomial(k, share) by inversion of the row's uniform."""
+
+    @F.pandas_udf("long")
+    def draws(share: pd.Series, u: pd.Series) -> pd.Series:
+        q, u = np.minimum(share.to_numpy(float), 1 - 1e-12), u.to_numpy(float)
+        term = np.exp(k * np.log1p(-q))
+        below, out = term.copy(), np.zeros(len(q), np.int64)
+        for j in range(1, k + 1):
+            more = u > below
+            if not more.any():
+                break
+            out[more] = j
+            term = term * (k - j + 1) / j * q / (1 - q)
+            below = below + term
+        return pd.Series(out)
+
+    return draws
+
+
 def level(row: Column, levels: int, base: int, seed: int) -> Column:
     """Geometric level of a row: level l with probability about base^-l, the last takes the rest."""
     u = (poly(row, coefficients(seed, "level", 0)) + 1) / F.lit(float(1 << 31))
@@ -81,8 +101,13 @@ def level(row: Column, levels: int, base: int, seed: int) -> Column:
     return out
 
 
+def level_mass(levels: int, base: int) -> float:
+    """Expected base^level of a row: 1 - 1/base from each level but the last, 1 from that; weights are divided by it, so a row weighs one in expectation."""
+    return (levels - 1) * (1 - 1 / base) + 1
+
+
 def oblivious(updates: DataFrame, rows: int, levels: int = 5, base: int = 4, seed: int = 42, d: int = 7, signed: bool = False, entry: Column | None = None) -> DataFrame:
-    """Plain oblivious sketch: each row falls into a level, is hashed into a bucket of it, bucket sums weigh base^level.
+    """Plain oblivious sketch: each row falls into a level, is hashed into a bucket of it, bucket sums weigh base^level over the expected weight.
 
     Signs only for symmetric losses: a flipped row would turn g(t) into g(-t).
     """
@@ -94,8 +119,7 @@ def oblivious(updates: DataFrame, rows: int, levels: int = 5, base: int = 4, see
         value = value * F.when(poly(F.col("row_id"), coefficients(seed, "oblivious sign", 0)) < (1 << 30), -1.0).otherwise(1.0)
     cells = updates.select(lev.alias("level"), bucket.cast("int").alias("bucket"), "col_id", value.alias("v"))
     packed = cells.groupBy("level", "bucket").agg(F.array(*[F.coalesce(F.sum(F.when(F.col("col_id") == j, F.col("v"))), F.lit(0.0)) for j in range(d)]).alias("vec"))
-    weight = F.pow(F.lit(float(base)), F.col("level"))
-    # Level 0 is seen whole at rate 1 - 1/base: the expected share of each level is made up by its weight.
+    weight = F.pow(F.lit(float(base)), F.col("level")) / level_mass(levels, base)
     return packed.select("level", "bucket", "vec", weight.alias("weight"))
 
 
@@ -175,12 +199,7 @@ def stable_at(row: Column, i: Column, count: int, p: float, seed: int) -> Column
     """
 
     def at(stream):
-        rows = [coefficients(seed, stream, j) for j in range(count)]
-        place = [F.array(*[F.lit(r[k]).cast("long") for r in rows])[i] for k in range(len(rows[0]))]
-        out = place[0]
-        for c in place[1:]:
-            out = (out * row + c) % F.lit(PRIME).cast("long")
-        return out
+        return poly(row, chosen([coefficients(seed, stream, j) for j in range(count)], i))
 
     u = (at("angle") + 1) / F.lit(float(1 << 31))
     theta = (u - 0.5) * F.lit(math.pi * (1 - 1e-9))

@@ -187,12 +187,12 @@ def rep_pairs(spark, sf):
     """Distances between the repetitions of listed rows as a theta join (the recovery compares in place)."""
     cells = sk.build(up.orders(spark, sf), ONE).persist()
     norms = recover.bucket_norms(sk.values(cells, ONE), 1.0).persist()
-    few = recover.best_candidates(recover.candidates(up.ids(up.orders(spark, sf)), norms, ONE, recover.threshold_value(norms, ONE)), 40)
+    few = recover.candidates(up.ids(up.orders(spark, sf)), norms, ONE, recover.threshold_value(norms, ONE))
     rows = few.select("row_id", sk.reps(ONE).alias("rep")).select("row_id", "rep", sk.bucket(ONE).alias("bucket"), sk.sign(ONE).alias("sg")).join(sk.packed(cells, ONE), ["rep", "bucket"]).select("row_id", "rep", F.transform("vec", lambda x: x * F.col("sg")).alias("vec"))
     a, b = rows.alias("a"), rows.alias("b")
     pairs = a.join(b, (F.col("a.row_id") == F.col("b.row_id")) & (F.col("a.rep") != F.col("b.rep")))
     dist = F.aggregate(F.zip_with("a.vec", "b.vec", lambda x, y: F.abs(x - y)), F.lit(0.0), lambda s, x: s + x)
-    return pairs.groupBy(F.col("a.row_id").alias("row_id"), F.col("a.rep").alias("rep")).agg(F.round(F.median(dist), 2).alias("m"))
+    return pairs.groupBy(F.col("a.row_id").alias("row_id"), F.col("a.rep").alias("rep")).agg(F.array_sort(F.collect_list(dist)).alias("all")).select("row_id", "rep", F.round(F.get("all", F.floor((F.size("all") - 1) / 2).cast("int")), 2).alias("m"))
 
 
 def full_outer_mixture(spark, sf):
@@ -218,7 +218,7 @@ PROBIT_SQL = "with x as (select (l_discount - 0.05) * 40 as t from lineitem) sel
 def medoid_udaf(spark, sf):
     cells = sk.build(up.orders(spark, sf), ONE).persist()
     norms = recover.bucket_norms(sk.values(cells, ONE), 1.0).persist()
-    few = recover.best_candidates(recover.candidates(up.ids(up.orders(spark, sf)), norms, ONE, recover.threshold_value(norms, ONE)), 40)
+    few = recover.candidates(up.ids(up.orders(spark, sf)), norms, ONE, recover.threshold_value(norms, ONE))
     rows = few.select("row_id", sk.reps(ONE).alias("rep")).select("row_id", "rep", sk.bucket(ONE).alias("bucket"), sk.sign(ONE).alias("sg")).join(sk.packed(cells, ONE), ["rep", "bucket"]).select("row_id", "rep", F.transform("vec", lambda x: x * F.col("sg")).alias("vec"))
     return rows.groupBy("row_id").agg(udfs.medoid(1.0)("rep", "vec").alias("rep"))
 
@@ -288,10 +288,10 @@ PAIRS = {
     "join_left_outer_zero_buckets": (zero_buckets, f"{_FULL} select r.rep, b.bucket, round(coalesce(n.norm, 0.0), 4) as norm from reps r cross join (select range::int as bucket from range(50)) b left join norms n on n.rep = r.rep and n.bucket = b.bucket"),
     "join_semi_heavy_buckets": (heavy_buckets, f"{_FULL} select row_id, count(*) as heavy from probe p where exists (select 1 from norms n, thr where n.rep = p.rep and n.bucket = p.bucket and n.norm >= m0) group by row_id"),
     "join_anti_missed_heavy": (missed_heavy, missed_sql()),
-    "join_theta_rep_pairs": (rep_pairs, f"{_FULL}, {q.candidates(ONE, 40)}, {q.representatives(ONE)} select row_id, rep, round(m, 2) as m from med"),
+    "join_theta_rep_pairs": (rep_pairs, f"{_FULL}, {q.candidates(ONE, None)}, {q.representatives(ONE)} select row_id, rep, round(m, 2) as m from med"),
     "join_full_outer_mixture": (full_outer_mixture, FULL_SQL),
     "udf_probit_logcdf": (probit_udf, PROBIT_SQL),
-    "udaf_medoid": (medoid_udaf, f"{_FULL}, {q.candidates(ONE, 40)}, {q.representatives(ONE)} select row_id, rep from rep_rows"),
+    "udaf_medoid": (medoid_udaf, f"{_FULL}, {q.candidates(ONE, None)}, {q.representatives(ONE)} select row_id, rep from rep_rows"),
     "udtf_explode_updates": (udtf_updates, UDTF_SQL),
     "sql_functions": (sql_functions, SQL_FUNCTIONS_SQL),
     "src_sketch_store": (sketch_store, f"with upd as ({q.ORDERS}), {q.sketch(ONE)} select rep, bucket, col_id, val from sk"),

@@ -40,7 +40,7 @@ def embedding_conditioner(updates: DataFrame, d: int, p: float, m: int | None =
     return subspace.conditioner(subspace.to_numpy(subspace.dense(updates, m, p, seed), m, d))
 
 
-def sample_stream(updates: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, m: int | None = None, rank: str = "k", budget: int | None = sampler.BUDGET, matrix: np.ndarray | None = None) -> DataFrame:
+def sample_stream(updates: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, m: int | None = None, rank: str = "k", budget: int | None = None, matrix: np.ndarray | None = None) -> DataFrame:
     """Turnstile leverage-score sample: sketch and embedding of one log, conditioned after sketching."""
     matrix = embedding_conditioner(updates, spec.d, spec.p, m, spec.seed) if matrix is None else matrix
     cells = sk.build(updates, spec).persist()

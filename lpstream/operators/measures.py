@@ -76,13 +76,14 @@ def conditioning(rows: DataFrame, matrix: np.ndarray, d: int, p: float, panel: i
     return {"alpha": alpha, "beta": float(beta), "power": float((alpha * beta) ** p)}
 
 
-def distortion(rows: DataFrame, embedded: np.ndarray, p: float, d: int, count: int = 32) -> tuple[float, float]:
-    """Least and greatest ratio of the embedded to the true norm over a panel (scaled by their median)."""
+def distortion(rows: DataFrame, embedded: np.ndarray, p: float, d: int, count: int = 32, kind: str = "dense") -> tuple[float, float]:
+    """Least and greatest ratio of the embedded to the true norm over a panel: dense, by the median over the stable variable's (p < 2) or the root mean square; sparse, by the lp norm."""
+    from .baselines import stable_scale
+
     zs = default_panel(d, count)
     true = evaluate(rows, zs, "lp", p) ** (1 / p)
-    got = np.array([np.median(np.abs(embedded @ z)) if p < 2 else np.linalg.norm(embedded @ z) for z in zs])
-    ratio = got / true
-    ratio /= np.median(ratio)
+    size = (lambda v: np.linalg.norm(v, p)) if kind == "sparse" else (lambda v: np.median(np.abs(v)) / stable_scale(p)) if p < 2 else (lambda v: np.linalg.norm(v) / np.sqrt(len(v)))
+    ratio = np.array([size(embedded @ z) for z in zs]) / true
     return float(ratio.min()), float(ratio.max())
 
 

@@ -7,7 +7,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
-from ..functions.hashing import abs_pow, poly_numpy
+from ..functions.hashing import abs_pow
 from ..functions.params import SketchSpec
 from .sketch import bucket, hashes, packed, reps, sign, values
 
@@ -70,13 +70,12 @@ def candidates_narrow(ids: DataFrame, norms: DataFrame, spec: SketchSpec, m0: fl
     found = norms.toPandas()
     table[found["rep"].to_numpy(), found["bucket"].to_numpy()] = found["norm"].to_numpy()
     shared = norms.sparkSession.sparkContext.broadcast(table)
-    coefs = [hashes(spec).bucket_coef(j) for j in range(spec.s)]
-    cut, r = cut_value(m0, spec), spec.r
+    h, cut, r = hashes(spec), cut_value(m0, spec), spec.r
 
     def run(batches):
         for b in batches:
             row = b.column(0).to_numpy(zero_copy_only=False)
-            est = np.median(np.stack([shared.value[j, poly_numpy(row, c) % r] for j, c in enumerate(coefs)]), axis=0) if len(row) else np.zeros(0)
+            est = np.median(np.stack([shared.value[j, h.bucket_numpy(row, j, r)] for j in range(spec.s)]), axis=0) if len(row) else np.zeros(0)
             keep = (est >= cut) & (est > 0)
             yield pa.RecordBatch.from_arrays([pa.array(row[keep]), pa.array(est[keep])], names=["row_id", "est_norm"])
 
@@ -93,10 +92,8 @@ def _distance(a: Column, b: Column, p: float) -> Column:
 
 
 def _median(values_: Column) -> Column:
-    """Median of an array, the mean of the middle two if even."""
-    s, n = F.array_sort(values_), F.size(values_)
-    lo, hi = F.floor((n - 1) / 2).cast("int"), F.floor(n / 2).cast("int")
-    return (F.get(s, lo) + F.get(s, hi)) / 2.0
+    """Median of an array, the lower of the middle two if even."""
+    return F.get(F.array_sort(values_), F.floor((F.size(values_) - 1) / 2).cast("int"))
 
 
 def representatives(listed: DataFrame, sketch: DataFrame, spec: SketchSpec, d: int | None = None, fixed: bool = True) -> DataFrame:

@@ -16,24 +16,39 @@ from ..functions.hashing import abs_pow, inv_scale
 from ..functions.params import SketchSpec
 from . import recover, sketch as sk
 
-BUDGET = 4  # candidates represented, in multiples of k
+#: A representative's norm is at most this many times its row's estimate (lp distances are a metric up to the p-th power): more than half
+#: of the repetitions have norms of the median E at least, the least median distance is at most 2 E; a little more for rounded distances.
+REACH = 3.001
 
 
 def norm_of(vec: Column, p: float) -> Column:
     return F.aggregate(vec, F.lit(0.0), lambda s, x: s + abs_pow(x, p))
 
 
-def scaled_rows(cells: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, matrix=None, budget: int | None = BUDGET) -> DataFrame:
-    """(row_id, vec, scaled, norm_p) of the listed rows: un-scaled rows with their scaled norms.
+def scaled_rows(cells: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, matrix=None, budget: int | None = None, floor: float | None = None) -> DataFrame:
+    """(row_id, vec, scaled, norm_p): un-scaled rows with their scaled norms, among them the k + 1 listed rows of largest scaled norm (or all at or above `floor`).
 
     With a conditioning matrix the norms are those of vec times the matrix, the
     rows are still those of the sketched matrix, from the same repetition.
+
+    Rows that can't be among these are left out by their estimates alone: the
+    2k + 2 best estimates give a lower bound of the (k+1)-th scaled norm, and a
+    representative's is at most REACH^p times its estimate.  `budget` caps the
+    list at so many times k instead (not exact).
     """
     view = sk.project(cells, spec, matrix) if matrix is not None else sk.values(cells, spec)
     d = np.asarray(matrix).shape[1] if matrix is not None else spec.d
     norms = recover.bucket_norms(view, spec.p).persist()
     m0 = recover.threshold_value(norms, spec)
-    listed = recover.best_candidates(recover.candidates_narrow(ids, norms, spec, m0), budget * k if budget else None)
+    listed = recover.candidates_narrow(ids, norms, spec, m0)
+    if budget:
+        listed = recover.best_candidates(listed, budget * k)
+    else:
+        listed = listed.persist()
+        if floor is None:
+            first = recover.representatives(recover.best_candidates(listed, 2 * k + 2), view, spec, d, fixed=False)
+            floor = cut_at(first.select("row_id", norm_of(F.col("vec"), spec.p).alias("scaled")).orderBy(F.desc("scaled"), "row_id").limit(k + 1), k + 1)
+        listed = listed.filter((F.col("est_norm") + 1e-6) * REACH**spec.p >= floor)
     rows = recover.representatives(listed, view, spec, d, fixed=False)
     t = sk.hashes(spec).uniform(F.col("row_id")) if spec.scale else F.lit(1.0)
     out = rows.withColumn("scaled", norm_of(F.col("vec"), spec.p)).withColumn("norm_p", F.col("scaled") * t)
@@ -53,6 +68,12 @@ def weigh(rows: DataFrame, alpha: Column | float, origin: str = "lp") -> DataFra
     return rows.withColumn("prob", prob).select("row_id", "vec", "norm_p", "prob", (1.0 / F.col("prob")).alias("weight"), F.lit(origin).alias("origin"))
 
 
+def cut_at(top: DataFrame, k: int) -> float:
+    """The least scaled norm of k rows; 0 if there are fewer."""
+    n, least = top.agg(F.count("*"), F.min("scaled")).first()
+    return float(least) if n >= k else 0.0
+
+
 def top_rows(rows: DataFrame, k: int) -> DataFrame:
     return rows.orderBy(F.desc("scaled"), "row_id").limit(k)
 
@@ -74,7 +95,7 @@ def with_cut(rows: DataFrame, k: int, rank: str = "k") -> DataFrame:
     return weigh(ranked.withColumn("alpha", alpha).filter(F.col("rk") <= k), F.col("alpha"))
 
 
-def sample(cells: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, matrix=None, budget: int | None = BUDGET, rank: str = "k") -> DataFrame:
+def sample(cells: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, matrix=None, budget: int | None = None, rank: str = "k") -> DataFrame:
     """Plain sampler: exactly k rows (fewer if fewer are listed)."""
     return with_cut(scaled_rows(cells, ids, spec, k, matrix, budget), k, rank)
 
@@ -82,9 +103,8 @@ def sample(cells: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, matrix=No
 def sample_two_run(cells_a: DataFrame, spec_a: SketchSpec, cells_b: DataFrame, spec_b: SketchSpec, ids: DataFrame, k: int, matrix=None) -> DataFrame:
     """One run fixes the cut at rank 1.5 k, the other, independent one gives the sample: k to 2k rows."""
     rank = -(-3 * k // 2)
-    first = top_rows(scaled_rows(cells_a, ids, spec_a, 2 * k, matrix), rank)
-    alpha = float(first.agg(F.min("scaled")).first()[0] or 0.0)
-    return weigh(scaled_rows(cells_b, ids, spec_b, 2 * k, matrix).filter(F.col("scaled") >= alpha), alpha)
+    alpha = cut_at(top_rows(scaled_rows(cells_a, ids, spec_a, rank, matrix), rank), rank)
+    return weigh(scaled_rows(cells_b, ids, spec_b, 2 * k, matrix, floor=alpha).filter(F.col("scaled") >= alpha), alpha)
 
 
 def second(spec: SketchSpec) -> SketchSpec:

@@ -1,8 +1,11 @@
 """Linear CountSketch of a randomly scaled matrix, and its algebra.
 
-A sketch is a DataFrame (rep, bucket, col_id, val) of fixed-point integers: every
-update is rounded once, sums are exact, so merging sites, differencing times and
-retracting rows are exact in any order.  Missing cells are zero.
+A sketch is a DataFrame (rep, bucket, col_id, val) of fixed-point integers
+(DECIMAL(38,0), 2^40 units in one): every update is rounded once, far below any
+value of interest, and none is dropped; sums are exact, so merging sites,
+differencing times and retracting rows are exact in any order.  Sums run over
+three limbs of 30 bits, in 64-bit integers; an overflow raises.  Missing cells are
+zero.
 """
 
 from __future__ import annotations
@@ -13,21 +16,47 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
-from ..functions.hashing import Hashes, inv_scale, poly_numpy
+from ..functions.hashing import FIELD, Hashes, inv_scale
 from ..functions.params import SketchSpec
 
 
-DENSE_CELLS = 4_000_000  # 32 MB in a task
+DENSE_CELLS = 4_000_000  # 96 MB in a task
+LIMB = 1 << 30
+VAL = "decimal(38,0)"
+LIMBS = ("h2", "h1", "h0")
 
 
 def hashes(spec: SketchSpec) -> Hashes:
     return Hashes(spec.seed, spec.family)
 
 
-def quantised(delta: Column, t: Column, spec: SketchSpec) -> Column:
-    """The scaled update in fixed point; rounding is odd, so a retraction cancels exactly."""
-    x = (delta * inv_scale(t, spec.p) if spec.scale else delta) * float(spec.fixed)
-    return F.when(x < 0, -F.floor(-x + 0.5)).otherwise(F.floor(x + 0.5)).cast("long")
+def validated(updates: DataFrame, d: int) -> DataFrame:
+    """The log as typed triples (and its other columns); a null, a NaN, an infinity, a column out of range or an id out of range raises where it is read."""
+    row, col, delta = F.col("row_id").cast("long"), F.col("col_id").cast("int"), F.col("delta").cast("double")
+    bad = row.isNull() | col.isNull() | delta.isNull() | F.isnan(delta) | (F.abs(delta) == float("inf")) | (col < 0) | (col >= d) | (row < 0) | (row >= F.lit(FIELD).cast("long"))
+    return updates.withColumns({"row_id": row, "col_id": col, "delta": F.when(bad, F.raise_error(F.lit("invalid update"))).otherwise(delta)})
+
+
+def limbs(log: DataFrame, spec: SketchSpec) -> DataFrame:
+    """The log with its scaled updates as three limbs; rounding is odd, so a retraction cancels exactly."""
+    t = hashes(spec).uniform(F.col("row_id"))
+    z = log.withColumn("z", F.col("delta") * inv_scale(t, spec.p) if spec.scale else F.col("delta"))
+    top = z.withColumns({"sz": F.when(F.col("z") < 0, -1).otherwise(1), "z2": F.floor(F.abs("z") * (spec.fixed / LIMB**2))})
+    rest = top.withColumn("rest", F.floor(F.abs("z") * float(spec.fixed) - F.col("z2") * float(LIMB**2) + 0.5))
+    low = {"h2": F.col("sz") * F.col("z2"), "h1": F.col("sz") * F.shiftright("rest", 30), "h0": F.col("sz") * F.col("rest").bitwiseAND(F.lit(LIMB - 1).cast("long"))}
+    return rest.withColumns(low).drop("z", "sz", "z2", "rest")
+
+
+def joined(h2: Column, h1: Column, h0: Column) -> Column:
+    """One exact integer from sums of limbs."""
+    return (h2.cast(VAL) * F.lit(LIMB**2).cast("decimal(19,0)") + h1.cast(VAL) * F.lit(LIMB).cast("decimal(10,0)") + h0.cast(VAL)).cast(VAL)
+
+
+def summed(cells: DataFrame, *keys) -> DataFrame:
+    """Signed limbs (h2, h1, h0) summed by cell."""
+    sums = cells.groupBy(*keys).agg(*[F.sum(c).alias(c) for c in LIMBS])
+    names = [c for c in sums.columns if c not in LIMBS]
+    return sums.select(*names, joined(*[F.col(c) for c in LIMBS]).alias("val"))
 
 
 def reps(spec: SketchSpec) -> Column:
@@ -53,16 +82,19 @@ def build(updates: DataFrame, spec: SketchSpec, engine: str = "auto") -> DataFra
     """
     if engine == "auto":
         engine = "arrow" if spec.family == "poly" and spec.r * spec.s * spec.d <= DENSE_CELLS and not updates.isStreaming else "sql"
-    t = hashes(spec).uniform(F.col("row_id"))
-    log = updates.select(F.col("row_id").cast("long").alias("row_id"), F.col("col_id").cast("int").alias("col_id"), F.col("delta").cast("double").alias("delta"))
+    log = validated(updates.select("row_id", "col_id", "delta"), spec.d)
     if spec.uniform_cut and spec.n:
-        log = log.filter(t > spec.uniform_cut / spec.n)
-    log = log.withColumn("q", quantised(F.col("delta"), t, spec)).filter("q <> 0")
+        log = log.filter(hashes(spec).uniform(F.col("row_id")) > spec.uniform_cut / spec.n)
+    log = limbs(log, spec)
     if engine == "arrow":
-        return _dense(log.select("row_id", "col_id", "q"), spec)
-    cells = log.select("row_id", "col_id", "q", reps(spec).alias("rep"))
-    summed = cells.groupBy("rep", bucket(spec).alias("bucket"), "col_id").agg(F.sum(sign(spec) * F.col("q")).alias("val"))
-    return summed.filter("val <> 0")
+        return _dense(log.select("row_id", "col_id", *LIMBS), spec)
+    return summed(signed_cells(log, spec), "rep", "bucket", "col_id").filter("val <> 0")
+
+
+def signed_cells(log: DataFrame, spec: SketchSpec, *more: str) -> DataFrame:
+    """(rep, bucket, col_id, signed limbs, more) of every update in every repetition, before any sum."""
+    cells = log.select("row_id", "col_id", *LIMBS, *more, reps(spec).alias("rep")).withColumns({"bucket": bucket(spec), "sg": sign(spec)})
+    return cells.select("rep", "bucket", "col_id", *[(F.col("sg") * F.col(c)).alias(c) for c in LIMBS], *more)
 
 
 def _dense(log: DataFrame, spec: SketchSpec) -> DataFrame:
@@ -71,27 +103,33 @@ def _dense(log: DataFrame, spec: SketchSpec) -> DataFrame:
     h = hashes(spec)
 
     def run(batches):
-        acc = np.zeros((spec.s, spec.r * spec.d), np.int64)
+        acc = np.zeros((3, spec.s, spec.r * spec.d), np.int64)
+        seen, size = 0, 0.0
         for b in batches:
-            row, col, q = (b.column(k).to_numpy(zero_copy_only=False) for k in range(3))
+            row, col, *parts = (b.column(k).to_numpy(zero_copy_only=False) for k in range(5))
+            seen, size = seen + len(row), size + float(np.abs(parts[0].astype(float)).sum())
+            if seen >= 1 << 32 or size >= 2.0**62:
+                raise OverflowError("the sums of a task leave 64 bits: more partitions or a coarser accumulator")
             for j in range(spec.s):
-                bucket = poly_numpy(row, h.bucket_coef(j)) % spec.r
-                sign = np.where(poly_numpy(row, h.sign_coef(j)) < ((1 << 31) - 1) // 2, -1, 1)
-                np.add.at(acc[j], bucket * spec.d + col, sign * q)
-        rep, cell = np.nonzero(acc)
-        yield pa.RecordBatch.from_arrays([pa.array(rep.astype(np.int32)), pa.array((cell // spec.d).astype(np.int32)), pa.array((cell % spec.d).astype(np.int32)), pa.array(acc[rep, cell])], names=["rep", "bucket", "col_id", "val"])
+                at, sign = h.place_numpy(row, j, spec.r)
+                at = at * spec.d + col
+                for limb, part in zip(acc, parts):
+                    np.add.at(limb[j], at, sign * part)
+        rep, cell = np.nonzero(acc.any(axis=0))
+        place = [rep.astype(np.int32), (cell // spec.d).astype(np.int32), (cell % spec.d).astype(np.int32)]
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in [*place, *(limb[rep, cell] for limb in acc)]], names=["rep", "bucket", "col_id", *LIMBS])
 
-    parts = log.mapInArrow(run, "rep int, bucket int, col_id int, val long")
-    return parts.groupBy("rep", "bucket", "col_id").agg(F.sum("val").alias("val")).filter("val <> 0")
+    parts = log.mapInArrow(run, "rep int, bucket int, col_id int, h2 long, h1 long, h0 long")
+    return summed(parts, "rep", "bucket", "col_id").filter("val <> 0")
 
 
 def merge(*sketches: DataFrame) -> DataFrame:
     """Sketch of the sum of the logs (sites, shards, times)."""
-    return reduce(DataFrame.unionByName, sketches).groupBy("rep", "bucket", "col_id").agg(F.sum("val").alias("val")).filter("val <> 0")
+    return reduce(DataFrame.unionByName, sketches).groupBy("rep", "bucket", "col_id").agg(F.sum("val").cast(VAL).alias("val")).filter("val <> 0")
 
 
 def scale(sketch: DataFrame, factor: int) -> DataFrame:
-    return sketch.withColumn("val", F.col("val") * factor).filter("val <> 0")
+    return sketch.withColumn("val", (F.col("val") * F.lit(factor).cast("decimal(19,0)")).cast(VAL)).filter("val <> 0")
 
 
 def diff(later: DataFrame, earlier: DataFrame) -> DataFrame:
@@ -109,7 +147,7 @@ def drop_cols(sketch: DataFrame, cols: list[int]) -> DataFrame:
 
 def values(sketch: DataFrame, spec: SketchSpec) -> DataFrame:
     """Cells as numbers."""
-    return sketch.withColumn("val", F.col("val") / float(spec.fixed))
+    return sketch.withColumn("val", F.col("val").cast("double") / float(spec.fixed))
 
 
 def project(sketch: DataFrame, spec: SketchSpec, matrix) -> DataFrame:

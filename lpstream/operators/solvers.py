@@ -13,7 +13,7 @@ def objective(x: np.ndarray, w: np.ndarray, z: np.ndarray, loss: str, p: float)
     return float((w * value_numpy(loss, x @ z, p)).sum())
 
 
-def _quasi_newton(f, z0: np.ndarray, rounds: int = 300, memory: int = 12, tol: float = 1e-10) -> np.ndarray:
+def _quasi_newton(f, z0: np.ndarray, rounds: int = 300, memory: int = 12, tol: float = 1e-10, halvings: int = 40) -> np.ndarray:
     """Limited-memory quasi-Newton with backtracking; returns the best point seen."""
     z = z0.copy()
     v, g = f(z)
@@ -38,7 +38,7 @@ def _quasi_newton(f, z0: np.ndarray, rounds: int = 300, memory: int = 12, tol: f
         if g @ d >= 0:
             d, pairs = -g / max(np.abs(g).sum(), 1e-300), []
         step, ok = 1.0, False
-        for _ in range(40):
+        for _ in range(halvings):
             nz = z + step * d
             nv, ng = f(nz)
             if np.isfinite(nv) and nv <= v + 1e-4 * step * (g @ d):
@@ -59,8 +59,8 @@ def _quasi_newton(f, z0: np.ndarray, rounds: int = 300, memory: int = 12, tol: f
     return best
 
 
-def solve(x: np.ndarray, w: np.ndarray, loss: str, p: float = 1.0, ridge: float = 1e-8, last: float | None = None) -> np.ndarray:
-    """argmin of the weighted loss; `last` fixes the last coordinate (-1 for regression onto an appended target)."""
+def solve(x: np.ndarray, w: np.ndarray, loss: str, p: float = 1.0, ridge: float = 1e-8, last: float | None = None, first: float | None = None) -> np.ndarray:
+    """argmin of the weighted loss; `last` fixes the last coordinate (-1 for regression onto an appended target), `first` the first (a ReLU problem without it has the solution zero)."""
     x, w = np.asarray(x, float), np.asarray(w, float)
     keep = np.isfinite(x).all(1)
     x, w = x[keep], w[keep]
@@ -72,9 +72,20 @@ def solve(x: np.ndarray, w: np.ndarray, loss: str, p: float = 1.0, ridge: float
     def f(z):
         t = x @ z
         g = x.T @ (w * slope_numpy(loss, t, p)) / total + 2 * ridge * z
-        return float((w * value_numpy(loss, t, p)).sum() / total + ridge * (z @ z)), g
+        return float((w * value_numpy(loss, t, p)).sum() / total + ridge * (z @ z)), _pinned(g, first)
 
-    return _quasi_newton(f, np.zeros(d))
+    return _quasi_newton(f, _start(d, first))
+
+
+def _start(d: int, first: float | None) -> np.ndarray:
+    z = np.zeros(d)
+    z[0] = first or 0.0
+    return z
+
+
+def _pinned(g: np.ndarray, first: float | None) -> np.ndarray:
+    """The slope without the pinned coordinate, which then never moves."""
+    return g if first is None else np.r_[0.0, g[1:]]
 
 
 def _irls(a: np.ndarray, b: np.ndarray, w: np.ndarray, p: float, rounds: int = 80) -> np.ndarray:
@@ -147,7 +158,7 @@ def solve_full(rows: DataFrame, d: int, loss: str, p: float = 1.0, last: float |
     return full(best)
 
 
-def solve_rows(rows: DataFrame, d: int, loss: str, p: float = 1.0, ridge: float = 1e-8) -> np.ndarray:
+def solve_rows(rows: DataFrame, d: int, loss: str, p: float = 1.0, ridge: float = 1e-8, first: float | None = None) -> np.ndarray:
     """The minimiser that `solve` finds with unit weights, on all rows of a table: each step sums value and slopes in the tasks, d + 2 numbers each."""
     names = ["n", "v", *[f"g{j}" for j in range(d)]]
     schema = ", ".join(f"{c} double" for c in names)
@@ -164,9 +175,10 @@ def solve_rows(rows: DataFrame, d: int, loss: str, p: float = 1.0, ridge: float
 
         n, v, *g = (x or 0.0 for x in rows.select("vec").mapInArrow(part, schema).agg(*[F.sum(c) for c in names]).first())
         n = max(n, 1e-300)
-        return float(v / n + ridge * (z @ z)), np.array(g) / n + 2 * ridge * z
+        return float(v / n + ridge * (z @ z)), _pinned(np.array(g) / n + 2 * ridge * z, first)
 
-    return _quasi_newton(f, np.zeros(d))
+    # A step is a scan; where slopes jump (ReLU at p = 1) the last digits aren't worth hundreds.
+    return _quasi_newton(f, _start(d, first), *((60, 12, 1e-7, 12) if loss == "relu" else ()))
 
 
 def best_of(rows: DataFrame, found: list[np.ndarray], loss: str, p: float = 1.0) -> tuple[np.ndarray, float]:

@@ -20,7 +20,7 @@ def probit_logcdf(p: float):
 
 
 def medoid(p: float):
-    """Grouped aggregate: number of the vector with the least median lp distance to the others (ties: the first)."""
+    """Grouped aggregate: number of the vector with the least (lower) median lp distance to the others (ties: the first)."""
 
     @F.pandas_udf("int")
     def f(rep: pd.Series, vec: pd.Series) -> int:
@@ -30,7 +30,7 @@ def medoid(p: float):
         if len(v) == 1:
             return int(rep.iloc[0])
         others = d[~np.eye(len(v), dtype=bool)].reshape(len(v), -1)
-        return int(rep.to_numpy()[order][np.argmin(np.round(np.median(others, axis=1), 6))])
+        return int(rep.to_numpy()[order][np.argmin(np.round(np.sort(others, axis=1)[:, (others.shape[1] - 1) // 2], 6))])
 
     return f
 
@@ -58,7 +58,7 @@ def register(spark: SparkSession) -> None:
         out = np.zeros(len(ids), np.int32)
         keys = pd.DataFrame({"s": seed, "j": rep, "r": r})
         for (s, j, n), at in keys.groupby(["s", "j", "r"]).groups.items():
-            out[at] = poly_numpy(ids.to_numpy()[at], Hashes(int(s)).bucket_coef(int(j))) % int(n)
+            out[at] = Hashes(int(s)).bucket_numpy(ids.to_numpy()[at], int(j), int(n))
         return pd.Series(out)
 
     spark.udf.register("lp_norm", lp_norm)

@@ -1,7 +1,9 @@
 """The experiment grid: reduce, solve the reduced problem, compare losses on the full data.
 
 Every ratio is f(z of the reduced problem) / f(z of the full problem), both on the
-full data; the summary takes the median over the repetitions of each size.
+full data; the summary takes the median over the repetitions of each size.  The
+denominator is the least loss found, so no ratio is below one.  ReLU problems pin
+the first coordinate to one: without that, zero solves them and ratios mean nothing.
 """
 
 from __future__ import annotations
@@ -16,7 +18,7 @@ from ..functions.params import practical
 from ..operators import baselines, coreset, leverage, sampler, sketch as sk, solvers
 from ..sources import features
 
-METHODS = ("uniform", "oblivious", "sampler", "offline")
+METHODS = ("uniform", "oblivious", "sampler", "offline", "merge_reduce", "online")
 WORKLOADS = {"w1": features.w1_lineitem, "w2": features.w2_documents, "w3": features.w3_events}
 
 
@@ -25,6 +27,10 @@ def _reduced(method: str, rows: DataFrame, updates: DataFrame, loss: str, p: flo
     q = 1.0 if loss == "logistic" else p
     if method == "uniform":
         return *coreset.to_numpy(baselines.uniform_rows(rows, k, n, seed)), 0
+    if method == "merge_reduce":
+        return *coreset.to_numpy(baselines.merge_reduce(rows, max(2000, 4 * k), k, q, seed)), 0
+    if method == "online":
+        return *coreset.to_numpy(baselines.online_rows(rows, max(1, k // 8), q, seed=seed)), 0
     if method == "oblivious":
         return *coreset.to_numpy(baselines.oblivious(updates, k, seed=seed, d=d, signed=loss == "lp")), k * d
     share = max(1, k // 2) if loss != "lp" or mixture == "l1l2" else k
@@ -74,8 +80,9 @@ def run(spark: SparkSession, sf: str, workload: str, loss: str = "logistic", p:
     rows = WORKLOADS[workload](spark, sf, problem).persist()
     n, d = rows.count(), features.width(rows)
     last = -1.0 if loss == "lp" else None
+    first = 1.0 if loss == "relu" else None
     updates = leverage.long_rows(rows).filter("delta <> 0").persist()
-    opt = solvers.solve_full(rows, d, loss, p, last) if loss != "probit" else solvers.solve_rows(rows, d, loss, p)
+    opt = solvers.solve_full(rows, d, loss, p, last) if loss in ("lp", "logistic") else solvers.solve_rows(rows, d, loss, p, first=first)
     shared: dict = {}
     found, meta = [opt], []
     for k in sizes:
@@ -84,12 +91,12 @@ def run(spark: SparkSession, sf: str, workload: str, loss: str = "logistic", p:
                 t0 = time.perf_counter()
                 x, w, cells = _reduced(m, rows, updates, loss, p, k, d, n, 1000 * seed + k, mixture, shared)
                 t1 = time.perf_counter()
-                z = solvers.solve(x, w, loss, p, last=last) if len(x) else np.zeros(d)
+                z = solvers.solve(x, w, loss, p, last=last, first=first) if len(x) else solvers._start(d, first)
                 found.append(z)
                 meta.append((workload, loss, float(p), m, k, seed, len(x), cells, t1 - t0, time.perf_counter() - t1))
     # One scan for the losses of all solutions.
     vals = np.concatenate([solvers.evaluate(rows, found[i : i + 60], loss, p) for i in range(0, len(found), 60)])
-    best = float(vals.min()) if loss == "lp" else float(vals[0])
+    best = float(vals.min())
     out = [(*a[:6], float(v / best), *a[6:]) for a, v in zip(meta, vals[1:])]
     rows.unpersist(), updates.unpersist()
     return spark.createDataFrame(out, "workload string, loss string, p double, method string, k int, seed int, ratio double, rows int, cells long, t_reduce double, t_solve double")
@@ -97,4 +104,4 @@ def run(spark: SparkSession, sf: str, workload: str, loss: str = "logistic", p:
 
 def summary(results: DataFrame) -> DataFrame:
     """Median ratio over the repetitions, by method and size."""
-    return results.groupBy("workload", "loss", "p", "method", "k").agg(F.round(F.median("ratio"), 4).alias("median_ratio"), F.count("*").alias("repetitions"), F.max("cells").alias("cells"))
+    return results.groupBy("workload", "loss", "p", "method", "k").agg(F.round(F.median("ratio"), 4).alias("median_ratio"), F.count("*").alias("repetitions"), F.max("cells").alias("cells"), F.round(F.median("t_reduce"), 3).alias("reduce_seconds"), F.round(F.median("t_solve"), 3).alias("solve_seconds"))

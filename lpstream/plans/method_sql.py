@@ -2,33 +2,29 @@
 
 from __future__ import annotations
 
-from ..functions.hashing import Hashes, abs_pow_sql, inv_scale_sql
+from ..functions.hashing import Hashes, abs_pow_sql, field_sql, inv_scale_sql
 from ..functions.params import SketchSpec
 
 ORDERS = "select l_orderkey as row_id, l_linenumber - 1 as col_id, l_extendedprice as delta, l_shipdate as ts, l_suppkey % 4 as site, l_returnflag as flag from lineitem"
-USER_DAYS = """select user_id * 1000 + day(ts) as row_id, cast(k.pos as integer) as col_id, value as delta, ts
+USER_DAYS = """select user_id * 100000 + date_diff('day', date '1970-01-01', cast(ts as date)) as row_id, cast(k.pos as integer) as col_id, value as delta, ts
   from events join (select event_type, row_number() over (order by event_type) - 1 as pos from (select distinct event_type from events)) k using (event_type)"""
 
 
-def rep_table(spec: SketchSpec, name: str = "reps") -> str:
-    h = Hashes(spec.seed)
-    rows = ", ".join("(" + ", ".join(map(str, [j, *h.bucket_coef(j), *h.sign_coef(j)])) + ")" for j in range(spec.s))
-    return f"{name}(rep, b0, b1, b2, b3, g0, g1, g2, g3) as (values {rows})"
+PARTS = [f"b{k}" for k in range(8)]
 
 
-def _poly(prefix: str, row: str) -> str:
-    out = f"{prefix}0"
-    for k in (1, 2, 3):
-        out = f"(({out} * {row} + {prefix}{k}) % 2147483647)"
-    return out
+def rep_table(spec: SketchSpec, name: str = "reps") -> str:
+    h = Hashes(spec.seed)
+    rows = ", ".join("(" + ", ".join(map(str, [j, *h.place_coef(j)])) + ")" for j in range(spec.s))
+    return f"{name}(rep, {', '.join(PARTS)}) as (values {rows})"
 
 
 def bucket(spec: SketchSpec, row: str = "row_id") -> str:
-    return f"cast({_poly('b', row)} % {spec.r} as integer)"
+    return f"cast({field_sql(row, PARTS)[0]} % {spec.r} as integer)"
 
 
 def sign(row: str = "row_id") -> str:
-    return f"(case when {_poly('g', row)} < {2147483647 // 2} then -1 else 1 end)"
+    return f"(case when {field_sql(row, PARTS)[1]} < {2147483647 // 2} then -1 else 1 end)"
 
 
 def uniform(spec: SketchSpec, row: str = "row_id") -> str:
@@ -37,17 +33,32 @@ def uniform(spec: SketchSpec, row: str = "row_id") -> str:
 
 def sketch(spec: SketchSpec, source: str = "upd", tag: str = "") -> str:
     """CTEs reps, log, sk over a CTE `source` (row_id, col_id, delta)."""
-    scaled = f"delta * {inv_scale_sql(uniform(spec), spec.p)}" if spec.scale else "delta"
     cut = f" where {uniform(spec)} > {spec.uniform_cut / spec.n!r}" if spec.uniform_cut and spec.n else ""
     return f"""{rep_table(spec, 'reps' + tag)},
-log{tag} as (select row_id, col_id, cast(case when delta < 0 then -floor(-({scaled} * {float(spec.fixed)!r}) + 0.5) else floor({scaled} * {float(spec.fixed)!r} + 0.5) end as bigint) as q from {source}{cut}),
-sk{tag} as (select rep, bucket, col_id, cast(sum(sg * q) as bigint) as val
-  from (select rep, {bucket(spec)} as bucket, col_id, {sign()} as sg, q from log{tag}, reps{tag})
-  group by rep, bucket, col_id having sum(sg * q) <> 0)"""
+{limbs(spec, source + cut, 'log' + tag)},
+sk{tag} as (select rep, bucket, col_id, {VAL} as val
+  from (select rep, {bucket(spec)} as bucket, col_id, {sign()} as sg, h2, h1, h0 from log{tag}, reps{tag})
+  group by rep, bucket, col_id having {VAL} <> 0)"""
+
+
+#: The exact integer of a cell, from sums of signed limbs.
+VAL = f"(sum(sg * h2)::hugeint * {1 << 60} + sum(sg * h1)::hugeint * {1 << 30} + sum(sg * h0)::hugeint)"
+
+
+def limbs(spec: SketchSpec, source: str, name: str, more: str = "") -> str:
+    """CTE of the scaled updates in fixed point, as three limbs."""
+    z = f"delta * {inv_scale_sql(uniform(spec), spec.p)}" if spec.scale else "delta"
+    return f"""{name} as (select row_id, col_id{more}, cast(sz * z2 as bigint) as h2, cast(sz * floor(rest / {float(1 << 30)!r}) as bigint) as h1, cast(sz * (rest - floor(rest / {float(1 << 30)!r}) * {float(1 << 30)!r}) as bigint) as h0
+  from (select *, floor(abs(z) * {float(spec.fixed)!r} - z2 * {float(1 << 60)!r} + 0.5) as rest from (select *, case when z < 0 then -1 else 1 end as sz, floor(abs(z) * {spec.fixed / (1 << 60)!r}) as z2 from (select *, {z} as z from {source}))))"""
+
+
+def number(spec: SketchSpec, val: str = "val") -> str:
+    """A cell as a double."""
+    return f"((case when {val} < 0 then -cast(-{val} as double) else cast({val} as double) end) / {float(spec.fixed)!r}::double)"
 
 
 def norms(spec: SketchSpec, tag: str = "") -> str:
-    return f"norms{tag} as (select rep, bucket, sum({abs_pow_sql(f'(val / {float(spec.fixed)!r})', spec.p)}) as norm from sk{tag} group by rep, bucket)"
+    return f"norms{tag} as (select rep, bucket, sum({abs_pow_sql(number(spec), spec.p)}) as norm from sk{tag} group by rep, bucket)"
 
 
 def threshold(spec: SketchSpec, tag: str = "") -> str:
@@ -67,12 +78,12 @@ def candidates(spec: SketchSpec, limit: int | None, tag: str = "") -> str:
 
 def representatives(spec: SketchSpec, tag: str = "") -> str:
     d = range(spec.d)
-    cols = ", ".join(f"sum(case when col_id = {j} then val / {float(spec.fixed)!r} else 0.0 end) as c{j}" for j in d)
+    cols = ", ".join(f"sum(case when col_id = {j} then {number(spec)} else 0.0 end) as c{j}" for j in d)
     mine = ", ".join(f"sg * coalesce(c{j}, 0.0) as c{j}" for j in d)
     dist = " + ".join(abs_pow_sql(f"(a.c{j} - b.c{j})", spec.p) for j in d)
     return f"""pk{tag} as (select rep, bucket, {cols} from sk{tag} group by rep, bucket),
 mine{tag} as (select p.row_id, p.rep, {mine} from cand{tag} c join probe{tag} p on c.row_id = p.row_id left join pk{tag} k on p.rep = k.rep and p.bucket = k.bucket),
-med{tag} as (select a.row_id, a.rep, median({dist}) as m from mine{tag} a join mine{tag} b on a.row_id = b.row_id and a.rep <> b.rep group by a.row_id, a.rep),
+med{tag} as (select a.row_id, a.rep, quantile_disc({dist}, 0.5) as m from mine{tag} a join mine{tag} b on a.row_id = b.row_id and a.rep <> b.rep group by a.row_id, a.rep),
 rep_rows{tag} as (select m.* from mine{tag} m join (select row_id, rep, row_number() over (partition by row_id order by round(m, 6), rep) as rk from med{tag}) w on m.row_id = w.row_id and m.rep = w.rep where w.rk = 1)"""
 
 

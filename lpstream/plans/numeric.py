@@ -13,7 +13,7 @@ from ..functions.params import SketchSpec, practical
 from ..operators import baselines as bl, coreset, diagnostics, leverage, measures, recover, sampler, sketch as sk, solvers, subspace
 from ..sources import features, updates as up
 from . import experiments, method_sql as q
-from .methods import EVENTS, K, N, ONE, SPECS, UNSCALED, _exact_scaled, planted
+from .methods import EVENTS, K, ONE, SPECS, UNSCALED, _exact_scaled, planted
 
 # --- embeddings and conditioning ---------------------------------------------------
 
@@ -130,7 +130,7 @@ def oblivious_sql(signed: bool, rows: int = 200, levels: int = 5, base: int = 4,
     bucket = f"cast({_poly_sql(coefficients(seed, 'oblivious', 0))} % {rows // levels} as integer)"
     sign = f"case when {_poly_sql(coefficients(seed, 'oblivious sign', 0))} < {1 << 30} then -1.0 else 1.0 end" if signed else "1.0"
     cols = ", ".join(f"round(sum(case when col_id = {j} then delta * ({sign}) else 0.0 end), 4) as c{j}" for j in range(5))
-    return f"with upd as ({q.USER_DAYS}) select {level} as level, {bucket} as bucket, {cols}, pow({float(base)!r}, {level}) as weight from upd group by 1, 2, {level}"
+    return f"with upd as ({q.USER_DAYS}) select {level} as level, {bucket} as bucket, {cols}, pow({float(base)!r}, {level}) / {bl.level_mass(levels, base)!r}::double as weight from upd group by 1, 2, {level}"
 
 
 def online(spark, sf):
@@ -152,6 +152,11 @@ def merge_reduce(spark, sf):
     return bl.merge_reduce(rows, 2000, K).select("row_id", F.round("weight", 4).alias("weight"))
 
 
+def uniform_rows(spark, sf):
+    rows = features.w3_events(spark, sf).persist()
+    return shown(bl.uniform_rows(rows, K, rows.count()))
+
+
 def norm_ams(spark, sf):
     return bl.ams_norm(up.user_days(spark, sf).withColumn("delta", F.round("delta", 2))).select(F.round("estimate", 2).alias("estimate"))
 
@@ -285,7 +290,7 @@ def _sample(spark, sf):
 
 
 _EX = "ex as (select row_id, " + ", ".join(f"sum(case when col_id = {j} then delta else 0.0 end) as x{j}" for j in range(7)) + " from upd group by row_id)"
-_CHAIN = f"with {q.chain(ONE, q.ORDERS, 4 * K)}, {q.top(K)}, {_EX}"
+_CHAIN = f"with {q.chain(ONE, q.ORDERS, None)}, {q.top(K)}, {_EX}"
 _ABS = " + ".join(f"abs(x{j})" for j in range(7))
 
 
@@ -378,7 +383,7 @@ def measure_distortion(spark, sf):
     for kind, f in (("dense", subspace.dense), ("sparse", subspace.sparse)):
         for p in (1.0, 2.0):
             e = subspace.to_numpy(f(log, 120, p), 120, 6)
-            lo, hi = measures.distortion(rows, e, p, 6)
+            lo, hi = measures.distortion(rows, e, p, 6, kind=kind)
             out.append((kind, p, round(lo, 4), round(hi, 4)))
     return spark.createDataFrame(out, "kind string, p double, least double, greatest double")
 
@@ -403,7 +408,7 @@ def measure_convexity(spark, sf):
 
 
 def ratio(workload: str, loss: str, p: float, mixture: str = "", sizes=(50, 200), seeds=range(1)):
-    return lambda spark, sf: experiments.summary(experiments.run(spark, sf, workload, loss, p, sizes, seeds, mixture=mixture)).drop("cells")
+    return lambda spark, sf: experiments.summary(experiments.run(spark, sf, workload, loss, p, sizes, seeds, mixture=mixture)).drop("cells", "reduce_seconds", "solve_seconds")
 
 
 def queries() -> dict:
@@ -415,7 +420,7 @@ def queries() -> dict:
         "coreset_lp": coreset_of("lp", 1.0, "l1"), "coreset_relu": coreset_of("relu", 1.0, "relu"), "coreset_logistic": coreset_of("logistic", 1.0, "logistic"), "coreset_probit": coreset_of("probit", 2.0, "probit"), "coreset_refetch": coreset_refetch,
         "offline_leverage": offline("poisson"), "offline_priority": offline("priority"), "offline_multinomial": offline("multinomial"),
         "oblivious_logistic": oblivious(False), "oblivious_l1": oblivious(True), "online_rows": online, "merge_reduce": merge_reduce,
-        "uniform_rows": lambda spark, sf: shown(bl.uniform_rows(features.w3_events(spark, sf), K, 10 * K)),
+        "uniform_rows": uniform_rows,
         "norm_ams": norm_ams, "norm_cauchy": norm_stable(1.0), "norm_pstable": norm_stable(1.5), "median_lp": median_lp,
         "sample_ams_threshold": by_norm_threshold("ams"), "sample_cauchy_threshold": by_norm_threshold("cauchy"),
         "params_theory": params_theory, "params_conditioning": params_conditioning, "params_previous": params_previous,

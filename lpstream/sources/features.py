@@ -21,7 +21,7 @@ def fold(rows: DataFrame, problem: str) -> DataFrame:
 
 def w1_lineitem(spark: SparkSession, sf: str, problem: str = "logistic") -> DataFrame:
     """Line items; label: returned. Near-uniform leverage: the control."""
-    li = typed(spark, sf, "lineitem").withColumn("row_id", F.xxhash64(*[F.col(c) for c in ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice")]) % (1 << 30) + (1 << 30))
+    li = typed(spark, sf, "lineitem").withColumn("row_id", F.xxhash64(*[F.col(c) for c in ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice")]).bitwiseAND((1 << 61) - 1))
     part = table(spark, sf, "part").select(F.col("p_partkey").alias("l_partkey"), "p_size")
     j = li.join(part, "l_partkey", "left")
     x: list[Column] = [F.lit(1.0).cast("double"), F.col("l_quantity") / 50, F.col("l_discount") * 10, F.col("l_tax") * 10, (F.col("l_linestatus") == "O").cast("double"), F.coalesce(F.col("p_size"), F.lit(25)) / 50.0]

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window, functions as F
+from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
 
 from .tables import typed
 
@@ -25,7 +25,12 @@ def user_days(spark: SparkSession, sf_dir: str) -> DataFrame:
     """User-day x event-type matrix from events; the five types in alphabetical order."""
     e = typed(spark, sf_dir, "events")
     kind = F.array_position(F.array(*[F.lit(t) for t in event_types(spark, sf_dir)]), F.col("event_type")) - 1
-    return e.select((F.col("user_id") * 1000 + F.dayofmonth("ts")).alias("row_id"), kind.cast("int").alias("col_id"), F.col("value").alias("delta"), F.col("ts"))
+    return e.select(user_day(F.col("user_id"), F.col("ts")).alias("row_id"), kind.cast("int").alias("col_id"), F.col("value").alias("delta"), F.col("ts"))
+
+
+def user_day(user: Column, ts: Column) -> Column:
+    """One id for each user and calendar day."""
+    return user * 100_000 + F.unix_date(F.to_date(ts))
 
 
 def event_types(spark: SparkSession, sf_dir: str) -> list[str]:
@@ -37,9 +42,10 @@ def event_types(spark: SparkSession, sf_dir: str) -> list[str]:
 
 
 def validate(updates: DataFrame, d: int) -> DataFrame:
-    """The log as typed triples; a null, a NaN, an infinity or a column out of range raises where it is read."""
-    bad = F.col("row_id").isNull() | F.col("col_id").isNull() | F.col("delta").isNull() | F.isnan("delta") | (F.abs("delta") == float("inf")) | (F.col("col_id") < 0) | (F.col("col_id") >= d) | (F.col("row_id") < 0)
-    return updates.withColumn("delta", F.when(bad, F.raise_error(F.lit("invalid update"))).otherwise(F.col("delta")))
+    """The log as typed triples; what no sketch takes raises where it is read."""
+    from ..operators.sketch import validated
+
+    return validated(updates, d)
 
 
 def from_wide(df: DataFrame, row: str, columns: list[str]) -> DataFrame:

@@ -30,7 +30,7 @@ def events_stream(spark: SparkSession, sf: str, files_per_batch: int = 1) -> Dat
 
 def user_day_updates(events: DataFrame, types: list[str]) -> DataFrame:
     kind = F.array_position(F.array(*[F.lit(t) for t in types]), F.col("event_type")) - 1
-    return events.select((F.col("user_id") * 1000 + F.dayofmonth("ts")).alias("row_id"), kind.cast("int").alias("col_id"), F.col("value").alias("delta"), "ts", "event_id", "user_id")
+    return events.select(up.user_day(F.col("user_id"), F.col("ts")).alias("row_id"), kind.cast("int").alias("col_id"), F.col("value").alias("delta"), "ts", "event_id", "user_id")
 
 
 def updates_stream(spark: SparkSession, sf: str) -> DataFrame:
@@ -66,46 +66,49 @@ def finished(stream: DataFrame, mode: str, keys: list[str] | None = None) -> Dat
 # --- sketches -------------------------------------------------------------------
 
 
+def shown(cells: DataFrame) -> DataFrame:
+    """Cells with their exact integers as text."""
+    return cells.withColumn("val", F.col("val").cast("string"))
+
+
 def sketch_update(spark, sf):
     """The unbounded linear sketch; its final state is the batch sketch."""
-    return finished(sk.build(updates_stream(spark, sf), SPEC), "update", ["rep", "bucket", "col_id"])
+    return shown(finished(sk.build(updates_stream(spark, sf), SPEC), "update", ["rep", "bucket", "col_id"]))
 
 
 def complete_norms(spark, sf):
     """Bucket sums in complete mode, norms read from the last state."""
-    cells = finished(_raw_cells(updates_stream(spark, sf)).groupBy("rep", "bucket", "col_id").agg(F.sum("v").alias("val")), "complete")
-    return recover.bucket_norms(sk.values(cells.filter("val <> 0"), SPEC), 1.0).select("rep", "bucket", F.round("norm", 4).alias("norm"))
+    cells = finished(sk.summed(_raw_cells(updates_stream(spark, sf)), "rep", "bucket", "col_id"), "complete")
+    return recover.bucket_norms(sk.values(cells.filter("val <> 0"), SPEC), 1.0).select("rep", "bucket", F.round("norm", 2).alias("norm"))
 
 
 def _raw_cells(log: DataFrame, *more: str) -> DataFrame:
     """Signed fixed-point cells of every update, before any sum."""
-    t = sk.hashes(SPEC).uniform(F.col("row_id"))
-    q = log.withColumn("q", sk.quantised(F.col("delta"), t, SPEC)).select("row_id", "col_id", "q", *more, sk.reps(SPEC).alias("rep"))
-    return q.select("rep", sk.bucket(SPEC).alias("bucket"), "col_id", (sk.sign(SPEC) * F.col("q")).alias("v"), *more)
+    return sk.signed_cells(sk.limbs(sk.validated(log, SPEC.d), SPEC), SPEC, *more)
 
 
 def _windowed(spark, sf, *window):
     """Windowed cells in append mode; a trailing update far ahead closes the last windows."""
     log = updates_stream(spark, sf).withWatermark("ts", "1 day")
-    cells = _raw_cells(log, "ts").groupBy(F.window("ts", *window), "rep", "bucket", "col_id").agg(F.sum("v").alias("val"))
+    cells = sk.summed(_raw_cells(log, "ts"), F.window("ts", *window), "rep", "bucket", "col_id")
     flat = cells.select(F.unix_seconds(F.col("window.start")).alias("start"), "rep", "bucket", "col_id", "val")
     return finished(flat, "complete").filter("val <> 0")
 
 
 def tumbling(spark, sf):
-    return _windowed(spark, sf, "1 day")
+    return shown(_windowed(spark, sf, "1 day"))
 
 
 def sliding(spark, sf):
-    return _windowed(spark, sf, "7 days", "1 day").groupBy("start").agg(F.count("*").alias("cells"), F.sum("val").alias("total"))
+    return _windowed(spark, sf, "7 days", "1 day").groupBy("start").agg(F.count("*").alias("cells"), F.sum("val").cast("string").alias("total"))
 
 
 def panes(spark, sf):
     """Sliding sketches as sums of daily panes: each pane feeds the seven windows that hold it."""
-    daily = tumbling(spark, sf)
+    daily = _windowed(spark, sf, "1 day")
     shifted = daily.select(F.explode(F.sequence(F.lit(0), F.lit(6))).alias("k"), "start", "rep", "bucket", "col_id", "val").select((F.col("start") - F.col("k") * 86400).alias("start"), "rep", "bucket", "col_id", "val")
     summed = shifted.groupBy("start", "rep", "bucket", "col_id").agg(F.sum("val").alias("val")).filter("val <> 0")
-    return summed.groupBy("start").agg(F.count("*").alias("cells"), F.sum("val").alias("total"))
+    return summed.groupBy("start").agg(F.count("*").alias("cells"), F.sum("val").cast("string").alias("total"))
 
 
 def sessions(spark, sf):
@@ -208,7 +211,7 @@ def foreach_batch(spark, sf):
 
     q = updates_stream(spark, sf).writeStream.option("checkpointLocation", f"{path}-state").foreachBatch(write).trigger(availableNow=True).start()
     q.awaitTermination()
-    return sk.merge(spark.read.option("recursiveFileLookup", "true").parquet(path))
+    return shown(sk.merge(spark.read.option("recursiveFileLookup", "true").parquet(path)))
 
 
 SESSIONS_SQL = """with g as (select user_id, ts, value, event_id, case when ts - lag(ts) over w < interval 30 minutes then 0 else 1 end as opens from events window w as (partition by user_id order by ts, event_id)),
@@ -219,10 +222,8 @@ select user_id, epoch_us(min(ts)) as start, count(*) as n, round(sum(value), 4)
 def _cells_sql(group: str = "", source_extra: str = "") -> str:
     from ..plans import method_sql as q
 
-    scaled = f"delta * (1.0::double / {q.uniform(SPEC)})"
-    fixed = f"case when delta < 0 then -floor(-({scaled} * 256.0) + 0.5) else floor({scaled} * 256.0 + 0.5) end"
-    return f"""with upd as ({q.USER_DAYS}), {q.rep_table(SPEC)},
-cells as (select rep, {q.bucket(SPEC)} as bucket, col_id, {q.sign()} * cast({fixed} as bigint) as v, ts from upd, reps)"""
+    return f"""with upd as ({q.USER_DAYS}), {q.rep_table(SPEC)}, {q.limbs(SPEC, "upd", "log", ", ts")},
+cells as (select rep, {q.bucket(SPEC)} as bucket, col_id, {q.sign()} as sg, h2, h1, h0, ts from log, reps)"""
 
 
 def queries() -> dict:
@@ -236,21 +237,23 @@ def queries() -> dict:
 
 def oracle_sql() -> dict[str, str]:
     c = _cells_sql()
-    sums = "cast(sum(v) as bigint)"
-    cells = f"select rep, bucket, col_id, {sums} as val from cells group by all having sum(v) <> 0"
-    day = f"select (epoch(ts)::bigint // 86400) * 86400 as start, rep, bucket, col_id, {sums} as val from cells group by all having sum(v) <> 0"
-    slide = f"select ((floor(epoch(ts))::bigint // 86400) - k) * 86400 as start, rep, bucket, col_id, sum(v) as val from cells, range(7) r(k) group by all having sum(v) <> 0"
+    from ..plans.method_sql import VAL, number
+
+    sums = f"cast({VAL} as varchar)"
+    cells = f"select rep, bucket, col_id, {sums} as val from cells group by all having {VAL} <> 0"
+    day = f"select (epoch(ts)::bigint // 86400) * 86400 as start, rep, bucket, col_id, {sums} as val from cells group by all having {VAL} <> 0"
+    slide = f"select ((floor(epoch(ts))::bigint // 86400) - k) * 86400 as start, rep, bucket, col_id, {VAL} as val from cells, range(7) r(k) group by all having {VAL} <> 0"
     day = day.replace("epoch(ts)::bigint", "floor(epoch(ts))::bigint")
     return {
         "stream_sketch_update": f"{c} {cells}",
         "sink_foreach_batch": f"{c} {cells}",
-        "stream_complete_norms": f"{c}, s as ({cells}) select rep, bucket, round(sum(abs(val / 256.0)), 4) as norm from s group by all",
+        "stream_complete_norms": f"{c}, s as ({cells.replace(sums, VAL)}) select rep, bucket, round(sum(abs({number(SPEC)})), 2) as norm from s group by all",
         "stream_tumbling": f"{c} {day}",
-        "stream_sliding": f"{c}, s as ({slide}) select start, count(*) as cells, cast(sum(val) as bigint) as total from s group by start",
-        "stream_panes": f"{c}, s as ({slide}) select start, count(*) as cells, cast(sum(val) as bigint) as total from s group by start",
+        "stream_sliding": f"{c}, s as ({slide}) select start, count(*) as cells, cast(sum(val) as varchar) as total from s group by start",
+        "stream_panes": f"{c}, s as ({slide}) select start, count(*) as cells, cast(sum(val) as varchar) as total from s group by start",
         "stream_session": SESSIONS_SQL,
         "stream_set_value_state": "select event_id, round(value - coalesce(lag(value) over (partition by user_id, event_type order by ts, event_id), 0), 6) as delta from events",
-        "stream_dedup": f"select event_id, user_id * 1000 + day(ts) as row_id, cast(k.pos as integer) as col_id, value as delta from events join (select event_type, row_number() over (order by event_type) - 1 as pos from (select distinct event_type from events)) k using (event_type)",
+        "stream_dedup": f"select event_id, user_id * 100000 + date_diff('day', date '1970-01-01', cast(ts as date)) as row_id, cast(k.pos as integer) as col_id, value as delta from events join (select event_type, row_number() over (order by event_type) - 1 as pos from (select distinct event_type from events)) k using (event_type)",
         "stream_static_join": "select c_mktsegment, count(*) as n, round(sum(value), 2) as mass from events left join customer on user_id = c_custkey group by 1",
         "stream_stream_join": "select c.event_id as click, p.event_id as purchase from events c join events p on c.user_id = p.user_id and p.ts >= c.ts and p.ts < c.ts + interval '1' hour where c.event_type = 'click' and p.event_type = 'purchase'",
         "src_stream_files": "select event_type, count(*) as n from events group by 1",

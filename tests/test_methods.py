@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from lpstream.functions import params
-from lpstream.functions.hashing import Hashes, poly_numpy
+from lpstream.functions.hashing import FIELD, PRIME, Hashes, coefficients, field_numpy
 from lpstream.functions.params import SketchSpec, practical
 from lpstream.operators import baselines as bl, diagnostics, measures, recover, sampler, sketch as sk
 from lpstream.plans import rules
@@ -42,6 +42,65 @@ def test_sums_differences_and_retractions_are_exact(log, p):
     assert sk.build(log.limit(0), spec).count() == 0
 
 
+def test_small_updates_add_up(spark):
+    """A thousand updates of 0.001 are one of 1.0; nothing is rounded away before the sum."""
+    many = spark.range(1000).selectExpr("5L as row_id", "0 as col_id", "0.001D as delta")
+    one = spark.range(1).selectExpr("5L as row_id", "0 as col_id", "1.0D as delta")
+    for p in (1.0, 1.5, 2.0):
+        spec = SketchSpec(p=p, r=50, s=3, d=1)
+        for engine in ("sql", "arrow"):
+            a, b = (cells(sk.values(sk.build(x, spec, engine), spec)) for x in (many, one))
+            assert a.keys() == b.keys() and all(abs(a[k] / b[k] - 1) < 1e-9 for k in a)
+
+
+def test_sketch_against_a_float_twin(spark, sf):
+    """Cells of the skewed event features equal sums in doubles, in both engines."""
+    from lpstream.operators import leverage
+    from lpstream.sources import features
+
+    log = leverage.long_rows(features.w3_events(spark, sf)).persist()
+    spec = SketchSpec(p=1.0, r=100, s=3, d=6)
+    h, want = Hashes(spec.seed), {}
+    rows = np.array([(r.row_id, r.col_id, r.delta) for r in log.select("row_id", "col_id", "delta").collect()])
+    ids = rows[:, 0].astype(np.int64)
+    z = rows[:, 2] / h.uniform_numpy(ids)
+    for j in range(spec.s):
+        at, sg = h.place_numpy(ids, j, spec.r)
+        for b, c, v in zip(at.tolist(), rows[:, 1].astype(int).tolist(), (sg * z).tolist()):
+            want[j, b, c] = want.get((j, b, c), 0.0) + v
+    scale = max(map(abs, want.values()))
+    for engine in ("sql", "arrow"):
+        got = cells(sk.values(sk.build(log, spec, engine), spec))
+        assert all(abs(got.get(k, 0.0) - v) <= 1e-9 * max(1.0, abs(v)) + 1e-13 * scale for k, v in want.items())
+
+
+def test_wide_ids_large_sums_and_bad_updates(spark):
+    spec = SketchSpec(p=1.0, r=40, s=3, d=2)
+    ids = [2**34 + 5, 2**60, 2**60 + 1, FIELD - 1, 2**31 - 1, 2**31 - 2]
+    log = spark.createDataFrame([(i, k % 2, v) for k, i in enumerate(ids) for v in (1e9, -3.25, 1e-7)], "row_id long, col_id int, delta double")
+    a, b = cells(sk.build(log, spec, "sql")), cells(sk.build(log, spec, "arrow"))
+    assert a == b and len(a) >= 2 * len(ids)
+    h = Hashes(spec.seed)
+    got = log.select("row_id", h.uniform(F.col("row_id")).alias("t"), h.bucket_at(F.col("row_id"), F.lit(1), 40, 3).alias("b"), h.sign_at(F.col("row_id"), F.lit(1), 3).alias("s")).distinct().collect()
+    at, sign = h.place_numpy(np.array([r.row_id for r in got]), 1, 40)
+    assert [r.b for r in got] == at.tolist() and [r.s for r in got] == sign.tolist() and [r.t for r in got] == h.uniform_numpy(np.array([r.row_id for r in got])).tolist()
+    # the field: the same polynomial in plain integers
+    coef = coefficients(1, "x")
+    for i in ids:
+        x, y, u, v = i % PRIME, i // PRIME, coef[0], coef[1]
+        for c, e in zip(coef[2::2], coef[3::2]):
+            u, v = (u * x - v * y + c) % PRIME, (u * y + v * x + e) % PRIME
+        assert tuple(int(p[0]) for p in field_numpy(np.array([i]), coef)) == (u, v)
+    large = spark.createDataFrame([(1, 0, 1e24)] * 3, "row_id long, col_id int, delta double")
+    val = next(iter(cells(sk.build(large, replace(spec, scale=False), "sql")).values()))
+    assert abs(abs(float(val)) / 2**40 / 3e24 - 1) < 1e-12
+    for bad in [(1, 2, 1.0), (-1, 0, 1.0), (1, 0, float("nan")), (None, 0, 1.0), (FIELD, 0, 1.0)]:
+        one = spark.createDataFrame([bad], "row_id long, col_id int, delta double")
+        for engine in ("sql", "arrow"):
+            with pytest.raises(Exception, match="invalid update"):
+                sk.build(one, spec, engine).collect()
+
+
 def test_projection_commutes(spark, log):
     m = np.random.default_rng(0).normal(size=(7, 3))
     got = cells(sk.project(sk.build(log, SPEC), SPEC, m))
@@ -93,9 +152,9 @@ def test_history_to_deltas(spark):
 def test_polynomial_hashes(spark):
     h = Hashes(42)
     ids = np.arange(15_000)
-    t = (poly_numpy(ids, h.t_coef()) + 1) / 2**31
+    t = h.uniform_numpy(ids)
     assert np.allclose(np.quantile(t, [0.1, 0.25, 0.5, 0.75, 0.9]), [0.1, 0.25, 0.5, 0.75, 0.9], atol=0.02) and t.min() > 0
-    b = poly_numpy(ids, h.bucket_coef(2)) % 500
+    b = h.bucket_numpy(ids, 2, 500)
     pairs = (np.bincount(b).astype(float) * (np.bincount(b) - 1)).sum() / (15_000 * 14_999)
     assert abs(pairs * 500 - 1) < 0.1
     row = spark.range(100).select(F.col("id").alias("row_id"))
@@ -122,7 +181,7 @@ def planted_log(spark, n=600, d=7, heavy=5, seed=0):
 def test_heavy_rows_are_listed_and_close(spark):
     a, log = planted_log(spark)
     eps = 0.5
-    spec = SketchSpec(p=1.0, r=1200, s=11, d=7, scale=False, list_multiplier=12 / eps, fixed=1 << 16)
+    spec = SketchSpec(p=1.0, r=1200, s=101, d=7, scale=False, list_multiplier=12 / eps)  # the guarantee needs many repetitions: of 11, most may miss every row in the fixed bucket
     norms = recover.bucket_norms(sk.values(sk.build(log, spec), spec), 1.0).persist()
     found = recover.representatives(recover.candidates(up.ids(log), norms, spec, recover.threshold_value(norms, spec)), sk.build(log, spec), spec).collect()
     assert {r.row_id for r in found} >= set(range(5))
@@ -152,6 +211,39 @@ def test_sampler_agrees_with_the_exact_twin(spark, log, p):
     assert abs(alpha[0] / alpha[1] - 1) < 0.15 and all(r.weight >= 1 and r.prob <= 1 for r in got)
 
 
+@pytest.mark.parametrize("p", [1.0, 1.5, 2.0])
+@pytest.mark.parametrize("seed", [1, 2])
+def test_pruned_sample_is_the_whole_lists(spark, log, p, seed):
+    """Rows left out by their estimates never belong to the sample, with a conditioning matrix or without."""
+    k, r = (5, 60) if seed == 1 else (40, 400)
+    matrix = None if seed == 1 else np.random.default_rng(seed).normal(size=(7, 7))
+    spec = SketchSpec(p=p, r=r, s=7, d=7, seed=seed)
+    c, ids = sk.build(log, spec).persist(), up.ids(log)
+    few = sampler.sample(c, ids, spec, k, matrix=matrix)
+    every = sampler.with_cut(sampler.scaled_rows(c, ids, spec, k, matrix, floor=0.0), k)
+    assert sorted((r.row_id, r.weight) for r in few.collect()) == sorted((r.row_id, r.weight) for r in every.collect())
+
+
+def test_two_runs_of_few_rows(spark):
+    """Fewer rows than the cut's rank: all of them, certain."""
+    log = spark.createDataFrame([(i, 0, 1.0 + i) for i in range(20)], "row_id long, col_id int, delta double")
+    spec = SketchSpec(p=1.0, r=4000, s=7, d=1)
+    other = sampler.second(spec)
+    got = sampler.sample_two_run(sk.build(log, spec).persist(), spec, sk.build(log, other).persist(), other, up.ids(log), 40).collect()
+    assert len(got) == 20 and all(r.weight == 1 for r in got)
+
+
+def test_multinomial_and_levels(spark):
+    """Draws are binomial with the right mean and spread; levels weigh one in expectation."""
+    rows = spark.range(20_000).selectExpr("id as row_id", "array(1.0D) as vec", "cast(1 + id % 4 as double) as score")
+    got = bl.offline_sample(rows, 5000, "multinomial").collect()
+    draws = [round(r.weight * 5000 * r.norm_p / 50_000, 6) for r in got]
+    assert all(d == round(d) for d in draws) and abs(sum(draws) - 5000) < 300 and max(draws) >= 3
+    log = spark.range(20_000).selectExpr("id as row_id", "0 as col_id", "1.0D as delta")
+    total = bl.oblivious(log, 500, d=1).selectExpr("sum(vec[0] * weight) as s").first()[0]
+    assert abs(total / 20_000 - 1) < 0.1
+
+
 def test_two_run_size(spark, log):
     k, spec = 40, practical(160, 1.0, 7)
     other = sampler.second(spec)
@@ -203,7 +295,7 @@ def test_threshold_sandwich(spark):
     rows = up.exact_rows(log, 7).persist()
     hold = 0
     for seed in range(6):
-        spec = SketchSpec(p=1.0, r=400, s=101, d=7, scale=False, seed=seed, fixed=1 << 12)
+        spec = SketchSpec(p=1.0, r=400, s=101, d=7, scale=False, seed=seed)
         s = diagnostics.sandwich(rows, sk.build(log, spec, engine="arrow").persist(), spec)
         hold += s["lower"] <= s["m0"] * 1.02 and s["m0"] <= s["upper"]
     assert hold >= 5
