@@ -19,6 +19,7 @@ from . import recover, sketch as sk
 #: A representative's norm is at most this many times its row's estimate (lp distances are a metric up to the p-th power): more than half
 #: of the repetitions have norms of the median E at least, the least median distance is at most 2 E; a little more for rounded distances.
 REACH = 3.001
+SHORT = 16  # lists up to so many times k are represented whole
 
 
 def norm_of(vec: Column, p: float) -> Column:
@@ -45,7 +46,9 @@ def scaled_rows(cells: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, matr
         listed = recover.best_candidates(listed, budget * k)
     else:
         listed = listed.persist()
-        if floor is None:
+        if floor is None and listed.count() <= SHORT * k:
+            floor = 0.0  # the same rows: a short list isn't worth the first look
+        elif floor is None:
             first = recover.representatives(recover.best_candidates(listed, 2 * k + 2), view, spec, d, fixed=False)
             floor = cut_at(first.select("row_id", norm_of(F.col("vec"), spec.p).alias("scaled")).orderBy(F.desc("scaled"), "row_id").limit(k + 1), k + 1)
         listed = listed.filter((F.col("est_norm") + 1e-6) * REACH**spec.p >= floor)
