@@ -411,11 +411,10 @@ def jaccard(a: np.ndarray, b: np.ndarray) -> float:
     return both / max(1, len(a) + len(b) - both)
 
 
-def _mixed_pairs(batches, heavy: int, last: bool, nearest: bool, least: float):
+def _mixed_pairs(batches, heavy: int, last: bool, least: float):
     """Sorted (key, node, root, size, codes, blocks) batches to rows (kind, key, a, b): 0 a pair of one list that may be similar (key: how much its sets differ), of different roots, 1 an entry (node a) of a list longer than `heavy`, passed on as it comes.
 
-    With `nearest`, a node (a) meets the nearest other only.  Fingerprints within
-    LOOSE_BITS and fitting sizes go on to the codes, 16 bits of each shingle: the
+    Fingerprints within LOOSE_BITS and fitting sizes go on to the codes, 16 bits of each shingle: the
     shingles of one set whose code the other has are at least those they share,
     so no similar pair is refused, and hardly one that isn't leaves the task.
     """
@@ -439,7 +438,7 @@ def _mixed_pairs(batches, heavy: int, last: bool, nearest: bool, least: float):
                     continue  # all of one root
                 bits = np.bitwise_count(fp[mine, None] ^ fp[None, theirs]).sum(axis=2, dtype=np.int64)
                 near = (bits <= LOOSE_BITS) | (np.maximum(size[mine, None], size[None, theirs]) <= TINY)
-                near &= (root[mine, None] != root[None, theirs]) if nearest else (root[mine, None] < root[None, theirs])
+                near &= root[mine, None] < root[None, theirs]
                 near &= least * np.maximum(size[mine, None], size[None, theirs]) <= np.minimum(size[mine, None], size[None, theirs]) + 1e-9
                 for p in np.flatnonzero(near.any(axis=1)):
                     close[p].append(j + np.flatnonzero(near[p]))
@@ -452,8 +451,6 @@ def _mixed_pairs(batches, heavy: int, last: bool, nearest: bool, least: float):
                 has[own] = False
                 differ = len(own) + size[other] - 2 * np.minimum(shared, len(own))
                 similar = np.flatnonzero(shared >= least * (len(own) + size[other] - shared) - 1e-9)
-                if nearest and len(similar):
-                    similar = similar[[np.lexsort((node[other[similar]], differ[similar]))[0]]]
                 if len(similar):
                     yield rows(0, differ[similar], np.full(len(similar), node[i + p]), node[other[similar]])
 
@@ -487,12 +484,12 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
 
     Equal sets collapse first.  Candidates within LOOSE_BITS of fingerprint are
     verified on their sets of 64-bit shingle hashes.  The first round takes one
-    node of each list with the others.  Further rounds take the lists whose nodes
-    are still in different groups and compare them inside the scan by 16-bit
-    codes of their shingles: each node goes to its nearest of another group, in the
-    last round to all that seem similar, so that a large group is linked before
-    any two of its members are asked for, and what leaves a task is verified.  A list beyond `heavy` is split by each further list that its entries
-    share (a pair at 0.8 then shares none with probability 6e-5).
+    node of each list with the others.  The second takes the lists whose nodes are
+    still in different groups and compares them inside the scan by 16-bit codes of
+    their shingles: pairs of different groups that seem similar leave the task and
+    are verified, so a large group is linked before its pairs are asked for.  A
+    list beyond `heavy` is split by each further list that its entries share (a
+    pair at 0.8 then shares none with probability 6e-5).
     """
     cols, heavy = names(NEAR), heavy or HEAVY
     k0, k1 = row_key(docs)
@@ -517,13 +514,15 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
     texts = checkpointed(pick(docs, wanted, [text]).toDF("text", "node"))
     prints = best.select("node", "size", *cols)
 
-    def verified(pairs: DataFrame) -> DataFrame:
+    def verified(pairs: DataFrame, compared: bool) -> DataFrame:
         def side(d: DataFrame, end: str) -> DataFrame:
             return d.select(*[F.col(c).alias(end if c == "node" else f"{end}_{c}") for c in d.columns])
 
         bits = sum((F.bit_count(F.col(f"a_{c}").bitwiseXOR(F.col(f"b_{c}"))) for c in cols[1:]), F.bit_count(F.col(f"a_{cols[0]}").bitwiseXOR(F.col(f"b_{cols[0]}"))))
         fits = F.lit(least) * F.greatest("a_size", "b_size") <= F.least("a_size", "b_size") + F.lit(1e-9)
-        loose = pairs.distinct().join(side(prints, "a"), "a").join(side(prints, "b"), "b").filter(fits & ((bits <= LOOSE_BITS) | (F.greatest("a_size", "b_size") <= TINY))).select("a", "b")
+        loose = pairs.distinct()
+        if not compared:  # by their fingerprints
+            loose = loose.join(side(prints, "a"), "a").join(side(prints, "b"), "b").filter(fits & ((bits <= LOOSE_BITS) | (F.greatest("a_size", "b_size") <= TINY))).select("a", "b")
 
         def check(batches):
             last, x = None, None
@@ -542,26 +541,23 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
             found = [np.unique(shingles(t, NEAR.width)).astype(np.uint16).tobytes() for t in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], names=["node", "codes"])
 
-    def mixed(lists: DataFrame, last: bool, nearest: bool) -> DataFrame:
+    def mixed(lists: DataFrame, last: bool) -> DataFrame:
         dealt = lists.join(prints, "node").join(codes, "node").select("key", "node", "root", "size", "codes", *cols).repartition("key").sortWithinPartitions("key")
-        return dealt.mapInArrow(lambda it: _mixed_pairs(it, heavy, last, nearest, least), "kind byte, key long, a long, b long")
-
-    found = verified(met.filter("node <> hub").select(F.least("hub", "node").alias("a"), F.greatest("hub", "node").alias("b")))
-    open_, codes = met.select("key", "node"), None
-    for nearest in (True, False):
-        rooted = checkpointed(prints.select("node").join(components(found), "node", "left").select("node", F.coalesce("root", "node").alias("root")))
-        placed = open_.join(rooted, "node")
-        several = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
-        open_ = checkpointed(placed.join(several, "key").select("key", "node", "root"))
-        if open_.isEmpty():
-            break
-        if codes is None:
-            codes = checkpointed(texts.join(open_.select("node").distinct(), "node", "left_semi").select("node", "text").mapInArrow(coded, "node long, codes binary"))
-        close = checkpointed(mixed(open_, False, nearest))
+        return dealt.mapInArrow(lambda it: _mixed_pairs(it, heavy, last, least), "kind byte, key long, a long, b long")
+
+    found = verified(met.filter("node <> hub").select(F.least("hub", "node").alias("a"), F.greatest("hub", "node").alias("b")), False)
+    rooted = checkpointed(prints.select("node").join(components(found), "node", "left").select("node", F.coalesce("root", "node").alias("root")))
+    placed = met.select("key", "node").join(rooted, "node")
+    several = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
+    open_ = checkpointed(placed.join(several, "key").select("key", "node", "root"))
+    codes = checkpointed(texts.join(open_.select("node").distinct(), "node", "left_semi").select("node", "text").mapInArrow(coded, "node long, codes binary"))
+    close = checkpointed(mixed(open_, False))
+    pairs = close.filter("kind = 0").select("a", "b")
+    if not close.filter("kind = 1").isEmpty():
         finer = close.filter("kind = 1").select("key", F.col("a").alias("node")).join(best.select("node", F.explode("bands").alias("other")), "node").filter("other <> key").select(F.xxhash64("key", "other").alias("key"), "node")
-        pairs = close.filter("kind = 0").union(mixed(finer.join(rooted, "node"), True, nearest))
-        if nearest:
-            pairs = pairs.groupBy("a").agg(F.min(F.struct("key", "b")).alias("m")).select("a", F.col("m.b").alias("b"))
-        found = found.union(verified(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))))
-        open_ = open_.select("key", "node")
-    return _survivors(docs, best, components(found))
+        pairs = pairs.union(mixed(finer.join(rooted, "node"), True).select("a", "b"))
+    more = verified(pairs, True)
+    # Links of groups: what the first round joined stays joined, so only its roots meet the new links.
+    roots = components(more.join(rooted.select(F.col("node").alias("a"), F.col("root").alias("ra")), "a").join(rooted.select(F.col("node").alias("b"), F.col("root").alias("rb")), "b").select(F.col("ra").alias("a"), F.col("rb").alias("b")))
+    final = rooted.join(roots.select(F.col("node").alias("root"), F.col("root").alias("top")), "root", "left").select("node", F.coalesce("top", "root").alias("root"))
+    return _survivors(docs, best, final)
