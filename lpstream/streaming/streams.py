@@ -71,9 +71,13 @@ def shown(cells: DataFrame) -> DataFrame:
     return cells.withColumn("val", F.col("val").cast("string"))
 
 
-def sketch_update(spark, sf):
+def sketch_state(spark, sf):
     """The unbounded linear sketch; its final state is the batch sketch."""
-    return shown(finished(sk.build(updates_stream(spark, sf), SPEC), "update", ["rep", "bucket", "col_id"]))
+    return finished(sk.build(updates_stream(spark, sf), SPEC), "update", ["rep", "bucket", "col_id"])
+
+
+def sketch_update(spark, sf):
+    return shown(sketch_state(spark, sf))
 
 
 def complete_norms(spark, sf):
@@ -172,7 +176,7 @@ def stream_join(spark, sf):
 
 def snapshot_sample(spark, sf):
     """Post-processing of the latest state into a sample."""
-    cells = sketch_update(spark, sf).filter("val <> 0").persist()
+    cells = sketch_state(spark, sf).filter("val <> 0").persist()
     ids = up.ids(up.user_days(spark, sf))
     s = sampler.sample(cells, ids, SPEC, 20)
     return s.select("row_id", F.round("norm_p", 2).alias("norm_p"), F.round("prob", 6).alias("prob"))

@@ -15,7 +15,7 @@ def split(spark, sf, path, parts=4):
 
 
 def cells(df):
-    return {(r.rep, r.bucket, r.col_id): r.val for r in df.filter("val <> 0").collect()}
+    return {(r.rep, r.bucket, r.col_id): int(r.val) for r in df.filter("val <> 0").collect()}
 
 
 def test_stream_is_batch_over_micro_batches(spark, sf, tmp_path):
