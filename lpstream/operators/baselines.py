@@ -43,7 +43,12 @@ def cap_level(normed: DataFrame, k: float, column: str = "norm_p", rounds: int =
         below = [a for a, s in zip(grid, sums) if s >= k]
         above = [a for a, s in zip(grid, sums) if s < k]
         lo, hi = max(below, default=lo), min(above, default=hi)
-    return hi
+    # From a cut that is not too low, spreading the rest evenly leads down to the exact one in a few steps.
+    while True:
+        certain, rest = normed.filter(F.col(column) > 0).agg(F.count_if(F.col(column) >= F.lit(hi)), F.sum(F.when(F.col(column) < F.lit(hi), F.col(column)))).first()
+        if certain >= k or not rest or rest / (k - certain) >= hi * (1 - 1e-13):
+            return hi
+        hi = float(rest / (k - certain))
 
 
 def offline_sample(scored: DataFrame, k: int, mode: str = "poisson", seed: int = 0) -> DataFrame:
@@ -53,7 +58,7 @@ def offline_sample(scored: DataFrame, k: int, mode: str = "poisson", seed: int =
     score/u, weights by the cut; multinomial: draws with replacement, merged, each
     row's number of draws binomial out of k (k draws together in expectation).
     """
-    u = Hashes(seed + 5, "fast").uniform(F.col("row_id"))
+    u = Hashes(seed + 5).uniform(F.col("row_id"))
     scored = scored.persist()  # read once for the cut and once for the draw
     if mode == "priority":
         few = scored.filter("score > 0").withColumn("key", F.col("score") / u).orderBy(F.desc("key"), "row_id").limit(k + 1)

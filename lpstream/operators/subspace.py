@@ -62,13 +62,13 @@ def to_numpy(embedded: DataFrame, m: int, d: int) -> np.ndarray:
 
 
 def conditioner(embedded: np.ndarray, ridge: float = 1e-9) -> np.ndarray:
-    """P = R^-1 from a QR of the embedding; dependent columns are lifted by a small ridge."""
+    """P = R^-1 from a QR of the embedding, R with a positive diagonal; dependent columns are lifted by a small ridge."""
     d = embedded.shape[1]
     scale = max(np.abs(embedded).max(), 1e-300)
     _, r = np.linalg.qr(embedded)
     if np.abs(np.diag(r)).min(initial=scale) < 1e-10 * scale:
         _, r = np.linalg.qr(np.vstack([embedded, np.sqrt(ridge) * scale * np.eye(d)]))
-    return np.linalg.inv(r)
+    return np.linalg.inv(np.where(np.diag(r) < 0, -1.0, 1.0)[:, None] * r)
 
 
 def gram(rows: DataFrame, d: int) -> np.ndarray:

@@ -12,7 +12,7 @@ from ..functions.hashing import coefficients
 from ..functions.params import SketchSpec, practical
 from ..operators import baselines as bl, coreset, diagnostics, leverage, measures, recover, sampler, sketch as sk, solvers, subspace
 from ..sources import features, updates as up
-from . import experiments, method_sql as q
+from . import conditioned_sql as cs, experiments, method_sql as q
 from .methods import EVENTS, K, ONE, SPECS, UNSCALED, _exact_scaled, planted
 
 # --- embeddings and conditioning ---------------------------------------------------
@@ -59,7 +59,7 @@ def reweighted(spark, sf):
 
 def shown(df: DataFrame) -> DataFrame:
     """Sample rows with the vector as text, for any width."""
-    return df.select("row_id", F.array_join(F.transform("vec", lambda v: F.format_number(v, 4)), " ").alias("vec"), F.round("prob", 6).alias("prob"), F.round("weight", 4).alias("weight"))
+    return df.select("row_id", F.array_join(F.transform("vec", lambda v: F.format_number(v, 5)), " ").alias("vec"), F.round("prob", 6).alias("prob"), F.round("weight", 4).alias("weight"))
 
 
 def leverage_sample(p: float, k: int = K):
@@ -439,6 +439,17 @@ def oracle_sql() -> dict[str, str]:
     est = " + ".join(f"abs(c{j})" for j in range(7))
     join = "from smp s join ex e on s.row_id = e.row_id"
     return {
+        "embed_dense_cauchy": cs.dense_query(1.0),
+        "embed_dense_gauss": cs.dense_query(2.0),
+        "embed_dense_p15": cs.dense_query(1.5),
+        "embed_sparse": cs.sparse_query(),
+        "conditioner": cs.conditioner_query(),
+        "leverage_exact_l2": cs.exact_query(),
+        "leverage_scores_p1": cs.scores_query(1.0),
+        "leverage_scores_p15": cs.scores_query(1.5),
+        "uniform_rows": cs.uniform_query(K),
+        "offline_leverage": cs.offline_query("poisson", K),
+        "offline_priority": cs.offline_query("priority", K),
         "oblivious_logistic": oblivious_sql(False),
         "oblivious_l1": oblivious_sql(True),
         "online_rows": online_sql(),
