@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 from ..functions import losses
 from ..functions.hashing import Hashes
 from ..functions.params import SketchSpec
-from ..plans import method_sql as q
+from ..plans import conditioned_sql as cs, method_sql as q
 from ..sources import features, formats, updates as up
 from ..sources.tables import sql, table, typed
 from . import recover, sampler, sketch as sk, udfs
@@ -283,6 +283,9 @@ PAIRS = {
     "fn_url_html": (url_html, "select page_id, (length(url) - length(replace(url, '/', '')))::int as depth, len(string_split(html, '<p>'))::int - 1 as n_p, regexp_extract(url, '://([^/?#]*)', 1) as host from pages"),
     "prj_features_events": (features_events, EVENTS_SQL),
     "prj_features_conversations": (conversations_matrix, CONV_SQL),
+    "prj_label_fold": (label_fold, cs.fold_query()),
+    "prj_features_pages": (pages_matrix, cs.pages_query()),
+    "prj_features_documents": (lambda s, d: shown(features.w2_documents(s, d), 6), cs.documents_query()),
     "prj_hash_tokens": (hash_tokens, HASH_TOKENS_SQL),
     "flt_carve_uniform": (carve_uniform, CARVE_SQL),
     "join_left_outer_zero_buckets": (zero_buckets, f"{_FULL} select r.rep, b.bucket, round(coalesce(n.norm, 0.0), 4) as norm from reps r cross join (select range::int as bucket from range(50)) b left join norms n on n.rep = r.rep and n.bucket = b.bucket"),
@@ -300,10 +303,7 @@ PAIRS = {
 ROWS_ONLY = {
     "fn_hash_fast": hash_fast,
     "prj_features_lineitem": lambda s, d: shown(features.w1_lineitem(s, d), 7),
-    "prj_features_documents": lambda s, d: shown(features.w2_documents(s, d), 6),
-    "prj_features_pages": pages_matrix,
     "prj_features_embeddings": lambda s, d: shown(features.w13_embeddings(s, d), 64),
-    "prj_label_fold": label_fold,
     "grouped_reduce": grouped_reduce,
     "src_updates_python_source": python_source,
 }

@@ -5,8 +5,9 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import DataFrame, functions as F
 
+from ..functions.hashing import abs_pow
 from .sampler import norm_of
-from .solvers import evaluate, objective
+from .solvers import dot, evaluate, objective, solve_full
 
 
 def row_error(sampled: DataFrame, exact: DataFrame, p: float) -> DataFrame:
@@ -60,7 +61,7 @@ def default_panel(d: int, count: int = 24, seed: int = 0) -> list[np.ndarray]:
 
 
 def conditioning(rows: DataFrame, matrix: np.ndarray, d: int, p: float, panel: int = 64, seed: int = 0) -> dict:
-    """Measured alpha and beta of U = A P: alpha is the entry-wise norm; beta exact for p = 2, else the worst of a panel."""
+    """Measured alpha and beta of U = A P: alpha is the entry-wise norm; beta exact for p = 2, by d l1 fits (each coordinate pinned once) for p = 1, else the worst of a panel."""
     from .leverage import projected
     from .subspace import gram
 
@@ -71,11 +72,56 @@ def conditioning(rows: DataFrame, matrix: np.ndarray, d: int, p: float, panel: i
     else:
         zs = default_panel(d, panel, seed)
         vals = evaluate(u, zs, "lp", p) ** (1 / p)
-        q = np.inf if p == 1 else p / (p - 1)
-        beta = max(np.linalg.norm(z, q) / v for z, v in zip(zs, vals))
+        beta = max(np.linalg.norm(z, _dual(p)) / v for z, v in zip(zs, vals))
+        if p == 1:
+            beta = max(beta, *pinned_fits(u, d))
     return {"alpha": alpha, "beta": float(beta), "power": float((alpha * beta) ** p)}
 
 
+def _dual(p: float) -> float:
+    return np.inf if p == 1 else p / (p - 1)
+
+
+def pinned_fits(u: DataFrame, d: int) -> list[float]:
+    """For each coordinate, 1 over the least l1 norm of U z with that coordinate at one in size: their largest is beta for p = 1."""
+    out = []
+    for j in range(d):
+        order = [i for i in range(d) if i != j] + [j]
+        turned = u.select("row_id", F.array(*[F.col("vec")[i] for i in order]).alias("vec"))
+        z = solve_full(turned, d, "lp", 1.0, -1.0)
+        out.append(float(np.abs(z).max() / evaluate(turned, [z], "lp", 1.0)[0]))
+    return out
+
+
+def leverage_bounds(rows: DataFrame, matrix: np.ndarray, d: int, p: float, panel: int = 64, seed: int = 0) -> dict:
+    """Leverage against its bounds in U = A P: the sum of the leverage scores, (alpha beta)^p above it, and the largest share that a row's leverage has of beta^p times its norm in U.
+
+    Leverage is exact for p = 2 and else the supremum over a panel of directions, a lower bound; the rows are read three times and never sorted or joined.
+    """
+    from .leverage import projected
+    from .subspace import exact_conditioner
+
+    u = rows.select("row_id", projected(matrix).alias("vec"))
+    known = conditioning(rows, matrix, d, p, panel, seed)
+    if p == 2:
+        lev = norm_of(projected(exact_conditioner(u, d)), 2.0)
+    else:
+        zs = default_panel(d, panel, seed)
+        lev = F.greatest(*[abs_pow(dot(z), p) / F.lit(float(v)) for z, v in zip(zs, evaluate(u, zs, "lp", p))])
+    bound = norm_of(F.col("vec"), p) * F.lit(known["beta"] ** p)
+    whole, share = u.select(lev.alias("lev"), bound.alias("bound")).agg(F.sum("lev"), F.max(F.when(F.col("bound") > 0, F.col("lev") / F.col("bound")))).first()
+    return {"leverage_sum": float(whole), "bound": known["power"], "share": float(share)}
+
+
+def inclusion_bands(drawn: DataFrame, norms: DataFrame, k: int, repetitions: int) -> DataFrame:
+    """(band, rows, frequency, floor): mean inclusion of the rows (row_id, one row a draw) against the guaranteed min(1, k norm / total), by powers of two of the floor."""
+    total = float(norms.agg(F.sum("norm_p")).first()[0])
+    floor = F.least(F.lit(1.0), F.col("norm_p") * F.lit(k / total))
+    seen = drawn.groupBy("row_id").agg((F.count("*") / F.lit(float(repetitions))).alias("frequency"))
+    both = norms.filter("norm_p > 0").join(seen, "row_id", "left").select(F.coalesce("frequency", F.lit(0.0)).alias("frequency"), floor.alias("floor"))
+    return both.groupBy(F.floor(F.log2("floor")).cast("int").alias("band")).agg(F.count("*").alias("rows"), F.avg("frequency").alias("frequency"), F.avg("floor").alias("floor"))
+
+
 def distortion(rows: DataFrame, embedded: np.ndarray, p: float, d: int, count: int = 32, kind: str = "dense") -> tuple[float, float]:
     """Least and greatest ratio of the embedded to the true norm over a panel: dense, by the median over the stable variable's (p < 2) or the root mean square; sparse, by the lp norm."""
     from .baselines import stable_scale

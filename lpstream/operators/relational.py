@@ -47,9 +47,9 @@ SHARED: dict[str, str] = {
     # --- sorts and sets
     "top_k_scaled": "select l_orderkey, l_linenumber, l_extendedprice from lineitem order by l_extendedprice desc, l_orderkey, l_linenumber, l_suppkey limit 50",
     "top_k_per_site": "select site, row_id, norm from (select site, row_id, norm, row_number() over (partition by site order by norm desc, row_id) as k from (select l_suppkey % 4 as site, l_orderkey as row_id, round(sum(l_extendedprice), 2) as norm from lineitem group by l_suppkey % 4, l_orderkey) a) b where k <= 20",
-    "sort_nulls_multi": "select doc_id, quality from (select d.doc_id, l.quality from documents d left join labels l on d.doc_id = l.doc_id) x order by quality desc nulls last, doc_id limit 300",
+    "sort_nulls_multi": "select doc_id, quality from (select d.doc_id, l.quality from documents d left join labels l on d.doc_id = l.doc_id) x order by quality desc nulls last, doc_id",
     "limit_offset": "select o_orderkey from orders order by o_totalprice desc, o_orderkey limit 25 offset 40",
-    "set_union_all_sites": "select l_orderkey as row_id, l_linenumber as col_id from lineitem where l_suppkey % 4 = 0 union all select l_orderkey, l_linenumber from lineitem where l_suppkey % 4 = 1",
+    "set_union_all_sites": "select l_orderkey as row_id, l_linenumber as col_id from lineitem where l_suppkey % 4 = 0 union all select l_orderkey, l_linenumber from lineitem where l_suppkey % 4 = 1 union all select l_orderkey, l_linenumber from lineitem where l_suppkey % 4 = 2 union all select l_orderkey, l_linenumber from lineitem where l_suppkey % 4 = 3",
     "set_union_distinct_ids": "select o_custkey as id from orders where o_totalprice > 200000 union select c_custkey from customer where c_acctbal > 9000",
     "set_intersect_samples": "select o_custkey as id from orders where o_totalprice > 100000 intersect select c_custkey from customer where c_acctbal > 5000",
     "set_except_samples": "select c_custkey as id from customer except select o_custkey from orders",

@@ -130,3 +130,46 @@ cut as (select coalesce(max(case when rk = {k + 1} then key end), 0.0) as cut fr
     return f"""with {score_tables(p, d)}, ranked as (select score, row_number() over (order by score desc, row_id) - 1 as above, sum(score) over (order by score desc, row_id rows between current row and unbounded following) as rest from scored where score > 0),
 cut as (select case when count(*) <= {k} then 0.0 else min(rest / ({k} - above)) filter (above < {k} and score * ({k} - above) <= rest) end as cut from ranked),
 drawn as (select *, case when cut > 0 then least(1.0, score / cut) else 1.0 end as prob from scored, cut where score > 0) {shown(d, 'drawn')} where {u} <= prob"""
+
+
+def fold_query() -> str:
+    return f"select row_id, {', '.join(f'round(a{j}, 5) as x{j}' for j in range(7))} from ({events('l1')})"
+
+
+def documents_query() -> str:
+    kept = lambda c: f"length(regexp_replace(text, '[^{c}]', '', 'g'))"
+    x = ["1.0::double", "ln(1.0 + words) / 10", "ln(1.0 + lines) / 5", f"{kept('0-9')} / (chars + 1) * 20", f"{kept('!-/:-@|')} / (chars + 1) * 5", f"{kept('A-Z')} / (chars + 1) * 5"]
+    base = r"select doc_id, text, cast(len(regexp_split_to_array(text, '[ \t\n\x0B\f\r]+')) as double) as words, cast(len(string_split(text, chr(10))) as double) as lines, cast(length(text) as double) as chars from documents"
+    cols = ", ".join(f"round(case when quality = 1 then -1.0::double else 1.0::double end * ({v}), 5) as x{j}" for j, v in enumerate(x))
+    return f"select d.doc_id as row_id, {cols} from ({base}) d join labels l on d.doc_id = l.doc_id"
+
+
+def pages_query() -> str:
+    tags = ", ".join(f"len(regexp_extract_all(html, '<{t}[ >]'))::double as x{j + 3}" for j, t in enumerate(("p", "a", "li", "div")))
+    return f"select page_id as row_id, 1.0::double as x0, (length(url) - length(replace(url, '/', '')))::double as x1, round(length(html) / 1000.0, 5) as x2, {tags} from pages"
+
+
+def median_query(panel: list, m: int = 101, d: int = 5) -> str:
+    z = ", ".join("(" + ", ".join([str(i), *[f"{float(v)!r}::double" for v in row]]) + ")" for i, row in enumerate(panel))
+    dot = lambda t: " + ".join(f"{t}.c{j} * z{j}" for j in range(d))
+    wide = ", ".join(f"sum(case when col_id = {j} then {{v}} else 0.0 end) as c{j}" for j in range(d))
+    return f"""with upd as ({q.USER_DAYS}), {dense(m, 1.0)}, zs(z, {', '.join(f'z{j}' for j in range(d))}) as (values {z}),
+e as (select i, {wide.format(v='val')} from emb group by i), x as (select row_id, {wide.format(v='delta')} from upd group by row_id),
+a as (select z, median(abs({dot('e')})) as estimate from e, zs group by z), b as (select z, sum(abs({dot('x')})) as exact from x, zs group by z)
+select cast(z as integer) as z, round(estimate, 3) as estimate, round(exact, 3) as exact from a join b using (z)"""
+
+
+def sandwich_query(spec) -> str:
+    norm = " + ".join(f"abs(x{j})" for j in range(spec.d))
+    cols = ", ".join(f"sum(case when col_id = {j} then delta else 0.0 end) as x{j}" for j in range(spec.d))
+    return f"""with upd as ({q.ORDERS}), {q.sketch(spec)}, {q.norms(spec)}, {q.threshold(spec)},
+every as (select coalesce(norm, 0.0) as norm from (select rep, b from reps, range({spec.r}) g(b)) s left join norms n on n.rep = s.rep and n.bucket = s.b),
+ex as (select {norm} as norm, row_number() over (order by {norm} desc, row_id) as rk from (select row_id, {cols} from upd group by row_id)),
+v as (select (select quantile_cont(norm, 0.6) from every) as lower, m0, (select 4 * sum(norm) / {spec.r} from ex where rk > {spec.r // 20}) as upper from thr)
+select round(lower, 2) as lower, round(m0, 2) as m0, round(upper, 2) as upper, lower <= m0 and m0 <= upper as holds from v"""
+
+
+def by_norm_query(total: str, spec, k: int) -> str:
+    """Sample by a cut from a sketched norm; `total` gives one value `estimate`."""
+    return f"""with {q.chain(spec, q.ORDERS, None)}, al as (select estimate / {k} as alpha from ({total}))
+select row_id, round(norm_p, 0) as norm_p, round(least(1.0, norm_p / alpha), 6) as prob from srows, al where scaled >= alpha"""

@@ -36,7 +36,7 @@ def sketch(spec: SketchSpec, source: str = "upd", tag: str = "") -> str:
     cut = f" where {uniform(spec)} > {spec.uniform_cut / spec.n!r}" if spec.uniform_cut and spec.n else ""
     return f"""{rep_table(spec, 'reps' + tag)},
 {limbs(spec, source + cut, 'log' + tag)},
-sk{tag} as (select rep, bucket, col_id, {VAL} as val
+sk{tag} as materialized (select rep, bucket, col_id, {VAL} as val
   from (select rep, {bucket(spec)} as bucket, col_id, {sign()} as sg, h2, h1, h0 from log{tag}, reps{tag})
   group by rep, bucket, col_id having {VAL} <> 0)"""
 
@@ -58,22 +58,22 @@ def number(spec: SketchSpec, val: str = "val") -> str:
 
 
 def norms(spec: SketchSpec, tag: str = "") -> str:
-    return f"norms{tag} as (select rep, bucket, sum({abs_pow_sql(number(spec), spec.p)}) as norm from sk{tag} group by rep, bucket)"
+    return f"norms{tag} as materialized (select rep, bucket, sum({abs_pow_sql(number(spec), spec.p)}) as norm from sk{tag} group by rep, bucket)"
 
 
-def threshold(spec: SketchSpec, tag: str = "") -> str:
-    return f"thr{tag} as (select quantile_cont(coalesce(norm, 0.0), {spec.quantile}) as m0 from reps{tag} r left join (select * from norms{tag} where bucket = 0) n on r.rep = n.rep)"
+def threshold(spec: SketchSpec, tag: str = "", at: int = 0) -> str:
+    return f"thr{tag} as materialized (select quantile_cont(coalesce(norm, 0.0), {spec.quantile}) as m0 from reps{tag} r left join (select * from norms{tag} where bucket = {at}) n on r.rep = n.rep)"
 
 
 def estimates(spec: SketchSpec, source: str = "upd", tag: str = "") -> str:
     return f"""ids{tag} as (select distinct row_id from {source}),
-probe{tag} as (select row_id, rep, {bucket(spec)} as bucket, {sign()} as sg from ids{tag}, reps{tag}),
-est{tag} as (select row_id, median(coalesce(norm, 0.0)) as est_norm from probe{tag} p left join norms{tag} n on p.rep = n.rep and p.bucket = n.bucket group by row_id)"""
+probe{tag} as materialized (select row_id, rep, {bucket(spec)} as bucket, {sign()} as sg from ids{tag}, reps{tag}),
+est{tag} as materialized (select row_id, median(coalesce(norm, 0.0)) as est_norm from probe{tag} p left join norms{tag} n on p.rep = n.rep and p.bucket = n.bucket group by row_id)"""
 
 
 def candidates(spec: SketchSpec, limit: int | None, tag: str = "") -> str:
     top = f" order by est_norm desc, row_id limit {limit}" if limit else ""
-    return f"cand{tag} as (select row_id, est_norm from est{tag}, thr{tag} where est_norm >= m0 * {float(spec.list_multiplier**spec.p)!r} and est_norm > 0{top})"
+    return f"cand{tag} as materialized (select row_id, est_norm from est{tag}, thr{tag} where est_norm >= m0 * {float(spec.list_multiplier**spec.p)!r} and est_norm > 0{top})"
 
 
 def representatives(spec: SketchSpec, tag: str = "") -> str:
@@ -82,9 +82,9 @@ def representatives(spec: SketchSpec, tag: str = "") -> str:
     mine = ", ".join(f"sg * coalesce(c{j}, 0.0) as c{j}" for j in d)
     dist = " + ".join(abs_pow_sql(f"(a.c{j} - b.c{j})", spec.p) for j in d)
     return f"""pk{tag} as (select rep, bucket, {cols} from sk{tag} group by rep, bucket),
-mine{tag} as (select p.row_id, p.rep, {mine} from cand{tag} c join probe{tag} p on c.row_id = p.row_id left join pk{tag} k on p.rep = k.rep and p.bucket = k.bucket),
+mine{tag} as materialized (select p.row_id, p.rep, {mine} from cand{tag} c join probe{tag} p on c.row_id = p.row_id left join pk{tag} k on p.rep = k.rep and p.bucket = k.bucket),
 med{tag} as (select a.row_id, a.rep, quantile_disc({dist}, 0.5) as m from mine{tag} a join mine{tag} b on a.row_id = b.row_id and a.rep <> b.rep group by a.row_id, a.rep),
-rep_rows{tag} as (select m.* from mine{tag} m join (select row_id, rep, row_number() over (partition by row_id order by round(m, 6), rep) as rk from med{tag}) w on m.row_id = w.row_id and m.rep = w.rep where w.rk = 1)"""
+rep_rows{tag} as materialized (select m.* from mine{tag} m join (select row_id, rep, row_number() over (partition by row_id order by round(m, 6), rep) as rk from med{tag}) w on m.row_id = w.row_id and m.rep = w.rep where w.rk = 1)"""
 
 
 def scaled_rows(spec: SketchSpec, tag: str = "") -> str:
@@ -92,7 +92,7 @@ def scaled_rows(spec: SketchSpec, tag: str = "") -> str:
     factor = inv_scale_sql(uniform(spec), spec.p) if spec.scale else "1.0"
     t = uniform(spec) if spec.scale else "1.0"
     cols = ", ".join(f"c{j} / {factor} as c{j}" for j in range(spec.d))
-    return f"srows{tag} as (select row_id, rep, {cols}, ({norm}) as scaled, ({norm}) * {t} as norm_p from rep_rows{tag})"
+    return f"srows{tag} as materialized (select row_id, rep, {cols}, ({norm}) as scaled, ({norm}) * {t} as norm_p from rep_rows{tag})"
 
 
 def chain(spec: SketchSpec, source_sql: str, budget: int | None, source: str = "upd", tag: str = "") -> str:

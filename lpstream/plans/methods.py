@@ -108,9 +108,12 @@ def retracted(spark, sf):
     return exact(sk.build(log.unionByName(up.retract(log.filter("flag = 'R'"))), ONE))
 
 
-def bucket_threshold(spark, sf):
-    cells = sk.values(orders_sketch(spark, sf), ONE)
-    return recover.threshold(recover.bucket_norms(cells, 1.0), ONE).select(F.round("m0", 4).alias("m0"))
+def bucket_threshold(at: int = 0):
+    def run(spark, sf):
+        cells = sk.values(orders_sketch(spark, sf), ONE)
+        return recover.threshold(recover.bucket_norms(cells, 1.0), ONE, at).select(F.round("m0", 4).alias("m0"))
+
+    return run
 
 
 def _norms(spark, sf, spec=ONE):
@@ -306,7 +309,8 @@ def queries() -> dict:
         "sketch_project": project,
         "sketch_drop_cols": lambda spark, sf: exact(sk.drop_cols(orders_sketch(spark, sf), [0, 6])),
         "sketch_retract": retracted,
-        "bucket_threshold": bucket_threshold,
+        "bucket_threshold": bucket_threshold(),
+        "bucket_threshold_other": bucket_threshold(7),
         "row_estimates": row_estimates,
         "candidate_list": candidate_list,
         "representative_rows": representative_rows,
@@ -337,6 +341,7 @@ def oracle_sql() -> dict[str, str]:
         "sketch_drop_cols": sketch_sql(ONE) + " where col_id not in (0, 6)",
         "sketch_retract": sketch_sql(ONE, f"select * from ({q.ORDERS}) where flag <> 'R'"),
         "bucket_threshold": f"{full} select round(m0, 4) as m0 from thr",
+        "bucket_threshold_other": f"with upd as ({q.ORDERS}), {q.sketch(ONE)}, {q.norms(ONE)}, {q.threshold(ONE, at=7)} select round(m0, 4) as m0 from thr",
         "row_estimates": f"{full} select row_id, round(est_norm, 1) as est_norm from est",
         "candidate_list": f"{full}, {q.candidates(ONE, None)} select row_id, round(est_norm, 1) as est_norm from cand",
         "representative_rows": f"with {q.chain(ONE, q.ORDERS, None)} select row_id, rep, {cols} from rep_rows",

@@ -161,24 +161,24 @@ def norm_ams(spark, sf):
     return bl.ams_norm(up.user_days(spark, sf).withColumn("delta", F.round("delta", 2))).select(F.round("estimate", 2).alias("estimate"))
 
 
-def norm_ams_sql(m: int = 45, groups: int = 9) -> str:
+def norm_ams_sql(m: int = 45, groups: int = 9, source: str = f"select row_id, col_id, round(delta, 2) as delta from ({q.USER_DAYS})", digits: int = 2) -> str:
     entry = "(row_id * 64 + col_id)"
     sums = ", ".join(f"sum(floor(delta * 256 + 0.5) * (case when {_poly_sql(coefficients(42, 'ams', i), entry)} < {1 << 30} then -1.0 else 1.0 end)) / 256.0 as s{i}" for i in range(m))
     each = m // groups
     means = ", ".join("(" + " + ".join(f"s{g * each + j} * s{g * each + j}" for j in range(each)) + f") / {each}" for g in range(groups))
-    return f"with upd as (select row_id, col_id, round(delta, 2) as delta from ({q.USER_DAYS})), s as (select {sums} from upd) select round(list_sort([{means}])[{groups // 2 + 1}], 2) as estimate from s"
+    return f"with upd as ({source}), s as (select {sums} from upd) select round(list_sort([{means}])[{groups // 2 + 1}], {digits}) as estimate from s"
 
 
 def norm_stable(p: float):
     return lambda spark, sf: bl.stable_norm(up.user_days(spark, sf), p).select(F.round("estimate", 3).alias("estimate"))
 
 
-def norm_cauchy_sql(m: int = 101) -> str:
+def norm_cauchy_sql(m: int = 101, source: str = q.USER_DAYS, digits: int = 3) -> str:
     import math
 
     entry = "(row_id * 64 + col_id)"
     x = [f"sum(delta * tan((({_poly_sql(coefficients(42, 'angle', i), entry)} + 1) / {float(1 << 31)!r}::double - 0.5) * {math.pi * (1 - 1e-9)!r}::double))" for i in range(m)]
-    return f"with upd as ({q.USER_DAYS}), s as (select [{', '.join(f'abs({v})' for v in x)}] as l from upd) select round(list_sort(l)[{m // 2 + 1}], 3) as estimate from s"
+    return f"with upd as ({source}), s as (select [{', '.join(f'abs({v})' for v in x)}] as l from upd) select round(list_sort(l)[{m // 2 + 1}], {digits}) as estimate from s"
 
 
 def median_lp(spark, sf):
@@ -199,8 +199,8 @@ def by_norm_threshold(kind: str):
         p = 2.0 if kind == "ams" else 1.0
         spec = SPECS[p]
         total = (bl.ams_norm(log) if kind == "ams" else bl.stable_norm(log, 1.0)).first()[0]
-        rows = sampler.scaled_rows(sk.build(log, spec).persist(), up.ids(log), spec, 2 * K)
         alpha = float(total) / K
+        rows = sampler.scaled_rows(sk.build(log, spec).persist(), up.ids(log), spec, 2 * K, floor=alpha)
         out = sampler.weigh(rows.filter(F.col("scaled") >= alpha), alpha)
         return out.select("row_id", F.round("norm_p", 0).alias("norm_p"), F.round("prob", 6).alias("prob"))
 
@@ -358,6 +358,41 @@ def measure_inclusion(spark, sf):
     return norm.join(freq, "row_id", "left").select("row_id", F.coalesce("frequency", F.lit(0.0)).alias("frequency"), F.least(F.lit(1.0), F.col("norm_p") * 30 / total).alias("floor"))
 
 
+def measure_inclusion_sketch(spark, sf, k: int = 20, repetitions: int = 8):
+    """Inclusion in samples drawn from independent sketches of the user-day matrix, by powers of two of the guaranteed probability."""
+    log = up.user_days(spark, sf).persist()
+    ids, drawn = up.ids(log).persist(), None
+    for seed in range(repetitions):
+        spec = replace(EVENTS, seed=500 + seed)
+        one = sampler.sample(sk.build(log, spec).persist(), ids, spec, k).select("row_id")
+        drawn = one if drawn is None else drawn.unionByName(one)
+    norms = bl.with_norm(up.exact_rows(log, 5), 1.0).select("row_id", "norm_p")
+    bands = measures.inclusion_bands(drawn, norms, k, repetitions)
+    return bands.select("band", "rows", F.round("frequency", 5).alias("frequency"), F.round("floor", 5).alias("floor"))
+
+
+def measure_sample_size(spark, sf, k: int = 40):
+    """Sizes of plain and two-run samples over three pairs of sketches: exactly k, and between k and 2k."""
+    log = up.user_days(spark, sf).persist()
+    ids, out = up.ids(log).persist(), []
+    for seed in range(3):
+        a, b = replace(EVENTS, seed=700 + seed), sampler.second(replace(EVENTS, seed=700 + seed))
+        ca, cb = sk.build(log, a).persist(), sk.build(log, b).persist()
+        n, m = sampler.sample(ca, ids, a, k).count(), sampler.sample_two_run(ca, a, cb, b, ids, k).count()
+        out += [("plain", seed, k, n, k, k, n == k), ("two_run", seed, k, m, k, 2 * k, k <= m <= 2 * k)]
+    return spark.createDataFrame(out, "sampler string, seed int, k int, size long, least int, most int, holds boolean")
+
+
+def measure_leverage_sum(spark, sf):
+    """Leverage sums below (alpha beta)^p, and scores above the leverage, in the embedding's basis."""
+    rows = features.w3_events(spark, sf).persist()
+    out = []
+    for p in (1.0, 1.5, 2.0):
+        got = measures.leverage_bounds(rows, leverage.embedding_conditioner(leverage.long_rows(rows), 6, p), 6, p)
+        out.append((p, round(got["leverage_sum"], 4), round(got["bound"], 4), round(got["share"], 6), got["leverage_sum"] <= got["bound"] * (1 + 1e-9) and got["share"] <= 1 + 1e-9))
+    return spark.createDataFrame(out, "p double, leverage_sum double, bound double, share double, holds boolean")
+
+
 def measure_panel_error(spark, sf):
     rows = features.w3_events(spark, sf)
     x, w = coreset.to_numpy(coreset.build(leverage.long_rows(rows), rows, "logistic", 1.0, 4 * K, 6, rows.count()))
@@ -426,7 +461,7 @@ def queries() -> dict:
         "params_theory": params_theory, "params_conditioning": params_conditioning, "params_previous": params_previous,
         "diag_harmonic": diag_harmonic, "diag_truncate": diag_truncate, "diag_tail": diag_tail, "diag_sandwich": diag_sandwich, "diag_mu": diag_mu,
         "measure_row_error": measure_row_error, "measure_weights": measure_weights, "measure_norm_ratio": measure_norm_ratio, "measure_recall": measure_recall, "measure_subset_sums": measure_subset_sums,
-        "measure_sketch_size": measure_sketch_size, "measure_inclusion": measure_inclusion, "measure_panel_error": measure_panel_error, "measure_conditioning": measure_conditioning, "measure_distortion": measure_distortion,
+        "measure_sketch_size": measure_sketch_size, "measure_inclusion": measure_inclusion, "measure_inclusion_sketch": measure_inclusion_sketch, "measure_sample_size": measure_sample_size, "measure_leverage_sum": measure_leverage_sum, "measure_panel_error": measure_panel_error, "measure_conditioning": measure_conditioning, "measure_distortion": measure_distortion,
         "measure_update_cost": measure_update_cost, "measure_convexity": measure_convexity,
         "ratio_w1": ratio("w1", "logistic", 1.0), "ratio_w2": ratio("w2", "logistic", 1.0), "ratio_w3": ratio("w3", "logistic", 1.0),
         "ratio_w4": ratio("w1", "lp", 1.0), "ratio_w5": ratio("w2", "lp", 1.0), "ratio_w6": ratio("w3", "lp", 1.0),
@@ -453,6 +488,10 @@ def oracle_sql() -> dict[str, str]:
         "oblivious_logistic": oblivious_sql(False),
         "oblivious_l1": oblivious_sql(True),
         "online_rows": online_sql(),
+        "median_lp": cs.median_query(measures.default_panel(5, 8)),
+        "sample_ams_threshold": cs.by_norm_query(norm_ams_sql(source=q.ORDERS, digits=9), SPECS[2.0], K),
+        "sample_cauchy_threshold": cs.by_norm_query(norm_cauchy_sql(source=q.ORDERS, digits=9), SPECS[1.0], K),
+        "diag_sandwich": cs.sandwich_query(UNSCALED),
         "norm_ams": norm_ams_sql(),
         "norm_cauchy": norm_cauchy_sql(),
         "diag_harmonic": diag_harmonic_sql(),
