@@ -346,3 +346,40 @@ def test_sizes():
     assert params.check_p(3, allow_large_p=True) == 3.0 and params.large_p_rows(10**6, 4) > 1000
     with pytest.raises(ValueError):
         SketchSpec(s=4)
+
+
+def test_cut_is_exact(spark):
+    from lpstream.operators.baselines import cap_level
+
+    v = np.random.default_rng(3).pareto(0.7, 500) + 0.01
+    rows = spark.createDataFrame([(float(x),) for x in v], "norm_p double")
+    for k in (1, 7, 100, 499):
+        assert np.minimum(1, v / cap_level(rows, k)).sum() == pytest.approx(k, rel=1e-11)
+    assert cap_level(rows, 500) == 0.0
+
+
+def test_conditioner_has_positive_diagonal():
+    from lpstream.operators import subspace
+
+    e = np.random.default_rng(4).normal(size=(30, 4)) * [1, 10, 0.1, 5]
+    m = subspace.conditioner(e)
+    assert (np.diag(m) > 0).all() and np.allclose((e @ m).T @ (e @ m), np.eye(4))
+
+
+def test_beta_of_pinned_fits(spark):
+    from lpstream.operators import measures
+
+    a = np.array([[1.0, 0.0], [0.0, 2.0], [1.0, 1.0]])
+    u = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(a)], "row_id long, vec array<double>")
+    grid = np.linspace(-1, 1, 2001)
+    least = min(np.abs(a @ z).sum() / np.abs(z).max() for g in grid for z in (np.array([1.0, g]), np.array([g, 1.0])))
+    assert max(measures.pinned_fits(u, 2)) == pytest.approx(1 / least, rel=1e-3)
+
+
+def test_inclusion_bands(spark):
+    from lpstream.operators import measures
+
+    norms = spark.createDataFrame([(1, 6.0), (2, 1.0), (3, 1.0), (4, 0.0)], "row_id long, norm_p double")
+    drawn = spark.createDataFrame([(1,), (1,), (2,)], "row_id long")
+    got = {r.band: (r.rows, r.frequency, r.floor) for r in measures.inclusion_bands(drawn, norms, 1, 2).collect()}
+    assert got == {-1: (1, 1.0, 0.75), -3: (2, 0.25, 0.125)}
