@@ -44,11 +44,12 @@ def cap_level(normed: DataFrame, k: float, column: str = "norm_p", rounds: int =
         above = [a for a, s in zip(grid, sums) if s < k]
         lo, hi = max(below, default=lo), min(above, default=hi)
     # From a cut that is not too low, spreading the rest evenly leads down to the exact one in a few steps.
-    while True:
+    for _ in range(rounds):
         certain, rest = normed.filter(F.col(column) > 0).agg(F.count_if(F.col(column) >= F.lit(hi)), F.sum(F.when(F.col(column) < F.lit(hi), F.col(column)))).first()
         if certain >= k or not rest or rest / (k - certain) >= hi * (1 - 1e-13):
-            return hi
+            break
         hi = float(rest / (k - certain))
+    return hi
 
 
 def offline_sample(scored: DataFrame, k: int, mode: str = "poisson", seed: int = 0) -> DataFrame:
