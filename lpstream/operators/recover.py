@@ -66,10 +66,7 @@ def candidates_narrow(ids: DataFrame, norms: DataFrame, spec: SketchSpec, m0: fl
     """
     if spec.family != "poly" or spec.r * spec.s > NARROW_CELLS:
         return candidates(ids, norms, spec, m0)
-    table = np.zeros((spec.s, spec.r))
-    found = norms.toPandas()
-    table[found["rep"].to_numpy(), found["bucket"].to_numpy()] = found["norm"].to_numpy()
-    shared = norms.sparkSession.sparkContext.broadcast(table)
+    shared = norms.sparkSession.sparkContext.broadcast(dense_norms(norms, spec))
     h, cut, r = hashes(spec), cut_value(m0, spec), spec.r
 
     def run(batches):
@@ -82,6 +79,14 @@ def candidates_narrow(ids: DataFrame, norms: DataFrame, spec: SketchSpec, m0: fl
     return ids.select(F.col("row_id").cast("long").alias("row_id")).mapInArrow(run, "row_id long, est_norm double")
 
 
+def dense_norms(norms: DataFrame, spec: SketchSpec) -> np.ndarray:
+    """Bucket norms as one array (repetitions x buckets) at the driver."""
+    out = np.zeros((spec.s, spec.r))
+    found = norms.toPandas()
+    out[found["rep"].to_numpy(), found["bucket"].to_numpy()] = found["norm"].to_numpy()
+    return out
+
+
 def best_candidates(listed: DataFrame, budget: int | None) -> DataFrame:
     """The `budget` rows of highest estimate (all if None); ties by id."""
     return listed if budget is None else listed.orderBy(F.desc("est_norm"), "row_id").limit(budget)
@@ -115,5 +120,81 @@ def representatives(listed: DataFrame, sketch: DataFrame, spec: SketchSpec, d: i
     return gathered.withColumn("best", best).select("row_id", chosen["rep"].alias("rep"), chosen["vec"].alias("vec"))
 
 
+def dense_cells(cells: DataFrame, spec: SketchSpec, d: int) -> np.ndarray:
+    """Number cells as one array (repetitions x buckets x columns) at the driver; its size is fixed by the specification."""
+    out = np.zeros((spec.s, spec.r, d))
+    found = cells.select("rep", "bucket", "col_id", "val").toPandas()
+    out[found["rep"].to_numpy(), found["bucket"].to_numpy(), found["col_id"].to_numpy()] = found["val"].to_numpy()
+    return out
+
+
+def medoids(vecs: np.ndarray, p: float) -> np.ndarray:
+    """For each row of vecs (repetitions x rows x columns) the repetition with the least median distance to the others, as `representatives` has it: sums in the same order, lower medians, six digits, ties to the first."""
+    s, n, d = vecs.shape
+    if s == 1:
+        return np.zeros(n, np.int64)
+    apart = np.zeros((s, s, n))
+    for a in range(s):
+        for b in range(a + 1, s):
+            for j in range(d):
+                apart[a, b] += size_numpy(vecs[a, :, j] - vecs[b, :, j], p)
+            apart[b, a] = apart[a, b]
+    middle = np.stack([np.partition(np.delete(apart[a], a, axis=0), (s - 2) // 2, axis=0)[(s - 2) // 2] for a in range(s)])
+    # Beyond 2^52 units a number has no sixth digit to round.
+    return np.where(middle < 2.0**52 / 1e6, np.floor(middle * 1e6 + 0.5) / 1e6, middle).argmin(axis=0)
+
+
+def size_numpy(x: np.ndarray, p: float) -> np.ndarray:
+    return np.abs(x) if p == 1 else x * x if p == 2 else np.abs(x) ** p
+
+
+def top_narrow(ids: DataFrame, view: np.ndarray, plain: np.ndarray, norms: np.ndarray, spec: SketchSpec, m0: float, reach: float, k: int, floor: float | None) -> DataFrame:
+    """(row_id, vec, scaled) of the k listed rows of largest scaled norm of each task (or of all at or above `floor`), by one narrow pass over the ids.
+
+    Listing, representatives and norms as in `candidates_narrow` and `representatives`, in numpy on arrays
+    fixed by the specification; `vec` is the signed bucket of `plain` in the representative's repetition.
+    A row whose estimate times `reach` stays below the least of k rows at hand (or `floor`) can't be among them.
+    """
+    sc = ids.sparkSession.sparkContext
+    shared = sc.broadcast((view, plain, norms))
+    h, cut, r, s, p = hashes(spec), cut_value(m0, spec), spec.r, spec.s, spec.p
+
+    def run(batches):
+        view, plain, norms = shared.value
+        best, least = [(np.zeros(0, np.int64), np.zeros((0, plain.shape[2])), np.zeros(0))], 0.0 if floor is None else floor
+        for b in batches:
+            every = b.column(0).to_numpy(zero_copy_only=False)
+            for at in range(0, len(every), 16384):
+                row = every[at : at + 16384]
+                place = [h.place_numpy(row, j, r) for j in range(s)]
+                est = np.median(np.stack([norms[j, q] for j, (q, _) in enumerate(place)]), axis=0)
+                keep = np.flatnonzero((est >= cut) & (est > 0) & ((est + 1e-6) * reach >= least))
+                if not len(keep):
+                    continue
+                vecs = np.stack([view[j, q[keep]] * sg[keep, None] for j, (q, sg) in enumerate(place)])
+                rep, each = medoids(vecs, p), np.arange(len(keep))
+                scaled = np.zeros(len(keep))
+                for j in range(vecs.shape[2]):
+                    scaled += size_numpy(vecs[rep, each, j], p)
+                q, sg = (np.stack([x[i][keep] for x in place])[rep, each] for i in (0, 1))
+                found = (row[keep], plain[rep, q] * sg[:, None], scaled)
+                if floor is not None:
+                    yield _rows(*(x[scaled >= floor] for x in found))
+                    continue
+                found = [np.concatenate(x) for x in zip(best[0], found)]
+                order = np.lexsort((found[0], -found[2]))[:k]
+                best = [tuple(x[order] for x in found)]
+                least = float(best[0][2][-1]) if len(order) == k else 0.0
+        if floor is None:
+            yield _rows(*best[0])
+
+    return ids.select(F.col("row_id").cast("long").alias("row_id")).mapInArrow(run, "row_id long, vec array<double>, scaled double")
+
+
+def _rows(row: np.ndarray, vec: np.ndarray, scaled: np.ndarray) -> pa.RecordBatch:
+    lists = pa.ListArray.from_arrays(pa.array(np.arange(len(vec) + 1, dtype=np.int32) * vec.shape[1], pa.int32()), pa.array(np.ascontiguousarray(vec).ravel()))
+    return pa.RecordBatch.from_arrays([pa.array(row), lists, pa.array(scaled)], names=["row_id", "vec", "scaled"])
+
+
 def cells_of(sketch: DataFrame, spec: SketchSpec) -> DataFrame:
     return values(sketch, spec)

@@ -35,12 +35,20 @@ def scaled_rows(cells: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, matr
     Rows that can't be among these are left out by their estimates alone: the
     2k + 2 best estimates give a lower bound of the (k+1)-th scaled norm, and a
     representative's is at most REACH^p times its estimate.  `budget` caps the
-    list at so many times k instead (not exact).
+    list at so many times k instead (not exact).  Sketches that fit in one task
+    are read there as arrays, and each task hands on its own k + 1 best rows.
     """
     view = sk.project(cells, spec, matrix) if matrix is not None else sk.values(cells, spec)
     d = np.asarray(matrix).shape[1] if matrix is not None else spec.d
     norms = recover.bucket_norms(view, spec.p).persist()
     m0 = recover.threshold_value(norms, spec)
+    t = sk.hashes(spec).uniform(F.col("row_id")) if spec.scale else F.lit(1.0)
+    factor = inv_scale(t, spec.p) if spec.scale else F.lit(1.0)
+    if not budget and spec.family == "poly" and spec.r * spec.s * max(d, spec.d) <= recover.NARROW_CELLS:
+        near = recover.dense_cells(view, spec, d)
+        plain = near if matrix is None else recover.dense_cells(sk.values(cells, spec), spec, spec.d)
+        out = recover.top_narrow(ids, near, plain, recover.dense_norms(norms, spec), spec, m0, REACH**spec.p, k + 1, floor)
+        return out.select("row_id", F.transform("vec", lambda x: x / factor).alias("vec"), "scaled", (F.col("scaled") * t).alias("norm_p"))
     listed = recover.candidates_narrow(ids, norms, spec, m0)
     if budget:
         listed = recover.best_candidates(listed, budget * k)
@@ -53,9 +61,7 @@ def scaled_rows(cells: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, matr
             floor = cut_at(first.select("row_id", norm_of(F.col("vec"), spec.p).alias("scaled")).orderBy(F.desc("scaled"), "row_id").limit(k + 1), k + 1)
         listed = listed.filter((F.col("est_norm") + 1e-6) * REACH**spec.p >= floor)
     rows = recover.representatives(listed, view, spec, d, fixed=False)
-    t = sk.hashes(spec).uniform(F.col("row_id")) if spec.scale else F.lit(1.0)
     out = rows.withColumn("scaled", norm_of(F.col("vec"), spec.p)).withColumn("norm_p", F.col("scaled") * t)
-    factor = inv_scale(t, spec.p) if spec.scale else F.lit(1.0)
     if matrix is None:
         return out.select("row_id", F.transform("vec", lambda x: x / factor).alias("vec"), "scaled", "norm_p")
     # The row of the sketched matrix in the chosen repetition.
