@@ -25,3 +25,11 @@ def test_conditioned_list_leaves_no_task_whole(spark, sf, monkeypatch):
     whole = sampler.scaled_rows(cells, ids, spec, k, matrix)
     assert whole.count() > 3 * (k + 1)
     assert tops(got, k + 1) == tops(whole, k + 1)
+
+
+@pytest.mark.parametrize("p", [1.0, 2.0])
+def test_mixture_parts_are_short(spark, sf, p):
+    """Both parts of a mixture leave the tasks as k + 1 rows each."""
+    log, k, spec = up.orders(spark, sf), 5, SketchSpec(p=p, r=60, s=11, d=7)
+    got = sampler.scaled_rows(sk.build(log, spec).persist(), up.ids(log).repartition(2), spec, k)
+    assert k + 1 <= got.count() <= 2 * (k + 1)
