@@ -112,9 +112,14 @@ def representatives(listed: DataFrame, sketch: DataFrame, spec: SketchSpec, d: i
     zero = F.array(*[F.lit(0.0)] * d)
     met = rows.join(packed(sketch, spec, d, fixed), ["rep", "bucket"], "left")
     vec = F.transform(F.coalesce("vec", zero), lambda x: x * F.col("sg"))
-    gathered = met.select("row_id", "rep", vec.alias("vec")).groupBy("row_id").agg(F.array_sort(F.collect_list(F.struct("rep", "vec"))).alias("all"))
+    return nearest(met.select("row_id", "rep", vec.alias("vec")), spec.p)
+
+
+def nearest(rows: DataFrame, p: float) -> DataFrame:
+    """Of each row_id's (rep, vec) the one with the least median distance to the others."""
+    gathered = rows.groupBy("row_id").agg(F.array_sort(F.collect_list(F.struct("rep", "vec"))).alias("all"))
     others = lambda x: F.filter("all", lambda y: y["rep"] != x["rep"])
-    spread = F.transform("all", lambda x: F.struct(F.when(F.size("all") > 1, _median(F.transform(others(x), lambda y: _distance(x["vec"], y["vec"], spec.p)))).otherwise(0.0).alias("m"), x["rep"].alias("rep"), x["vec"].alias("vec")))
+    spread = F.transform("all", lambda x: F.struct(F.when(F.size("all") > 1, _median(F.transform(others(x), lambda y: _distance(x["vec"], y["vec"], p)))).otherwise(0.0).alias("m"), x["rep"].alias("rep"), x["vec"].alias("vec")))
     best = F.array_min(F.transform(spread, lambda x: F.struct(F.round(x["m"], 6).alias("m"), x["rep"].alias("rep"))))
     chosen = F.filter("all", lambda x: x["rep"] == F.col("best.rep"))[0]
     return gathered.withColumn("best", best).select("row_id", chosen["rep"].alias("rep"), chosen["vec"].alias("vec"))

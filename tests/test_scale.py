@@ -33,3 +33,18 @@ def test_mixture_parts_are_short(spark, sf, p):
     log, k, spec = up.orders(spark, sf), 5, SketchSpec(p=p, r=60, s=11, d=7)
     got = sampler.scaled_rows(sk.build(log, spec).persist(), up.ids(log).repartition(2), spec, k)
     assert k + 1 <= got.count() <= 2 * (k + 1)
+
+
+@pytest.mark.parametrize("p", [1.0, 1.5, 2.0])
+@pytest.mark.parametrize("s", [1, 2, 5, 6])
+def test_medoids_are_the_representatives(spark, p, s):
+    """The numpy form picks the repetition that the array expressions pick: lower medians, ties to the first."""
+    n, d = 40, 3
+    vecs = np.random.default_rng(s).integers(-2, 3, (s, n, d)).astype(float)  # many ties
+    cells = spark.createDataFrame([(j, b, c, float(vecs[j, b, c])) for j in range(s) for b in range(n) for c in range(d)], "rep int, bucket int, col_id int, val double")
+    spec = SketchSpec(p=p, r=n, s=s | 1, d=d)
+    found = spark.range(n).select(F.col("id").alias("row_id"), F.explode(F.sequence(F.lit(0), F.lit(s - 1))).alias("rep"))
+    rows = found.join(cells.groupBy("rep", F.col("bucket").cast("long").alias("row_id")).agg(F.transform(F.array_sort(F.collect_list(F.struct("col_id", "val"))), lambda x: x["val"]).alias("vec")), ["rep", "row_id"])
+    got = recover.medoids(vecs, spec.p)
+    want = {r.row_id: r.rep for r in recover.nearest(rows, spec.p).collect()}
+    assert [want[i] for i in range(n)] == got.tolist()
