@@ -6,6 +6,7 @@ import math
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..functions.hashing import Hashes, chosen, coefficients, poly, poly_numpy
@@ -60,7 +61,8 @@ def offline_sample(scored: DataFrame, k: int, mode: str = "poisson", seed: int =
     row's number of draws binomial out of k (k draws together in expectation).
     """
     u = Hashes(seed + 5).uniform(F.col("row_id"))
-    scored = scored.persist()  # read once for the cut and once for the draw
+    if mode != "priority":
+        scored = scored.persist()  # read once for the cut and once for the draw
     if mode == "priority":
         few = scored.filter("score > 0").withColumn("key", F.col("score") / u).orderBy(F.desc("key"), "row_id").limit(k + 1)
         order = Window.orderBy(F.desc("key"), "row_id")
@@ -129,6 +131,16 @@ def oblivious(updates: DataFrame, rows: int, levels: int = 5, base: int = 4, see
     return packed.select("level", "bucket", "vec", weight.alias("weight"))
 
 
+def oblivious_rows(rows: DataFrame, count: int, levels: int = 5, base: int = 4, seed: int = 42, d: int = 7, signed: bool = False) -> DataFrame:
+    """`oblivious` of whole rows (row_id, vec): a row is hashed once, not once an entry."""
+    u = poly(F.col("row_id"), coefficients(seed, "oblivious sign", 0))
+    sign = F.when(u < (1 << 30), -1.0).otherwise(1.0) if signed else F.lit(1.0)
+    bucket = poly(F.col("row_id"), coefficients(seed, "oblivious", 0)) % max(1, count // levels)
+    cells = rows.filter(F.exists("vec", lambda x: x != 0)).select(level(F.col("row_id"), levels, base, seed).alias("level"), bucket.cast("int").alias("bucket"), sign.alias("sg"), "vec")
+    packed = cells.groupBy("level", "bucket").agg(F.array(*[F.coalesce(F.sum(F.col("vec")[j] * F.col("sg")), F.lit(0.0)) for j in range(d)]).alias("vec"))
+    return packed.select("level", "bucket", "vec", (F.pow(F.lit(float(base)), F.col("level")) / level_mass(levels, base)).alias("weight"))
+
+
 def uniform_rows(rows: DataFrame, k: int, n: int, seed: int = 42) -> DataFrame:
     """Uniform control: rows whose scalar is at most k/n."""
     u = Hashes(seed + 17).uniform(F.col("row_id"))
@@ -141,14 +153,20 @@ def online_rows(rows: DataFrame, k: int, p: float, order: str = "row_id", seed:
     The running total is a prefix over ranges of the arrival order plus a prefix
     inside each range, so no task sees the whole stream.
     """
+    running = running_totals(rows, p, order, parts)
+    prob = F.least(F.lit(1.0), F.lit(float(k)) * F.col("norm_p") / F.col("running"))
+    u = Hashes(seed + 23).uniform(F.col("row_id"))
+    return running.withColumn("prob", prob).filter(u <= F.col("prob")).select("row_id", "vec", "norm_p", "prob", (1.0 / F.col("prob")).alias("weight"))
+
+
+def running_totals(rows: DataFrame, p: float, order: str = "row_id", parts: int = 64) -> DataFrame:
+    """The rows with norm_p and the sum of norms up to each in the order of arrival (`running`)."""
     normed = with_norm(rows, p).withColumn("range", F.floor(F.col(order) / F.lit(_range_width(rows, order, parts))))
     totals = normed.groupBy("range").agg(F.sum("norm_p").alias("mass"))
     before = totals.select("range", (F.sum("mass").over(Window.orderBy("range")) - F.col("mass")).alias("before"))
     inside = F.sum("norm_p").over(Window.partitionBy("range").orderBy(order).rowsBetween(Window.unboundedPreceding, 0))
-    running = normed.withColumn("inside", inside).join(F.broadcast(before), "range")  # `parts` short rows
-    prob = F.least(F.lit(1.0), F.lit(float(k)) * F.col("norm_p") / (F.col("before") + F.col("inside")))
-    u = Hashes(seed + 23).uniform(F.col("row_id"))
-    return running.withColumn("prob", prob).filter(u <= F.col("prob")).select("row_id", "vec", "norm_p", "prob", (1.0 / F.col("prob")).alias("weight"))
+    whole = normed.withColumn("inside", inside).join(F.broadcast(before), "range")  # `parts` short rows
+    return whole.withColumn("running", F.col("before") + F.col("inside")).drop("range", "before", "inside")
 
 
 def _range_width(rows: DataFrame, order: str, parts: int) -> int:
@@ -180,18 +198,19 @@ def reduce_rows(vec: np.ndarray, weight: np.ndarray, k: int, p: float, rng) -> t
 def merge_reduce(rows: DataFrame, batch: int, k: int, p: float = 1.0, seed: int = 0) -> DataFrame:
     """Coreset tree: batches are reduced, pairs are merged and reduced, up to one set of about k rows."""
 
-    def reduce_group(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("row_id").reset_index(drop=True)
-        rng = np.random.default_rng([seed, int(pdf["node"].iloc[0]), len(pdf)])
-        kept, weights = reduce_rows(np.array(pdf["vec"].tolist()), pdf["weight"].to_numpy(float), k, p, rng)
-        return pdf.iloc[kept].assign(weight=weights)[["node", "row_id", "vec", "weight"]]
+    def reduce_group(table: pa.Table) -> pa.Table:
+        table = table.take(pa.array(np.argsort(table["row_id"].to_numpy(), kind="stable")))
+        rng = np.random.default_rng([seed, table["node"][0].as_py(), table.num_rows])
+        vec = table["vec"].combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(table.num_rows, -1)
+        kept, weights = reduce_rows(vec, table["weight"].to_numpy(), k, p, rng)
+        return table.take(pa.array(kept)).set_column(3, "weight", pa.array(weights)).select(["node", "row_id", "vec", "weight"])
 
     leaves = max(1, math.ceil(rows.count() / batch))
     schema = "node long, row_id long, vec array<double>, weight double"
-    now = rows.select(F.pmod(F.xxhash64("row_id"), F.lit(leaves)).alias("node"), "row_id", "vec", F.lit(1.0).alias("weight")).groupBy("node").applyInPandas(reduce_group, schema)
+    now = rows.select(F.pmod(F.xxhash64("row_id"), F.lit(leaves)).alias("node"), "row_id", "vec", F.lit(1.0).alias("weight")).groupBy("node").applyInArrow(reduce_group, schema)
     while leaves > 1:
         leaves = -(-leaves // 2)
-        now = now.withColumn("node", F.floor(F.col("node") / 2)).groupBy("node").applyInPandas(reduce_group, schema)
+        now = now.withColumn("node", F.floor(F.col("node") / 2)).groupBy("node").applyInArrow(reduce_group, schema)
     return now.select("row_id", "vec", "weight")
 
 

@@ -12,13 +12,18 @@ from . import sampler, sketch as sk, subspace
 
 def projected(matrix: np.ndarray, vec: str = "vec") -> Column:
     """vec times a literal matrix, as an array column."""
+    return F.array(*_products(matrix, vec))
+
+
+def _products(matrix: np.ndarray, vec: str = "vec") -> list[Column]:
     m = np.asarray(matrix, float)
-    return F.array(*[sum((F.col(vec)[i] * F.lit(float(m[i, j])) for i in range(1, m.shape[0])), F.col(vec)[0] * F.lit(float(m[0, j]))) for j in range(m.shape[1])])
+    return [sum((F.col(vec)[i] * F.lit(float(m[i, j])) for i in range(1, m.shape[0])), F.col(vec)[0] * F.lit(float(m[0, j]))) for j in range(m.shape[1])]
 
 
 def scores(rows: DataFrame, p: float, matrix: np.ndarray, beta: float = 1.0) -> DataFrame:
     """(row_id, vec, score): beta^p times the p-norm of the row in the conditioned basis; one narrow pass."""
-    return rows.select("row_id", "vec", F.aggregate(projected(matrix), F.lit(0.0), lambda s, x: s + abs_pow(x, p)).alias("raw")).withColumn("score", F.col("raw") * float(beta**p)).drop("raw")
+    raw = sum((abs_pow(c, p) for c in _products(matrix)), F.lit(0.0))  # a plain sum is compiled, a lambda over an array is not
+    return rows.select("row_id", "vec", raw.alias("raw")).withColumn("score", F.col("raw") * float(beta**p)).drop("raw")
 
 
 def exact_l2(rows: DataFrame, d: int) -> DataFrame:
@@ -40,6 +45,11 @@ def embedding_conditioner(updates: DataFrame, d: int, p: float, m: int | None =
     return subspace.conditioner(subspace.to_numpy(subspace.dense(updates, m, p, seed), m, d))
 
 
+def rows_conditioner(rows: DataFrame, d: int, p: float, m: int | None = None, seed: int = 42) -> np.ndarray:
+    """The conditioner of whole rows (row_id, vec)."""
+    return subspace.conditioner(subspace.dense_rows(rows, m or max(40, 8 * d), d, p, seed))
+
+
 def sample_stream(updates: DataFrame, ids: DataFrame, spec: SketchSpec, k: int, m: int | None = None, rank: str = "k", budget: int | None = None, matrix: np.ndarray | None = None) -> DataFrame:
     """Turnstile leverage-score sample: sketch and embedding of one log, conditioned after sketching."""
     matrix = embedding_conditioner(updates, spec.d, spec.p, m, spec.seed) if matrix is None else matrix

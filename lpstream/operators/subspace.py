@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from ..functions.hashing import coefficients, poly
 from .baselines import stable_at, stable_numpy
+from .sketch import stacked
 
 
 def dense(updates: DataFrame, m: int, p: float, seed: int = 42, engine: str = "auto") -> DataFrame:
@@ -43,6 +44,22 @@ def dense(updates: DataFrame, m: int, p: float, seed: int = 42, engine: str = "a
     return log.mapInArrow(run, "i int, col_id int, val double").groupBy("i", "col_id").agg(F.sum("val").alias("val"))
 
 
+def dense_rows(rows: DataFrame, m: int, d: int, p: float, seed: int = 42) -> np.ndarray:
+    """The dense embedding of whole rows (row_id, vec), as an m x d array at the driver: one product of matrices a batch."""
+
+    def run(batches):
+        acc = np.zeros((m, d))
+        for b in batches:
+            row, x = b.column(0).to_numpy(zero_copy_only=False), stacked(b.column(1), d, 0.0)
+            for i in range(m):
+                acc[i] += stable_numpy(row, i, p, seed + 101) @ x
+        i, j = np.nonzero(acc)
+        yield pa.RecordBatch.from_arrays([pa.array(i.astype(np.int32)), pa.array(j.astype(np.int32)), pa.array(acc[i, j])], names=["i", "col_id", "val"])
+
+    found = rows.select(F.col("row_id").cast("long").alias("row_id"), "vec").mapInArrow(run, "i int, col_id int, val double")
+    return to_numpy(found.groupBy("i", "col_id").agg(F.sum("val").alias("val")), m, d)
+
+
 def sparse(updates: DataFrame, m: int, p: float, seed: int = 42) -> DataFrame:
     """The same from one non-zero a row: a hashed place, a sign and, below p = 2, a heavy-tailed scale."""
     row = F.col("row_id")

@@ -22,7 +22,7 @@ METHODS = ("uniform", "oblivious", "sampler", "offline", "merge_reduce", "online
 WORKLOADS = {"w1": features.w1_lineitem, "w2": features.w2_documents, "w3": features.w3_events}
 
 
-def _reduced(method: str, rows: DataFrame, updates: DataFrame, loss: str, p: float, k: int, d: int, n: int, seed: int, mixture: str, shared: dict):
+def _reduced(method: str, rows: DataFrame, loss: str, p: float, k: int, d: int, n: int, seed: int, mixture: str, shared: dict):
     """(rows, weights, cells) of one reduced problem at the driver: about k rows."""
     q = 1.0 if loss == "logistic" else p
     if method == "uniform":
@@ -32,34 +32,36 @@ def _reduced(method: str, rows: DataFrame, updates: DataFrame, loss: str, p: flo
     if method == "online":
         return *coreset.to_numpy(baselines.online_rows(rows, max(1, k // 8), q, seed=seed)), 0
     if method == "oblivious":
-        return *coreset.to_numpy(baselines.oblivious(updates, k, seed=seed, d=d, signed=loss == "lp")), k * d
+        return *coreset.to_numpy(baselines.oblivious_rows(rows, k, seed=seed, d=d, signed=loss == "lp")), k * d
     share = max(1, k // 2) if loss != "lp" or mixture == "l1l2" else k
     if "matrix" not in shared:
-        shared["matrix"] = leverage.embedding_conditioner(updates, d, q)
+        shared["matrix"] = leverage.rows_conditioner(rows, d, q)
     matrix = shared["matrix"]
     if method == "offline":
         if "offline" not in shared:
-            shared["offline"] = leverage.scores(rows, q, matrix).persist()
+            shared["offline"] = leverage.scores(rows, q, matrix)
         got = baselines.offline_sample(shared["offline"], share, "priority", seed)
         if loss != "lp":
             got = sampler.mix_uniform(got, baselines.uniform_rows(rows, share, n, seed), share, n, q, matrix)
         elif mixture == "l1l2":
             if "offline2" not in shared:
-                shared["matrix2"] = leverage.embedding_conditioner(updates, d, 2.0)
-                shared["offline2"] = leverage.scores(rows, 2.0, shared["matrix2"]).persist()
+                shared["matrix2"] = leverage.rows_conditioner(rows, d, 2.0)
+                shared["offline2"] = leverage.scores(rows, 2.0, shared["matrix2"])
             got = mixed(got, baselines.offline_sample(shared["offline2"], share, "priority", seed + 7), q, matrix, shared["matrix2"])
         return *coreset.to_numpy(got), 0
     spec = practical(share, q, d, seed)
-    cells = sk.build(updates, spec).persist()
-    ids = shared.setdefault("ids", updates.select("row_id").distinct().persist())
+    cells = sk.build_rows(rows, spec).persist()
+    if "ids" not in shared:
+        shared["ids"] = rows.filter(F.exists("vec", lambda x: x != 0)).select("row_id").distinct().persist()
+    ids = shared["ids"]
     lp = sampler.sample(cells, ids, spec, share, matrix=matrix)
     if loss != "lp":
         lp = sampler.mix_uniform(lp, baselines.uniform_rows(rows, share, n, seed), share, n, q, matrix)
     elif mixture == "l1l2":
         two = replace(practical(share, 2.0, d, seed + 1), seed=seed + 1)
         if "matrix2" not in shared:
-            shared["matrix2"] = leverage.embedding_conditioner(updates, d, 2.0)
-        other = sampler.sample(sk.build(updates, two).persist(), ids, two, share, matrix=shared["matrix2"])
+            shared["matrix2"] = leverage.rows_conditioner(rows, d, 2.0)
+        other = sampler.sample(sk.build_rows(rows, two).persist(), ids, two, share, matrix=shared["matrix2"])
         lp = mixed(lp, other, q, matrix, shared["matrix2"])
     x, w = coreset.to_numpy(lp)
     return x, w, spec.r * spec.s * d
@@ -81,24 +83,24 @@ def run(spark: SparkSession, sf: str, workload: str, loss: str = "logistic", p:
     n, d = rows.count(), features.width(rows)
     last = -1.0 if loss == "lp" else None
     first = 1.0 if loss == "relu" else None
-    updates = leverage.long_rows(rows).filter("delta <> 0").persist()
-    opt = solvers.solve_full(rows, d, loss, p, last) if loss in ("lp", "logistic") else solvers.solve_rows(rows, d, loss, p, first=first)
+    packed = solvers.blocks(rows, d).persist()
+    opt = solvers.solve_full(packed, d, loss, p, last) if loss in ("lp", "logistic") else solvers.solve_rows(rows, d, loss, p, first=first)
     shared: dict = {}
     found, meta = [opt], []
     for k in sizes:
         for seed in seeds:
             for m in methods:
                 t0 = time.perf_counter()
-                x, w, cells = _reduced(m, rows, updates, loss, p, k, d, n, 1000 * seed + k, mixture, shared)
+                x, w, cells = _reduced(m, rows, loss, p, k, d, n, 1000 * seed + k, mixture, shared)
                 t1 = time.perf_counter()
                 z = solvers.solve(x, w, loss, p, last=last, first=first) if len(x) else solvers._start(d, first)
                 found.append(z)
                 meta.append((workload, loss, float(p), m, k, seed, len(x), cells, t1 - t0, time.perf_counter() - t1))
     # One scan for the losses of all solutions.
-    vals = np.concatenate([solvers.evaluate(rows, found[i : i + 60], loss, p) for i in range(0, len(found), 60)])
+    vals = np.concatenate([solvers.evaluate_blocks(packed, found[i : i + 60], loss, p) for i in range(0, len(found), 60)])
     best = float(vals.min())
     out = [(*a[:6], float(v / best), *a[6:]) for a, v in zip(meta, vals[1:])]
-    rows.unpersist(), updates.unpersist()
+    rows.unpersist(), packed.unpersist()
     return spark.createDataFrame(out, "workload string, loss string, p double, method string, k int, seed int, ratio double, rows int, cells long, t_reduce double, t_solve double")
 
 

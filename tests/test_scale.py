@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from lpstream.functions.params import SketchSpec
-from lpstream.operators import leverage, recover, sampler, sketch as sk
+from lpstream.operators import baselines, leverage, recover, sampler, sketch as sk, solvers, subspace
 from lpstream.sources import features, updates as up
 
 
@@ -48,3 +48,14 @@ def test_medoids_are_the_representatives(spark, p, s):
     got = recover.medoids(vecs, spec.p)
     want = {r.row_id: r.rep for r in recover.nearest(rows, spec.p).collect()}
     assert [want[i] for i in range(n)] == got.tolist()
+
+
+def test_blocks_solve_and_value_like_rows(spark, sf):
+    """A logistic optimum and losses from blocks are those from rows."""
+    rows = features.w3_events(spark, sf).persist()
+    packed = solvers.blocks(rows, 6, 16).persist()
+    a, b = solvers.solve_full(rows, 6, "logistic"), solvers.solve_full(packed, 6, "logistic")
+    assert np.allclose(a, b, rtol=1e-6, atol=1e-8)
+    for loss, p in (("logistic", 1.0), ("lp", 1.5), ("relu", 2.0), ("probit", 2.0)):
+        assert np.allclose(solvers.evaluate(rows, [a, -a], loss, p), solvers.evaluate_blocks(packed, [a, -a], loss, p))
+    assert not solvers.evaluate_blocks(solvers.blocks(rows.limit(0), 6), [a], "lp")[0]
