@@ -59,3 +59,10 @@ def test_blocks_solve_and_value_like_rows(spark, sf):
     for loss, p in (("logistic", 1.0), ("lp", 1.5), ("relu", 2.0), ("probit", 2.0)):
         assert np.allclose(solvers.evaluate(rows, [a, -a], loss, p), solvers.evaluate_blocks(packed, [a, -a], loss, p))
     assert not solvers.evaluate_blocks(solvers.blocks(rows.limit(0), 6), [a], "lp")[0]
+
+
+@pytest.mark.parametrize("p", [1.0, 1.5])
+def test_lp_blocks_fit_like_rows(spark, sf, p):
+    rows = features.w1_lineitem(spark, sf, "lp").persist()
+    a, b = (solvers.solve_full(x, 7, "lp", p, -1.0) for x in (rows, solvers.blocks(rows, 7)))
+    assert np.allclose(*(solvers.evaluate(rows, [z], "lp", p) for z in (a, b)), rtol=1e-9)
