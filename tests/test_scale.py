@@ -66,3 +66,16 @@ def test_lp_blocks_fit_like_rows(spark, sf, p):
     rows = features.w1_lineitem(spark, sf, "lp").persist()
     a, b = (solvers.solve_full(x, 7, "lp", p, -1.0) for x in (rows, solvers.blocks(rows, 7)))
     assert np.allclose(*(solvers.evaluate(rows, [z], "lp", p) for z in (a, b)), rtol=1e-9)
+
+
+@pytest.mark.parametrize("p", [1.0, 1.5, 2.0])
+def test_sketch_of_rows_is_that_of_entries(spark, sf, p):
+    """Bit by bit (powers may differ in the last place between engines), with ids on both sides of 2^31."""
+    rows = features.w1_lineitem(spark, sf).withColumn("row_id", F.when(F.col("row_id") % 2 == 0, F.col("row_id")).otherwise(F.col("row_id") % 1000)).persist()
+    spec = SketchSpec(p=p, r=50, s=3, d=7)
+    cells = lambda df: {(r.rep, r.bucket, r.col_id): int(r.val) for r in df.collect()}
+    a, b = cells(sk.build(leverage.long_rows(rows), spec)), cells(sk.build_rows(rows, spec))
+    assert a.keys() == b.keys() and all(a[k] == b[k] if p != 1.5 else abs(a[k] - b[k]) <= 1e-9 * abs(a[k]) + 1e6 for k in a)
+    odd = spark.createDataFrame([(1, [float("nan"), 1.0])], "row_id long, vec array<double>")
+    with pytest.raises(Exception, match="invalid update"):
+        sk.build_rows(odd, SketchSpec(d=2)).collect()
