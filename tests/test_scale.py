@@ -79,3 +79,15 @@ def test_sketch_of_rows_is_that_of_entries(spark, sf, p):
     odd = spark.createDataFrame([(1, [float("nan"), 1.0])], "row_id long, vec array<double>")
     with pytest.raises(Exception, match="invalid update"):
         sk.build_rows(odd, SketchSpec(d=2)).collect()
+
+
+def test_mixture_parts_of_rows_are_those_of_entries(spark, sf):
+    """Conditioners of both norms and the oblivious sketch, from rows and from entries."""
+    rows = features.w3_events(spark, sf, "lp").persist()
+    log = leverage.long_rows(rows)
+    for p in (1.0, 2.0):
+        assert np.allclose(leverage.rows_conditioner(rows, 7, p), leverage.embedding_conditioner(log, 7, p), rtol=1e-6)
+    put = lambda df: {(r.level, r.bucket): [*r.vec, r.weight] for r in df.collect()}
+    for signed in (False, True):
+        a, b = put(baselines.oblivious(log, 50, d=7, signed=signed)), put(baselines.oblivious_rows(rows, 50, d=7, signed=signed))
+        assert a.keys() == b.keys() and all(np.allclose(a[k], b[k]) for k in a)
