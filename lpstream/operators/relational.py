@@ -173,10 +173,27 @@ def tail_window(spark, sf):
 def waterfill(spark, sf):
     """Capped norms by cumulative sums: the tail after each rank, and whether the row exceeds its cap."""
     n = table(spark, sf, "customer").filter("c_acctbal > 0").select(F.col("c_custkey").alias("row_id"), F.col("c_acctbal").alias("norm"))
-    w = Window.orderBy(F.desc("norm"), "row_id")
-    after = F.sum("norm").over(w.rowsBetween(1, Window.unboundedFollowing))
-    k = F.row_number().over(w)
-    return n.select("row_id", k.cast("bigint").alias("k"), F.round(F.coalesce(after, F.lit(0.0)), 2).alias("tail"), (F.col("norm") * (20 - k) >= F.coalesce(after, F.lit(0.0))).alias("capped"))
+    return waterfilled(n)
+
+
+def waterfilled(n: DataFrame, level: int = 20, parts: int = 64) -> DataFrame:
+    """(row_id, norm) with rank, tail after the rank and whether the row is capped.
+
+    Ranks and tails are those inside ranges of norms plus what the ranges above and
+    below hold, so no task sorts all rows; a frame that only grows is one pass, one
+    that shrinks is summed anew for every row.  Tails are exact decimals.
+    """
+    n = n.withColumn("exact", F.col("norm").cast("decimal(28,10)"))
+    at = [float(x) for x in (n.agg(F.percentile_approx("norm", [i / parts for i in range(1, parts)], 10_000)).first()[0] or [])]
+    ranged = n.withColumn("range", sum((F.when(F.col("norm") > x, 1).otherwise(0) for x in sorted(set(at))), F.lit(0)))
+    sums = ranged.groupBy("range").agg(F.count("*").alias("c"), F.sum("exact").alias("mass"))
+    low, high = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1), Window.orderBy(F.desc("range")).rowsBetween(Window.unboundedPreceding, -1)
+    around = sums.select("range", F.coalesce(F.sum("c").over(high), F.lit(0)).alias("above"), F.coalesce(F.sum("mass").over(low), F.lit(0)).alias("below"))  # a row a range
+    down = Window.partitionBy("range").orderBy(F.desc("norm"), "row_id")
+    up_ = Window.partitionBy("range").orderBy("norm", F.desc("row_id")).rowsBetween(Window.unboundedPreceding, -1)
+    inside = ranged.withColumns({"rk": F.row_number().over(down), "rest": F.coalesce(F.sum("exact").over(up_), F.lit(0))})
+    whole = inside.join(F.broadcast(around), "range").withColumns({"k": (F.col("above") + F.col("rk")).cast("bigint"), "after": F.col("below") + F.col("rest")})
+    return whole.select("row_id", "k", F.round(F.col("after").cast("double"), 2).alias("tail"), (F.col("norm") * (level - F.col("k")) >= F.col("after").cast("double")).alias("capped"))
 
 
 WATERFILL_SQL = """with n as (select c_custkey as row_id, c_acctbal as norm from customer where c_acctbal > 0),
