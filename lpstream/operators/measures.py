@@ -35,10 +35,11 @@ def norm_ratio(sampled: DataFrame, exact: DataFrame, p: float) -> DataFrame:
 
 
 def recall(found: DataFrame, wanted: DataFrame) -> DataFrame:
-    """wanted, found, hits, recall, precision over row ids."""
+    """wanted, found, hits, recall, precision over row ids; a share of none is NaN."""
     both = wanted.select("row_id", F.lit(1).alias("w")).join(found.select("row_id", F.lit(1).alias("f")), "row_id", "full")
     sums = both.agg(F.count("w").alias("wanted"), F.count("f").alias("found"), F.count(F.when(F.col("w").isNotNull() & F.col("f").isNotNull(), 1)).alias("hits"))
-    return sums.select("*", (F.col("hits") / F.col("wanted")).alias("recall"), (F.col("hits") / F.col("found")).alias("precision"))
+    share = lambda n: F.when(F.col(n) > 0, F.col("hits") / F.col(n)).otherwise(F.lit(float("nan")))
+    return sums.select("*", share("wanted").alias("recall"), share("found").alias("precision"))
 
 
 def subset_sums(sampled: DataFrame, exact: DataFrame, p: float, stratum) -> DataFrame:

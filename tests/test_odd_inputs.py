@@ -19,3 +19,12 @@ def test_waterfill_ranges_are_one_order(spark):
         assert sorted(map(tuple, got.collect())) == sorted(want)
     assert "unboundedfollowing" not in got._jdf.queryExecution().analyzed().toString().lower()
     assert relational.waterfilled(n.limit(0)).count() == 0
+
+
+def test_recall_of_nothing_is_nan(spark):
+    """No heavy row wanted, or none found: the shares are 0/0, as SQL has it, and no error."""
+    none, one = spark.createDataFrame([], "row_id long"), spark.createDataFrame([(1,)], "row_id long")
+    r = measures.recall(one, none).first()
+    assert math.isnan(r.recall) and r.precision == 0 and (r.wanted, r.found) == (0, 1)
+    r = measures.recall(none, one).first()
+    assert math.isnan(r.precision) and r.recall == 0
