@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, functions as F, types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
@@ -20,6 +21,7 @@ from ..sources.formats import scratch
 from ..sources.tables import SCHEMAS, table, typed
 
 SPEC = SketchSpec(p=1.0, r=500, s=5, d=5)
+SET_PARTS = 128  # groups of users a kind: a call into Python costs milliseconds a group
 
 
 def events_stream(spark: SparkSession, sf: str, files_per_batch: int = 1) -> DataFrame:
@@ -139,23 +141,36 @@ def dedup(spark, sf):
 
 
 def set_value_state(spark, sf):
-    """Overwrites to deltas with the last value of each entry as state."""
+    """Overwrites to deltas with the history of the entries as state, many users of one kind in a group.
+
+    A group comes in several frames, and files need not follow the order of events:
+    the rows of a batch are ordered together, and one that falls between earlier
+    ones changes the delta after it, which is sent again.
+    """
+    step = np.dtype([("user", np.int64), ("ts", np.int64), ("event_id", np.int64), ("value", np.float64)])
 
     def deltas(key, frames: Iterator[pd.DataFrame], state: GroupState):
-        last = state.get[0] if state.exists else 0.0
+        parts = [np.frombuffer(state.get[0], step) if state.exists else np.zeros(0, step)]
         for pdf in frames:
-            pdf = pdf.sort_values(["ts", "event_id"])
-            values = pdf["value"].to_numpy()
-            change = values.copy()
-            change[1:] -= values[:-1]
-            change[0] -= last
-            last = float(values[-1])
-            yield pd.DataFrame({"event_id": pdf["event_id"], "row_id": key[0], "kind": key[1], "delta": change})
-        state.update((last,))
-
-    grouped = events_stream(spark, sf).groupBy("user_id", "event_type")
-    out = grouped.applyInPandasWithState(deltas, "event_id long, row_id long, kind string, delta double", "last double", "append", GroupStateTimeout.NoTimeout)
-    return finished(out, "append").select("event_id", F.round("delta", 6).alias("delta"))
+            part = np.zeros(len(pdf), step)
+            micros = pdf["ts"].to_numpy("datetime64[us]")
+            part["ts"] = np.where(np.isnat(micros), np.iinfo(np.int64).max, micros.astype(np.int64))  # nulls last
+            part["user"], part["event_id"], part["value"] = pdf["user_id"].to_numpy(), pdf["event_id"].to_numpy(), pdf["value"].to_numpy(float)
+            parts.append(part)
+        every = np.concatenate(parts)
+        order = np.lexsort((every["event_id"], every["ts"], every["user"]))
+        every, fresh = every[order], order >= len(parts[0])
+        same = np.r_[False, every["user"][1:] == every["user"][:-1]]
+        before = np.where(same, np.r_[0.0, every["value"][:-1]], 0.0)
+        sent = fresh | same & np.r_[False, fresh[:-1]]
+        state.update((every.tobytes(),))
+        change = every["value"] - np.where(np.isnan(before), 0.0, before)
+        yield pd.DataFrame({"event_id": every["event_id"][sent], "row_id": every["user"][sent], "kind": key[0], "delta": change[sent]})
+
+    user = F.coalesce("user_id", F.lit(-(2**63)).cast("long"))
+    grouped = events_stream(spark, sf).withColumns({"user_id": user, "part": F.pmod(user, F.lit(SET_PARTS))}).groupBy("event_type", "part")
+    out = grouped.applyInPandasWithState(deltas, "event_id long, row_id long, kind string, delta double", "history binary", "update", GroupStateTimeout.NoTimeout)
+    return finished(out, "update", ["event_id"]).select("event_id", F.round("delta", 6).alias("delta"))
 
 
 def static_join(spark, sf):

@@ -44,3 +44,17 @@ def test_replay_source_batch_and_stream(spark, tmp_path):
     finally:
         q.stop()
     assert sorted(map(tuple, spark.table("replayed").collect())) == sorted(map(tuple, batch.collect()))
+
+
+def test_set_values_in_any_order(spark, sf, tmp_path):
+    """Files out of the order of events, and groups that come in several frames."""
+    e = spark.read.parquet(f"{sf}/events.parquet").withColumn("user_id", F.col("user_id") % 2)
+    e.repartition(3, "event_id").write.parquet(f"{tmp_path}/events.parquet")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 7)
+    try:
+        got = sorted(map(tuple, streams.set_value_state(spark, str(tmp_path)).collect()))
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    e.createOrReplaceTempView("set_values")
+    want = spark.sql("select event_id, round(value - coalesce(lag(value) over (partition by user_id, event_type order by ts, event_id), 0), 6) as delta from set_values")
+    assert got == sorted(map(tuple, want.collect()))
