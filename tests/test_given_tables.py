@@ -16,3 +16,8 @@ def test_harmonic_counts_orders(spark, sf):
     n = rows(spark, sf, "orders", "o_orderkey")
     got = numeric.diag_harmonic(spark, sf).collect()
     assert all(math.isclose(r.ratio, r.x * r.k / n, rel_tol=1e-3, abs_tol=1e-4) for r in got) and len(got) == 4
+
+
+def test_conditioning_has_the_tables_widths(spark, sf):
+    got = {r.matrix: r.d for r in numeric.params_conditioning(spark, sf).collect()}
+    assert got == {"user_days": rows(spark, sf, "events", "event_type"), "orders": 7, "embeddings": 64}
