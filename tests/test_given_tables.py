@@ -21,3 +21,9 @@ def test_harmonic_counts_orders(spark, sf):
 def test_conditioning_has_the_tables_widths(spark, sf):
     got = {r.matrix: r.d for r in numeric.params_conditioning(spark, sf).collect()}
     assert got == {"user_days": rows(spark, sf, "events", "event_type"), "orders": 7, "embeddings": 64}
+
+
+def test_previous_sizes_are_of_the_order_matrix(spark, sf):
+    n = rows(spark, sf, "lineitem", "l_orderkey")
+    got = numeric.params_previous(spark, sf).collect()
+    assert len(got) == 12 and {r.constant_factor_rows for r in got} == {params.previous_sizes(0.1, 7, n)["constant_factor_rows"]}
