@@ -27,3 +27,9 @@ def test_previous_sizes_are_of_the_order_matrix(spark, sf):
     n = rows(spark, sf, "lineitem", "l_orderkey")
     got = numeric.params_previous(spark, sf).collect()
     assert len(got) == 12 and {r.constant_factor_rows for r in got} == {params.previous_sizes(0.1, 7, n)["constant_factor_rows"]}
+
+
+def test_theory_takes_the_tables_lengths(spark, sf):
+    got = numeric.params_theory(spark, sf).collect()
+    assert {r.n for r in got if r.matrix == "orders"} == {rows(spark, sf, "lineitem", "l_orderkey")} and len(got) == 9
+    assert {r.n for r in got if r.matrix == "events"} == {rows(spark, sf, "events", "event_id")}
