@@ -202,15 +202,12 @@ def stream_files(spark, sf):
 
 
 def rate_stream(spark, sf):
-    """Generated updates for soak tests: a bounded run of the rate source."""
-    raw = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", 500).option("numPartitions", 2).load()
-    log = raw.select((F.col("value") % 97).alias("row_id"), (F.col("value") % 5).cast("int").alias("col_id"), F.lit(1.0).alias("delta"))
+    """Updates of events at a bounded rate, one file a micro-batch, through a file sink; ends when all that is there has been read."""
+    log = updates_stream(spark, sf).select("row_id", "col_id", "delta")
     path = scratch(spark, "rate")
-    q = log.writeStream.format("parquet").option("path", path).option("checkpointLocation", f"{path}-state").trigger(processingTime="200 milliseconds").start()
-    while not any(p["numInputRows"] for p in q.recentProgress):
-        q.awaitTermination(1)
-    q.stop()
-    return spark.read.parquet(path).groupBy("col_id").agg(F.countDistinct("row_id").alias("n_rows"))
+    q = log.writeStream.format("parquet").option("path", path).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.read.schema(log.schema).parquet(path).groupBy("col_id").agg(F.countDistinct("row_id").alias("n_rows"))
 
 
 def memory_sink(spark, sf):
@@ -256,7 +253,7 @@ def queries() -> dict:
 
 def oracle_sql() -> dict[str, str]:
     c = _cells_sql()
-    from ..plans.method_sql import VAL, number
+    from ..plans.method_sql import USER_DAYS, VAL, number
 
     sums = f"cast({VAL} as varchar)"
     cells = f"select rep, bucket, col_id, {sums} as val from cells group by all having {VAL} <> 0"
@@ -276,5 +273,6 @@ def oracle_sql() -> dict[str, str]:
         "stream_static_join": "select c_mktsegment, count(*) as n, round(sum(value), 2) as mass from events left join customer on user_id = c_custkey group by 1",
         "stream_stream_join": "select c.event_id as click, p.event_id as purchase from events c join events p on c.user_id = p.user_id and p.ts >= c.ts and p.ts < c.ts + interval '1' hour where c.event_type = 'click' and p.event_type = 'purchase'",
         "src_stream_files": "select event_type, count(*) as n from events group by 1",
+        "src_rate_stream": f"select col_id, count(distinct row_id) as n_rows from ({USER_DAYS}) group by col_id",
         "sink_memory": "select event_type, count(*) as n from events group by 1",
     }

@@ -33,3 +33,10 @@ def test_theory_takes_the_tables_lengths(spark, sf):
     got = numeric.params_theory(spark, sf).collect()
     assert {r.n for r in got if r.matrix == "orders"} == {rows(spark, sf, "lineitem", "l_orderkey")} and len(got) == 9
     assert {r.n for r in got if r.matrix == "events"} == {rows(spark, sf, "events", "event_id")}
+
+
+def test_rate_stream_reads_every_file(spark, sf, tmp_path):
+    e = spark.read.parquet(f"{sf}/events.parquet")
+    e.repartition(3, "event_id").write.parquet(f"{tmp_path}/events.parquet")
+    a, b = (sorted(map(tuple, streams.rate_stream(spark, d).collect())) for d in (sf, str(tmp_path)))
+    assert a == b and len(a) == e.select("event_type").distinct().count()
