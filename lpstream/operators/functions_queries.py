@@ -250,10 +250,16 @@ SQL_FUNCTIONS_SQL = f"select l_orderkey as row_id, round(sum(abs(v)), 2) as l1,
 
 
 def python_source(spark, sf):
-    from ..sources.replay import ReplaySource
+    """The updates of events replayed by number: a Python source deals the numbers, the table has the updates."""
+    from ..sources.replay import NumberSource
+    from ..sources.tables import typed
+    from ..streaming.streams import user_day_updates
 
-    spark.dataSource.register(ReplaySource)
-    return spark.read.format("replay_updates").option("count", 4000).load().groupBy("row_id", "col_id").agg(F.round(F.sum("delta"), 4).alias("v"))
+    spark.dataSource.register(NumberSource)
+    log = user_day_updates(typed(spark, sf, "events"), up.event_types(spark, sf))
+    lo, hi = log.agg(F.min("event_id"), F.max("event_id")).first()
+    numbers = spark.read.format("replay_numbers").options(start=lo or 0, stop=-1 if hi is None else hi + 1).load()
+    return log.join(numbers, F.col("event_id") == F.col("number")).groupBy("row_id", "col_id").agg(F.round(F.sum("delta"), 4).alias("v"))
 
 
 def sketch_store(spark, sf):
@@ -297,6 +303,7 @@ PAIRS = {
     "udaf_medoid": (medoid_udaf, f"{_FULL}, {q.candidates(ONE, None)}, {q.representatives(ONE)} select row_id, rep from rep_rows"),
     "udtf_explode_updates": (udtf_updates, UDTF_SQL),
     "sql_functions": (sql_functions, SQL_FUNCTIONS_SQL),
+    "src_updates_python_source": (python_source, f"select row_id, col_id, round(sum(delta), 4) as v from ({q.USER_DAYS}) group by row_id, col_id"),
     "src_sketch_store": (sketch_store, f"with upd as ({q.ORDERS}), {q.sketch(ONE)} select rep, bucket, col_id, val from sk"),
     "src_bucketed_updates": (bucketed_updates, "select l_orderkey as row_id, round(sum(l_extendedprice), 2) as v from lineitem group by 1"),
 }
@@ -305,7 +312,6 @@ ROWS_ONLY = {
     "prj_features_lineitem": lambda s, d: shown(features.w1_lineitem(s, d), 7),
     "prj_features_embeddings": lambda s, d: shown(features.w13_embeddings(s, d), 64),
     "grouped_reduce": grouped_reduce,
-    "src_updates_python_source": python_source,
 }
 
 

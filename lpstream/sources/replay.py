@@ -68,3 +68,33 @@ class StreamReader(SimpleDataSourceStreamReader):
 
     def _rows(self, a: int, b: int):
         return iter([update(i, self.o["rows"], self.o["cols"], self.o["seed"]) for i in range(a, b)])
+
+
+class NumberSource(DataSource):
+    """format('replay_numbers'): the numbers (number) from start to stop in `partitions` spans, to replay a table by."""
+
+    @classmethod
+    def name(cls) -> str:
+        return "replay_numbers"
+
+    def schema(self) -> str:
+        return "number bigint"
+
+    def reader(self, schema):
+        return NumberReader(*(int(self.options.get(k, v)) for k, v in (("start", 0), ("stop", 0), ("partitions", 4))))
+
+
+class NumberReader(DataSourceReader):
+    def __init__(self, start: int, stop: int, parts: int):
+        self.start, self.stop, self.parts = start, stop, parts
+
+    def partitions(self):
+        n = max(0, self.stop - self.start)
+        return [Span(self.start + n * k // self.parts, self.start + n * (k + 1) // self.parts) for k in range(self.parts)]
+
+    def read(self, partition: Span):
+        import numpy as np
+        import pyarrow as pa
+
+        for a in range(partition.start, partition.stop, 65536):
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(a, min(a + 65536, partition.stop)))], names=["number"])

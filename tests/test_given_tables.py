@@ -40,3 +40,9 @@ def test_rate_stream_reads_every_file(spark, sf, tmp_path):
     e.repartition(3, "event_id").write.parquet(f"{tmp_path}/events.parquet")
     a, b = (sorted(map(tuple, streams.rate_stream(spark, d).collect())) for d in (sf, str(tmp_path)))
     assert a == b and len(a) == e.select("event_type").distinct().count()
+
+
+def test_python_source_replays_events(spark, sf):
+    got = functions_queries.python_source(spark, sf).agg({"v": "sum"}).first()[0]
+    want = spark.read.parquet(f"{sf}/events.parquet").agg({"value": "sum"}).first()[0]
+    assert math.isclose(got, want, rel_tol=1e-9)
