@@ -172,8 +172,11 @@ def top_narrow(ids: DataFrame, view: np.ndarray, plain: np.ndarray, norms: np.nd
             for at in range(0, len(every), 16384):
                 row = every[at : at + 16384]
                 place = [h.place_numpy(row, j, r) for j in range(s)]
-                est = np.median(np.stack([norms[j, q] for j, (q, _) in enumerate(place)]), axis=0)
-                keep = np.flatnonzero((est >= cut) & (est > 0) & ((est + 1e-6) * reach >= least))
+                mine = np.stack([norms[j, q] for j, (q, _) in enumerate(place)])
+                # A median reaches a cut only if half of the repetitions at least do (more, if their number is odd).
+                some = np.flatnonzero(2 * np.count_nonzero(mine >= max(cut, (least / reach - 1e-6) * (1 - 1e-12)), axis=0) >= s)
+                est = np.median(mine[:, some], axis=0)
+                keep = some[(est >= cut) & (est > 0) & ((est + 1e-6) * reach >= least)]
                 if not len(keep):
                     continue
                 vecs = np.stack([view[j, q[keep]] * sg[keep, None] for j, (q, sg) in enumerate(place)])

@@ -275,9 +275,9 @@ select row_id, {', '.join(f'round(c{j}, 2) as c{j}' for j in range(7))}, round({
 def mix_l1_l2(spark, sf):
     log = up.orders(spark, sf)
     two = replace(SPECS[2.0], seed=ONE.seed + 7)
-    parts = []
-    for spec in (ONE, two):
-        rows = sampler.top_rows(sampler.scaled_rows(sk.build(log, spec).persist(), up.ids(log), spec, K), K).persist()
+    parts, ids = [], up.ids(log).persist()
+    for spec, cells in zip((ONE, two), sk.build_many(log, [ONE, two])):
+        rows = sampler.top_rows(sampler.scaled_rows(cells, ids, spec, K), K).persist()
         parts.append((rows, sampler.cut_at(rows, K), spec.p))
     m = sampler.mix_many(parts)
     return m.select("row_id", *[F.round(F.col("vec")[j], 2).alias(f"c{j}") for j in range(7)], F.round("prob", 5).alias("prob"), "origin")

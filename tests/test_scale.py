@@ -35,6 +35,24 @@ def test_mixture_parts_are_short(spark, sf, p):
     assert k + 1 <= got.count() <= 2 * (k + 1)
 
 
+def test_sketches_of_a_mixture_share_a_scan(spark, sf):
+    """Several sketches of one log read it once, and are those that the plain sums make."""
+    read = spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for b in batches:
+            read.add(b.num_rows)
+            yield b
+
+    log = up.orders(spark, sf).select("row_id", "col_id", "delta").localCheckpoint()
+    seen = log.mapInArrow(counted, log.schema)
+    specs = [SketchSpec(p=1.0, r=60, s=5, d=7), SketchSpec(p=2.0, r=40, s=3, d=7, seed=49)]
+    cells = lambda df: sorted((r.rep, r.bucket, r.col_id, int(r.val)) for r in df.collect())
+    got = [cells(x) for x in sk.build_many(seen, specs)]
+    assert read.value == log.count()
+    assert got == [cells(sk.build(log, x, "sql")) for x in specs]
+
+
 @pytest.mark.parametrize("p", [1.0, 1.5, 2.0])
 @pytest.mark.parametrize("s", [1, 2, 5, 6])
 def test_medoids_are_the_representatives(spark, p, s):
