@@ -32,6 +32,7 @@ from dataclasses import dataclass, field
 from difflib import SequenceMatcher
 
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, functions as F, types as T
 
@@ -381,6 +382,20 @@ def wrappers(seen: DataFrame) -> DataFrame:
     return sizes.select("host").join(root, "host", "left").join(keys, "host", "left")
 
 
+def slices(batches, column: int, rows: int = 512, size: int = 4 << 20):
+    """The batches in parts of at most so many rows, and bytes of a text column unless a row alone has more: what a page's blocks take in Python is many times its html."""
+    for b in batches:
+        sizes = pc.fill_null(pc.binary_length(b.column(column)), 0).to_numpy(zero_copy_only=False)
+        at, held = 0, 0
+        for k, n in enumerate(sizes.tolist()):
+            if k > at and (k - at == rows or held + n > size):
+                yield b.slice(at, k - at)
+                at, held = k, 0
+            held += n
+        if at < b.num_rows:
+            yield b.slice(at)
+
+
 def run_host(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """page_id, url, text, n_chars of every page."""
     from .url_filters import host
@@ -389,7 +404,7 @@ def run_host(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", ht
 
     def see(batches):
         kind = pa.list_(pa.struct([("key", pa.int64()), ("place", pa.string()), ("size", pa.int64())]))
-        for b in batches:
+        for b in slices(batches, 1):
             sigs, rows = [], []
             for p in b.column(1).to_pylist():
                 found = blocks(p)
@@ -408,7 +423,7 @@ def run_host(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", ht
 
     def work(batches):
         now, constants = None, set()
-        for b in batches:
+        for b in slices(batches, 2):
             texts = []
             for k, (p, h, root) in enumerate(zip(*(b.column(c).to_pylist() for c in (2, 3, 4)))):
                 if h != now:
