@@ -9,11 +9,12 @@ fingerprints hardly meet).  Inside a posting list the shared bytes of a pair are
 tallied, pairs with fewer than five are dropped, the rest is verified by XOR and
 bit count.
 
-The same index finds looser copies with longer fingerprints (`NEAR`: 256 bits of
-the set of five-word shingles), without a guarantee: its lists of 64 pairs of
-positions miss a few in a hundred pairs at a similarity of 0.8, and its 48 bits
-link pairs below.  `keep_one_similar` is exact in what it links: it verifies the
-similarity of candidates, which come from lists of minima.
+The same index finds looser copies with longer fingerprints.  `NEAR` (256 bits of
+the set of five-word shingles) links by 48 bits alone, without a guarantee: its
+lists of 64 pairs of positions miss a few in a hundred pairs at a similarity of
+0.8, and it links pairs below.  `keep_one_similar` is exact in what it links: its
+candidates come from the postings of 64 positional bytes (`WIDE`: 512 bits) and are
+verified by their similarity.
 
 Scale: copies collapse to one fingerprint before anything is indexed; the index
 holds 20 short rows a fingerprint; lists are scanned inside a sorted partition,
@@ -69,6 +70,8 @@ class Scheme:
 CLOSE = Scheme(3, False, 1, 3, 5, tuple(itertools.combinations(range(6), 3)), 2)
 #: 256 bits of the set of five-word shingles: a similarity of about 0.8 and more.
 NEAR = Scheme(5, True, 4, 48, 2, tuple((i, (i + o) % 32) for o in (1, 2) for i in range(32)), 1)
+#: 512 bits of the same sets, one list for each byte position. A pair at a similarity of 0.8 differs in 78 bits on average, and in more than 120 with a probability of 2e-7.
+WIDE = Scheme(5, True, 8, 120, 2, tuple((i,) for i in range(64)), 1)
 
 
 def fingerprint(text: str | None, width: int = 3, seed: int = SEED) -> int:
@@ -384,25 +387,13 @@ def _survivors(docs: DataFrame, best: DataFrame, roots: DataFrame) -> DataFrame:
 
 # --- near copies by exact similarity -----------------------------------------------
 
-#: Candidates share the minima of BAND hashes in one of BANDS lists: a pair at similarity 0.8 misses all with probability 3e-6.
-BANDS, BAND = 24, 4
-#: A pair at 0.8 differs in 39 of 256 bits on average; more than this with a probability of 2e-7.
-LOOSE_BITS = 68
-TINY = 12  # sets up to this size, whose bits vary more, are verified whatever their bits
+#: Linked pairs have two equal bytes at most so many positions apart (around the end): a pair at similarity 0.8 has none with a probability of 1e-7.
+REACH = 16
+#: Bytes after a posting's own that its entries carry, and the bits that may differ in them: a pair at 0.8 differs in 39 on average, in more with a probability of 2e-7.
+WINDOW, WINDOW_BITS = 32, 68
+TINY, TINY_BITS = 12, 90  # sets up to this size, whose bits vary more, may differ in more bits of the window, and in any of the fingerprint
+FEW = 16  # linked groups up to this size leave a posting list as all their pairs
 SIMILAR = 0.8
-_ODD = mix64(np.arange(BANDS * BAND)) | np.uint64(1)
-
-
-def bands(found: np.ndarray) -> list[int]:
-    """List keys of a shingle set; none for the empty set."""
-    if not len(found):
-        return []
-    with np.errstate(over="ignore"):
-        low = np.min([(found[i : i + 4096, None] * _ODD).min(axis=0) for i in range(0, len(found), 4096)], axis=0)
-        key = np.arange(BANDS, dtype=np.uint64)
-        for part in low.reshape(BANDS, BAND).T:
-            key = mix64(key ^ part)
-    return key.view(np.int64).tolist()
 
 
 def jaccard(a: np.ndarray, b: np.ndarray) -> float:
@@ -414,7 +405,7 @@ def jaccard(a: np.ndarray, b: np.ndarray) -> float:
 def _mixed_pairs(batches, heavy: int, last: bool, least: float):
     """Sorted (key, node, root, size, codes, blocks) batches to rows (kind, key, a, b): 0 a pair of one list that may be similar (key: how much its sets differ), of different roots, 1 an entry (node a) of a list longer than `heavy`, passed on as it comes.
 
-    Fingerprints within LOOSE_BITS and fitting sizes go on to the codes, 16 bits of each shingle: the
+    Fingerprints within WIDE.max_bits and fitting sizes go on to the codes, 16 bits of each shingle: the
     shingles of one set whose code the other has are at least those they share,
     so no similar pair is refused, and hardly one that isn't leaves the task.
     """
@@ -437,7 +428,7 @@ def _mixed_pairs(batches, heavy: int, last: bool, least: float):
                 if root[mine.start] == root[theirs.stop - 1] and root[mine.stop - 1] == root[theirs.start]:
                     continue  # all of one root
                 bits = np.bitwise_count(fp[mine, None] ^ fp[None, theirs]).sum(axis=2, dtype=np.int64)
-                near = (bits <= LOOSE_BITS) | (np.maximum(size[mine, None], size[None, theirs]) <= TINY)
+                near = (bits <= WIDE.max_bits) | (np.maximum(size[mine, None], size[None, theirs]) <= TINY)
                 near &= root[mine, None] < root[None, theirs]
                 near &= least * np.maximum(size[mine, None], size[None, theirs]) <= np.minimum(size[mine, None], size[None, theirs]) + 1e-9
                 for p in np.flatnonzero(near.any(axis=1)):
@@ -479,38 +470,168 @@ def _mixed_pairs(batches, heavy: int, last: bool, least: float):
                 wait, passing = None, k
 
 
+def postings(fp: np.ndarray, node: np.ndarray, tiny: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Entries of the byte index: keys (position and byte), twice the node plus one for a tiny set, and the bytes that follow (entries x WINDOW)."""
+    byte = _bytes(fp)
+    n, places = byte.shape
+    key = (np.arange(places, dtype=np.int64) << 8) | byte
+    after = np.lib.stride_tricks.sliding_window_view(np.concatenate([byte, byte[:, :WINDOW]], axis=1)[:, 1:], WINDOW, axis=1)
+    return key.ravel(), np.repeat(2 * node + tiny, places), np.ascontiguousarray(after).reshape(n * places, WINDOW)
+
+
+def _close(x: np.ndarray, tiny: np.ndarray) -> np.ndarray:
+    """Of XORed windows (pairs x blocks): which differ in few bits."""
+    return np.bitwise_count(x).sum(axis=-1, dtype=np.int64) <= np.where(tiny, TINY_BITS, WINDOW_BITS)
+
+
+def _reached(window: np.ndarray, tiny: np.ndarray) -> np.ndarray:
+    """The first entry that each entry of a list is reached from by close windows; each entry meets only what is not yet reached."""
+    label, left = np.arange(len(window)), np.arange(len(window))
+    while len(left):
+        hub, left = int(left[0]), left[1:]
+        queue = [hub]
+        while queue and len(left):
+            i = queue.pop()
+            hit = _close(window[left] ^ window[i], tiny[left] & tiny[i])
+            found, left = left[hit], left[~hit]
+            label[found] = hub
+            queue.extend(found.tolist())
+    return label
+
+
+def _scan_postings(key: np.ndarray, node: np.ndarray, tiny: np.ndarray, window: np.ndarray, few: int):
+    """Whole posting lists to candidate pairs (a, b) and groups (group, node) whose pairs are too many.
+
+    An entry meets those that share a further byte at most REACH positions on: with
+    the list's own that makes the two bytes of the count filter.  A pair is
+    met at the first such byte alone.
+    """
+    byte, blocks = window.view(np.uint8).reshape(len(key), -1), window
+    pairs = [(np.zeros(0, np.int64), np.zeros(0, np.int64))]
+    top, large = np.arange(len(key)), np.zeros(len(key), bool)  # the large group of an entry, over all further bytes of its list
+
+    def find(x):
+        while (top[x] != x).any():
+            x = top[x]
+        return x
+
+    for o in range(REACH):
+        order = np.lexsort((node, byte[:, o], key))
+        sub = key[order] << 8 | byte[order, o]
+        start = np.flatnonzero(np.r_[True, sub[1:] != sub[:-1]])
+        size = np.diff(np.r_[start, len(sub)])
+        small = np.repeat(size <= few, size)
+        at = np.flatnonzero((sub[:-1] == sub[1:]) & small[:-1])
+        for shift in range(1, few):  # short lists: neighbours at each distance, all lists at once
+            at = at[at + shift < len(sub)]
+            at = at[sub[at] == sub[at + shift]]
+            if not len(at):
+                break
+            i, j = order[at], order[at + shift]
+            hit = _close(blocks[i] ^ blocks[j], tiny[i] & tiny[j])
+            i, j = i[hit], j[hit]
+            first = ~(byte[i, :o] == byte[j, :o]).any(axis=1)
+            pairs.append((i[first], j[first]))
+        for k in np.flatnonzero(size > few):
+            mine = order[start[k] : start[k] + size[k]]
+            _, index, count = np.unique(_reached(blocks[mine], tiny[mine]), return_inverse=True, return_counts=True)
+            for members in np.split(np.argsort(index, kind="stable"), np.cumsum(count)[:-1]):
+                own = mine[members]
+                if len(own) > few:
+                    tops = np.unique(find(own))
+                    top[tops] = tops[0]
+                    large[own] = True
+                elif len(own) > 1:
+                    i, j = (own[x] for x in np.triu_indices(len(own), 1))
+                    hit = _close(blocks[i] ^ blocks[j], tiny[i] & tiny[j])
+                    pairs.append((i[hit], j[hit]))
+    i, j = (np.concatenate(x) for x in zip(*pairs))
+    apart = ~(large[i] & large[j]) | (find(i) != find(j))  # what a large group holds is asked for by the group
+    own = np.flatnonzero(large)
+    order = own[np.lexsort((node[own], find(own)))]
+    group = find(order)
+    start = np.flatnonzero(np.r_[True, group[1:] != group[:-1]]) if len(order) else np.zeros(0, np.int64)
+    hub = np.repeat(order[start], np.diff(np.r_[start, len(order)]))
+    named = mix64(mix64(node[hub]) ^ key[hub].astype(np.uint64)).view(np.int64)
+    return [(np.r_[node[i[apart]], node[hub]], np.r_[node[j[apart]], node[order]]), (named, node[order])]
+
+
+def _probe_postings(batches, few: int, chunk: int = 1 << 16):
+    """Sorted (key, node, window blocks) batches to rows (kind, a, b): 0 a candidate pair, 1 a node (b) in a group (a) whose pairs are too many."""
+    wait, held = [], 0
+
+    def rows(kind, a, b):
+        return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int8)), pa.array(a), pa.array(b)], names=["kind", "a", "b"])
+
+    def scanned(key, mark, window):
+        (a, b), (g, m) = _scan_postings(key, mark >> 1, (mark & 1).astype(bool), window, few)
+        once = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1)[a != b], axis=0)
+        yield rows(0, np.ascontiguousarray(once[:, 0]), np.ascontiguousarray(once[:, 1]))
+        if len(g):
+            yield rows(1, g, m)
+
+    for batch in itertools.chain(batches, [None]):
+        if batch is not None:
+            key, mark, *blocks = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            wait.append((key, mark, np.stack(blocks, axis=1).view(np.uint64)))
+            held += len(key)
+            if held < chunk:
+                continue
+        if not held:
+            continue
+        key, mark, window = (np.concatenate(x) for x in zip(*wait))
+        cut = len(key) if batch is None else int(np.searchsorted(key, key[-1], "left"))
+        if cut:
+            yield from scanned(key[:cut], mark[:cut], window[:cut])
+        wait, held = [(key[cut:], mark[cut:], window[cut:])], len(key) - cut
+        if batch is not None and held >= chunk:
+            chunk = 2 * held  # a list longer than a chunk: look again when there is as much more
+
+
 def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text", least: float = SIMILAR, heavy: int | None = None) -> DataFrame:
     """The documents without all but one of each group linked by a Jaccard similarity of five-word shingle sets of at least `least`: the smallest id stays.
 
-    Equal sets collapse first.  Candidates within LOOSE_BITS of fingerprint are
-    verified on their sets of 64-bit shingle hashes.  The first round takes one
-    node of each list with the others.  The second takes the lists whose nodes are
-    still in different groups and compares them inside the scan by 16-bit codes of
-    their shingles: pairs of different groups that seem similar leave the task and
-    are verified, so a large group is linked before its pairs are asked for.  A
-    list beyond `heavy` is split by each further list that its entries share (a
-    pair at 0.8 then shares none with probability 6e-5).
+    Equal sets collapse first.  Candidates come from the byte index of fingerprints
+    and are verified on their sets of 64-bit shingle hashes.  Small groups of a
+    posting list give all their pairs; of a larger one a hub meets the others.
+    Groups whose nodes then are still apart are compared by 16-bit codes of
+    their shingles: pairs that seem similar leave the task and are verified, so a
+    large group is linked before its pairs are asked for.  A group beyond
+    `heavy` is split by each further group that its entries share.
     """
-    cols, heavy = names(NEAR), heavy or HEAVY
+    cols, heavy = names(WIDE), heavy or HEAVY
     k0, k1 = row_key(docs)
     kind = docs.schema[id_col].dataType
-    schema = T.StructType([T.StructField("k0", T.LongType()), T.StructField("k1", T.LongType()), T.StructField("doc_id", kind), *[T.StructField(c, T.LongType()) for c in ("set0", "set1", "size", *cols)], T.StructField("bands", T.ArrayType(T.LongType()))])
+    schema = T.StructType([T.StructField("k0", T.LongType()), T.StructField("k1", T.LongType()), T.StructField("doc_id", kind), *[T.StructField(c, T.LongType()) for c in ("set0", "set1", "size", *cols)]])
 
     def run(batches):
         for b in batches:
-            sets = [np.unique(shingles(t, NEAR.width)) for t in b.column(3).to_pylist()]
-            fp = np.array([_fingerprints(x, NEAR) for x in sets], np.uint64).reshape(-1, NEAR.blocks).view(np.int64)
+            sets = [np.unique(shingles(t, WIDE.width)) for t in b.column(3).to_pylist()]
+            fp = np.array([_fingerprints(x, WIDE) for x in sets], np.uint64).reshape(-1, WIDE.blocks).view(np.int64)
             whole = np.array([[xxhash.xxh64_intdigest(x.tobytes(), k) for k in (0, 1)] for x in sets], np.uint64).reshape(-1, 2).view(np.int64)
             count = np.array([[len(x)] for x in sets], np.int64).reshape(-1, 1)
             longs = [pa.array(np.ascontiguousarray(m[:, k])) for m in (whole, count, fp) for k in range(m.shape[1])]
-            yield pa.RecordBatch.from_arrays([*b.columns[:3], *longs, pa.array([bands(x) for x in sets], pa.list_(pa.int64()))], names=schema.names)
+            yield pa.RecordBatch.from_arrays([*b.columns[:3], *longs], names=schema.names)
 
     rows = docs.select(k0.alias("k0"), k1.alias("k1"), F.col(id_col).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, schema)
-    best = _numbered(rows.groupBy("set0", "set1").agg(_least("doc_id", "k0", "k1"), _several(), *[F.first(c).alias(c) for c in ("size", *cols)], F.first("bands").alias("bands")))
-    entries = best.select("node", F.explode("bands").alias("key"))
-    hubs = entries.groupBy("key").agg(F.min_by("node", F.xxhash64("key", "node")).alias("hub"), F.count("*").alias("c")).filter("c > 1").select("key", "hub")
-    met = checkpointed(entries.join(hubs, "key"))
-    wanted = best.select("best.k0", "best.k1", "several", "node").join(met.select("node").distinct(), "node", "left_semi")
+    best = _numbered(rows.groupBy("set0", "set1").agg(_least("doc_id", "k0", "k1"), _several(), *[F.first(c).alias(c) for c in ("size", *cols)]))
+    window = [f"w{k}" for k in range(WINDOW // 8)]
+    longs = ", ".join(f"{c} long" for c in ("key", "mark", *window))
+
+    def index(batches):
+        for b in batches:
+            for at in range(0, b.num_rows, 1024):
+                node, size, *blocks = [c.to_numpy(zero_copy_only=False) for c in b.slice(at, 1024).columns]
+                key, mark, after = postings(np.stack(blocks, axis=1).view(np.uint64), node, size <= TINY)
+                after = after.view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(mark), *[pa.array(np.ascontiguousarray(after[:, k])) for k in range(len(window))]], names=["key", "mark", *window])
+
+    entries = best.filter("size > 0").select("node", "size", *cols).mapInArrow(index, longs)
+    few = min(FEW, heavy)
+    met = checkpointed(entries.repartition("key").sortWithinPartitions("key").mapInArrow(lambda it: _probe_postings(it, few), "kind byte, a long, b long").distinct())
+    first, grouped = met.filter("kind = 0").select("a", "b"), met.filter("kind = 1").select(F.col("a").alias("key"), F.col("b").alias("node"))
+    nodes = first.select(F.explode(F.array("a", "b")).alias("node")).union(grouped.select("node")).distinct()
+    wanted = best.select("best.k0", "best.k1", "several", "node").join(nodes, "node", "left_semi")
     texts = checkpointed(pick(docs, wanted, [text]).toDF("text", "node"))
     prints = best.select("node", "size", *cols)
 
@@ -522,7 +643,7 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
         fits = F.lit(least) * F.greatest("a_size", "b_size") <= F.least("a_size", "b_size") + F.lit(1e-9)
         loose = pairs.distinct()
         if not compared:  # by their fingerprints
-            loose = loose.join(side(prints, "a"), "a").join(side(prints, "b"), "b").filter(fits & ((bits <= LOOSE_BITS) | (F.greatest("a_size", "b_size") <= TINY))).select("a", "b")
+            loose = loose.join(side(prints, "a"), "a").join(side(prints, "b"), "b").filter(fits & ((bits <= WIDE.max_bits) | (F.greatest("a_size", "b_size") <= TINY))).select("a", "b")
 
         def check(batches):
             last, x = None, None
@@ -530,31 +651,32 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
                 hit = []
                 for i, t, u in zip(*(b.column(k).to_pylist() for k in (0, 2, 3))):
                     if i != last:
-                        last, x = i, np.unique(shingles(t, NEAR.width))
-                    hit.append(jaccard(x, np.unique(shingles(u, NEAR.width))) >= least)
+                        last, x = i, np.unique(shingles(t, WIDE.width))
+                    hit.append(jaccard(x, np.unique(shingles(u, WIDE.width))) >= least)
                 yield b.select(["a", "b"]).filter(pa.array(hit, pa.bool_()))
 
         return checkpointed(loose.join(side(texts, "a"), "a").join(side(texts, "b"), "b").select("a", "b", "a_text", "b_text").mapInArrow(check, "a long, b long"))
 
     def coded(batches):
         for b in batches:
-            found = [np.unique(shingles(t, NEAR.width)).astype(np.uint16).tobytes() for t in b.column(1).to_pylist()]
+            found = [np.unique(shingles(t, WIDE.width)).astype(np.uint16).tobytes() for t in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], names=["node", "codes"])
 
     def mixed(lists: DataFrame, last: bool) -> DataFrame:
         dealt = lists.join(prints, "node").join(codes, "node").select("key", "node", "root", "size", "codes", *cols).repartition("key").sortWithinPartitions("key")
         return dealt.mapInArrow(lambda it: _mixed_pairs(it, heavy, last, least), "kind byte, key long, a long, b long")
 
-    found = verified(met.filter("node <> hub").select(F.least("hub", "node").alias("a"), F.greatest("hub", "node").alias("b")), False)
+    found = verified(first, False)
     rooted = checkpointed(prints.select("node").join(components(found), "node", "left").select("node", F.coalesce("root", "node").alias("root")))
-    placed = met.select("key", "node").join(rooted, "node")
+    # A node is in at most 64 groups: one for each of its bytes.
+    placed = grouped.groupBy("node").agg(F.collect_set("key").alias("keys")).join(rooted, "node").select("node", "root", F.explode("keys").alias("key"))
     several = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
     open_ = checkpointed(placed.join(several, "key").select("key", "node", "root"))
     codes = checkpointed(texts.join(open_.select("node").distinct(), "node", "left_semi").select("node", "text").mapInArrow(coded, "node long, codes binary"))
     close = checkpointed(mixed(open_, False))
     pairs = close.filter("kind = 0").select("a", "b")
     if not close.filter("kind = 1").isEmpty():
-        finer = close.filter("kind = 1").select("key", F.col("a").alias("node")).join(best.select("node", F.explode("bands").alias("other")), "node").filter("other <> key").select(F.xxhash64("key", "other").alias("key"), "node")
+        finer = close.filter("kind = 1").select("key", F.col("a").alias("node")).join(open_.select("node", F.col("key").alias("other")), "node").filter("other <> key").select(F.xxhash64("key", "other").alias("key"), "node")
         pairs = pairs.union(mixed(finer.join(rooted, "node"), True).select("a", "b"))
     more = verified(pairs, True)
     # Links of groups: what the first round joined stays joined, so only its roots meet the new links.
