@@ -387,7 +387,7 @@ def _survivors(docs: DataFrame, best: DataFrame, roots: DataFrame) -> DataFrame:
 
 # --- near copies by exact similarity -----------------------------------------------
 
-#: Linked pairs have two equal bytes at most so many positions apart (around the end): a pair at similarity 0.8 has none with a probability of 1e-7.
+#: Linked pairs have two equal bytes at most so many positions apart (around the end): a pair at similarity 0.8 has none with a probability of 6e-7.
 REACH = 16
 #: Bytes after a posting's own that its entries carry, and the bits that may differ in them: a pair at 0.8 differs in 39 on average, in more with a probability of 2e-7.
 WINDOW, WINDOW_BITS = 32, 68
