@@ -663,7 +663,9 @@ def keep_one_similar(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], names=["node", "codes"])
 
     def mixed(lists: DataFrame, last: bool) -> DataFrame:
-        dealt = lists.join(prints, "node").join(codes, "node").select("key", "node", "root", "size", "codes", *cols).repartition("key").sortWithinPartitions("key")
+        # A node meets its fingerprint and codes once, not once a group.
+        whole = lists.groupBy("node", "root").agg(F.collect_set("key").alias("keys")).join(prints, "node").join(codes, "node")
+        dealt = whole.select(F.explode("keys").alias("key"), "node", "root", "size", "codes", *cols).repartition("key").sortWithinPartitions("key")
         return dealt.mapInArrow(lambda it: _mixed_pairs(it, heavy, last, least), "kind byte, key long, a long, b long")
 
     found = verified(first, False)
