@@ -190,7 +190,8 @@ def top_narrow(ids: DataFrame, view: np.ndarray, plain: np.ndarray, norms: np.nd
                     yield _rows(*(x[scaled >= floor] for x in found))
                     continue
                 found = [np.concatenate(x) for x in zip(best[0], found)]
-                order = np.lexsort((found[0], -found[2]))[:k]
+                order = np.lexsort((found[0], -found[2]))
+                order = order[np.r_[True, found[0][order[1:]] != found[0][order[:-1]]]][:k]  # an id that comes twice counts once
                 best = [tuple(x[order] for x in found)]
                 least = float(best[0][2][-1]) if len(order) == k else 0.0
         if floor is None:

@@ -144,7 +144,8 @@ def summed(packed: DataFrame, d: int, f, size: int) -> np.ndarray:
             ends = np.frombuffer(col.buffers()[1], np.int64 if pa.types.is_large_binary(col.type) else np.int32)[col.offset : col.offset + len(col) + 1]
             x = np.frombuffer(col.buffers()[2], np.uint8)[ends[0] : ends[-1]].view(np.float64).reshape(-1, d)
             for i in range(0, len(x), 16384):
-                total += f(x[i : i + 16384])
+                y = x[i : i + 16384]
+                total += f(y if np.isfinite(y).all() else y[np.isfinite(y).all(1)])
         yield pa.RecordBatch.from_arrays([pa.array([v]) for v in total], names=names)
 
     got = packed.mapInArrow(run, ", ".join(f"{c} double" for c in names)).collect()
@@ -223,7 +224,7 @@ def _step(packed: DataFrame, z: np.ndarray, m: int, loss: str, p: float, eps: fl
             s = 0.5 * (1 + np.tanh(t / 2))
             curve, slope = s * (1.0 - s) + 1e-9, s
         elif loss == "lp":
-            curve = (t * t + eps * eps) ** (p / 2 - 1)
+            curve = 1.0 / np.sqrt(t * t + eps * eps) if p == 1 else (t * t + eps * eps) ** (p / 2 - 1)
             slope = curve * t
         else:
             pos = (t > 0).astype(float)
