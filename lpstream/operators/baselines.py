@@ -9,7 +9,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
-from ..functions.hashing import Hashes, chosen, coefficients, poly, poly_numpy
+from ..functions.hashing import Hashes, Many, chosen, coefficients, poly, poly_numpy
 from .sampler import norm_of
 
 
@@ -248,6 +248,24 @@ def stable_numpy(row: np.ndarray, i: int, p: float, seed: int) -> np.ndarray:
     return np.sin(theta * p) / np.cos(theta) ** (1 / p) * (np.cos(theta * (1 - p)) / -np.log(w)) ** ((1.0 - p) / p)
 
 
+def stables_numpy(row: np.ndarray, count: int, p: float, seed: int):
+    """(slice, variables): those of the streams 0 to count - 1 (count x ids), some ids at a time; the tangent as a quotient."""
+    streams = ["angle"] if p == 1 else ["angle", "exponential"]
+    for at, (h,) in Many([coefficients(seed, s, i) for s in streams for i in range(count)], 1)(row):
+        theta = h[:count] + (1 - (1 << 30))
+        theta *= math.pi * (1 - 1e-9) / (1 << 31)
+        if p == 1:
+            sine = np.sin(theta)
+            sine /= np.cos(theta)
+            yield at, sine
+            continue
+        w = (h[count:] + 1) / float((1 << 31) + 1)
+        if p == 2:
+            yield at, np.sqrt(-2.0 * np.log(w)) * np.sin(2 * theta)
+        else:
+            yield at, np.sin(theta * p) / np.cos(theta) ** (1 / p) * (np.cos(theta * (1 - p)) / -np.log(w)) ** ((1.0 - p) / p)
+
+
 def stable_scale(p: float, draws: int = 200_001) -> float:
     """Median of |X| for the p-stable variable of `_stable`, by a quadrature over both uniforms."""
     if p == 1:

@@ -17,12 +17,12 @@ from pyspark.sql import DataFrame, functions as F
 
 from ..functions.hashing import FIELD, Hashes, coefficients, poly_numpy
 from . import baselines, sketch as sk
-from .baselines import level_mass, reduce_rows, stable_numpy
+from .baselines import level_mass, reduce_rows, stables_numpy
 from .recover import size_numpy
 from .sketch import stacked
 
 SLICE = 16384  # rows whose arrays stay in a core's cache
-SUBTREE = 8  # levels of a coreset tree inside one task: 256 batches
+SUBTREE = 6  # levels of a coreset tree inside one task: 64 batches, so that many tasks share the work
 FEW_CANDIDATES = 1_000_000
 
 
@@ -128,8 +128,8 @@ def embedding(packed: DataFrame, d: int, p: float, m: int | None = None, seed: i
 
     def step(arrays, row, x):
         x = zeroed(x)
-        for i in range(m):
-            arrays[0][i] += stable_numpy(row, i, p, seed + 101) @ x
+        for at, c in stables_numpy(row, m, p, seed + 101):
+            arrays[0] += c @ x[at]
 
     return np.sum([g[0] for g in _state(packed, d, lambda: [np.zeros((m, d))], step)] or [np.zeros((m, d))], axis=0)
 
@@ -204,9 +204,7 @@ def sketches(packed: DataFrame, specs: list) -> list[DataFrame]:
                 parts = sk.limbs_numpy(row, zeroed(x), spec)
                 size[w] += sk._checked(seen, size[w], parts)
                 parts = [part.ravel() for part in parts]
-                h = sk.hashes(spec)
-                for j in range(spec.s):
-                    at, sign = h.place_numpy(row, j, spec.r)
+                for j, (at, sign) in enumerate(zip(*sk.hashes(spec).places_numpy(row, spec.r, spec.s))):
                     sk._add(sums[w], j, (at[:, None] * d + np.arange(d)).ravel(), np.repeat(sign, d), parts)
         for w, spec in enumerate(specs):
             cells = sk._in_use(sums[w], spec)
@@ -344,7 +342,8 @@ def merge_reduce(packed: DataFrame, d: int, n: int, batch: int, wanted: list, p:
 
     def subtree(table: pa.Table) -> pa.Table:
         node, row, x = (np.frombuffer(b"".join(table[c].to_pylist()), t) for c, t in (("nodes", np.int64), ("ids", np.int64), ("block", np.float64)))
-        x = x.reshape(-1, d)
+        order = np.lexsort((row, node))  # once for all wanted: what is in order already is sorted again in no time
+        node, row, x = node[order], row[order], x.reshape(-1, d)[order]
         out = []
         for w, (k, seed) in enumerate(wanted):
             nodes, ids, vec, weight = climb(node, row, x, np.ones(len(row)), seed, k, first, True)

@@ -171,20 +171,21 @@ def top_narrow(ids: DataFrame, view: np.ndarray, plain: np.ndarray, norms: np.nd
             every = b.column(0).to_numpy(zero_copy_only=False)
             for at in range(0, len(every), 16384):
                 row = every[at : at + 16384]
-                place = [h.place_numpy(row, j, r) for j in range(s)]
-                mine = np.stack([norms[j, q] for j, (q, _) in enumerate(place)])
+                place = h.buckets_numpy(row, r, s)
+                mine = np.stack([norms[j, q] for j, q in enumerate(place)])
                 # A median reaches a cut only if half of the repetitions at least do (more, if their number is odd).
                 some = np.flatnonzero(2 * np.count_nonzero(mine >= max(cut, (least / reach - 1e-6) * (1 - 1e-12)), axis=0) >= s)
                 est = np.median(mine[:, some], axis=0)
                 keep = some[(est >= cut) & (est > 0) & ((est + 1e-6) * reach >= least)]
                 if not len(keep):
                     continue
-                vecs = np.stack([view[j, q[keep]] * sg[keep, None] for j, (q, sg) in enumerate(place)])
+                place, signs = place[:, keep], h.places_numpy(row[keep], r, s)[1]
+                vecs = np.stack([view[j, q] * sg[:, None] for j, (q, sg) in enumerate(zip(place, signs))])
                 rep, each = medoids(vecs, p), np.arange(len(keep))
                 scaled = np.zeros(len(keep))
                 for j in range(vecs.shape[2]):
                     scaled += size_numpy(vecs[rep, each, j], p)
-                q, sg = (np.stack([x[i][keep] for x in place])[rep, each] for i in (0, 1))
+                q, sg = place[rep, each], signs[rep, each]
                 found = (row[keep], plain[rep, q] * sg[:, None], scaled)
                 if floor is not None:
                     yield _rows(*(x[scaled >= floor] for x in found))

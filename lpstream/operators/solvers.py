@@ -235,6 +235,51 @@ def _step(packed: DataFrame, z: np.ndarray, m: int, loss: str, p: float, eps: fl
     return summed(packed, len(z), f, m * m + m + 1)
 
 
+def polish(packed: DataFrame, start: np.ndarray, eps: float, least: float, p: float, last: float, rounds: int = 40) -> np.ndarray:
+    """Full-data optimum of lp regression over `blocks` from a good start: Newton steps on (t^2 + eps^2)^(p/2), eps falling to `least`, best point seen.
+
+    A step is one scan.  Where it made the smoothed loss larger, it is shortened, then replaced by
+    a reweighting step from the point before, which never does.
+    """
+    z, m = start[:-1], len(start) - 1
+    base, tries, same, best, best_v, stale = None, 0, 0, z.copy(), np.inf, 0
+    ridge = lambda h: h + 1e-10 * max(np.trace(h), 1e-300) * np.eye(m)
+    for _ in range(rounds):
+        old = eps if base is None else base[1]
+
+        def f(x):
+            t = x @ np.r_[z, last]
+            two = t * t + eps * eps
+            power = 1.0 / np.sqrt(two) if p == 1 else two ** (p / 2 - 1)
+            curve = power / two * (eps * eps + (p - 1) * t * t)
+            a = x[:, :m]
+            smooth = np.sqrt(t * t + old * old) if p == 1 else (t * t + old * old) ** (p / 2)
+            return np.r_[(a.T @ (a * curve[:, None])).ravel(), (a.T @ (a * power[:, None])).ravel(), (power * t) @ a, value_numpy("lp", t, p).sum(), smooth.sum(), (power * two).sum()]
+
+        got = summed(packed, m + 1, f, 2 * m * m + m + 3)
+        newton, major, g = got[: m * m].reshape(m, m), got[m * m : 2 * m * m].reshape(m, m), got[2 * m * m : -3]
+        v, smooth, here = got[-3:]
+        stale = stale + 1 if v >= best_v * (1 - 1e-10) else 0
+        if v < best_v:
+            best, best_v = z.copy(), v
+        if stale > 8 or stale and eps <= least and not tries:
+            break
+        if base is not None and smooth > base[2] * (1 + 1e-13):
+            tries += 1
+            if tries > 3:
+                break
+            z, eps = base[0] - (0.3**tries * base[3] if tries < 3 else base[4]), base[1]
+            continue
+        step = np.linalg.solve(ridge(newton), g)
+        base, tries = (z, eps, here, step, np.linalg.solve(ridge(major), g)), 0
+        z = z - step
+        if g @ step < 1e-6 * here or same == 3:
+            eps, same = max(least, eps / 5), 0
+        else:
+            same += 1
+    return np.r_[best, last]
+
+
 def solve_rows(rows: DataFrame, d: int, loss: str, p: float = 1.0, ridge: float = 1e-8, first: float | None = None) -> np.ndarray:
     """The minimiser that `solve` finds with unit weights, on all rows of a table: each step sums value and slopes in the tasks, d + 2 numbers each."""
     names = ["n", "v", *[f"g{j}" for j in range(d)]]

@@ -4,8 +4,9 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from lpstream.functions.hashing import FIELD, PRIME, Hashes
 from lpstream.functions.params import SketchSpec
-from lpstream.operators import baselines as bl, leverage, packed, sketch as sk, subspace
+from lpstream.operators import baselines as bl, leverage, packed, sketch as sk, solvers, subspace
 from lpstream.plans import experiments
 from lpstream.sources import features
 
@@ -61,3 +62,34 @@ def test_packed_rows_that_no_sketch_takes(spark):
     assert packed.sketches(nulls, [SketchSpec(r=2, s=1, d=2)])[0].count() == 1
     (row, x, _), = packed.uniform(nulls, 2, 1, [(1, 1)])
     assert len(row) == 1 and np.isnan(x[0, 1])
+
+
+@pytest.mark.parametrize("sf, workload, p", [("/root/testdata/sf0.01", "w1", 1.0), (SF, "w3", 1.0), (SF, "w3", 1.5)])
+def test_full_optimum_takes_few_scans(spark, monkeypatch, sf, workload, p):
+    """The optimum over all rows starts from that of a sample: a third of the scans, and no larger a loss."""
+    scans, summed = [], solvers.summed
+    monkeypatch.setattr(solvers, "summed", lambda *a: scans.append(a[1]) or summed(*a))
+    found, evaluate = [], solvers.evaluate_blocks
+    monkeypatch.setattr(solvers, "evaluate_blocks", lambda blocks, panel, *a: found.append(panel[0]) or evaluate(blocks, panel, *a))
+    assert experiments.run(spark, sf, workload, "lp", p, (50,), range(1), ("uniform",)).count() == 1
+    assert len(scans) <= 16
+    blocks = solvers.blocks(experiments.WORKLOADS[workload](spark, sf, "lp"), len(found[0])).persist()
+    new, old = evaluate(blocks, [found[0], solvers.solve_full(blocks, len(found[0]), "lp", p, -1.0)], "lp", p)
+    assert new <= old * (1 + 1e-7)
+    blocks.unpersist()
+
+
+def test_polynomials_of_many_lists():
+    """All repetitions at once: the same buckets and signs to the last bit, up to the ends of the field."""
+    rng = np.random.default_rng(5)
+    for top in (1000, PRIME, PRIME + 5, FIELD):
+        row = np.r_[0, 1, top - 1, top // 2, rng.integers(0, top, 3000)]
+        h = Hashes(11)
+        bucket, sign = h.places_numpy(row, 997, 11)
+        for j in range(11):
+            a, b = h.place_numpy(row, j, 997)
+            assert (a == bucket[j]).all() and (b == sign[j]).all()
+        assert (h.buckets_numpy(row, 4000, 3) == [h.bucket_numpy(row, j, 4000) for j in range(3)]).all()
+        for p in (1.0, 1.5, 2.0):
+            got = np.concatenate([c for _, c in bl.stables_numpy(row, 4, p, 9)], axis=1)
+            assert np.allclose(got, [bl.stable_numpy(row, i, p, 9) for i in range(4)], rtol=1e-9, atol=1e-12)
